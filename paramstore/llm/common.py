@@ -67,3 +67,21 @@ def concat_texts(raws: list[bytes], pad: bytes) -> tuple[np.ndarray, np.ndarray,
     data = np.frombuffer(b"".join(x for raw in raws for x in (pad, raw)), np.uint8)
     starts = np.cumsum(lengths + len(pad)) - lengths
     return data, starts, lengths
+
+
+class Held:
+    """What a broadcast carries, and what a worker makes of it: once for each worker, however many tasks it runs.
+
+    build is a function of a module, so that it can be pickled by name.
+    """
+
+    def __init__(self, build: Callable, payload):
+        self.build, self.payload = build, payload
+
+    def __getstate__(self):
+        return {"build": self.build, "payload": self.payload}
+
+    def get(self):
+        if "made" not in self.__dict__:
+            self.made = self.build(self.payload)
+        return self.made

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import per_batch, raw_texts, texts_of
+from paramstore.llm.common import Held, per_batch, raw_texts, texts_of
 
 #: One byte each: A-Z to lower case, other ASCII that is no letter or digit to a blank.
 FOLD = bytes(c + 32 if 0x41 <= c <= 0x5A else c if c >= 0x80 or 0x30 <= c <= 0x39 or 0x61 <= c <= 0x7A else 0x20 for c in range(256))
@@ -95,6 +95,15 @@ def item_blocks(bench: DataFrame, id_col: str, text_col: str, most_words: int) -
     return out
 
 
+def _windows(payload):
+    return Windows(*payload)
+
+
+def blocks_of(spark, bench: DataFrame, id_col: str, text_col: str, most_words: int, window: int) -> list:
+    """The broadcasts, one for each block of items."""
+    return [spark.sparkContext.broadcast(Held(_windows, (b, window))) for b in item_blocks(bench, id_col, text_col, most_words)]
+
+
 def _spans(hit: np.ndarray) -> list[tuple[int, int]]:
     edges = np.flatnonzero(np.diff(np.concatenate(([0], hit.view(np.int8), [0]))))
     return list(zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True))
@@ -104,22 +113,18 @@ def scan(docs: DataFrame, bench: DataFrame, window: int = 10, id_col: str = "doc
     """Per row of docs: doc_id, n_words, n_hit, n_items, items (ids as text, sorted), items_sha256, spans (word ranges, end exclusive)."""
     spark = docs.sparkSession
     source = texts_of(docs, id_col, text_col)
-    held = [spark.sparkContext.broadcast(b) for b in item_blocks(bench, item_col, item_text_col, most_words)]
+    held = blocks_of(spark, bench, item_col, item_text_col, most_words, window)
     kind = source.schema["doc_id"].dataType.simpleString()
-    cache: dict[int, Windows] = {}
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
         n_words, n_hit, items, spans = [], [], [], []
         hits: list[np.ndarray | None] = [None] * batch.num_rows
         met: list[set[str]] = [set() for _ in range(batch.num_rows)]
         texts = [words_of(x) for x in raw_texts(batch.column(1))]
-        for k, one in enumerate(held):
-            if k not in cache:
-                if len(held) > 1:
-                    cache.clear()
-                cache[k] = Windows(one.value, window)
+        for one in held:
+            windows = one.value.get()
             for i, words in enumerate(texts):
-                hit, found = cache[k].scan(words)
+                hit, found = windows.scan(words)
                 if found:
                     hits[i] = hit if hits[i] is None else hits[i] | hit
                     met[i] |= found
@@ -141,20 +146,16 @@ def remove(docs: DataFrame, bench: DataFrame, mode: str = "documents", window: i
         raise ValueError(mode)
     names = docs.columns
     at = names.index(text_col)
-    held = [docs.sparkSession.sparkContext.broadcast(b) for b in item_blocks(bench, item_col, item_text_col, most_words)]
-    cache: dict[int, Windows] = {}
+    held = blocks_of(docs.sparkSession, bench, item_col, item_text_col, most_words, window)
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
         raws = raw_texts(batch.column(at))
         hits: list[np.ndarray | None] = [None] * len(raws)
         texts = [words_of(x) for x in raws]
-        for k, one in enumerate(held):
-            if k not in cache:
-                if len(held) > 1:
-                    cache.clear()
-                cache[k] = Windows(one.value, window)
+        for one in held:
+            windows = one.value.get()
             for i, words in enumerate(texts):
-                hit, found = cache[k].scan(words)
+                hit, found = windows.scan(words)
                 if found:
                     hits[i] = hit if hits[i] is None else hits[i] | hit
         if mode == "documents":

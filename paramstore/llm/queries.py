@@ -5,14 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from paramstore.llm import decontaminate, mixing, quality_rules, simhash, token_store
+from paramstore.llm import decontaminate, html_extract, lattice_lm, mixing, quality_mil, quality_rules, secrets, simhash, token_store
 from paramstore.llm.common import table
 
 
-def tokenizer_file() -> str:
+def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
     import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.json")
+    return public_tokenizers.path(name)
 
 
 def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -20,10 +20,23 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op3_attention_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality_mil.score(docs, quality_mil.train(docs, table(spark, sf_dir, "labels")))
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.verdicts(table(spark, sf_dir, "documents")).select("doc_id", *quality_rules.BASE_COLUMNS, "base_failed", "kept", "lang", "surprise", "lower", "upper")
 
 
+def op5_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(table(spark, sf_dir, "documents")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans", "n_format")
+
+
+def op6_lattice_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lattice_lm.score(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
+
+
 def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.scan(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", (F.col("n_hit") > 0).alias("contaminated"))
@@ -48,10 +61,14 @@ def op9_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.digests(token_store.read_tokens(spark, path))
 
 
+def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extract(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict:
     import corpus_pipeline
 
-    own = [op1_simhash, op4_quality_rules, op7_decontaminate, op8_mixing, op9_tokens]
+    own = [op1_simhash, op3_attention_quality, op4_quality_rules, op5_secrets, op6_lattice_lm, op7_decontaminate, op8_mixing, op9_tokens, op10_html]
     return {f.__name__: f for f in own} | {"pipeline": corpus_pipeline.run}
 
 

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import texts_of
+from paramstore.llm.common import Held, texts_of
 
 #: Fixed value: the pre-tokenization pattern of the public byte-level vocabulary.
 PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
@@ -79,16 +79,15 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_file: str, id_col: str =
     """Write the ids of all rows of docs to ORC files under path (a folder that all executors share)."""
     spark = docs.sparkSession
     source = texts_of(docs, id_col, text_col).repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
-    held = spark.sparkContext.broadcast(Path(tokenizer_file).read_text())
+    held = spark.sparkContext.broadcast(Held(Encoder, Path(tokenizer_file).read_text()))
     kind = source.schema["doc_id"].dataType.simpleString()
 
     def encode(batches):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        part, offset, encoder = TaskContext.get().partitionId(), 0, None
+        part, offset, encoder = TaskContext.get().partitionId(), 0, held.value.get()
         for batch in batches:
-            encoder = encoder or Encoder(held.value)
             step = max(1, int(batch.num_rows * (8 << 20) / max(batch.nbytes, 1)))
             for at in range(0, batch.num_rows, step):
                 piece = batch.slice(at, step)
