@@ -85,7 +85,7 @@ def links(fps: DataFrame, distance: int = 2, segments: int = 4) -> DataFrame:
 
 
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, root) for every node of edges (a, b): root is the smallest node of its component.
+    """(node, root) for every node of edges (a, b) but the roots themselves: root is the smallest node of its component.
 
     Large-star and small-star rounds; each node's neighbours are only ever reduced to their minimum and joined back, never gathered.
     """
