@@ -4,8 +4,11 @@ Text model. A text is its words, A-Z in lower case, and one end. A word is writt
 existing public vocabulary, and its 256 byte pieces, are the arcs of a lattice over it. Every segmentation of a word is weighted by
 the product of its pieces' unigram probabilities, and a log-space forward recursion sums over all segmentations. Pieces with the word
 mark only start words, so words part and their sums multiply. A word that the training texts hold has one arc more, over all of it:
-its probability is (c + M * lattice) / (N + M), the lattice being the base measure of a Dirichlet prior of strength M = V. The log10
-probability of a document is the sum over its words and the end; lattice_score is the same without the whole-word arcs.
+its probability is (c + M * lattice) / (N + M), the lattice being the base measure of a Dirichlet prior of strength M, the number of
+different training words. Weights and counts are those of a language, which is a latent variable of the text: it is known for
+training texts, and a text's probability is the sum over languages of their share by the product of the text's words and end. Its
+log10 is score; lattice_score is the same without the whole-word arcs. The `most_languages` commonest codes have weights of their
+own, all others share theirs.
 
 Weights start from the vocabulary's own order (its scores are ranks) and are fitted to all training words by expected piece counts
 (forward-backward over every different word, weighted by its count). The vocabulary itself is never changed.
@@ -28,65 +31,91 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import Held, bucket, cut, per_batch, raw_texts, row_key, texts_of
+from paramstore.llm.common import Held, bucket, cut, per_batch, raw_texts, row_key
 
 MARK = 0x20  # stands for the word mark: words hold no blanks
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
 
 
 class Pieces:
-    """The lattice arcs: all pieces by length, as sorted hashes with their numbers, and their log weights."""
+    """The lattice arcs: a hash table of all pieces and their beginnings, and the pieces' log weights, a row for each language."""
+
+    SLOTS = 1 << 19
 
     def __init__(self, pieces: list[bytes], logp: np.ndarray):
-        self.logp = np.append(logp, -np.inf)  # the last stands for no piece
+        self.logp = np.atleast_2d(logp)
+        numbers: dict[int, int] = {}
+        for i, piece in enumerate(pieces[:-1]):
+            h = 0
+            for k, c in enumerate(piece):
+                h = ((h ^ (h >> 29)) * int(FACTOR) + c + 1) & 0xFFFFFFFFFFFFFFFF
+                if k + 1 < len(piece):
+                    numbers.setdefault(h, -1)
+            numbers[h] = i
+        self.keys = np.array(list(numbers), np.uint64)
+        self.numbers = np.array(list(numbers.values()), np.int64)
         self.most = max(map(len, pieces))
-        self.by_length = {}
-        for n in range(1, self.most + 1):
-            own = [i for i, p in enumerate(pieces) if len(p) == n]
-            if own:
-                h = hashed(np.frombuffer(b"".join(pieces[i] for i in own), np.uint8).reshape(-1, n))
-                order = np.argsort(h)
-                self.by_length[n] = (h[order], np.array(own, np.int64)[order])
-
-    def arcs(self, words: np.ndarray) -> dict[tuple[int, int], np.ndarray]:
-        """Piece number of every [i:j] of words (rows of equal length, the mark first); -1: none."""
+        self.tables, left = [], np.arange(len(self.keys))  # a key that finds its place taken goes to the next table
+        while len(left):
+            slots, table = self._slots(self.keys[left], len(self.tables)), np.zeros(self.SLOTS, np.int32)
+            table[slots[::-1]] = left[::-1]
+            self.tables.append(table)
+            left = left[table[slots] != left]
+
+    @staticmethod
+    def _slots(h: np.ndarray, table: int) -> np.ndarray:
+        return (h if not table else (h ^ (h >> np.uint64(16 + table))) * FACTOR) >> np.uint64(45)
+
+    def find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Whether each hash is of a piece or a beginning of one, and the piece's number or -1."""
+        at = self.tables[0][self._slots(h, 0)]
+        there = self.keys[at] == h
+        for k, table in enumerate(self.tables[1:], 1):
+            other = np.flatnonzero(~there)
+            again = table[self._slots(h[other], k)]
+            met = self.keys[again] == h[other]
+            at[other[met]] = again[met]
+            there[other[met]] = True
+        return there, self.numbers[at]
+
+    def arcs(self, words: np.ndarray) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
+        """(i, j, rows, numbers): the rows of words (equal lengths, the mark first) that have a piece from i to j, by i, then j."""
         m, size = words.shape
-        wide, out = words.astype(np.uint64) + np.uint64(1), {}
+        columns, out = np.ascontiguousarray(words.T.astype(np.uint64) + np.uint64(1)), []
         for i in range(size):
-            h = np.zeros(m, np.uint64)
+            rows, h = np.arange(m), np.zeros(m, np.uint64)
             for j in range(i + 1, min(size, i + self.most) + 1):
-                h = step(h, wide[:, j - 1])
-                if j - i in self.by_length:
-                    keys, numbers = self.by_length[j - i]
-                    at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
-                    there = keys[at] == h
-                    if there.any():
-                        out[i, j] = np.where(there, numbers[at], -1)
+                h = step(h, columns[j - 1][rows])
+                there, numbers = self.find(h)
+                piece = np.flatnonzero(there & (numbers >= 0))
+                if len(piece):
+                    out.append((i, j, rows[piece], numbers[piece]))
+                rows, h = rows[there], h[there]
+                if not len(rows):
+                    break
         return out
 
-    def forward(self, words: np.ndarray, arcs=None) -> np.ndarray:
+    def forward(self, words: np.ndarray, language: int = 0, arcs=None) -> np.ndarray:
         """Log sums over all segmentations up to each place."""
         m, size = words.shape
-        alpha = np.full((size + 1, m), -np.inf)
+        logp, alpha = self.logp[language], np.full((size + 1, m), -np.inf)
         alpha[0] = 0.0
-        for (i, j), numbers in sorted((self.arcs(words) if arcs is None else arcs).items(), key=lambda e: (e[0][1], e[0][0])):
-            alpha[j] = np.logaddexp(alpha[j], alpha[i] + self.logp[numbers])
+        for i, j, rows, numbers in self.arcs(words) if arcs is None else arcs:
+            alpha[j, rows] = np.logaddexp(alpha[j, rows], alpha[i, rows] + logp[numbers])
         return alpha
 
-    def expected(self, words: np.ndarray, weights: np.ndarray) -> np.ndarray:
+    def expected(self, words: np.ndarray, weights: np.ndarray, language: int = 0) -> np.ndarray:
         """Expected counts of the pieces over words of the given weights."""
-        arcs = self.arcs(words)
-        alpha = self.forward(words, arcs)
+        arcs, logp = self.arcs(words), self.logp[language]
+        alpha = self.forward(words, language, arcs)
         size = words.shape[1]
         beta = np.full_like(alpha, -np.inf)
         beta[size] = 0.0
-        out = np.zeros(len(self.logp) - 1)
-        for (i, j), numbers in sorted(arcs.items(), key=lambda e: (-e[0][0], -e[0][1])):
-            beta[i] = np.logaddexp(beta[i], beta[j] + self.logp[numbers])
-        for (i, j), numbers in arcs.items():
-            share = np.exp(alpha[i] + self.logp[numbers] + beta[j] - alpha[size]) * weights
-            there = numbers >= 0
-            out += np.bincount(numbers[there], share[there], len(out))
+        out = np.zeros(len(logp))
+        for i, j, rows, numbers in reversed(arcs):
+            through = logp[numbers] + beta[j, rows]
+            beta[i, rows] = np.logaddexp(beta[i, rows], through)
+            np.add.at(out, numbers, np.exp(alpha[i, rows] + through - alpha[size, rows]) * weights[rows])
         return out
 
 
@@ -94,13 +123,6 @@ def step(h: np.ndarray, symbol: np.ndarray) -> np.ndarray:
     return (h ^ (h >> np.uint64(29))) * FACTOR + symbol
 
 
-def hashed(rows: np.ndarray) -> np.ndarray:
-    h = np.zeros(len(rows), np.uint64)
-    for k in range(rows.shape[1]):
-        h = step(h, rows[:, k].astype(np.uint64) + np.uint64(1))
-    return h
-
-
 def read_vocabulary(model_file: str) -> tuple[list[bytes], np.ndarray]:
     """Pieces as bytes (the word mark as MARK) and start weights: log of 1 / (rank + offset), the vocabulary's scores being ranks.
 
@@ -124,104 +146,122 @@ def read_vocabulary(model_file: str) -> tuple[list[bytes], np.ndarray]:
     return [*pieces, b"\n\n"], np.log(np.append(weight, weight.sum() / 100) / (weight.sum() * 1.01))
 
 
-def by_length(words: list[bytes], most_cells: int = 4_000_000):
+def by_length(words: list[bytes], most_cells: int = 1_000_000):
     """(places, rows of equal length with the mark first) over words, in bounded parts."""
     lengths = np.fromiter(map(len, words), np.int64, len(words))
     order = np.argsort(lengths, kind="stable")
     at = 0
     while at < len(order):
         n = int(lengths[order[at]])
-        end = min(int(np.searchsorted(lengths[order], n, side="right")), at + max(1, most_cells // ((n + 1) * 16)))
+        end = min(int(np.searchsorted(lengths[order], n, side="right")), at + max(1, most_cells // (n + 1)))
         own = order[at:end]
         body = np.frombuffer(b"".join(words[i] for i in own.tolist()), np.uint8).reshape(len(own), n)
         yield own, np.concatenate([np.full((len(own), 1), MARK, np.uint8), body], axis=1)
         at = end
 
 
-def word_log10(model: Pieces, words: list[bytes], overlap: int = 4096) -> np.ndarray:
-    """log10 of each word's sum over all segmentations."""
-    out = np.zeros(len(words))
-    long = [i for i, w in enumerate(words) if len(w) > overlap]
-    short = [i for i, w in enumerate(words) if len(w) <= overlap]
-    for own, rows in by_length([words[i] for i in short]):
-        out[[short[i] for i in own.tolist()]] = model.forward(rows)[-1]
-    for i in long:  # one at a time, only the last places kept
-        out[i] = long_word(model, words[i])
+def word_log10(model: Pieces, words: list[bytes], longest: int = 1024) -> np.ndarray:
+    """log10 of each word's sum over all segmentations, a column for each language."""
+    out = np.zeros((len(words), len(model.logp)))
+    short = np.array([i for i, w in enumerate(words) if len(w) <= longest], np.int64)
+    for own, rows in by_length([words[i] for i in short.tolist()]):
+        arcs = model.arcs(rows)
+        for k in range(out.shape[1]):
+            out[short[own], k] = model.forward(rows, k, arcs)[-1]
+    for i, w in enumerate(words):
+        if len(w) > longest:
+            out[i] = [long_word(model, w, k) for k in range(out.shape[1])]
     return out / math.log(10)
 
 
-def long_word(model: Pieces, word: bytes, block: int = 4096) -> float:
-    """The same recursion in blocks: the places of the last `most` bytes go over into the next block."""
-    text = bytes([MARK]) + word
+def long_word(model: Pieces, word: bytes, language: int = 0, block: int = 1024) -> float:
+    """The same recursion in blocks, of which only the last places go over into the next."""
+    text, logp = bytes([MARK]) + word, model.logp[language]
     alpha, start = {0: 0.0}, 0
     while start < len(text):
         stop = min(start + block, len(text))
         low = max(0, start - model.most + 1)
-        rows = np.frombuffer(text[low:stop], np.uint8)[None, :]
-        own = dict(alpha)
-        for (i, j), numbers in sorted(model.arcs(rows).items(), key=lambda e: (e[0][1], e[0][0])):
-            if numbers[0] >= 0 and low + j > start and low + i in own:
-                own[low + j] = np.logaddexp(own.get(low + j, -np.inf), own[low + i] + model.logp[numbers[0]])
-        alpha = {k: v for k, v in own.items() if k > stop - model.most}
+        for i, j, _, numbers in model.arcs(np.frombuffer(text[low:stop], np.uint8)[None, :]):
+            if low + j > start and low + i in alpha:
+                alpha[low + j] = np.logaddexp(alpha.get(low + j, -np.inf), alpha[low + i] + logp[numbers[0]])
+        alpha = {k: v for k, v in alpha.items() if k > stop - model.most}
         start = stop
     return float(alpha[len(text)])
 
 
-def count_words(docs: DataFrame, id_col: str, text_col: str, folds: int, most_held: int = 400_000) -> DataFrame:
-    """(word, n, c): occurrences in all texts and in the training texts, of every different word."""
-    source = docs.select(F.col(text_col).alias("text"), (bucket(F.col(id_col), folds) != 0).alias("train"))
+def languages(docs: DataFrame, id_col: str, lang_col: str, folds: int, most: int) -> dict[str, int]:
+    """Training texts of each of the most frequent language codes; '' for all others together."""
+    code = F.coalesce(F.lower(F.col(lang_col)), F.lit(""))
+    rows = docs.where(bucket(F.col(id_col), folds) != 0).groupBy(code.alias("lang")).count().orderBy(F.desc("count"), "lang")
+    top = {r.lang: r["count"] for r in rows.limit(most).collect()}
+    total = rows.agg(F.coalesce(F.sum("count"), F.lit(0))).first()[0]
+    top[""] = top.get("", 0) + total - sum(top.values())
+    return {k: n for k, n in sorted(top.items()) if n or len(top) == 1}
+
 
-    def batch_of(all_: Counter, train: Counter) -> pa.RecordBatch:
-        words = list(all_)
-        return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array([all_[w] for w in words], pa.int64()), pa.array([train[w] for w in words], pa.int64())], ["word", "n", "c"])
+def count_words(docs: DataFrame, id_col: str, text_col: str, lang_col: str, langs: list[str], folds: int, most_held: int = 400_000) -> DataFrame:
+    """(word, n, c0, c1, ...): occurrences in all texts, and in the training texts of each language, of every different word."""
+    code = F.coalesce(F.lower(F.col(lang_col)), F.lit(""))
+    which = F.coalesce(F.array_position(F.array(*[F.lit(x) for x in langs]), code), F.lit(0)).cast("int")
+    other = langs.index("") + 1 if "" in langs else 1
+    source = docs.select(F.col(text_col).alias("text"), F.when(bucket(F.col(id_col), folds) == 0, 0).when(which == 0, other).otherwise(which).alias("which"))
+    names = ["word", "n", *[f"c{k}" for k in range(len(langs))]]
+
+    def batch_of(counts: list[Counter]) -> pa.RecordBatch:
+        words = list(set().union(*counts))
+        columns = [[c.get(w, 0) for w in words] for c in counts]
+        total = np.array(columns, np.int64).sum(axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array(total), *[pa.array(c, pa.int64()) for c in columns[1:]]], names)
 
     def run(batches):
-        all_, train = Counter(), Counter()
+        counts = [Counter() for _ in range(len(langs) + 1)]
         for batch in batches:
-            for raw, learns in zip(raw_texts(batch.column(0)), batch.column(1).to_pylist(), strict=True):
-                (train if learns else all_).update(raw.lower().split())
-                if len(train) + len(all_) > most_held:
-                    all_.update(train)
-                    yield batch_of(all_, train)
-                    all_, train = Counter(), Counter()
-        all_.update(train)
-        if all_:
-            yield batch_of(all_, train)
+            for raw, k in zip(raw_texts(batch.column(0)), batch.column(1).to_pylist(), strict=True):
+                counts[k].update(raw.lower().split())
+                if sum(map(len, counts)) > most_held:
+                    yield batch_of(counts)
+                    counts = [Counter() for _ in counts]
+        if any(counts):
+            yield batch_of(counts)
 
-    return source.mapInArrow(run, "word binary, n long, c long").groupBy("word").agg(F.sum("n").alias("n"), F.sum("c").alias("c"))
+    rows = source.mapInArrow(run, f"word binary, {', '.join(f'{c} long' for c in names[1:])}")
+    return rows.groupBy("word").agg(*[F.sum(c).alias(c) for c in names[1:]])
 
 
-def fit(words: DataFrame, pieces: list[bytes], logp: np.ndarray, ends: int, rounds: int = 2, prior: float = 20.0) -> np.ndarray:
-    """Log weights of the pieces after so many rounds of expectation over all training words; ends: how many texts there are.
+def fit(words: DataFrame, pieces: list[bytes], logp: np.ndarray, ends: list[int], rounds: int = 2, prior: float = 20.0) -> np.ndarray:
+    """Log weights of the pieces, a row for each language, after so many rounds of expectation over all training words.
 
-    prior: pseudo-counts in all, spread by the weights there were, so that no piece ever gets zero.
+    ends: training texts of each language. prior: pseudo-counts in all, spread by the start weights, so that no piece ever gets zero.
     """
     spark = words.sparkSession
-    start = np.exp(logp)
+    n_langs, start = len(ends), np.exp(logp)
+    logp = np.tile(logp, (n_langs, 1))
     for _ in range(rounds):
         held = spark.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
 
         def kernel(batches, held=held):
-            out = np.zeros(len(pieces))
+            out = np.zeros((n_langs, len(pieces)))
             for batch in batches:
                 model, own = held.value.get(), raw_texts(batch.column(0))
-                n = batch.column(1).to_numpy().astype(np.float64)
-                short = [i for i, w in enumerate(own) if len(w) <= 4096]
-                for at, rows in by_length([own[i] for i in short]):
-                    out += model.expected(rows, n[[short[i] for i in at.tolist()]])
-                for i, w in enumerate(own):  # a very long word, for the fit alone, as its consecutive parts
-                    if len(w) > 4096:
-                        for k in range(0, len(w), 4096):
-                            out += model.expected(np.frombuffer((bytes([MARK]) + w if not k else w)[k : k + 4096], np.uint8)[None, :], n[i : i + 1])
-            seen = np.flatnonzero(out)
-            yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(out[seen])], ["piece", "expected"])
-
-        got = words.where("c > 0").select("word", "c").mapInArrow(kernel, "piece long, expected double").groupBy("piece").agg(F.sum("expected").alias("expected")).collect()
-        counts = prior * start
-        for r in got:  # a row for each piece of the vocabulary at most
-            counts[r.piece] += r.expected
-        counts[-1] += ends
-        logp = np.log(counts / counts.sum())
+                for k in range(n_langs):
+                    n = batch.column(k + 1).to_numpy().astype(np.float64)
+                    mine = np.flatnonzero(n)
+                    short = [i for i in mine.tolist() if len(own[i]) <= 1024]
+                    for at, rows in by_length([own[i] for i in short]):
+                        out[k] += model.expected(rows, n[[short[i] for i in at.tolist()]], k)
+                    for i in mine.tolist():  # a very long word, for the fit alone, as its consecutive parts
+                        for low in range(0, len(own[i]) if len(own[i]) > 1024 else 0, 1024):
+                            out[k] += model.expected(np.frombuffer((b"" if low else bytes([MARK])) + own[i][low : low + 1024], np.uint8)[None, :], n[i : i + 1], k)
+            lang, seen = np.nonzero(out)
+            yield pa.RecordBatch.from_arrays([pa.array(lang), pa.array(seen), pa.array(out[lang, seen])], ["lang", "piece", "expected"])
+
+        columns = [f"c{k}" for k in range(n_langs)]
+        rows = words.where(F.greatest(*columns, F.lit(0)) > 0).select("word", *columns).mapInArrow(kernel, "lang long, piece long, expected double")
+        counts = prior * np.tile(start, (n_langs, 1))
+        counts[:, -1] += ends
+        for r in rows.groupBy("lang", "piece").agg(F.sum("expected").alias("expected")).collect():  # languages by pieces at most
+            counts[r.lang, r.piece] += r.expected
+        logp = np.log(counts / counts.sum(axis=1, keepdims=True))
     return logp
 
 
@@ -237,55 +277,69 @@ def frequent(words: DataFrame, most_words: int) -> int:
     return least
 
 
-def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_col: str = "text", folds: int = 10, k: float = 0.1, rounds: int = 2, most_words: int = 300_000) -> DataFrame:
+def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", folds: int = 10, k: float = 0.1, rounds: int = 2, most_words: int = 300_000, most_languages: int = 8) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, lattice_score of every row; rows with crc32(id) % folds = 0 are held out."""
     spark = docs.sparkSession
-    counted = cut(count_words(docs, id_col, text_col, folds))
-    ends = docs.where(bucket(F.col(id_col), folds) != 0).count()
-    totals = counted.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count_if(F.col("c") > 0).alias("v")).first()
-    n, v = totals.n + ends, totals.v + (ends > 0)
+    sizes = languages(docs, id_col, lang_col, folds, most_languages)
+    langs, ends = list(sizes), list(sizes.values())
+    cs = [f"c{i}" for i in range(len(langs))]
+    counted = cut(count_words(docs, id_col, text_col, lang_col, langs, folds))
+    all_c = sum((F.col(c) for c in cs), F.lit(0))
+    sums = counted.agg(F.count_if(all_c > 0).alias("v"), *[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in cs], *[F.count_if(F.col(c) > 0).alias(f"v{c}") for c in cs]).first()
+    texts = sum(ends)
+    n, v = sum(sums[c] for c in cs) + texts, sums.v + (texts > 0)
+    own_n = np.array([sums[c] + e for c, e in zip(cs, ends, strict=True)], np.float64)
+    strength = np.array([max(sums[f"v{c}"], 1) for c in cs], np.float64)  # M
     pieces, logp = read_vocabulary(vocabulary_file)
     logp = fit(counted, pieces, logp, ends, rounds)
     held = spark.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
+    names = ["word", "n", *cs, *[f"l{i}" for i in range(len(langs))]]
 
     def lattice(batch: pa.RecordBatch) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([*batch.columns, pa.array(word_log10(held.value.get(), raw_texts(batch.column(0))))], ["word", "n", "c", "lattice"])
+        sums_ = word_log10(held.value.get(), raw_texts(batch.column(0)))
+        return pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums_[:, i])) for i in range(sums_.shape[1])]], names)
 
-    words = cut(counted.mapInArrow(per_batch(lattice), "word binary, n long, c long, lattice double"))
+    words = cut(counted.mapInArrow(per_batch(lattice), ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names)))
     least = frequent(words, most_words)
-    head = words.where(F.col("n") >= least).select("word", "c", "lattice").toArrow()  # most_words rows at most
-    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), head.column(1).to_numpy(), head.column(2).to_numpy())))
-    floor, strength = n + k * (v + 1), float(max(v, 1))
-    last = logp[-1] / math.log(10)
-    end = (math.log10((ends + k) / floor), math.log10((ends + strength * 10**last) / (n + strength)), last, int(ends > 0))
-    source = texts_of(docs, id_col, text_col).select("doc_id", row_key("doc_id", "text").alias("key"), (bucket(F.col("doc_id"), folds) == 0).alias("held_out"), "text")
+    head = words.where(F.col("n") >= least).drop("n").toArrow()  # most_words rows at most
+    columns = [head.column(i).to_numpy() for i in range(1, head.num_columns)]
+    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), columns, k, n, v, own_n, strength)))
+    floor, m = n + k * (v + 1), len(langs)
+    last = logp[:, -1] / math.log(10)
+    end = np.concatenate(([float(texts > 0), math.log10((texts + k) / floor)], np.log10((np.array(ends) + strength * 10**last) / (own_n + strength)), last))
+    source = docs.select(F.col(id_col).alias("doc_id"), row_key(id_col, text_col).alias("key"), (bucket(F.col(id_col), folds) == 0).alias("held_out"), F.col(text_col).alias("text"))
     kind = source.schema["doc_id"].dataType.simpleString()
+    values = ["known", "base", *[f"s{i}" for i in range(m)], *[f"t{i}" for i in range(m)]]  # of a token; for a text their sums
 
     def one_pass(batch: pa.RecordBatch) -> pa.RecordBatch:
-        place, c, lp = known.value.get()
-        base = np.log10((c + k) / floor)
-        full = np.log10(np.where(c > 0, c + strength * 10.0**lp, 1.0)) + np.where(c > 0, 0.0, math.log10(strength) + lp) - math.log10(n + strength)
-        out, rest, times = [], [], []
-        for raw in raw_texts(batch.column(3)):
+        place, table = known.value.get()
+        lengths, out, rest, times = [], np.zeros((batch.num_rows, len(values))), [], []
+        for row, raw in enumerate(raw_texts(batch.column(3))):
             tokens = raw.lower().split()
             at = np.array([place.get(w, -1) for w in tokens], np.int64)
-            there = at[at >= 0]
-            out.append((len(tokens) + 1, int(np.count_nonzero(c[there])) + end[3], float(base[there].sum()) + end[0], float(full[there].sum()) + end[1], float(lp[there].sum()) + end[2]))
+            out[row] = end + table[at[at >= 0]].sum(axis=0)
             other = Counter(tokens[i] for i in np.flatnonzero(at < 0).tolist())
+            lengths.append(len(tokens) + 1)
             rest.append(list(other))
             times.append(list(other.values()))
-        table = list(zip(*out, strict=True))
-        arrays = [*batch.columns[:3], pa.array(table[0], pa.int64()), pa.array(table[1], pa.int64()), pa.array(table[2], pa.float64()), pa.array(table[3], pa.float64()), pa.array(table[4], pa.float64()), pa.array(rest, pa.list_(pa.binary())), pa.array(times, pa.list_(pa.int64()))]
-        return pa.RecordBatch.from_arrays(arrays, ["doc_id", "key", "held_out", "n_tokens", "n_known", "base_score", "score", "lattice_score", "rest", "times"])
+        arrays = [*batch.columns[:3], pa.array(lengths, pa.int64()), *[pa.array(np.ascontiguousarray(out[:, i])) for i in range(len(values))], pa.array(rest, pa.list_(pa.binary())), pa.array(times, pa.list_(pa.int64()))]
+        return pa.RecordBatch.from_arrays(arrays, ["doc_id", "key", "held_out", "n_tokens", *values, "rest", "times"])
 
-    rows = cut(source.mapInArrow(per_batch(one_pass), f"doc_id {kind}, key long, held_out boolean, n_tokens long, n_known long, base_score double, score double, lattice_score double, rest array<binary>, times array<long>"))
+    rows = cut(source.mapInArrow(per_batch(one_pass), f"doc_id {kind}, key long, held_out boolean, n_tokens long, {', '.join(f'{c} double' for c in values)}, rest array<binary>, times array<long>"))
     rare = rows.where(F.size("rest") > 0).select("key", F.posexplode(F.arrays_zip("rest", "times")).alias("i", "x")).select("key", "i", F.col("x.rest").alias("word"), F.col("x.times").alias("t"))
-    whole = F.when(F.col("c") > 0, F.log10(F.col("c") + strength * F.pow(F.lit(10.0), F.col("lattice")))).otherwise(math.log10(strength) + F.col("lattice")) - math.log10(n + strength)
-    weighed = rare.join(words.select("word", "c", "lattice"), "word").select("key", "i", "t", "c", (F.col("t") * F.log10((F.col("c") + k) / floor)).alias("b"), (F.col("t") * whole).alias("s"), (F.col("t") * F.col("lattice")).alias("l"))
-    of_row = weighed.groupBy("key").agg(F.sum(F.when(F.col("c") > 0, F.col("t")).otherwise(0)).alias("more_known"), F.sum("b").alias("b"), F.sum("s").alias("s"), F.sum("l").alias("l"), F.count_if(F.col("i") == 0).alias("copies"))
+    whole = [F.when(F.col(c) > 0, F.log10(F.col(c) + float(q) * F.pow(F.lit(10.0), F.col(f"l{i}")))).otherwise(math.log10(q) + F.col(f"l{i}")) - math.log10(o + q) for i, (c, q, o) in enumerate(zip(cs, strength, own_n, strict=True))]
+    each = [F.when(all_c > 0, 1.0).otherwise(0.0), F.log10((all_c + k) / floor), *whole, *[F.col(f"l{i}") for i in range(m)]]
+    weighed = rare.join(words, "word").select("key", "i", *[(F.col("t") * e).alias(f"x_{c}") for c, e in zip(values, each, strict=True)])
+    of_row = weighed.groupBy("key").agg(F.count_if(F.col("i") == 0).alias("copies"), *[F.sum(f"x_{c}").alias(f"x_{c}") for c in values])
     full = rows.drop("rest", "times").join(of_row, "key", "left")
-    more = lambda c: F.coalesce(F.col(c) / F.col("copies"), F.lit(0.0))  # noqa: E731  the same row more than once is summed once for each
-    return full.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.round(more("more_known")).cast("long")).alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), (F.col("base_score") + more("b")).alias("base_score"), (F.col("score") + more("s")).alias("score"), (F.col("lattice_score") + more("l")).alias("lattice_score"))
+    total = {c: F.col(c) + F.coalesce(F.col(f"x_{c}") / F.col("copies"), F.lit(0.0)) for c in values}  # the same row twice was summed twice
+
+    def mixed(prefix: str):
+        logs = [total[f"{prefix}{i}"] + math.log10(max(e, 0.5) / max(texts, 1)) for i, e in enumerate(ends)]
+        top = F.greatest(*logs) if m > 1 else logs[0]
+        return top + F.log10(sum((F.pow(F.lit(10.0), x - top) for x in logs), F.lit(0.0)))
+
+    return full.select("doc_id", "held_out", "n_tokens", F.round(total["known"]).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total["base"].alias("base_score"), mixed("s").alias("score"), mixed("t").alias("lattice_score"))
 
 
 def _pieces(payload):
@@ -293,6 +347,12 @@ def _pieces(payload):
 
 
 def _dictionary(payload):
-    blob, c, lp = payload
-    words = blob.split(b"\n") if len(c) else []
-    return {w: i for i, w in enumerate(words)}, np.asarray(c, np.float64), np.asarray(lp)
+    """Places of the words, and what a token of each adds: known, base, the score and the lattice in each language."""
+    blob, columns, k, n, v, own_n, strength = payload
+    m = len(own_n)
+    c, lattice = np.array(columns[:m], np.float64), np.array(columns[m:], np.float64)
+    score = np.where(c > 0, np.log10(np.maximum(c + strength[:, None] * 10.0**lattice, 1e-300)), np.log10(strength)[:, None] + lattice) - np.log10(own_n + strength)[:, None]
+    all_c = c.sum(axis=0)
+    table = np.column_stack([all_c > 0, np.log10((all_c + k) / (n + k * (v + 1))), *score, *lattice])
+    words = blob.split(b"\n") if c.shape[1] else []
+    return {w: i for i, w in enumerate(words)}, table
