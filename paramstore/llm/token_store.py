@@ -14,14 +14,15 @@ come. An empty table gives a folder without rows.
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
+from array import array
 from itertools import chain
 from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
@@ -29,21 +30,23 @@ from pyspark.sql import functions as F
 
 from paramstore.llm.common import Held, texts_of
 
-#: Fixed value: the pre-tokenization pattern of the public byte-level vocabulary.
-PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
 #: Texts of other characters go to the library whole.
-PLAIN = regex.compile(r"[\t\n\r\x20-\x7e¡-ɏ‐-‧]*")
+PLAIN = re.compile(r"[\t\n\r\x20-\x7e¡-ɏ‐-‧]*")
+#: The letters and numbers among them.
+LETTER, NUMBER = "A-Za-zªµºÀ-ÖØ-öø-ɏ", "0-9²³¹¼½¾"
+#: Fixed value: the pre-tokenization pattern of the public byte-level vocabulary, for PLAIN texts.
+PIECES = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^\s{LETTER}{NUMBER}]+|\s+(?!\S)|\s+")
 
 
 class Encoder:
     """Ids of texts; one for each worker."""
 
-    def __init__(self, json_text: str, most_cached: int = 400_000):
+    def __init__(self, json_text: str, most_cached: int = 500_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(json_text)
         self.tokenizer.encode_special_tokens = True
-        self.cache: dict[str, list[int]] = {}
+        self.cache: dict[str, bytes] = {}
         self.most = most_cached
         self.split = self._splits_as_known()
 
@@ -65,13 +68,20 @@ class Encoder:
                 own.append(i)
             else:
                 out[i] = np.array(self._whole(text), np.int32)
-        if len(self.cache) > self.most:
-            self.cache.clear()
-        cache = self.cache
-        new = list(set(chain.from_iterable(cut)).difference(cache))
-        cache.update((p, e.ids) for p, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False), strict=True))
+        flat = list(chain.from_iterable(cut))
+        ids = list(map(self.cache.get, flat))
+        missing = [i for i, x in enumerate(ids) if x is None]
+        if missing:
+            new = list({flat[i] for i in missing})
+            fresh = {p: array("i", e.ids).tobytes() for p, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True)}
+            for i in missing:
+                ids[i] = fresh[flat[i]]
+            if len(self.cache) < self.most:  # a full cache stays as it is: by then it has the frequent pieces
+                self.cache.update(fresh)
+        at = 0
         for i, pieces in zip(own, cut, strict=True):
-            out[i] = np.fromiter(chain.from_iterable(map(cache.__getitem__, pieces)), np.int32)
+            out[i] = np.frombuffer(b"".join(ids[at : at + len(pieces)]), np.int32)
+            at += len(pieces)
         return out
 
 
