@@ -116,8 +116,8 @@ def buff(values: DataFrame) -> DataFrame:
 def decimal_exponent(value: Column, most: int = 22) -> Column:
     """The first e at which value is d / 10**e with d of 31 bits; null if there is none."""
     def fits(e):
-        d = F.floor(value * F.pow(F.lit(10.0), e) + 0.5)
-        return (F.abs(d) < float(1 << 31)) & (d / F.pow(F.lit(10.0), e) == value)
+        x = value * F.pow(F.lit(10.0), e)
+        return (F.abs(x) < float(1 << 31)) & (F.floor(x + 0.5) / F.pow(F.lit(10.0), e) == value)
 
     return F.get(F.filter(F.sequence(F.lit(0), F.lit(most)), fits), F.lit(0))
 
@@ -163,7 +163,8 @@ def uniform_quantization(values: DataFrame, times: float = 1.0, z: float = 3.0)
     near = F.abs(F.col("value") - F.col("mean")) <= z * F.col("std")
     g = values.join(F.broadcast(stats), list(MODEL)).groupBy(*MODEL).agg(F.count("*").alias("params"), F.count_if(near).alias("g"), (F.max(F.when(near, F.col("value"))) - F.min(F.when(near, F.col("value")))).alias("range"))
     w = width_of(F.col("dtype"))
-    k = F.floor(F.col("range") / (2 * bound(times)) + 0.0).cast("double") + 1.0
+    steps = F.col("range") / (2 * bound(times))
+    k = F.when(steps < 2.0**53, F.floor(steps).cast("double")).otherwise(steps) + 1.0  # beyond, a double is whole
     index = F.least(w, F.ceil(F.log2(k)).cast("long"))
     return g.select(*MODEL, "params", (F.col("params") * w).alias("original"), (F.col("params") + F.coalesce(index, F.lit(0)) * F.col("g") + w * (F.col("params") - F.col("g")) + 3 * w).cast("long").alias("compressed"))
 

@@ -34,8 +34,8 @@ def sampled_bytes(layers: DataFrame, stride: int = STRIDE, unit: int | None = No
 
 
 def ratio(units: DataFrame, size: str = "len") -> DataFrame:
-    """By dtype: bytes, similar bytes (all copies but the first of each print), and their ratio; exact copies are included."""
-    groups = units.groupBy("dtype", "fp").agg(F.count("*").alias("n"), F.sum(size).alias("bytes"), F.max(size).alias("one"))
+    """By dtype: bytes, similar bytes (all copies but the shortest of each print), and their ratio; exact copies are included."""
+    groups = units.groupBy("dtype", "fp").agg(F.count("*").alias("n"), F.sum(size).alias("bytes"), F.min(size).alias("one"))
     out = groups.groupBy("dtype").agg(F.sum("n").alias("units"), F.count("*").alias("groups"), F.sum("bytes").alias("bytes"), F.sum(F.col("bytes") - F.col("one")).alias("similar"))
     return out.withColumn("ratio", F.col("similar") / F.col("bytes"))
 

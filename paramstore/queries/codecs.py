@@ -47,7 +47,7 @@ def buff_sizes(spark, sf_dir):
     return codecs.buff(values(spark, sf_dir))
 
 
-_E = "list_filter(range(23), lambda e: abs(floor(value * pow(10::DOUBLE, e) + 0.5)) < 2147483648::DOUBLE AND floor(value * pow(10::DOUBLE, e) + 0.5) / pow(10::DOUBLE, e) = value)[1]"
+_E = "list_filter(range(23), lambda e: abs(value * pow(10::DOUBLE, e)) < 2147483648::DOUBLE AND floor(value * pow(10::DOUBLE, e) + 0.5) / pow(10::DOUBLE, e) = value)[1]"
 
 
 @query("pseudodecimal_sizes", P + f", q AS (SELECT *, pos // 65536 AS b, {_E} AS e FROM p), r AS (SELECT *, CASE WHEN e IS NOT NULL THEN floor(value * pow(10::DOUBLE, e) + 0.5)::BIGINT END AS digits, CASE WHEN lag(bits) OVER (PARTITION BY model_id, dtype, b ORDER BY pos) = bits THEN 0 ELSE 1 END AS starts FROM q), g AS (SELECT model_id, dtype, b, w, count(*) AS n, count(DISTINCT bits) AS u, sum(starts) AS runs, min(digits) AS lo, max(digits) AS hi, count(*) FILTER (WHERE e IS NULL) AS odd FROM r GROUP BY model_id, dtype, b, w) SELECT model_id, dtype, sum(n)::BIGINT AS params, sum(n * w)::BIGINT AS original, sum(least(n * w, CASE WHEN u = 1 THEN w + 32 END, runs * (w + 32), u * w + n * CASE WHEN u > 1 THEN length(bin(u - 1)) ELSE 0 END, n * CASE WHEN coalesce(hi - lo, 0) = 0 THEN 0 ELSE length(bin(hi - lo)) END + 5 * n + odd * (w + 32)))::BIGINT AS compressed FROM g GROUP BY ALL")

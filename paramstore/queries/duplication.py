@@ -69,7 +69,7 @@ def incremental_dedup(spark, sf_dir):
     return prints.where("odd = 1").select("fp", "len").distinct().join(prints.where("odd = 0").select("fp"), "fp", "left_anti").agg(F.count("*").alias("new_units"), F.coalesce(F.sum("len"), F.lit(0)).alias("new_bytes"))
 
 
-_SIM = "SELECT dtype, sum(n)::BIGINT AS units, count(*) AS groups, sum(b)::BIGINT AS bytes, sum(b - one)::BIGINT AS similar, sum(b - one)::BIGINT / sum(b)::BIGINT::DOUBLE AS ratio FROM (SELECT dtype, fp, count(*) AS n, sum(len) AS b, max(len) AS one FROM u GROUP BY 1, 2) GROUP BY 1"
+_SIM = "SELECT dtype, sum(n)::BIGINT AS units, count(*) AS groups, sum(b)::BIGINT AS bytes, sum(b - one)::BIGINT AS similar, sum(b - one)::BIGINT / sum(b)::BIGINT::DOUBLE AS ratio FROM (SELECT dtype, fp, count(*) AS n, sum(len) AS b, min(len) AS one FROM u GROUP BY 1, 2) GROUP BY 1"
 _TAKE = "list_aggregate(list_transform(range((length(h) // 2 + 31) // 32), lambda j: substr(h, 64 * j + 1, 2)), 'string_agg', '')"
 _BYTE_UNIT = f"SELECT model_id, layer_id, dtype, {_TAKE} AS fp, length(h) // 2 AS len, h AS exact FROM (SELECT *, hex(encode(text)) AS h FROM {{f}}) WHERE length(h) > 0"
 _BYTE_CHUNK = f"SELECT layer_id, dtype, {_TAKE} AS fp, length(h) // 2 AS len, h AS exact FROM (SELECT layer_id, dtype, substr(hh, 2 * {{k}} * i + 1, 2 * {{k}}) AS h FROM (SELECT *, unnest(range((length(hh) // 2 + {{k}} - 1) // {{k}})) AS i FROM (SELECT *, hex(encode(text)) AS hh FROM {{f}})))"
@@ -87,7 +87,7 @@ for _k in (4096, 512):
         return similarity.ratio(similarity.sampled_bytes(zoo.byte_layers(spark, sf_dir), unit=k))
 
 
-_PARAM_UNIT = f"SELECT layer_id, dtype, layer_pos // 64 AS unit_no, count(*) * CASE dtype WHEN 'float32' THEN 4 ELSE 8 END AS len, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) FILTER (WHERE layer_pos % 64 % 32 = 0) AS fp, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) AS exact FROM {P} GROUP BY ALL"
+_PARAM_UNIT = f"SELECT layer_id, dtype, layer_pos // 64 AS unit_no, count(*) * CASE dtype WHEN 'float32' THEN 4 ELSE 8 END AS len, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) FILTER (WHERE layer_pos % 64 % 32 = 0) AS fp, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) AS exact FROM {P} GROUP BY layer_id, dtype, layer_pos // 64"
 
 
 def param_units(spark, sf_dir):

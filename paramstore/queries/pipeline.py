@@ -60,7 +60,7 @@ def unit_sizes(spark, sf_dir):
     return unitpack.sizes(zoo.values(spark, sf_dir))
 
 
-@query("unit_error_bound", U + f", e AS (SELECT *, abs({_DEC} - value) AS off FROM u) SELECT model_id, dtype, max(off) AS max_error, count(*) FILTER (WHERE off = 0) / count(*)::DOUBLE AS exact, CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END AS bound, max(off) <= CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END AS holds FROM e GROUP BY ALL")
+@query("unit_error_bound", U + f", e AS (SELECT *, abs({_DEC} - value) AS off FROM u) SELECT model_id, dtype, max(off) AS max_error, count(*) FILTER (WHERE off = 0) / count(*)::DOUBLE AS exact, CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END AS bound, max(off) <= CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END AS holds FROM e GROUP BY model_id, dtype")
 def unit_error_bound(spark, sf_dir):
     return unitpack.error(zoo.values(spark, sf_dir)).drop("mean_error")
 

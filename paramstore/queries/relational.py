@@ -9,6 +9,8 @@ import re
 import tempfile
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -42,7 +44,8 @@ def prints(name: str, text: str, hint: str = "") -> None:
 
 prints("join_shuffle_hash", "SELECT a.doc_id, f.owner FROM PRINTS a JOIN (SELECT fp, min(doc_id) AS owner FROM PRINTS b GROUP BY fp) f ON a.fp = f.fp", "/*+ SHUFFLE_HASH(f) */")
 prints("join_refs", "SELECT a.doc_id, f.owner, CASE WHEN a.doc_id = f.owner THEN 0 ELSE 1 END AS is_ref FROM PRINTS a JOIN (SELECT fp, min(doc_id) AS owner FROM PRINTS b GROUP BY fp) f ON a.fp = f.fp")
-prints("join_semi", "SELECT a.doc_id FROM PRINTS a LEFT SEMI JOIN (SELECT fp FROM PRINTS b GROUP BY fp HAVING count(*) > 1) f ON a.fp = f.fp".replace("LEFT SEMI", "LEFT SEMI"))
+_SEMI = "SELECT a.doc_id FROM PRINTS a {} JOIN (SELECT fp FROM PRINTS b GROUP BY fp HAVING count(*) > 1) f ON a.fp = f.fp"
+both("join_semi", _SEMI.format("LEFT SEMI").replace("PRINTS", f"({_PRINTS})"), duck=_SEMI.format("SEMI").replace("PRINTS", f"({_DUCK_PRINTS})"))
 both("join_semi_in", "SELECT doc_id FROM {documents} WHERE doc_id IN (SELECT doc_id FROM {labels} WHERE quality = 1)")
 prints("join_anti", "SELECT a.doc_id FROM PRINTS a WHERE NOT EXISTS (SELECT 1 FROM PRINTS b WHERE b.fp = a.fp AND b.doc_id <> a.doc_id)")
 prints("new_layers", "SELECT a.doc_id FROM PRINTS a WHERE a.doc_id % 2 = 1 AND NOT EXISTS (SELECT 1 FROM PRINTS b WHERE b.fp = a.fp AND b.doc_id % 2 = 0)")
@@ -146,7 +149,7 @@ def win_lag_xor(spark, sf_dir):
     return x.join(ids, ["event_type", "pos"]).select("event_type", "event_id", codecs.leading(F.col("x"), F.lit(64)).cast("long").alias("leading"))
 
 
-both("win_rows_frame", "SELECT event_id, round(avg(value) OVER (PARTITION BY event_type ORDER BY event_id ROWS BETWEEN 63 PRECEDING AND CURRENT ROW), 6) AS mean64 FROM {events}")
+both("win_rows_frame", "SELECT event_id, round(avg(value) OVER (PARTITION BY event_type ORDER BY event_id ROWS BETWEEN 63 PRECEDING AND CURRENT ROW), 9) AS mean64 FROM {events}")
 both("win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM (SELECT event_id, user_id, unix_seconds(CAST(ts AS TIMESTAMP)) AS s FROM {events}) t", duck="SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM (SELECT event_id, user_id, floor(epoch(ts))::BIGINT AS s FROM {events}) t")
 both("win_first_last", "SELECT l_discount, CAST(floor(l_orderkey / 4096) AS BIGINT) AS block_no, min(l_orderkey) AS first_key, max(l_orderkey) AS last_key, count(*) AS n FROM {lineitem} GROUP BY l_discount, CAST(floor(l_orderkey / 4096) AS BIGINT)")
 both("win_running_share", "SELECT lang, CAST(b AS BIGINT) AS b, CAST(sum(b) OVER (ORDER BY b DESC, lang ROWS UNBOUNDED PRECEDING) AS DOUBLE) / sum(b) OVER () AS share FROM (SELECT lang, CAST(sum(n_chars) AS BIGINT) AS b FROM {documents} GROUP BY lang) t")
@@ -260,8 +263,6 @@ def sql_surface(spark, sf_dir):
 
 @query("udf_bits", "SELECT event_id, value::BIT::BIGINT AS bits FROM events")
 def udf_bits(spark, sf_dir):
-    import pandas as pd
-
     @F.pandas_udf("long")
     def fp_bits(v: pd.Series) -> pd.Series:
         return pd.Series(v.to_numpy("float64").view("int64"))
@@ -271,9 +272,6 @@ def udf_bits(spark, sf_dir):
 
 @query("udaf_entropy", "WITH c AS (SELECT event_type, floor(value / 10) AS b, count(*) AS n FROM events GROUP BY ALL) SELECT event_type, round(-sum(n / t::DOUBLE * log2(n / t::DOUBLE)), 6) AS entropy FROM (SELECT *, sum(n) OVER (PARTITION BY event_type) AS t FROM c) GROUP BY event_type")
 def udaf_entropy(spark, sf_dir):
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def entropy(n: pd.Series) -> float:
         p = n.to_numpy(float) / n.sum()
@@ -285,8 +283,6 @@ def udaf_entropy(spark, sf_dir):
 
 @query("udtf_chunks")
 def udtf_chunks(spark, sf_dir):
-    import numpy as np
-
     @F.udtf(returnType="chunk_no: int, len: int")
     class GearChunks:
         def eval(self, payload: bytes):
