@@ -72,5 +72,20 @@ def queries() -> dict:
     return {f.__name__: f for f in own} | {"pipeline": corpus_pipeline.run}
 
 
+_WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+OP7_SQL = f"""WITH d AS (SELECT doc_id, {_WORDS} AS ws FROM documents),
+ b AS (SELECT item_id, {_WORDS} AS ws FROM benchmark),
+ i AS (SELECT item_id, ws, least(10, len(ws)) AS size FROM b WHERE len(ws) > 0),
+ iw AS (SELECT DISTINCT item_id, size, list_slice(ws, k + 1, k + size) AS win FROM (SELECT *, unnest(range(len(ws) - size + 1)) AS k FROM i)),
+ s AS (SELECT DISTINCT size FROM i),
+ dw AS (SELECT doc_id, size, k, list_slice(ws, k + 1, k + size) AS win FROM (SELECT doc_id, size, ws, unnest(range(len(ws) - size + 1)) AS k FROM d, s WHERE len(ws) >= size)),
+ h AS (SELECT DISTINCT doc_id, item_id, size, k FROM dw JOIN iw USING (size, win)),
+ n AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(k, k + size)) AS p FROM h) GROUP BY doc_id),
+ m AS (SELECT doc_id, count(*) AS n_items, sha256(string_agg(item, ',' ORDER BY item)) AS sha FROM (SELECT DISTINCT doc_id, item_id::VARCHAR AS item FROM h) GROUP BY doc_id)
+ SELECT d.doc_id, len(ws)::BIGINT AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, coalesce(sha, sha256('')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+ FROM d LEFT JOIN n USING (doc_id) LEFT JOIN m USING (doc_id)"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """The other operators learn models, hash by XXH64 or tokenize, which SQL has no words for; tests/llm holds them against brute force."""
+    return {"op7_decontaminate": OP7_SQL}
