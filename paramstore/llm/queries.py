@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from paramstore.llm import decontaminate, html_extract, lattice_lm, mixing, quality_mil, quality_rules, secrets, simhash, token_store
+from paramstore.llm import decontaminate, html_extract, lattice_lm, licenses, mixing, quality_mil, quality_rules, secrets, simhash, token_store
 from paramstore.llm.common import table
 
 
@@ -20,6 +20,10 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op2_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op3_attention_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return quality_mil.score(docs, quality_mil.train(docs, table(spark, sf_dir, "labels")))
@@ -68,7 +72,7 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     import corpus_pipeline
 
-    own = [op1_simhash, op3_attention_quality, op4_quality_rules, op5_secrets, op6_lattice_lm, op7_decontaminate, op8_mixing, op9_tokens, op10_html]
+    own = [op1_simhash, op2_licenses, op3_attention_quality, op4_quality_rules, op5_secrets, op6_lattice_lm, op7_decontaminate, op8_mixing, op9_tokens, op10_html]
     return {f.__name__: f for f in own} | {"pipeline": corpus_pipeline.run}
 
 

@@ -11,7 +11,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from paramstore.llm import decontaminate, html_extract, lattice_lm, mixing, quality_mil, quality_rules, queries, secrets, simhash, token_store
+from paramstore.llm import decontaminate, html_extract, lattice_lm, licenses, mixing, quality_mil, quality_rules, queries, secrets, simhash, token_store
 from tests.llm import cases
 
 SF = "/root/testdata/sf0.001"
@@ -178,6 +178,42 @@ def test_decontamination_matches_brute_force(spark):
     assert cut.count() == len(cases.rows()) and cut.where("text like '%quick brown%'").count() == 0
 
 
+def brute_licenses(text, templates):
+    """Containment of each template's five-word shingles in any run of twice as many words."""
+    split = lambda x: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(x))
+    words, out = split(text), set()
+    for name, body in templates.items():
+        own = split(body)
+        size = min(5, len(own))
+        shingles = {tuple(own[i : i + size]) for i in range(len(own) - size + 1)} if own else set()
+        span = len(own) + len(own) // 10
+        places = [i for i in range(len(words) - size + 1) if size and tuple(words[i : i + size]) in shingles]
+        for p in places:
+            if len({tuple(words[i : i + size]) for i in places if p <= i < p + span}) >= 0.8 * len(shingles):
+                out.add(name)
+    return sorted(out)
+
+
+def test_licenses_match_brute_force(spark):
+    rng = np.random.default_rng(8)
+    noise = lambda n: " ".join(rng.choice(["alpha", "the", "software", "of", "beta", "license"], n))
+    rows = []
+    for i, (name, body) in enumerate(licenses.TEMPLATES.items()):
+        words = body.split()
+        changed = list(words)
+        changed[len(words) // 2] = "changed"
+        rows += [(10 * i, f"{noise(137)} {body.upper()} {noise(50)}"), (10 * i + 1, f"{noise(61)} {' '.join(changed)} {noise(9)}"), (10 * i + 2, " ".join(words[: len(words) // 2])), (10 * i + 3, f"{noise(300)} {body}")]
+    rows += [(900, None), (901, ""), (902, "..."), (903, noise(20_000))]
+    got = {r.doc_id: r.licenses for r in licenses.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {d: brute_licenses(t, licenses.TEMPLATES) for d, t in rows}
+    found = licenses.scan(cases.docs(spark)).collect()
+    assert Counter(r.doc_id for r in found) == Counter(r[0] for r in cases.rows()) and not any(r.n_licenses for r in found)
+    assert licenses.scan(cases.empty(spark)).count() == 0 and licenses.scan(cases.docs(spark), {}).where("n_licenses > 0").count() == 0
+    lines = {r.doc_id for r in queries.op2_licenses(spark, "/root/testdata/sf0.01").where("n_licenses > 0").collect()}
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    assert lines == {r.doc_id for r in docs.where("text like '%Licensed under the Apache License, Version 2.0%' or text like '%Released under the MIT License%'").collect()}
+
+
 def test_tokens_round_trip(spark, tmp_path):
     from tokenizers import Tokenizer
 
