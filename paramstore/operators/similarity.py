@@ -12,15 +12,20 @@ from pyspark.sql import functions as F
 STRIDE = 32
 
 
-def sampled(params: DataFrame, unit: int | None = None, stride: int = STRIDE) -> DataFrame:
-    """(model_id, layer_id, dtype, unit_no, n, fp) per layer, or per unit parameters of a layer: prints of every stride-th value's bits."""
+def sampled(params: DataFrame, unit: int | None = None, stride: int = STRIDE, part: int = 4096) -> DataFrame:
+    """(model_id, layer_id, dtype, unit_no, n, fp) per layer, or per unit parameters of a layer: prints of every stride-th value's bits.
+
+    A print is a digest of the digests of parts of positions, so that no row ever holds a layer.
+    """
     no = F.lit(0).cast("long") if unit is None else F.floor(F.col("layer_pos") / unit)
     place = F.col("layer_pos") if unit is None else F.col("layer_pos") % unit
+    key = ["model_id", "layer_id", "dtype", "unit_no"]
     rows = params.withColumns({"unit_no": no, "place": place})
     taken = F.when(F.col("place") % stride == 0, F.struct("place", "bits"))
-    groups = rows.groupBy("model_id", "layer_id", "dtype", "unit_no").agg(F.count("*").alias("n"), F.sort_array(F.collect_list(taken)).alias("own"))
-    text = F.concat_ws(",", F.transform("own", lambda x: x["bits"].cast("string")))
-    return groups.withColumn("fp", F.sha2(text, 256)).drop("own")
+    parts = rows.groupBy(*key, F.floor(F.col("place") / part).alias("part")).agg(F.count("*").alias("n"), F.sort_array(F.collect_list(taken)).alias("own"))
+    parts = parts.select(*key, "part", "n", F.sha2(F.concat_ws(",", F.transform("own", lambda x: x["bits"].cast("string"))), 256).alias("digest"))
+    whole = parts.groupBy(*key).agg(F.sum("n").alias("n"), F.sort_array(F.collect_list(F.struct("part", "digest"))).alias("own"))
+    return whole.withColumn("fp", F.sha2(F.concat_ws(",", F.transform("own", lambda x: x["digest"])), 256)).drop("own")
 
 
 def sampled_bytes(layers: DataFrame, stride: int = STRIDE, unit: int | None = None) -> DataFrame:

@@ -34,6 +34,16 @@ def layer_dedup_floats(spark, sf_dir):
     return dedup.duplicates(units.withColumn("len", F.col("n") * F.when(F.col("dtype") == "float32", 4).otherwise(8)))
 
 
+_EVERY = zoo.params_sql(("vec", "tuned", "line", "part", "supp", "key", "posid"))
+
+
+@query("layer_dedup_dtypes", f"WITH u AS (SELECT layer_id, dtype, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) AS fp, count(*) * CASE dtype WHEN 'float32' THEN 4 ELSE 8 END AS len FROM {_EVERY} GROUP BY layer_id, dtype) {_DUP}")
+def layer_dedup_dtypes(spark, sf_dir):
+    """Duplicate layers by dtype over floats and integers: position indexes are nearly all copies."""
+    units = similarity.sampled(zoo.params(spark, sf_dir, ("vec", "tuned", "line", "part", "supp", "key", "posid")), stride=1)
+    return dedup.duplicates(units.withColumn("len", F.col("n") * F.when(F.col("dtype") == "float32", 4).otherwise(8)))
+
+
 for _k in (4096, 512):
 
     @query(f"fsc_{_k}", fixed(DOC, _k))

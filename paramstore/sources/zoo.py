@@ -64,6 +64,14 @@ def family(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return _flat(t("orders").select(F.concat(F.lit("order:"), "o_orderstatus").alias("model_id"), "o_orderkey", "o_totalprice"), "ledger", ["o_totalprice"], "float64", "o_orderkey", ["o_totalprice"])
     if name == "cust":
         return _flat(t("customer").select(F.concat(F.lit("cust:"), "c_mktsegment").alias("model_id"), "c_custkey", "c_acctbal"), "master", ["c_acctbal"], "float64", "c_custkey", ["c_acctbal"])
+    if name in ("part", "supp"):
+        source, model, key, columns = ("part", F.concat(F.lit("part:"), "p_brand"), "p_partkey", ["p_retailprice"]) if name == "part" else ("supplier", F.lit("supp"), "s_suppkey", ["s_acctbal"])
+        return _flat(t(source).select(model.alias("model_id"), key, *columns), "master", columns, "float64", key, columns)
+    if name == "key":
+        rows = t("lineitem").select(F.lit("key:lineitem").alias("model_id"), "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+        return _flat(rows, "ids", ["l_partkey", "l_suppkey"], "int64", "l_orderkey", ["l_linenumber", "l_partkey", "l_suppkey"])
+    if name == "posid":
+        return _vectors(spark, sf_dir, "posid", "ids", "int64", lambda v, i: v).withColumn("value", F.col("layer_pos").cast("double"))
     if name == "event":
         return _flat(t("events").select(F.concat(F.lit("event:"), "event_type").alias("model_id"), "event_id", "value"), "telemetry", ["value"], "float64", "event_id", ["value"])
     raise ValueError(name)
@@ -84,12 +92,12 @@ def params(spark: SparkSession, sf_dir: str, families=FLOAT_FAMILIES) -> DataFra
 
 _VEC = """SELECT '{p}:' || label AS model_id, 'vectors' AS category, '{p}:' || label || '.' || vec_id AS layer_id, s AS layer_seq, 'float32' AS dtype, i AS layer_pos, s * 64 + i AS pos, v::DOUBLE AS value, (v::FLOAT)::BIT::INTEGER::BIGINT AS bits
  FROM (SELECT label, vec_id, s, unnest(range(64)) AS i, unnest({v}) AS v FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS s FROM embeddings))"""
-_FLAT = """SELECT model_id, '{c}' AS category, model_id || '.' || name AS layer_id, s AS layer_seq, 'float64' AS dtype, r AS layer_pos, s * n + r AS pos, value, value::BIT::BIGINT AS bits
+_FLAT = """SELECT model_id, '{c}' AS category, model_id || '.' || name AS layer_id, s AS layer_seq, '{d}' AS dtype, r AS layer_pos, s * n + r AS pos, value, {b} AS bits
  FROM (SELECT model_id, r, n, unnest([{names}]) AS name, unnest(range({k})) AS s, unnest([{cols}]) AS value FROM (SELECT *, row_number() OVER (PARTITION BY model_id ORDER BY {order}) - 1 AS r, count(*) OVER (PARTITION BY model_id) AS n FROM (SELECT {m} AS model_id, * FROM {t})))"""
 
 
-def _flat_sql(c: str, cols: list[str], order: str, m: str, t: str) -> str:
-    return _FLAT.format(c=c, names=", ".join(f"'{x}'" for x in cols), k=len(cols), cols=", ".join(cols), order=order, m=m, t=t)
+def _flat_sql(c: str, cols: list[str], order: str, m: str, t: str, d: str = "float64") -> str:
+    return _FLAT.format(d=d, b="value::BIT::BIGINT" if d == "float64" else "value::BIGINT", c=c, names=", ".join(f"'{x}'" for x in cols), k=len(cols), cols=", ".join(cols), order=order, m=m, t=t)
 
 
 FAMILY_SQL = {
@@ -98,6 +106,10 @@ FAMILY_SQL = {
     "line": _flat_sql("ledger", ["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax", "'line:' || l_returnflag || l_linestatus", "lineitem"),
     "order": _flat_sql("ledger", ["o_totalprice"], "o_orderkey", "'order:' || o_orderstatus", "orders"),
     "cust": _flat_sql("master", ["c_acctbal"], "c_custkey", "'cust:' || c_mktsegment", "customer"),
+    "part": _flat_sql("master", ["p_retailprice"], "p_partkey, p_retailprice", "'part:' || p_brand", "part"),
+    "supp": _flat_sql("master", ["s_acctbal"], "s_suppkey, s_acctbal", "'supp'", "supplier"),
+    "key": _flat_sql("ids", ["l_partkey", "l_suppkey"], "l_orderkey, l_linenumber, l_partkey, l_suppkey", "'key:lineitem'", "lineitem", "int64"),
+    "posid": "SELECT 'posid:' || label AS model_id, 'ids' AS category, 'posid:' || label || '.' || vec_id AS layer_id, s AS layer_seq, 'int64' AS dtype, i AS layer_pos, s * 64 + i AS pos, i::DOUBLE AS value, i::BIGINT AS bits FROM (SELECT label, vec_id, s, unnest(range(64)) AS i FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS s FROM embeddings))",
     "event": _flat_sql("telemetry", ["value"], "event_id", "'event:' || event_type", "events"),
 }
 
