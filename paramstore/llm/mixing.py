@@ -1,6 +1,6 @@
 """Mixing documents to target weights by soft domain membership; DataFrame functions only.
 
-A classifier learnt from the labelled table (naive Bayes over hashed different words, every labelled row, a bounded table of
+A classifier learnt from the labelled table (multinomial naive Bayes over hashed different words, every labelled row, a bounded table of
 `buckets` words by domains) gives each document a posterior over domains, its log odds tempered by the root of its number of words.
 Rates r >= 0 of the documents are fitted by projected gradient on least squares: the relative errors of the domains' expected token
 totals sum(r * tokens * posterior), and a weak pull of each rate to the common level. Each round aggregates one number a domain;
@@ -21,30 +21,37 @@ from pyspark.sql import functions as F
 
 from paramstore.llm.common import cut, row_key
 
-BLANK = "[\\x20\\x09-\\x0D]+"
+BLANKS = "\t\n\x0b\x0c\r"
 
 
 def word_list(column):
-    return F.filter(F.split(F.coalesce(column, F.lit("")), BLANK), lambda w: w != "")
+    """Words in lower case; blanks become spaces first, for a split by one character needs no regular expression."""
+    text = F.lower(F.coalesce(column, F.lit("")))
+    for blank in BLANKS:
+        text = F.replace(text, F.lit(blank), F.lit(" "))
+    return F.array_remove(F.split(text, " "), "")
 
 
 def features(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", buckets: int = 4096) -> DataFrame:
     """doc_id, key, tokens (words) and the buckets of the different words of every row."""
     words = docs.select(F.col(id_col).alias("doc_id"), row_key(id_col, text_col).alias("key"), word_list(F.col(text_col)).alias("words"))
-    return words.select("doc_id", "key", F.size("words").cast("long").alias("tokens"), F.array_distinct(F.transform("words", lambda w: F.pmod(F.xxhash64(F.lower(w)), F.lit(buckets)).cast("int"))).alias("hashed"))
+    return words.select("doc_id", "key", F.size("words").cast("long").alias("tokens"), F.array_distinct(F.transform("words", lambda w: F.pmod(F.xxhash64(w), F.lit(buckets)).cast("int"))).alias("hashed"))
 
 
 def learn(featured: DataFrame, labels: DataFrame, domain, label_id: str = "doc_id", buckets: int = 4096) -> tuple[list[str], list[float], list[list[float]]]:
     """Domains, log priors and the log likelihood of each bucket by domain."""
     marked = labels.select(F.col(label_id).alias("doc_id"), domain.alias("domain")).where("domain is not null")
-    rows = featured.join(marked, "doc_id").select("domain", "hashed")
+    rows = featured.join(marked.hint("merge"), "doc_id").select("domain", "hashed")
     counts = rows.groupBy("domain").agg(F.count("*").alias("n")).collect()
     seen = rows.select("domain", F.explode("hashed").alias("bucket")).groupBy("domain", "bucket").count().collect()  # buckets by domains at most
     names = sorted(r.domain for r in counts)
     n = {r.domain: r.n for r in counts}
-    table = [[math.log(0.5 / (n[d] + 1.0)) for d in names] for _ in range(buckets)]
+    words = {d: 1.0 * buckets for d in names}
     for r in seen:
-        table[r.bucket][names.index(r.domain)] = math.log((r["count"] + 0.5) / (n[r.domain] + 1.0))
+        words[r.domain] += r["count"]
+    table = [[-math.log(words[d]) for d in names] for _ in range(buckets)]
+    for r in seen:
+        table[r.bucket][names.index(r.domain)] = math.log((r["count"] + 1.0) / words[r.domain])
     total = sum(n.values())
     return names, [math.log(n[d] / total) for d in names], table
 
@@ -65,40 +72,41 @@ def posteriors(featured: DataFrame, names: list[str], priors: list[float], table
     return scored.withColumn("powers", powers).withColumn("p", F.transform("powers", lambda x: x / total)).drop("hashed", "odds", "scale", "logits", "powers")
 
 
-def rate_of(gradients: list[list[float]], level: float, pull: float, step: float):
+def rate_of(gradients: list[list[float]], level: float, pull: float, step: float, least: float = 0.0):
     """A document's rate after the rounds whose domain gradients are given."""
     rounds = F.from_json(F.lit(json.dumps(gradients)), "array<array<double>>")
 
     def one(rate, g):
         slope = F.aggregate(F.zip_with(F.col("p"), g, lambda p, x: p * x), F.lit(0.0), lambda a, x: a + x)
-        return F.greatest(F.lit(0.0), rate - step * (slope + pull * (rate - level)))
+        return F.greatest(F.lit(float(least)), rate - step * (slope + pull * (rate - level)))
 
     return F.aggregate(rounds, F.lit(float(level)), one)
 
 
-def fit(member: DataFrame, target: list[float], level: float = 1.0, pull: float = 1e-3, rounds: int = 40, tolerance: float = 1e-3) -> tuple[object, list[float]]:
+def fit(member: DataFrame, target: list[float], level: float = 1.0, pull: float = 1e-3, rounds: int = 40, tolerance: float = 1e-3, least: float = 0.0) -> tuple[object, list[float]]:
     """The rate as a column over member (tokens, p), and the expected domain totals it gives; target: the wanted totals."""
     scale = [max(t, 1.0) for t in target]
     natural = member.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0] or 1
     step = 1.0 / (max(natural / (len(scale) * s) for s in scale) / 2 + 1.0 + pull)
     gradients: list[list[float]] = []
     for _ in range(rounds):
-        rate = rate_of(gradients, level, pull, step) if gradients else F.lit(float(level))
+        rate = rate_of(gradients, level, pull, step, least) if gradients else F.lit(float(level))
         got = member.select((rate * F.col("tokens")).alias("w"), "p").agg(*[F.coalesce(F.sum(F.col("w") * F.get("p", F.lit(k))), F.lit(0.0)).alias(f"d{k}") for k in range(len(target))]).first()
         off = [(float(got[k]) - target[k]) / scale[k] for k in range(len(target))]
         if max(map(abs, off)) < tolerance:
             break
         gradients.append(off)
-    return (rate_of(gradients, level, pull, step) if gradients else F.lit(float(level))), [float(x) for x in got]
+    return (rate_of(gradients, level, pull, step, least) if gradients else F.lit(float(level))), [float(x) for x in got]
 
 
-def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float = 1.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096) -> DataFrame:
+def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096) -> DataFrame:
     """doc_id, key, tokens, domain (likeliest), posterior (of it), rate, copies of every row of docs.
 
     domain: a column over labels that names a row's domain. weights: the wanted share of each domain's tokens (others get what is
     left, evenly). budget: wanted tokens in all, as a multiple of the tokens there are; it is also the level rates are pulled to.
+    least: the smallest rate; 1 keeps every document at least once and reaches the targets by repeating documents alone.
     """
-    featured = features(docs, id_col, text_col, buckets)
+    featured = cut(features(docs, id_col, text_col, buckets))  # texts are taken apart once
     names, priors, table = learn(featured, labels, domain, label_id, buckets)
     member = cut(posteriors(featured, names, priors, table))
     names = names or ["all"]
@@ -106,7 +114,7 @@ def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], b
     rest = [d for d in names if d not in weights]
     share = {d: weights.get(d, max(0.0, 1.0 - given) / max(len(rest), 1)) for d in names}
     total = (member.agg(F.sum("tokens")).first()[0] or 0) * budget
-    rate, _ = fit(member, [share[d] * total / (sum(share.values()) or 1.0) for d in names], budget)
+    rate, _ = fit(member, [share[d] * total / (sum(share.values()) or 1.0) for d in names], max(budget, least), least=least)
     draw = F.pmod(F.xxhash64(F.col("key"), F.lit("mix")), F.lit(1 << 32)) / float(1 << 32)
     best = F.array_position("p", F.array_max("p")).cast("int")
     named = F.get(F.array(*[F.lit(d) for d in names]), best - 1)
