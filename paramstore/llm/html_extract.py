@@ -45,6 +45,8 @@ CLOSES_P = BLOCK - {"br", "option", "head", "html", "body"}
 #: Words of class, id and role attributes that mark boilerplate, and that mark the article.
 BOILER = re.compile(r"(?:^|[\s_-])(?:nav\w*|menu\w*|header|masthead|banner|foot(?:er)?|side-?bar\w*|aside|complementary|contentinfo|navigation|notices?|alerts?|cookies?|consent|gdpr|popup|modal|overlay|newsletter|subscri\w+|sign-?up|login|ads?|adverts?|advertis\w+|sponsor\w*|promo\w*|form|search\w*|comments?|comment-?list|replies|respond|disqus|discussion|related|recommend\w*|share|sharing|social|breadcrumbs?|pagination|pager|widget\w*|toolbar|skip\w*|hidden|copyright|legal|disclaimer)(?:$|[\s_-])", re.IGNORECASE)
 ARTICLE_TAGS = frozenset(("article", "main"))
+#: An article element of these classes is a reader's comment or a link to another article.
+OTHER_ARTICLE = re.compile(r"comment|repl(?:y|ies)|respon[ds]|related|recommend|teaser|promo", re.IGNORECASE)
 
 
 def parse(text: str) -> Iterator[tuple[str, str, str, bool, bool]]:
@@ -87,6 +89,8 @@ def parse(text: str) -> Iterator[tuple[str, str, str, bool, bool]]:
         own = f"{path}/{name}" + (f".{marks}" if marks else "")
         if name in ("header", "h1") and not (marks and BOILER.search(marks)):
             bad = boiler or name == "header" and not article
+        elif name == "article":
+            bad = boiler or bool(marks and (OTHER_ARTICLE.search(marks) or article and BOILER.search(marks)))
         else:
             bad = boiler or name in BOILER_TAGS or bool(marks and name not in ("html", "body", *ARTICLE_TAGS) and BOILER.search(marks))
         yield "tag", own, name, bad, article

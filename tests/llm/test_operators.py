@@ -389,7 +389,7 @@ def test_mixing_query_and_edges(spark):
 
 PAGE = """<!DOCTYPE html><html><head><title>T</title><script>var t="</p>";</script></head><body><header><a href=x>Site</a></header>
 <nav><ul><li><a>Home</a></li></ul></nav><div class="sidebar">Side {0}</div><div class='ad'>Buy {0}</div>
-<article><h1>Head {0}</h1><p>First&nbsp;<b>bold</b> text &amp; more {0}<br>after <p>second <a href="#">link</a>ed {1}<div class="comments"><p>Nice!</p></div></article>
+<article><h1>Head {0}</h1><p>First&nbsp;<b>bold</b> text &amp; more {0}<br>after <p>second <a href="#">link</a>ed {1}<div class="comments"><p>Nice!</p></div><article class="comment">Yes!</article></article><section class="user-comments">No!</section>
 <form>Mail <input></form><footer>&copy; {0}</footer><!-- end --></body></html>"""
 
 
