@@ -50,7 +50,7 @@ def code(spark: SparkSession, src: str, dst: str, codec: str, decode: bool = Fal
     return time.time() - began
 
 
-def measure(spark: SparkSession, vectors: DataFrame, folder: str, times: int = 100, codecs=("unit", "zstd")) -> dict[str, float]:
+def measure(spark: SparkSession, vectors: DataFrame, folder: str, times: int = 400, codecs=("unit", "zstd")) -> dict[str, float]:
     """MB/s of compression and decompression by each codec."""
     size, out = replicated(spark, vectors, times, f"{folder}/raw") / 1e6, {"mb": 0.0}
     out["mb"] = round(size, 1)

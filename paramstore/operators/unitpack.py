@@ -92,7 +92,16 @@ def pack(bits: np.ndarray, dtype: str) -> bytes:
     """
     kind, whole = VIEW[dtype]
     m, width = MANTISSA[dtype], CODE_BITS[dtype]
-    values = bits.astype(whole).view(kind)
+    values = bits.astype(whole, copy=False).view(kind)
+    if dtype == "float32":  # all in 32-bit words
+        raw = values.view(np.uint32)
+        with np.errstate(invalid="ignore", over="ignore"):
+            up = np.abs(values) + kind(1)
+            out = np.flatnonzero(~(up < 2))
+        codes = up.view(np.uint32) & np.uint32(0x7FFFFF) | raw >> np.uint32(8) & np.uint32(0x800000)
+        codes[out] = 0
+        packed = codes.astype(">u4").view(np.uint8).reshape(-1, 4)[:, 1:].tobytes()
+        return np.array([len(bits), len(out)], "<u4").tobytes() + out.astype("<u4").tobytes() + raw[out].tobytes() + packed
     with np.errstate(invalid="ignore", over="ignore"):
         up = np.abs(values) + kind(1)
         inside = (np.abs(values) < 1) & (up < 2)
@@ -100,10 +109,7 @@ def pack(bits: np.ndarray, dtype: str) -> bytes:
     codes = mantissa | (np.signbit(values) & inside).astype(np.int64) << m
     out = np.flatnonzero(~inside)
     shifts = np.arange(width - 1, -1, -1)
-    if width == 24:
-        packed = codes.astype(">u4").view(np.uint8).reshape(-1, 4)[:, 1:].tobytes()
-    else:
-        packed = np.packbits((codes[:, None] >> shifts & 1).astype(np.uint8)).tobytes()
+    packed = np.packbits((codes[:, None] >> shifts & 1).astype(np.uint8)).tobytes()
     return np.array([len(bits), len(out)], "<u4").tobytes() + out.astype("<u4").tobytes() + bits[out].astype(whole).tobytes() + packed
 
 
@@ -115,12 +121,16 @@ def unpack(data: bytes, dtype: str) -> np.ndarray:
     places = np.frombuffer(data[8 : 8 + 4 * k], "<u4")
     raw = np.frombuffer(data[8 + 4 * k : 8 + (4 + size) * k], whole).astype(np.int64)
     body = data[8 + (4 + size) * k :]
-    if width == 24:
-        b = np.frombuffer(body, np.uint8).reshape(-1, 3).astype(np.int64)
-        codes = b[:, 0] << 16 | b[:, 1] << 8 | b[:, 2]
-    else:
-        flags = np.unpackbits(np.frombuffer(body, np.uint8))[: n * width].reshape(n, width).astype(np.int64)
-        codes = (flags << np.arange(width - 1, -1, -1)).sum(axis=1)
+    if dtype == "float32":
+        wide = np.zeros((n, 4), np.uint8)
+        wide[:, 1:] = np.frombuffer(body, np.uint8).reshape(-1, 3)
+        codes = wide.view(">u4").ravel().astype(np.uint32)
+        values = (codes & np.uint32(0x7FFFFF) | np.uint32(0x3F800000)).view(np.float32) - np.float32(1)
+        bits = (values.view(np.uint32) | (codes & np.uint32(0x800000)) << np.uint32(8)).view(np.int32).astype(np.int64)
+        bits[places] = raw
+        return bits
+    flags = np.unpackbits(np.frombuffer(body, np.uint8))[: n * width].reshape(n, width).astype(np.int64)
+    codes = (flags << np.arange(width - 1, -1, -1)).sum(axis=1)
     one = np.ones(1, kind).view(whole).astype(np.int64)[0]
     values = ((codes & ((1 << m) - 1)) | one).astype(whole).view(kind) - kind(1)
     values = np.where(codes >> m & 1, -values, values).astype(kind)
