@@ -46,6 +46,19 @@ def per_batch(kernel: Callable[[pa.RecordBatch], pa.RecordBatch], most_bytes: in
     return run
 
 
+def gathered(batches: Iterator[pa.RecordBatch], most_rows: int = 100_000, most_bytes: int = 16 << 20) -> Iterator[pa.RecordBatch]:
+    """The batches, small ones joined up to about most_rows or most_bytes: for kernels with a cost for each batch."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if batch.num_rows:
+            held.append(batch)
+        if sum(b.num_rows for b in held) >= most_rows or sum(b.nbytes for b in held) >= most_bytes:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+            held = []
+    if held:
+        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+
+
 def texts_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *more: str) -> DataFrame:
     """Only the columns a kernel reads, under fixed names, so that further columns of docs never clash."""
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(x) for x in more])
@@ -84,4 +97,5 @@ class Held:
     def get(self):
         if "made" not in self.__dict__:
             self.made = self.build(self.payload)
+            self.payload = None  # a worker keeps one form alone
         return self.made

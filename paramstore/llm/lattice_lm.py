@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import Held, bucket, cut, per_batch, raw_texts, row_key
+from paramstore.llm.common import Held, bucket, cut, gathered, per_batch, raw_texts, row_key
 
 MARK = 0x20  # stands for the word mark: words hold no blanks
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
@@ -89,7 +89,7 @@ class Pieces:
                 there, numbers = self.find(h)
                 piece = np.flatnonzero(there & (numbers >= 0))
                 if len(piece):
-                    out.append((i, j, rows[piece], numbers[piece]))
+                    out.append((i, j, rows[piece].astype(np.int32), numbers[piece].astype(np.int32)))
                 rows, h = rows[there], h[there]
                 if not len(rows):
                     break
@@ -146,7 +146,7 @@ def read_vocabulary(model_file: str) -> tuple[list[bytes], np.ndarray]:
     return [*pieces, b"\n\n"], np.log(np.append(weight, weight.sum() / 100) / (weight.sum() * 1.01))
 
 
-def by_length(words: list[bytes], most_cells: int = 1_000_000):
+def by_length(words: list[bytes], most_cells: int = 250_000):
     """(places, rows of equal length with the mark first) over words, in bounded parts."""
     lengths = np.fromiter(map(len, words), np.int64, len(words))
     order = np.argsort(lengths, kind="stable")
@@ -199,7 +199,7 @@ def languages(docs: DataFrame, id_col: str, lang_col: str, folds: int, most: int
     return {k: n for k, n in sorted(top.items()) if n or len(top) == 1}
 
 
-def count_words(docs: DataFrame, id_col: str, text_col: str, lang_col: str, langs: list[str], folds: int, most_held: int = 400_000) -> DataFrame:
+def count_words(docs: DataFrame, id_col: str, text_col: str, lang_col: str, langs: list[str], folds: int, most_held: int = 300_000) -> DataFrame:
     """(word, n, c0, c1, ...): occurrences in all texts, and in the training texts of each language, of every different word."""
     code = F.coalesce(F.lower(F.col(lang_col)), F.lit(""))
     which = F.coalesce(F.array_position(F.array(*[F.lit(x) for x in langs]), code), F.lit(0)).cast("int")
@@ -241,7 +241,7 @@ def fit(words: DataFrame, pieces: list[bytes], logp: np.ndarray, ends: list[int]
 
         def kernel(batches, held=held):
             out = np.zeros((n_langs, len(pieces)))
-            for batch in batches:
+            for batch in gathered(batches, 50_000):
                 model, own = held.value.get(), raw_texts(batch.column(0))
                 for k in range(n_langs):
                     n = batch.column(k + 1).to_numpy().astype(np.float64)
@@ -295,11 +295,12 @@ def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_co
     held = spark.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
     names = ["word", "n", *cs, *[f"l{i}" for i in range(len(langs))]]
 
-    def lattice(batch: pa.RecordBatch) -> pa.RecordBatch:
-        sums_ = word_log10(held.value.get(), raw_texts(batch.column(0)))
-        return pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums_[:, i])) for i in range(sums_.shape[1])]], names)
+    def lattice(batches):
+        for batch in gathered(batches, 50_000):
+            sums_ = word_log10(held.value.get(), raw_texts(batch.column(0)))
+            yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums_[:, i])) for i in range(sums_.shape[1])]], names)
 
-    words = cut(counted.mapInArrow(per_batch(lattice), ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names)))
+    words = cut(counted.mapInArrow(lattice, ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names)))
     least = frequent(words, most_words)
     head = words.where(F.col("n") >= least).drop("n").toArrow()  # most_words rows at most
     columns = [head.column(i).to_numpy() for i in range(1, head.num_columns)]
