@@ -3,10 +3,10 @@
 A template is a named text. Its word shingles (five words; a shorter template is one shingle) give a MinHash signature of `bands` x
 `rows` values; each band is a key of a table from which windows retrieve templates. For each class of template lengths (up to n = 8,
 16, 32, ... words) a text is cut into windows of 2n words, half overlapping, so that any occurrence of up to n words lies whole in a
-window. Of a window only shingles all of whose words are known to some template are hashed: others can be in none. A window that holds
-the share c of a template's m shingles has at most 2n - 4 shingles, so its Jaccard similarity is at least c * m / (2n - 4 + (1 - c) * m),
-which for c = 0.8 and m > n / 2 - 4 is above 0.17 from 16 words on. With one row a band and 64 bands it retrieves its template with a
-probability of 1 - 0.83 ** 64 = 0.99999 at that worst case. Candidates are verified by exact containment: the share of the template's
+window. Of a window only shingles that some template has are taken: others can be in no match, and without them similarities only
+rise. A window that holds the share c of a template's m shingles has at most 2n - 4 shingles, so its Jaccard similarity is at least
+c * m / (2n - 4 + (1 - c) * m), which for c = 0.8 and m > n / 2 - 4 is above 0.17 from 16 words on. With one row a band and 64 bands it
+retrieves its template with a probability of 1 - 0.83 ** 64 = 0.99999 at that worst case. Candidates are verified by exact containment: the share of the template's
 different shingles in the window, at least 0.8. Templates of one or two shingles are looked up as they are, with certainty.
 
 The templates are broadcast; they are a parameter with a bound on their words (`most_words`). Words: runs of letters, digits and
@@ -49,10 +49,10 @@ TEMPLATES = {
 }
 
 
-def mixed(h: np.ndarray, seed: int) -> np.ndarray:
-    """One of a family of 64-bit permutations."""
+def mixed(h: np.ndarray, seeds: np.ndarray) -> np.ndarray:
+    """64-bit permutations of h, one for each seed."""
     with np.errstate(over="ignore"):
-        h = (h ^ np.uint64(seed * 0x632BE59BD9B4E019 & 0xFFFFFFFFFFFFFFFF)) * FACTOR
+        h = (h ^ seeds) * FACTOR
         h = (h ^ (h >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
         return h ^ (h >> np.uint64(29))
 
@@ -62,6 +62,8 @@ class Templates:
 
     def __init__(self, texts: dict[str, str], shingle: int, bands: int, rows: int):
         self.shingle, self.bands, self.rows = shingle, bands, rows
+        with np.errstate(over="ignore"):
+            self.seeds = np.arange(1, bands * rows + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019)
         self.ids: dict[bytes, int] = {}
         self.names, self.shingles, self.lengths = [], [], []
         short: dict[tuple[int, ...], list[int]] = defaultdict(list)
@@ -82,9 +84,8 @@ class Templates:
                 by_length[1 << (len(words) - 1).bit_length()].append(k)
         self.short = dict(short)
         self.classes = {n: (own, self._table(own)) for n, own in by_length.items()}
-        flags = np.zeros(len(self.ids) + 1, bool)
-        flags[1:] = True
-        self.flags = flags
+        long = [self.hashes(np.array(x, np.uint64), shingle) for own, _ in self.classes.values() for k in own for x in self.shingles[k]]
+        self.all = np.unique(np.concatenate(long)) if long else np.zeros(0, np.uint64)
 
     def hashes(self, ids: np.ndarray, size: int) -> np.ndarray:
         n, out = len(ids) - size + 1, np.zeros(max(len(ids) - size + 1, 0), np.uint64)
@@ -95,11 +96,8 @@ class Templates:
 
     def bands_of(self, h: np.ndarray) -> list[int]:
         """Keys of the bands of a set of shingle hashes."""
-        out = []
-        for b in range(self.bands):
-            low = [int(mixed(h, b * self.rows + r).min()) for r in range(self.rows)]
-            out.append(hash((b, *low)))
-        return out
+        low = mixed(h[:, None], self.seeds[None, :]).min(axis=0).reshape(self.bands, self.rows).tolist()
+        return [hash((b, *x)) for b, x in enumerate(low)]
 
     def _table(self, own: list[int]) -> dict[int, list[int]]:
         table: dict[int, list[int]] = defaultdict(list)
@@ -129,22 +127,30 @@ class Templates:
                         a, b = i, min(i + self.lengths[k], len(ids))
                         near = {tuple(ids[j : j + size].tolist()) for j in range(max(0, i - 1), min(i + 2, len(ids) - size + 1))}
                         keep(k, len(near & self.shingles[k]) / len(self.shingles[k]), a, b)
-        for n, (own, table) in self.classes.items():
-            step = n
-            for a in range(0, max(len(ids) - step, 1), step):
-                b = min(a + 2 * step, len(ids))
-                # shingles of unknown words are in no template: windows with none but them retrieve nothing
-                whole = np.flatnonzero(known[a + self.shingle : b + 1] - known[a : b + 1 - self.shingle] == self.shingle) if b - a >= self.shingle else np.zeros(0, np.int64)
-                if not len(whole):
+        size = self.shingle
+        whole = np.flatnonzero(known[size:] - known[:-size] == size) if len(ids) >= size else np.zeros(0, np.int64)
+        h = np.zeros(len(whole), np.uint64)
+        with np.errstate(over="ignore"):
+            for k in range(size):
+                h = (h ^ (h >> np.uint64(29))) * FACTOR + ids[whole + k]
+        at = np.minimum(np.searchsorted(self.all, h), max(len(self.all) - 1, 0))
+        own_ = self.all[at] == h if len(self.all) else np.zeros(len(h), bool)
+        places, h = whole[own_], h[own_]  # the text's shingles that some template has
+        if not len(places):
+            return found
+        for n, (_, table) in self.classes.items():
+            block = places // n
+            for w in np.unique(np.concatenate((block, np.maximum(block - 1, 0)))).tolist():
+                inside = slice(int(np.searchsorted(places, w * n)), int(np.searchsorted(places, (w + 2) * n - size + 1)))
+                if inside.start == inside.stop:
                     continue
-                h = self.hashes(ids[a:b], self.shingle)
-                met = {k for key in self.bands_of(np.unique(h[whole])) for k in table.get(key, ())}
+                met = {k for key in self.bands_of(np.unique(h[inside])) for k in table.get(key, ())}
                 if met:
-                    held = {tuple(ids[a + i : a + i + self.shingle].tolist()): i for i in reversed(whole.tolist())}
+                    held = {tuple(ids[i : i + size].tolist()): i for i in reversed(places[inside].tolist())}
                     for k in met:
                         hits = [held[s] for s in self.shingles[k] if s in held]
                         if hits:
-                            keep(k, len(hits) / len(self.shingles[k]), a + min(hits), a + max(hits) + self.shingle)
+                            keep(k, len(hits) / len(self.shingles[k]), min(hits), max(hits) + size)
         return found
 
 
