@@ -2,9 +2,10 @@
 
 A classifier learnt from the labelled table (multinomial naive Bayes over hashed different words, every labelled row, a bounded table of
 `buckets` words by domains) gives each document a posterior over domains, its log odds tempered by the root of its number of words.
-Rates r >= 0 of the documents are fitted by projected gradient on least squares: the relative errors of the domains' expected token
-totals sum(r * tokens * posterior), and a weak pull of each rate to the common level. Each round aggregates one number a domain;
-a rate is a fold over the rounds' gradients, so neither plan nor state grows with the rounds.
+The rates are, of all rates r >= least under which each domain's expected token total sum(r * tokens * posterior) is the wanted one,
+those nearest to a common level (squares weighted by tokens). They are level + a dot product of the posterior with one multiplier a
+domain, cut at least, so only the multipliers are sought: by Newton steps on the dual, each one aggregate of a few numbers a domain,
+until every total is within the tolerance. What cannot be reached is reported as a warning with the totals there are.
 
 A rate becomes a number of copies: its whole part, and one more with the probability of its fraction, drawn by a hash of the row.
 Nulls: a null text has no words, no tokens and the prior as its posterior. A null label leaves a row out of the training. Without
@@ -15,7 +16,10 @@ from __future__ import annotations
 
 import json
 import math
+import warnings
+from typing import NamedTuple
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -84,7 +88,10 @@ def rate_of(gradients: list[list[float]], level: float, pull: float, step: float
 
 
 def fit(member: DataFrame, target: list[float], level: float = 1.0, pull: float = 1e-3, rounds: int = 40, tolerance: float = 1e-3, least: float = 0.0) -> tuple[object, list[float]]:
-    """The rate as a column over member (tokens, p), and the expected domain totals it gives; target: the wanted totals."""
+    """The rate as a column over member (tokens, p), and the expected domain totals it gives; target: the wanted totals.
+
+    First-order steps that end after the given rounds, near the totals or not; mix() takes solve(), which goes on to the tolerance.
+    """
     scale = [max(t, 1.0) for t in target]
     natural = member.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0] or 1
     step = 1.0 / (max(natural / (len(scale) * s) for s in scale) / 2 + 1.0 + pull)
@@ -99,26 +106,107 @@ def fit(member: DataFrame, target: list[float], level: float = 1.0, pull: float
     return (rate_of(gradients, level, pull, step, least) if gradients else F.lit(float(level))), [float(x) for x in got]
 
 
-def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096) -> DataFrame:
-    """doc_id, key, tokens, domain (likeliest), posterior (of it), rate, copies of every row of docs.
+class Unreached(UserWarning):
+    """Domain totals that no rates reach, or that were not reached in the rounds."""
 
-    domain: a column over labels that names a row's domain. weights: the wanted share of each domain's tokens (others get what is
-    left, evenly). budget: wanted tokens in all, as a multiple of the tokens there are; it is also the level rates are pulled to.
-    least: the smallest rate; 1 keeps every document at least once and reaches the targets by repeating documents alone.
+
+def dual_rate(multipliers: list[float], level: float, least: float):
+    """The rate of a row with the posterior p under one multiplier a domain, before and after it is cut at least."""
+    free = F.lit(float(level))
+    for k, x in enumerate(multipliers):
+        free = free + F.lit(float(x)) * F.get("p", F.lit(k))
+    return free, F.greatest(F.lit(float(least)), free)
+
+
+def solve(member: DataFrame, target: list[float], level: float = 1.0, least: float = 0.0, tolerance: float = 1e-3, most_rounds: int = 60, pull: float = 1e-6) -> tuple[object, list[float], bool]:
+    """The rate as a column over member (tokens, p), the expected domain totals it gives, and whether all are within tolerance.
+
+    target: the wanted totals. pull: weight of the level against the relative errors of the totals. It keeps the multipliers finite
+    where no rates reach the totals; then the errors are least squares.
     """
+    n, want = len(target), np.array(target, float)
+    scale = np.maximum(want, 1.0)
+    pairs = [(k, m) for k in range(n) for m in range(k, n)]
+
+    def measure(multipliers: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+        """The dual's value, the totals, and the totals' derivatives by the multipliers."""
+        free, rate = dual_rate(multipliers.tolist(), level, least)
+        at = [F.get("p", F.lit(k)) for k in range(n)]
+        moving = F.when(F.col("free") > least, F.col("tokens")).otherwise(0)
+        sums = [*[F.col("rate") * F.col("tokens") * p for p in at], *[moving * at[k] * at[m] for k, m in pairs], F.col("tokens") * (F.col("rate") * F.col("free") - (F.pow(F.col("rate"), 2) + level**2) / 2)]
+        row = [float(x) for x in member.select("tokens", "p", free.alias("free"), rate.alias("rate")).agg(*[F.coalesce(F.sum(x), F.lit(0.0)).alias(f"s{i}") for i, x in enumerate(sums)]).first()]
+        slopes = np.diag(pull * scale)
+        for (k, m), x in zip(pairs, row[n:-1], strict=True):
+            slopes[k, m] += x
+            slopes[m, k] = slopes[k, m]
+        return float(multipliers @ want - row[-1] - pull / 2 * (scale * multipliers**2).sum()), np.array(row[:n]), slopes
+
+    now = np.zeros(n)
+    value, got, slopes = measure(now)
+    for _ in range(most_rounds):
+        rising = want - got - pull * scale * now
+        if (np.abs(got - want) <= tolerance * scale).all() or (np.abs(rising) <= tolerance / 10 * scale).all():
+            break
+        step, share = np.linalg.solve(slopes, rising), 1.0
+        while True:
+            tried = measure(now + share * step)
+            if tried[0] >= value + 1e-4 * share * float(rising @ step) or share < 1e-6:
+                break
+            share /= 2
+        now, (value, got, slopes) = now + share * step, tried
+    return dual_rate(now.tolist(), level, least)[1], got.tolist(), bool((np.abs(got - want) <= tolerance * scale).all())
+
+
+class Plan(NamedTuple):
+    """member: doc_id, key, tokens, p, rate of every row. want, got: the wanted and the expected tokens of each of names."""
+
+    member: DataFrame
+    names: list[str]
+    want: list[float]
+    got: list[float]
+    budget: float
+    reached: bool
+
+
+def plan(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float | None = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096, most_budget: float = 16.0) -> Plan:
+    """The rates of mix(), with what they give. A budget of None is sought from the least that the domains' natural totals allow, up to most_budget."""
     featured = cut(features(docs, id_col, text_col, buckets))  # texts are taken apart once
     names, priors, table = learn(featured, labels, domain, label_id, buckets)
     member = cut(posteriors(featured, names, priors, table))
     names = names or ["all"]
     given = sum(weights.get(d, 0.0) for d in names)
     rest = [d for d in names if d not in weights]
-    share = {d: weights.get(d, max(0.0, 1.0 - given) / max(len(rest), 1)) for d in names}
-    total = (member.agg(F.sum("tokens")).first()[0] or 0) * budget
-    rate, _ = fit(member, [share[d] * total / (sum(share.values()) or 1.0) for d in names], max(budget, least), least=least)
+    share = [weights.get(d, max(0.0, 1.0 - given) / max(len(rest), 1)) for d in names]
+    share = [x / (sum(share) or 1.0) for x in share]
+    natural = member.agg(F.coalesce(F.sum("tokens"), F.lit(0)), *[F.coalesce(F.sum(F.col("tokens") * F.get("p", F.lit(k))), F.lit(0.0)) for k in range(len(names))]).first()
+    total = natural[0]
+    size = budget
+    if size is None:  # no total may be below least times the natural one; posteriors are soft, so a little more is needed
+        size = max(1.0, least, *[least * x / (s * total) for x, s in zip(natural[1:], share, strict=True) if s and total])
+    while True:
+        want = [s * total * size for s in share]
+        rate, got, reached = solve(member, want, max(size, least), least)
+        if reached or budget is not None or size * 1.1 > most_budget:
+            break
+        size *= 1.1
+    if not reached:
+        warnings.warn("; ".join(f"{d}: {g:.0f} tokens of {w:.0f}" for d, g, w in zip(names, got, want, strict=True)), Unreached, stacklevel=3)
+    return Plan(member.withColumn("rate", rate), names, want, got, size, reached)
+
+
+def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float | None = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096) -> DataFrame:
+    """doc_id, key, tokens, domain (likeliest), posterior (of it), rate, copies of every row of docs.
+
+    domain: a column over labels that names a row's domain. weights: the wanted share of each domain's tokens (others get what is
+    left, evenly). budget: wanted tokens in all, as a multiple of the tokens there are; it is also the level rates are pulled to;
+    None: as few as reach the weights under least, to a tenth. least: the smallest rate; 1 keeps every document at least once and
+    reaches the targets by repeating documents alone, for which the budget must be large enough.
+    """
+    found = plan(docs, labels, domain, weights, budget, least, id_col, text_col, label_id, buckets)
     draw = F.pmod(F.xxhash64(F.col("key"), F.lit("mix")), F.lit(1 << 32)) / float(1 << 32)
     best = F.array_position("p", F.array_max("p")).cast("int")
-    named = F.get(F.array(*[F.lit(d) for d in names]), best - 1)
-    return member.withColumn("rate", rate).select("doc_id", "key", "tokens", named.alias("domain"), F.array_max("p").alias("posterior"), "rate", (F.floor("rate") + (draw < F.col("rate") - F.floor("rate")).cast("long")).alias("copies"))
+    named = F.get(F.array(*[F.lit(d) for d in found.names]), best - 1)
+    return found.member.select("doc_id", "key", "tokens", named.alias("domain"), F.array_max("p").alias("posterior"), "rate", (F.floor("rate") + (draw < F.col("rate") - F.floor("rate")).cast("long")).alias("copies"))
 
 
 def apply_copies(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

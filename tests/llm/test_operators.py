@@ -375,6 +375,37 @@ def test_mixing_rates(spark):
     assert (rates >= 0).all() and (rates * tokens) @ p == pytest.approx(target, rel=2e-2)
 
 
+def expected_totals(found):
+    rows = found.member.collect()
+    return np.array([r.rate * r.tokens for r in rows]) @ np.array([r.p for r in rows])
+
+
+def test_mixing_query_reaches_its_weights(spark):
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    found = mixing.plan(docs, spark.read.parquet(f"{sf}/labels.parquet"), queries.mix_domain(), queries.MIX_WEIGHTS)
+    rates = {(r.doc_id, r.tokens): r.rate for r in found.member.collect()}
+    assert found.reached and {(r.doc_id, r.tokens): r.rate for r in queries.op8_mixing(spark, sf).collect()} == pytest.approx(rates)
+    total = sum(tokens for _, tokens in rates) if len(rates) == docs.count() else found.member.agg(F.sum("tokens")).first()[0]
+    assert expected_totals(found) == pytest.approx([queries.MIX_WEIGHTS[d] * total for d in found.names], rel=2e-3)
+
+
+def test_mixing_rare_domain_and_unreachable_totals(spark):
+    rng = np.random.default_rng(3)
+    p = rng.dirichlet([4, 1, 0.02], 400)
+    tokens = rng.integers(0, 500, 400)
+    frame = spark.createDataFrame([(i, int(t), [float(x) for x in row]) for i, (t, row) in enumerate(zip(tokens, p, strict=True))], "i long, tokens long, p array<double>")
+    target = tokens.sum() * np.array([0.6, 0.3, 0.1])
+    rate, got, reached = mixing.solve(frame, target.tolist())
+    rates = np.array([r.r for r in frame.select(rate.alias("r"), "i").orderBy("i").collect()])
+    assert reached and (rates >= 0).all() and got == pytest.approx((rates * tokens) @ p) and got == pytest.approx(target, rel=1e-3)
+    rate, got, reached = mixing.solve(frame, [float(tokens.sum()), 0.0, 0.0], least=1.0)
+    assert not reached
+    labels = spark.createDataFrame([(5, "a"), (9, "b")], "doc_id long, name string")
+    with pytest.warns(mixing.Unreached):
+        mixing.plan(cases.docs(spark), labels, F.col("name"), {"a": 0.999, "b": 0.001}, least=1.0)
+
+
 def test_mixing_query_and_edges(spark):
     got = queries.op8_mixing(spark, "/root/testdata/sf0.01").collect()
     assert all(r.rate >= 0 and r.copies in (int(r.rate), int(r.rate) + 1) for r in got)
