@@ -145,6 +145,14 @@ def test_surprise_rejects_noise_and_keeps_prose(spark):
     assert all(got[i] for i in range(80)) and not got[1000] and not got[1001]
 
 
+def test_band_by_both_error_rates(spark):
+    sf = "/root/testdata/sf0.01"
+    labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    rows = [r for r in queries.op4_quality_rules(spark, sf).collect() if not r.base_failed]
+    junk, good = ([r.kept for r in rows if labels.get(r.doc_id) == k] for k in (0, 1))
+    assert sum(junk) <= 0.25 * len(junk) and sum(good) >= 0.95 * len(good)
+
+
 def brute_windows(text, items, window=10):
     split = lambda x: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(x))
     words, hit, found = split(text), set(), set()
