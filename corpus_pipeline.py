@@ -21,9 +21,13 @@ def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return decontaminate.remove(docs, table(spark, sf_dir, "benchmark"), mode="documents")
 
 
+#: No document goes in the mixing stage: rates of one and more, and as many tokens in all as they need to reach the weights.
+MIX_OPTIONS = {"budget": None, "least": 1.0}
+
+
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """No document goes here: rates of one and more reach the weights by repeating documents."""
-    return mixing.apply_copies(docs, mixing.mix(docs, table(spark, sf_dir, "labels"), mix_domain(), MIX_WEIGHTS, budget=1.25, least=1.0))
+    """Repeats documents until the expected tokens have the weights; where no repeating reaches them, it warns and comes as near as it can."""
+    return mixing.apply_copies(docs, mixing.mix(docs, table(spark, sf_dir, "labels"), mix_domain(), MIX_WEIGHTS, **MIX_OPTIONS))
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

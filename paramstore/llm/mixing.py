@@ -168,8 +168,11 @@ class Plan(NamedTuple):
     reached: bool
 
 
-def plan(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float | None = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096, most_budget: float = 16.0) -> Plan:
-    """The rates of mix(), with what they give. A budget of None is sought from the least that the domains' natural totals allow, up to most_budget."""
+def plan(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], budget: float | None = 1.0, least: float = 0.0, id_col: str = "doc_id", text_col: str = "text", label_id: str = "doc_id", buckets: int = 4096, most_growth: float = 4.0) -> Plan:
+    """The rates of mix(), with what they give.
+
+    A budget of None is sought from the least that the domains' natural totals allow, up to most_growth times it.
+    """
     featured = cut(features(docs, id_col, text_col, buckets))  # texts are taken apart once
     names, priors, table = learn(featured, labels, domain, label_id, buckets)
     member = cut(posteriors(featured, names, priors, table))
@@ -183,12 +186,14 @@ def plan(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float],
     size = budget
     if size is None:  # no total may be below least times the natural one; posteriors are soft, so a little more is needed
         size = max(1.0, least, *[least * x / (s * total) for x, s in zip(natural[1:], share, strict=True) if s and total])
-    while True:
+    sizes = [size] if budget is not None else [size * 1.2**i for i in range(1 + int(math.log(most_growth, 1.2)))]
+    tried = []
+    for size in sizes:
         want = [s * total * size for s in share]
-        rate, got, reached = solve(member, want, max(size, least), least)
-        if reached or budget is not None or size * 1.1 > most_budget:
+        tried.append((size, want, *solve(member, want, max(size, least), least)))
+        if tried[-1][-1]:
             break
-        size *= 1.1
+    size, want, rate, got, reached = tried[-1] if tried[-1][-1] else tried[0]
     if not reached:
         warnings.warn("; ".join(f"{d}: {g:.0f} tokens of {w:.0f}" for d, g, w in zip(names, got, want, strict=True)), Unreached, stacklevel=3)
     return Plan(member.withColumn("rate", rate), names, want, got, size, reached)
@@ -199,7 +204,7 @@ def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], b
 
     domain: a column over labels that names a row's domain. weights: the wanted share of each domain's tokens (others get what is
     left, evenly). budget: wanted tokens in all, as a multiple of the tokens there are; it is also the level rates are pulled to;
-    None: as few as reach the weights under least, to a tenth. least: the smallest rate; 1 keeps every document at least once and
+    None: as few as reach the weights under least, to a fifth. least: the smallest rate; 1 keeps every document at least once and
     reaches the targets by repeating documents alone, for which the budget must be large enough.
     """
     found = plan(docs, labels, domain, weights, budget, least, id_col, text_col, label_id, buckets)

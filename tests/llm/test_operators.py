@@ -398,6 +398,16 @@ def test_mixing_query_reaches_its_weights(spark):
     assert expected_totals(found) == pytest.approx([queries.MIX_WEIGHTS[d] * total for d in found.names], rel=2e-3)
 
 
+def test_pipeline_mixing_reaches_its_weights(spark):
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.01"
+    found = mixing.plan(spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet"), queries.mix_domain(), queries.MIX_WEIGHTS, **corpus_pipeline.MIX_OPTIONS)
+    totals = expected_totals(found)
+    assert found.reached and totals / totals.sum() == pytest.approx([queries.MIX_WEIGHTS[d] for d in found.names], rel=3e-3)
+    assert found.member.agg(F.min("rate")).first()[0] >= 1
+
+
 def test_mixing_rare_domain_and_unreachable_totals(spark):
     rng = np.random.default_rng(3)
     p = rng.dirichlet([4, 1, 0.02], 400)
