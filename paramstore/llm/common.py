@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -15,18 +17,33 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Write df to the shared checkpoint folder and go on from there.
-
-    The folder is the session's spark.checkpoint.dir; only a session without one (tests) gets a temporary one.
-    """
-    spark = df.sparkSession
+def shared_root(spark: SparkSession) -> str:
+    """The session's shared checkpoint folder. A session without spark.checkpoint.dir gets a temporary one only if it runs on one machine."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="paramstore-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder:
+            if not re.match(r"local(\[|$)", context.master):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+            folder = tempfile.mkdtemp(prefix="paramstore-")
+        context.setCheckpointDir(folder)
+    return context.getCheckpointDir()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Write df to the shared checkpoint folder and go on from there."""
+    shared_root(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A new folder below the shared checkpoint folder, removed when the session ends."""
+    path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+    return path
+
+
 def raw_texts(column: pa.Array) -> list[bytes]:
     """UTF-8 bytes of each text, null as empty."""
     return [b"" if x is None else x for x in column.cast(pa.binary()).to_pylist()]
@@ -64,9 +81,13 @@ def texts_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *m
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(x) for x in more])
 
 
+KEY = "struct<a:long,b:long>"
+
+
 def row_key(doc_id: str, *columns: str):
-    """A 64-bit digest that, beside the id, tells rows of equal id apart."""
-    return F.xxhash64(F.col(doc_id), *[F.col(c) for c in columns])
+    """A 128-bit digest that, beside the id, tells rows of equal id apart: two rows of 3e10 share it with a probability below 1e-17."""
+    own = [F.col(doc_id), *[F.col(c) for c in columns]]
+    return F.struct(F.xxhash64(*own).alias("a"), F.xxhash64(F.lit("b"), *reversed(own)).alias("b"))
 
 
 def bucket(doc_id, n: int):

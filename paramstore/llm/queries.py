@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from paramstore.llm import decontaminate, html_extract, lattice_lm, licenses, mixing, quality_mil, quality_rules, secrets, simhash, token_store
-from paramstore.llm.common import table
+from paramstore.llm.common import shared_folder, table
 
 
 def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
@@ -60,7 +60,7 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = token_store.shared_folder(spark, "tokens")
+    path = shared_folder(spark, "tokens")
     token_store.write_tokens(table(spark, sf_dir, "documents"), path, tokenizer_file())
     return token_store.digests(token_store.read_tokens(spark, path))
 

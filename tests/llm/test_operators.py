@@ -226,7 +226,6 @@ def test_tokens_round_trip(spark, tmp_path):
     from tokenizers import Tokenizer
 
     whole = Tokenizer.from_file(queries.tokenizer_file())
-    whole.encode_special_tokens = True
     for frame, texts, path in ((cases.docs(spark), [r[:2] for r in cases.rows()], "a"), (spark.read.parquet(f"{SF}/documents.parquet"), all_docs(spark), "b")):
         token_store.write_tokens(frame, str(tmp_path / path), queries.tokenizer_file())
         got = token_store.digests(token_store.read_tokens(spark, str(tmp_path / path))).orderBy("start").collect()
@@ -246,6 +245,38 @@ def test_tokens_round_trip(spark, tmp_path):
     assert token_store.read_tokens(spark, str(tmp_path / "c")).count() == 0
 
 
+def test_encoder_equals_the_library():
+    import random
+
+    from tokenizers import Tokenizer
+
+    text = open(queries.tokenizer_file()).read()
+    whole, encoder, r = Tokenizer.from_str(text), token_store.Encoder(text), random.Random(3)
+    assert encoder.split
+    alphabet = [*"aabtsrvelmd'' '  \n\t1é.,!2²…\r漢", "<|endoftext|>"]
+    long = [" ".join("".join(r.choice("abcé") for _ in range(r.randrange(1, 9))) for _ in range(400_000)), "word" * 300_000, " " * 1_200_000 + "x"]
+    for texts in [*[["".join(r.choices(alphabet, k=r.randrange(30))) for _ in range(4)] for _ in range(500)], long]:
+        ids, counts = encoder(texts)
+        want = [whole.encode(t, add_special_tokens=False).ids for t in texts]
+        assert counts.tolist() == [len(x) for x in want] and ids.tolist() == [i for x in want for i in x]
+
+
+def test_tokens_of_other_ids_and_pruning(spark, tmp_path):
+    rows = [("b", "two words"), (None, "none"), ("a", None), ("b", "two words"), (None, "none"), ("ä", "<|endoftext|>")]
+    token_store.write_tokens(spark.createDataFrame(rows, "doc_id string, text string"), str(tmp_path / "s"), queries.tokenizer_file())
+    got = token_store.digests(token_store.read_tokens(spark, str(tmp_path / "s"))).orderBy("start").collect()
+    assert [r.doc_id for r in got] == [None, None, "a", "b", "b", "ä"] and [r.n_tokens for r in got] == [2, 2, 1, 3, 3, 2]
+    docs = spark.range(6000).select(F.col("id").alias("doc_id"), F.lit("one text").alias("text"))
+    token_store.write_tokens(docs, str(tmp_path / "p"), queries.tokenizer_file())
+    found = spark.read.orc(str(tmp_path / "p")).where("doc_id = 4321")
+    assert "EqualTo(doc_id,4321)" in found._jdf.queryExecution().toString()
+    plan = found._jdf.queryExecution().executedPlan()
+    plan.executeCollect()
+    while plan.nodeName().startswith(("WholeStage", "ColumnarToRow", "InputAdapter", "Filter", "Project", "Adaptive")):
+        plan = plan.executedPlan() if plan.nodeName().startswith("Adaptive") else plan.children().head()
+    assert 1 <= plan.metrics().apply("numOutputRows").value() <= 1000  # other files and row groups are never read
+
+
 def brute_spans(text):
     text = text or ""
     out = [("assign", *m.span()) for m in re.finditer(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", text, re.I | re.A) if len(m[2]) >= 12]
