@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from paramstore.llm import decontaminate, mixing, quality_rules, simhash, token_store
-from paramstore.llm.common import table
+from paramstore.llm.common import shared_folder, table
 from paramstore.llm.queries import MIX_WEIGHTS, mix_domain, tokenizer_file
 
 
@@ -31,7 +31,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    path = token_store.shared_folder(spark, "tokens")
+    path = shared_folder(spark, "tokens")
     token_store.write_tokens(docs, path, tokenizer_file())
     return token_store.digests(token_store.read_tokens(spark, path))
 
@@ -46,7 +46,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each written as Parquet to the shared folder and read again."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        path = token_store.shared_folder(spark, "stage")
+        path = shared_folder(spark, "stage")
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
     return STAGES[-1][1](spark, docs, sf_dir)
