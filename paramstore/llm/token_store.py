@@ -81,14 +81,17 @@ def piece_starts(chars: np.ndarray, kind: np.ndarray, first: np.ndarray) -> np.n
 
 
 class PieceTable:
-    """Ids of pieces by 128-bit keys, in a table of slots with four places for a key; a full table stays as it is."""
+    """Ids of pieces by 128-bit keys, in a table of slots with four places for a key; a full table stays as it is.
 
-    SLOTS, PLACES = 20, 4
+    Entries beyond `used` are those of the last call that found no place.
+    """
+
+    SLOTS, PLACES, MOST = 20, 4, 600_000
 
     def __init__(self):
         self.slots = [np.full(1 << self.SLOTS, -1, np.int32) for _ in range(self.PLACES)]
-        self.keys = np.zeros((2, 0), np.uint64)
-        self.offset, self.count, self.flat = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+        self.used = self.ids = 0
+        self.keys, self.offset, self.count, self.flat = [np.zeros(0, np.uint64), np.zeros(0, np.uint64)], np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(0, np.int32)
 
     def _slot(self, key: np.ndarray, place: int) -> np.ndarray:
         return (key * np.uint64((0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)[place])) >> np.uint64(64 - self.SLOTS)
@@ -96,8 +99,8 @@ class PieceTable:
     def find(self, keys: np.ndarray) -> np.ndarray:
         """The entry of each key (a column), or -1."""
         out, left = np.full(keys.shape[1], -1, np.int32), np.arange(keys.shape[1])
-        for place, slots in enumerate(self.slots):
-            if not len(left) or not self.keys.shape[1]:
+        for place, slots in enumerate(self.slots if self.used else []):
+            if not len(left):
                 break
             own = keys[:, left]
             entry = slots[self._slot(own[0], place)]
@@ -106,30 +109,44 @@ class PieceTable:
             left = left[~met]
         return out
 
-    def add(self, keys: np.ndarray, count: np.ndarray, ids: np.ndarray) -> None:
-        """Keep new keys, with so many of ids each, that find a free place."""
-        left, number = np.arange(keys.shape[1]), self.keys.shape[1]
-        kept = []
+    @staticmethod
+    def _put(held: np.ndarray, at: int, new: np.ndarray) -> np.ndarray:
+        """held with new from at on, in room that doubles."""
+        if at + len(new) > len(held):
+            held = np.concatenate([held, np.zeros(max(len(held), at + len(new) - len(held), 1024), held.dtype)])
+        held[at : at + len(new)] = new
+        return held
+
+    def add(self, keys: np.ndarray, count: np.ndarray, ids: np.ndarray, may_stay: np.ndarray) -> np.ndarray:
+        """The entries of new keys with so many of ids each; those that may stay and find a free place are kept."""
+        left, kept = np.flatnonzero(may_stay), []
         for place, slots in enumerate(self.slots):
+            room = self.MOST - self.used - sum(map(len, kept))
             slot = self._slot(keys[0][left], place)
             free = np.flatnonzero(slots[slot] < 0)
-            free = free[np.unique(slot[free], return_index=True)[1]]
-            slots[slot[free]] = number + sum(map(len, kept)) + np.arange(len(free))
+            free = free[np.unique(slot[free], return_index=True)[1]][: max(room, 0)]
+            slots[slot[free]] = self.used + sum(map(len, kept)) + np.arange(len(free))
             kept.append(left[free])
             left = np.delete(left, free)
-        kept = np.concatenate(kept)
-        from_, count = (np.cumsum(count) - count)[kept], count[kept]
-        ends = np.cumsum(count)
-        self.keys = np.concatenate([self.keys, keys[:, kept]], axis=1)
-        self.offset = np.concatenate([self.offset, len(self.flat) + ends - count])
-        self.count = np.concatenate([self.count, count])
-        self.flat = np.concatenate([self.flat, ids[np.repeat(from_ - ends + count, count) + np.arange(count.sum())]])
+        stay = np.concatenate(kept)
+        order = np.concatenate([stay, np.setdiff1d(np.arange(len(count)), stay)])
+        starts, sizes = (np.cumsum(count) - count)[order], count[order]
+        ends = np.cumsum(sizes)
+        self.flat = self._put(self.flat, self.ids, ids[np.repeat(starts - ends + sizes, sizes) + np.arange(len(ids))])
+        self.offset = self._put(self.offset, self.used, self.ids + ends - sizes)
+        self.count = self._put(self.count, self.used, sizes)
+        self.keys = [self._put(self.keys[k], self.used, keys[k][order]) for k in range(2)]
+        entry = np.empty(len(order), np.int32)
+        entry[order] = self.used + np.arange(len(order))
+        self.used += len(stay)
+        self.ids += int(sizes[: len(stay)].sum())
+        return entry
 
 
 class Encoder:
     """Ids of texts; one for each worker."""
 
-    BATCH, LONGEST = 1 << 20, 64
+    BATCH, LONGEST = 1 << 18, 64
 
     def __init__(self, json_text: str):
         from tokenizers import Tokenizer
@@ -178,23 +195,18 @@ class Encoder:
             keys[k] = (sums[end] - sums[begin]) * self.inverses[begin]
         entry = self.table.find(keys)
         missing = np.flatnonzero(entry < 0)
-        offset, count, flat = self.table.offset, self.table.count, self.table.flat
         if len(missing):
             long = end[missing] - begin[missing] > self.LONGEST
             _, one, which = np.unique(np.where(long, np.arange(len(missing), dtype=np.uint64), keys[0][missing]), return_index=True, return_inverse=True)
             if (~long & ((keys[1][missing] != keys[1][missing[one]][which]) | long[one][which])).any():
-                return flat, None  # two pieces with one hash: the library takes them all
+                return np.zeros(0, np.int32), None  # two pieces with one hash: the library takes them all
             new = missing[one]
             done = self.tokenizer.encode([joined[a:b] for a, b in zip(begin[new].tolist(), end[new].tolist(), strict=True)], is_pretokenized=True, add_special_tokens=False)
             ids, sizes = np.array(done.ids, np.int32), np.bincount(np.array(done.word_ids), minlength=len(new))
-            starts = np.cumsum(sizes) - sizes
-            entry[missing] = len(offset) + which
-            offset, count, flat = np.concatenate([offset, len(flat) + starts]), np.concatenate([count, sizes]), np.concatenate([flat, ids])
-            short = ~long[one]
-            self.table.add(keys[:, new[short]], sizes[short], ids[np.repeat(short, sizes)])
-        count = count[entry]
+            entry[missing] = self.table.add(keys[:, new], sizes, ids, ~long[one])[which]
+        count = self.table.count[entry].astype(np.int64)
         ends = np.cumsum(count)
-        out = flat[np.repeat(offset[entry] - ends + count, count) + np.arange(int(ends[-1]))]
+        out = self.table.flat[np.repeat(self.table.offset[entry] - ends + count, count) + np.arange(int(ends[-1]))]
         of_text = np.concatenate(([0], ends))[np.searchsorted(begin, bounds)]
         return out, np.diff(of_text)
 
@@ -266,7 +278,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_file: str, id_col: str =
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         part, offset, encoder = TaskContext.get().partitionId(), 0, held.value.get()
         for batch in batches:
-            step = max(1, int(batch.num_rows * (8 << 20) / max(batch.nbytes, 1)))
+            step = max(1, int(batch.num_rows * (4 << 20) / max(batch.nbytes, 1)))
             for at in range(0, batch.num_rows, step):
                 piece = batch.slice(at, step)
                 ids, counts = encoder([x or "" for x in piece.column(1).to_pylist()])
