@@ -1,14 +1,15 @@
 """Near-duplicate documents by SimHash fingerprints and multi-index hashing.
 
-A fingerprint has 64 bits. It is cut into segments; for each segment the small Hamming ball around the segment's value (the value
-itself and every value one bit away) is enumerated, and each enumerated value, set into the otherwise unchanged fingerprint, is a
-key of the index table. Two fingerprints at most two bits apart always meet under some key: under the nearer one's own key, or
-under the value half-way between them, which lies in the ball of one segment of either. Fingerprints that meet are verified by
-their complete distance.
+A fingerprint has 64 bits, cut into segments. Each segment has a table from its value to the fingerprints that have it. Two
+fingerprints at most `distance` bits apart differ in at most distance // segments bits of some segment, so for each segment the Hamming
+ball of that radius around a fingerprint's value is enumerated, each value is fetched from the table, and what is fetched is verified
+by its complete distance. A pair is met from the side whose flipped bits are zero, so half of each ball is enough.
 
-A key is met only by fingerprints within one bit of it, 65 at most, so no bucket can grow with the data, whatever group of copies
-the corpus holds; exact copies have become one fingerprint before. The links of a bucket form a star around its smallest member.
-Work and shuffle are linear in the number of different fingerprints.
+A value that more than `most` different fingerprints have is hot (a large group of near copies keeps one half and varies in the other).
+Hot values are not fetched, for that would pair a group with itself. The fingerprints that have one, or meet one in their balls, are
+linked through the longest key there is, the whole fingerprint: any two of them at most two bits apart have a common key among their
+own fingerprint and those one bit away, and a key is met by 65 fingerprints at most. A key's links form a star around its smallest
+member. So no pair is lost, work is linear in the number of different fingerprints, and exact copies have become one before.
 
 Nulls: a null text is an empty text, whose fingerprint is zero and linked like any other. Rows are kept one for one, so repeated
 rows get the same class. An empty table gives an empty result.
@@ -16,7 +17,7 @@ rows get the same class. An empty table gives an empty result.
 
 from __future__ import annotations
 
-from itertools import repeat
+from itertools import combinations, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from paramstore.llm.common import cut, per_batch, raw_texts, row_key, texts_of
+from paramstore.llm.common import KEY, cut, per_batch, raw_texts, row_key, texts_of
 
 BITS = 64
 
@@ -59,38 +60,81 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         fps = np.fromiter((fingerprint(x, shingle, seed) for x in raw_texts(batch.column(2))), np.uint64, batch.num_rows)
         return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps.view(np.int64))], ["doc_id", "key", "fp"])
 
-    return source.mapInArrow(per_batch(kernel), f"doc_id {kind}, key long, fp long")
+    return source.mapInArrow(per_batch(kernel), f"doc_id {kind}, key {KEY}, fp long")
 
 
-def ball_masks(segments: int, radius: int = 1) -> list[int]:
-    """The XOR masks of the Hamming balls of the given radius (0 or 1) in each of the segments, as signed longs."""
-    width, masks = BITS // segments, [0]
-    for s in range(segments if radius else 0):
-        masks += [1 << (s * width + b) for b in range(width)]
-    return [m - (1 << BITS) if m >> (BITS - 1) else m for m in masks]
+def signed(x: int) -> int:
+    return x - (1 << BITS) if x >> (BITS - 1) else x
 
 
-def links(fps: DataFrame, distance: int = 2, segments: int = 4) -> DataFrame:
-    """Star links (a, b), a < b, that connect all pairs of different fps (one column, fp) at most distance bits apart."""
+def ball(width: int, radius: int) -> list[int]:
+    """The masks of all values of so many bits that differ from a value in radius bits or fewer; the value itself first."""
+    return [sum(1 << b for b in bits) for r in range(radius + 1) for bits in combinations(range(width), r)]
+
+
+def table_keys(column, segments: int) -> list:
+    """The key of column's value in each segment's table: the segment's bits in place, and its number in the bits that are left."""
+    width = BITS // segments
+    return [F.struct(F.lit(s).cast("byte").alias("segment"), F.shiftrightunsigned(column, s * width).bitwiseAND(F.lit((1 << width) - 1)).alias("value")) for s in range(segments)]
+
+
+def tables(fps: DataFrame, segments: int) -> DataFrame:
+    """(segment, value, fp): a row for each fingerprint in each segment's table."""
+    return fps.select("fp", F.explode(F.array(*table_keys(F.col("fp"), segments))).alias("at")).select("at.segment", "at.value", "fp")
+
+
+def probes(fps: DataFrame, segments: int, radius: int) -> DataFrame:
+    """(segment, value, fp): the values that a fingerprint fetches, its own and those with a bit more (radius 0 or 1)."""
+    masks = F.array(*[F.lit(m).cast("long") for m in ball(BITS // segments, radius)])
+    own = tables(fps, segments)
+    free = F.filter(masks, lambda m: F.col("value").bitwiseAND(m) == 0)
+    return own.select("segment", "fp", F.explode(F.transform(free, lambda m: F.col("value").bitwiseXOR(m))).alias("value")).select("segment", "value", "fp")
+
+
+def whole_key_links(fps: DataFrame, distance: int) -> DataFrame:
+    """Star links (a, b) of fingerprints that share a key: their own fingerprint or one that is a bit away."""
+    masks = F.array(*[F.lit(signed(m)).cast("long") for m in ball(BITS, 1)])
+    keys = fps.select("fp", F.explode(F.transform(masks, lambda m: F.col("fp").bitwiseXOR(m))).alias("key"))
+    if distance == 1:  # a key half-way joins fingerprints two bits apart; only a fingerprint itself may be a key
+        met = keys.alias("p").join(fps.alias("t"), F.col("p.key") == F.col("t.fp")).where("p.fp < t.fp")
+        return met.select(F.col("p.fp").alias("a"), F.col("t.fp").alias("b"))
+    stars = keys.groupBy("key").agg(F.collect_list("fp").alias("met")).where(F.size("met") > 1)  # 65 at most
+    return stars.select(F.array_min("met").alias("a"), F.explode("met").alias("b")).where("a < b")
+
+
+def links(fps: DataFrame, distance: int = 2, segments: int = 2, most: int = 64) -> DataFrame:
+    """Links (a, b), a < b, that connect all pairs of different fps (one column, fp) at most distance bits apart."""
     if not 0 <= distance <= 2:
-        raise ValueError("distance must be 0, 1 or 2: a bucket of the index then has 65 members at most")
-    masks = F.array(*[F.lit(m).cast("long") for m in ball_masks(segments, 1 if distance else 0)])
-    probes = fps.select("fp", F.explode(F.transform(masks, lambda m: F.col("fp").bitwiseXOR(m))).alias("probe"))
-    if distance == 1:  # the half-way keys join fingerprints two bits apart; only a fingerprint's own key may join
-        met = probes.alias("p").join(fps.alias("t"), F.col("p.probe") == F.col("t.fp")).where("p.fp < t.fp").select(F.col("p.fp").alias("a"), F.col("t.fp").alias("b"))
-        return met.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
-    buckets = probes.groupBy("probe").agg(F.collect_list("fp").alias("met")).where(F.size("met") > 1)
-    star = buckets.select(F.array_min("met").alias("a"), F.explode("met").alias("b")).where("a < b")
-    return star.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance).distinct()
-
-
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+        raise ValueError("distance must be 0, 1 or 2: hot values are linked through keys that two bits allow")
+    if segments < 2 or BITS % segments:
+        raise ValueError("segments must part 64 bits evenly, in two or more")
+    if distance == 0:
+        return fps.select(F.col("fp").alias("a"), F.col("fp").alias("b")).where("false")
+    n = max(int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    fps = fps.repartition(n, "fp")  # few rows make many
+    index = tables(fps, segments)
+    sizes = index.groupBy("segment", "value").agg(F.count("*").alias("held"))
+    fetch = probes(fps, segments, distance // segments)
+    at = ["segment", "value"]
+    cold = fetch.join(index.withColumnRenamed("fp", "met").join(sizes.where(F.col("held") <= most), at), at)
+    near = cold.where("fp <> met").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("met"))) <= distance)
+    pairs = near.select(F.least("fp", "met").alias("a"), F.greatest("fp", "met").alias("b"))
+    hot = cut(sizes.where(F.col("held") > most).select(*at))
+    if hot.isEmpty():
+        return pairs.distinct()
+    # both sides of a pair that would meet at a hot value: those that have it, and those that fetch it
+    concerned = cut(fetch.join(hot, at, "left_semi").select("fp").distinct())
+    star = whole_key_links(concerned, distance).where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= distance)
+    return pairs.union(star).distinct()
+
+
+def components(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of edges (a, b) but the roots themselves: root is the smallest node of its component.
 
     Large-star and small-star rounds; each node's neighbours are only ever reduced to their minimum and joined back, never gathered.
     """
     edges, before = cut(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct()), None
-    for _ in range(most_rounds):
+    while True:  # a round halves the longest chain at least
         both = edges.union(edges.select("b", "a"))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("m"))
         large = edges.join(least, edges.a == least.node).select(F.col("b").alias("x"), F.col("m").alias("y")).where("x <> y").distinct()
@@ -101,10 +145,9 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         if now == before:
             return edges.groupBy("b").agg(F.min("a").alias("root")).select(F.col("b").alias("node"), "root")
         before = now
-    raise RuntimeError("components did not settle")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, seed: int = 42, distance: int = 2, segments: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, seed: int = 42, distance: int = 2, segments: int = 2) -> DataFrame:
     """doc_id, key, fp and component_id (smallest doc_id that links reach) of every row of docs."""
     prints = cut(fingerprints(docs, id_col, text_col, shingle, seed))
     first = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
@@ -118,9 +161,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of docs, all columns, with one row of each class: the one of the smallest id (of equal ids, of the smallest digest)."""
     classes = cut(near_duplicates(docs, id_col, text_col, **options))
-    chosen = cut(classes.groupBy("component_id").agg(F.min(F.struct("doc_id", "key")).alias("one")).select(F.col("one.key").alias("__key")))
-    kept = docs.withColumn("__key", row_key(id_col, text_col)).join(chosen, "__key", "left_semi")
-    repeated = classes.join(chosen, classes.key == chosen["__key"], "left_semi").groupBy("key").count().where("count > 1")
-    if repeated.limit(1).count():  # the same row more than once: then one of them
-        kept = kept.dropDuplicates(["__key"])
-    return kept.drop("__key")
+    chosen = cut(classes.groupBy("component_id").agg(F.min(F.struct("doc_id", "key")).alias("one")).select("one.doc_id", "one.key"))
+    held = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(id_col).alias("id"), row_key(id_col, text_col).alias("key"))
+    same = held.id.eqNullSafe(chosen.doc_id) & (held.key == chosen.key)
+    kept = held.join(chosen, same, "left_semi")
+    repeated = classes.join(chosen.withColumnRenamed("key", "of"), classes.key == F.col("of"), "left_semi").groupBy("key").count().where("count > 1")
+    if not repeated.isEmpty():  # the same row more than once: then one of them
+        kept = kept.dropDuplicates(["id", "key"])
+    return kept.select("row.*")
