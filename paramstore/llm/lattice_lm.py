@@ -1,17 +1,17 @@
 """Language-model scoring by the likelihood of subword lattices.
 
 Text model. A text is its words, A-Z in lower case, and one end. A word is written as a word mark and its bytes; the pieces of an
-existing public vocabulary, and its 256 byte pieces, are the arcs of a lattice over it. Every segmentation of a word is weighted by
-the product of its pieces' unigram probabilities, and a log-space forward recursion sums over all segmentations. Pieces with the word
-mark only start words, so words part and their sums multiply. A word that the training texts hold has one arc more, over all of it:
-its probability is (c + M * lattice) / (N + M), the lattice being the base measure of a Dirichlet prior of strength M, the number of
-different training words. Weights and counts are those of a language, which is a latent variable of the text: it is known for
-training texts, and a text's probability is the sum over languages of their share by the product of the text's words and end. Its
-log10 is score; lattice_score is the same without the whole-word arcs. The `most_languages` commonest codes have weights of their
-own, all others share theirs.
-
-Weights start from the vocabulary's own order (its scores are ranks) and are fitted to all training words by expected piece counts
-(forward-backward over every different word, weighted by its count). The vocabulary itself is never changed.
+existing public vocabulary, and its 256 byte pieces, are the arcs of a lattice over it. Every segmentation of a word is weighted by the
+product of its pieces' unigram probabilities, and a log-space forward recursion sums over all segmentations. Pieces with the word mark
+only start words, so words part and their sums multiply. The score of a text is the log10 of that marginal probability of all its
+words and its end.
+
+Weights. The vocabulary's own scores weigh the pieces and are never fitted one by one: a piece's log probability is its score by one
+exponent (a rank r, as vocabularies of merges have it, scores -log(r + 10)), normalised. The training texts choose the exponent, of
+`EXPONENTS`, by the likelihood of all their words, and give the probability of the end.
+
+word_score is the same text under the words that were counted: (c + M * lattice) / (N + M), c the word's count in N training tokens and
+the lattice the base measure of a Dirichlet prior of strength M, the number of different training words.
 
 Corpus counts. Spark counts every word of every text; nothing is pruned. The most frequent words, `most_words` at the most, go to the
 workers as one broadcast; occurrences of all other words are joined to the counted words by a shuffle, so scores are exact at any
@@ -31,21 +31,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import Held, bucket, cut, gathered, per_batch, raw_texts, row_key
+from paramstore.llm.common import KEY, Held, bucket, cut, gathered, per_batch, raw_texts, row_key
 
 MARK = 0x20  # stands for the word mark: words hold no blanks
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
+#: The exponents that training texts choose from.
+EXPONENTS = (0.5, 0.7, 0.9, 1.1, 1.3)
 
 
 class Pieces:
-    """The lattice arcs: a hash table of all pieces and their beginnings, and the pieces' log weights, a row for each language."""
+    """The lattice arcs: a hash table of all pieces and their beginnings, and the pieces' log weights, a row for each exponent."""
 
     SLOTS = 1 << 19
 
     def __init__(self, pieces: list[bytes], logp: np.ndarray):
         self.logp = np.atleast_2d(logp)
         numbers: dict[int, int] = {}
-        for i, piece in enumerate(pieces[:-1]):
+        for i, piece in enumerate(pieces):
             h = 0
             for k, c in enumerate(piece):
                 h = ((h ^ (h >> 29)) * int(FACTOR) + c + 1) & 0xFFFFFFFFFFFFFFFF
@@ -95,38 +97,24 @@ class Pieces:
                     break
         return out
 
-    def forward(self, words: np.ndarray, language: int = 0, arcs=None) -> np.ndarray:
+    def forward(self, words: np.ndarray, row: int = 0, arcs=None) -> np.ndarray:
         """Log sums over all segmentations up to each place."""
         m, size = words.shape
-        logp, alpha = self.logp[language], np.full((size + 1, m), -np.inf)
+        logp, alpha = self.logp[row], np.full((size + 1, m), -np.inf)
         alpha[0] = 0.0
         for i, j, rows, numbers in self.arcs(words) if arcs is None else arcs:
             alpha[j, rows] = np.logaddexp(alpha[j, rows], alpha[i, rows] + logp[numbers])
         return alpha
 
-    def expected(self, words: np.ndarray, weights: np.ndarray, language: int = 0) -> np.ndarray:
-        """Expected counts of the pieces over words of the given weights."""
-        arcs, logp = self.arcs(words), self.logp[language]
-        alpha = self.forward(words, language, arcs)
-        size = words.shape[1]
-        beta = np.full_like(alpha, -np.inf)
-        beta[size] = 0.0
-        out = np.zeros(len(logp))
-        for i, j, rows, numbers in reversed(arcs):
-            through = logp[numbers] + beta[j, rows]
-            beta[i, rows] = np.logaddexp(beta[i, rows], through)
-            np.add.at(out, numbers, np.exp(alpha[i, rows] + through - alpha[size, rows]) * weights[rows])
-        return out
-
 
 def step(h: np.ndarray, symbol: np.ndarray) -> np.ndarray:
     return (h ^ (h >> np.uint64(29))) * FACTOR + symbol
 
 
 def read_vocabulary(model_file: str) -> tuple[list[bytes], np.ndarray]:
-    """Pieces as bytes (the word mark as MARK) and start weights: log of 1 / (rank + offset), the vocabulary's scores being ranks.
+    """Pieces as bytes (the word mark as MARK) and their own scores as logs.
 
-    The 256 byte pieces cover every text; those without a score of their own get the last rank's. The last piece is the end.
+    Scores that are ranks become -log(rank + 10). The 256 byte pieces cover every text; those without a score have the least one.
     """
     import sentencepiece
 
@@ -141,9 +129,15 @@ def read_vocabulary(model_file: str) -> tuple[list[bytes], np.ndarray]:
     for c in range(256):
         found.setdefault(bytes([c]), least)
     pieces = sorted(found)
-    rank = np.array([-found[p] for p in pieces])
-    weight = 1.0 / (rank - rank.min() + 10.0)
-    return [*pieces, b"\n\n"], np.log(np.append(weight, weight.sum() / 100) / (weight.sum() * 1.01))
+    scores = np.array([found[p] for p in pieces])
+    return pieces, -np.log(scores.max() - scores + 10.0) if (scores == np.rint(scores)).all() else scores
+
+
+def weights(scores: np.ndarray, exponents=EXPONENTS) -> np.ndarray:
+    """Normalised log probabilities of the pieces, a row for each exponent."""
+    rows = np.outer(exponents, scores)
+    rows -= rows.max(axis=1, keepdims=True)
+    return rows - np.log(np.exp(rows).sum(axis=1, keepdims=True))
 
 
 def by_length(words: list[bytes], most_cells: int = 250_000):
@@ -161,7 +155,7 @@ def by_length(words: list[bytes], most_cells: int = 250_000):
 
 
 def word_log10(model: Pieces, words: list[bytes], longest: int = 1024) -> np.ndarray:
-    """log10 of each word's sum over all segmentations, a column for each language."""
+    """log10 of each word's sum over all segmentations, a column for each exponent."""
     out = np.zeros((len(words), len(model.logp)))
     short = np.array([i for i, w in enumerate(words) if len(w) <= longest], np.int64)
     for own, rows in by_length([words[i] for i in short.tolist()]):
@@ -174,9 +168,9 @@ def word_log10(model: Pieces, words: list[bytes], longest: int = 1024) -> np.nda
     return out / math.log(10)
 
 
-def long_word(model: Pieces, word: bytes, language: int = 0, block: int = 1024) -> float:
+def long_word(model: Pieces, word: bytes, row: int = 0, block: int = 1024) -> float:
     """The same recursion in blocks, of which only the last places go over into the next."""
-    text, logp = bytes([MARK]) + word, model.logp[language]
+    text, logp = bytes([MARK]) + word, model.logp[row]
     alpha, start = {0: 0.0}, 0
     while start < len(text):
         stop = min(start + block, len(text))
@@ -189,80 +183,28 @@ def long_word(model: Pieces, word: bytes, language: int = 0, block: int = 1024)
     return float(alpha[len(text)])
 
 
-def languages(docs: DataFrame, id_col: str, lang_col: str, folds: int, most: int) -> dict[str, int]:
-    """Training texts of each of the most frequent language codes; '' for all others together."""
-    code = F.coalesce(F.lower(F.col(lang_col)), F.lit(""))
-    rows = docs.where(bucket(F.col(id_col), folds) != 0).groupBy(code.alias("lang")).count().orderBy(F.desc("count"), "lang")
-    top = {r.lang: r["count"] for r in rows.limit(most).collect()}
-    total = rows.agg(F.coalesce(F.sum("count"), F.lit(0))).first()[0]
-    top[""] = top.get("", 0) + total - sum(top.values())
-    return {k: n for k, n in sorted(top.items()) if n or len(top) == 1}
-
-
-def count_words(docs: DataFrame, id_col: str, text_col: str, lang_col: str, langs: list[str], folds: int, most_held: int = 300_000) -> DataFrame:
-    """(word, n, c0, c1, ...): occurrences in all texts, and in the training texts of each language, of every different word."""
-    code = F.coalesce(F.lower(F.col(lang_col)), F.lit(""))
-    which = F.coalesce(F.array_position(F.array(*[F.lit(x) for x in langs]), code), F.lit(0)).cast("int")
-    other = langs.index("") + 1 if "" in langs else 1
-    source = docs.select(F.col(text_col).alias("text"), F.when(bucket(F.col(id_col), folds) == 0, 0).when(which == 0, other).otherwise(which).alias("which"))
-    names = ["word", "n", *[f"c{k}" for k in range(len(langs))]]
+def count_words(docs: DataFrame, id_col: str, text_col: str, folds: int, most_held: int = 300_000) -> DataFrame:
+    """(word, n, c): occurrences in all texts, and in the training texts, of every different word."""
+    source = docs.select(F.col(text_col).alias("text"), (bucket(F.col(id_col), folds) != 0).alias("train"))
 
-    def batch_of(counts: list[Counter]) -> pa.RecordBatch:
-        words = list(set().union(*counts))
-        columns = [[c.get(w, 0) for w in words] for c in counts]
-        total = np.array(columns, np.int64).sum(axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array(total), *[pa.array(c, pa.int64()) for c in columns[1:]]], names)
+    def batch_of(other: Counter, train: Counter) -> pa.RecordBatch:
+        words = list(other | train)
+        c = np.array([train.get(w, 0) for w in words], np.int64)
+        n = c + np.array([other.get(w, 0) for w in words], np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array(n), pa.array(c)], ["word", "n", "c"])
 
     def run(batches):
-        counts = [Counter() for _ in range(len(langs) + 1)]
+        counts = Counter(), Counter()
         for batch in batches:
             for raw, k in zip(raw_texts(batch.column(0)), batch.column(1).to_pylist(), strict=True):
-                counts[k].update(raw.lower().split())
-                if sum(map(len, counts)) > most_held:
-                    yield batch_of(counts)
-                    counts = [Counter() for _ in counts]
-        if any(counts):
-            yield batch_of(counts)
-
-    rows = source.mapInArrow(run, f"word binary, {', '.join(f'{c} long' for c in names[1:])}")
-    return rows.groupBy("word").agg(*[F.sum(c).alias(c) for c in names[1:]])
-
+                counts[bool(k)].update(raw.lower().split())
+                if len(counts[0]) + len(counts[1]) > most_held:
+                    yield batch_of(*counts)
+                    counts = Counter(), Counter()
+        if counts[0] or counts[1]:
+            yield batch_of(*counts)
 
-def fit(words: DataFrame, pieces: list[bytes], logp: np.ndarray, ends: list[int], rounds: int = 2, prior: float = 20.0) -> np.ndarray:
-    """Log weights of the pieces, a row for each language, after so many rounds of expectation over all training words.
-
-    ends: training texts of each language. prior: pseudo-counts in all, spread by the start weights, so that no piece ever gets zero.
-    """
-    spark = words.sparkSession
-    n_langs, start = len(ends), np.exp(logp)
-    logp = np.tile(logp, (n_langs, 1))
-    for _ in range(rounds):
-        held = spark.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
-
-        def kernel(batches, held=held):
-            out = np.zeros((n_langs, len(pieces)))
-            for batch in gathered(batches, 50_000):
-                model, own = held.value.get(), raw_texts(batch.column(0))
-                for k in range(n_langs):
-                    n = batch.column(k + 1).to_numpy().astype(np.float64)
-                    mine = np.flatnonzero(n)
-                    short = [i for i in mine.tolist() if len(own[i]) <= 1024]
-                    for at, rows in by_length([own[i] for i in short]):
-                        out[k] += model.expected(rows, n[[short[i] for i in at.tolist()]], k)
-                    for i in mine.tolist():  # a very long word, for the fit alone, as its consecutive parts
-                        for low in range(0, len(own[i]) if len(own[i]) > 1024 else 0, 1024):
-                            out[k] += model.expected(np.frombuffer((b"" if low else bytes([MARK])) + own[i][low : low + 1024], np.uint8)[None, :], n[i : i + 1], k)
-            lang, seen = np.nonzero(out)
-            yield pa.RecordBatch.from_arrays([pa.array(lang), pa.array(seen), pa.array(out[lang, seen])], ["lang", "piece", "expected"])
-
-        columns = [f"c{k}" for k in range(n_langs)]
-        rows = words.where(F.greatest(*columns, F.lit(0)) > 0).select("word", *columns).mapInArrow(kernel, "lang long, piece long, expected double")
-        counts = prior * np.tile(start, (n_langs, 1))
-        counts[:, -1] += ends
-        for r in rows.groupBy("lang", "piece").agg(F.sum("expected").alias("expected")).collect():  # languages by pieces at most
-            counts[r.lang, r.piece] += r.expected
-        logp = np.log(counts / counts.sum(axis=1, keepdims=True))
-    return logp
+    return source.mapInArrow(run, "word binary, n long, c long").groupBy("word").agg(F.sum("n").alias("n"), F.sum("c").alias("c"))
 
 
 def frequent(words: DataFrame, most_words: int) -> int:
@@ -277,40 +219,39 @@ def frequent(words: DataFrame, most_words: int) -> int:
     return least
 
 
-def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", folds: int = 10, k: float = 0.1, rounds: int = 2, most_words: int = 300_000, most_languages: int = 8) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, lattice_score of every row; rows with crc32(id) % folds = 0 are held out."""
-    spark = docs.sparkSession
-    sizes = languages(docs, id_col, lang_col, folds, most_languages)
-    langs, ends = list(sizes), list(sizes.values())
-    cs = [f"c{i}" for i in range(len(langs))]
-    counted = cut(count_words(docs, id_col, text_col, lang_col, langs, folds))
-    all_c = sum((F.col(c) for c in cs), F.lit(0))
-    sums = counted.agg(F.count_if(all_c > 0).alias("v"), *[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in cs], *[F.count_if(F.col(c) > 0).alias(f"v{c}") for c in cs]).first()
-    texts = sum(ends)
-    n, v = sum(sums[c] for c in cs) + texts, sums.v + (texts > 0)
-    own_n = np.array([sums[c] + e for c, e in zip(cs, ends, strict=True)], np.float64)
-    strength = np.array([max(sums[f"v{c}"], 1) for c in cs], np.float64)  # M
-    pieces, logp = read_vocabulary(vocabulary_file)
-    logp = fit(counted, pieces, logp, ends, rounds)
-    held = spark.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
-    names = ["word", "n", *cs, *[f"l{i}" for i in range(len(langs))]]
-
-    def lattice(batches):
+def lattices(counted: DataFrame, pieces: list[bytes], logp: np.ndarray) -> DataFrame:
+    """counted with l0, l1, ...: log10 of each word's lattice under each row of logp."""
+    held = counted.sparkSession.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
+    names = [*counted.columns, *[f"l{i}" for i in range(len(logp))]]
+
+    def run(batches):
         for batch in gathered(batches, 50_000):
-            sums_ = word_log10(held.value.get(), raw_texts(batch.column(0)))
-            yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums_[:, i])) for i in range(sums_.shape[1])]], names)
+            sums = word_log10(held.value.get(), raw_texts(batch.column(0)))
+            yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums[:, i])) for i in range(sums.shape[1])]], names)
 
-    words = cut(counted.mapInArrow(lattice, ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names)))
+    return counted.mapInArrow(run, ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names))
+
+
+def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_col: str = "text", folds: int = 10, k: float = 0.1, most_words: int = 300_000, exponents=EXPONENTS) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, word_score, exponent of every row; rows with crc32(id) % folds = 0 are held out."""
+    spark = docs.sparkSession
+    texts = docs.where(bucket(F.col(id_col), folds) != 0).count()
+    pieces, scores = read_vocabulary(vocabulary_file)
+    every = cut(lattices(count_words(docs, id_col, text_col, folds), pieces, weights(scores, exponents)))
+    sums = every.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count_if(F.col("c") > 0).alias("v"), *[F.coalesce(F.sum(F.col("c") * F.col(f"l{i}")), F.lit(0.0)).alias(f"l{i}") for i in range(len(exponents))]).first()
+    best = max(range(len(exponents)), key=lambda i: (sums[f"l{i}"], -i))
+    n, v, m = sums.n + texts, sums.v + (texts > 0), max(sums.v, 1)
+    ends = (texts + 0.5) / (n + 1.0)
+    goes_on = math.log10(1.0 - ends)
+    words = every.select("word", "n", "c", (F.col(f"l{best}") + goes_on).alias("lattice"))
     least = frequent(words, most_words)
-    head = words.where(F.col("n") >= least).drop("n").toArrow()  # most_words rows at most
-    columns = [head.column(i).to_numpy() for i in range(1, head.num_columns)]
-    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), columns, k, n, v, own_n, strength)))
-    floor, m = n + k * (v + 1), len(langs)
-    last = logp[:, -1] / math.log(10)
-    end = np.concatenate(([float(texts > 0), math.log10((texts + k) / floor)], np.log10((np.array(ends) + strength * 10**last) / (own_n + strength)), last))
+    head = words.where(F.col("n") >= least).select("word", "c", "lattice").toArrow()  # most_words rows at most
+    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), head.column(1).to_numpy(), head.column(2).to_numpy(), k, n, v, m)))
+    floor = n + k * (v + 1)
+    end = np.array([float(texts > 0), math.log10((texts + k) / floor), math.log10(ends), math.log10((texts + m * ends) / (n + m))])
     source = docs.select(F.col(id_col).alias("doc_id"), row_key(id_col, text_col).alias("key"), (bucket(F.col(id_col), folds) == 0).alias("held_out"), F.col(text_col).alias("text"))
     kind = source.schema["doc_id"].dataType.simpleString()
-    values = ["known", "base", *[f"s{i}" for i in range(m)], *[f"t{i}" for i in range(m)]]  # of a token; for a text their sums
+    values = ["known", "base", "lattice", "counted"]  # of a token; for a text their sums
 
     def one_pass(batch: pa.RecordBatch) -> pa.RecordBatch:
         place, table = known.value.get()
@@ -326,21 +267,15 @@ def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_co
         arrays = [*batch.columns[:3], pa.array(lengths, pa.int64()), *[pa.array(np.ascontiguousarray(out[:, i])) for i in range(len(values))], pa.array(rest, pa.list_(pa.binary())), pa.array(times, pa.list_(pa.int64()))]
         return pa.RecordBatch.from_arrays(arrays, ["doc_id", "key", "held_out", "n_tokens", *values, "rest", "times"])
 
-    rows = cut(source.mapInArrow(per_batch(one_pass), f"doc_id {kind}, key long, held_out boolean, n_tokens long, {', '.join(f'{c} double' for c in values)}, rest array<binary>, times array<long>"))
+    rows = cut(source.mapInArrow(per_batch(one_pass), f"doc_id {kind}, key {KEY}, held_out boolean, n_tokens long, {', '.join(f'{c} double' for c in values)}, rest array<binary>, times array<long>"))
     rare = rows.where(F.size("rest") > 0).select("key", F.posexplode(F.arrays_zip("rest", "times")).alias("i", "x")).select("key", "i", F.col("x.rest").alias("word"), F.col("x.times").alias("t"))
-    whole = [F.when(F.col(c) > 0, F.log10(F.col(c) + float(q) * F.pow(F.lit(10.0), F.col(f"l{i}")))).otherwise(math.log10(q) + F.col(f"l{i}")) - math.log10(o + q) for i, (c, q, o) in enumerate(zip(cs, strength, own_n, strict=True))]
-    each = [F.when(all_c > 0, 1.0).otherwise(0.0), F.log10((all_c + k) / floor), *whole, *[F.col(f"l{i}") for i in range(m)]]
-    weighed = rare.join(words, "word").select("key", "i", *[(F.col("t") * e).alias(f"x_{c}") for c, e in zip(values, each, strict=True)])
-    of_row = weighed.groupBy("key").agg(F.count_if(F.col("i") == 0).alias("copies"), *[F.sum(f"x_{c}").alias(f"x_{c}") for c in values])
+    c, lattice = F.col("c"), F.col("lattice")
+    each = [F.when(c > 0, 1.0).otherwise(0.0), F.log10((c + k) / floor), lattice, F.when(c > 0, F.log10(c + m * F.pow(F.lit(10.0), lattice))).otherwise(math.log10(m) + lattice) - math.log10(n + m)]
+    weighed = rare.join(words, "word").select("key", "i", *[(F.col("t") * e).alias(f"x_{name}") for name, e in zip(values, each, strict=True)])
+    of_row = weighed.groupBy("key").agg(F.count_if(F.col("i") == 0).alias("copies"), *[F.sum(f"x_{name}").alias(f"x_{name}") for name in values])
     full = rows.drop("rest", "times").join(of_row, "key", "left")
-    total = {c: F.col(c) + F.coalesce(F.col(f"x_{c}") / F.col("copies"), F.lit(0.0)) for c in values}  # the same row twice was summed twice
-
-    def mixed(prefix: str):
-        logs = [total[f"{prefix}{i}"] + math.log10(max(e, 0.5) / max(texts, 1)) for i, e in enumerate(ends)]
-        top = F.greatest(*logs) if m > 1 else logs[0]
-        return top + F.log10(sum((F.pow(F.lit(10.0), x - top) for x in logs), F.lit(0.0)))
-
-    return full.select("doc_id", "held_out", "n_tokens", F.round(total["known"]).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total["base"].alias("base_score"), mixed("s").alias("score"), mixed("t").alias("lattice_score"))
+    total = {name: F.col(name) + F.coalesce(F.col(f"x_{name}") / F.col("copies"), F.lit(0.0)) for name in values}  # the same row twice was summed twice
+    return full.select("doc_id", "held_out", "n_tokens", F.round(total["known"]).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total["base"].alias("base_score"), total["lattice"].alias("score"), total["counted"].alias("word_score"), F.lit(float(exponents[best])).alias("exponent"))
 
 
 def _pieces(payload):
@@ -348,12 +283,9 @@ def _pieces(payload):
 
 
 def _dictionary(payload):
-    """Places of the words, and what a token of each adds: known, base, the score and the lattice in each language."""
-    blob, columns, k, n, v, own_n, strength = payload
-    m = len(own_n)
-    c, lattice = np.array(columns[:m], np.float64), np.array(columns[m:], np.float64)
-    score = np.where(c > 0, np.log10(np.maximum(c + strength[:, None] * 10.0**lattice, 1e-300)), np.log10(strength)[:, None] + lattice) - np.log10(own_n + strength)[:, None]
-    all_c = c.sum(axis=0)
-    table = np.column_stack([all_c > 0, np.log10((all_c + k) / (n + k * (v + 1))), *score, *lattice])
-    words = blob.split(b"\n") if c.shape[1] else []
-    return {w: i for i, w in enumerate(words)}, table
+    """Places of the words, and what a token of each adds: known, base, the lattice's and the counted log10 probability."""
+    blob, c, lattice, k, n, v, m = payload
+    c = c.astype(np.float64)
+    counted = np.where(c > 0, np.log10(np.maximum(c + m * 10.0**lattice, 1e-300)), math.log10(m) + lattice) - math.log10(n + m)
+    words = blob.split(b"\n") if len(c) else []
+    return {w: i for i, w in enumerate(words)}, np.column_stack([c > 0, np.log10((c + k) / (n + k * (v + 1))), lattice, counted])

@@ -69,22 +69,38 @@ def test_simhash_matches_brute_force(spark):
 
 
 def test_links_connect_all_near_pairs(spark):
-    signed = lambda x: x - (1 << 64) if x >> 63 else x
     rng = np.random.default_rng(1)
     centre = [int(x) for x in rng.integers(0, 1 << 63, 30)]
     prints = {c ^ (1 << int(a)) ^ (1 << int(b)) for c in centre for a, b in rng.integers(0, 64, (12, 2))} | set(centre)
-    frame = spark.createDataFrame([(p - (1 << 64) if p >> 63 else p,) for p in prints], "fp long")
-    for distance in (0, 1, 2):
-        roots = {r.node % (1 << 64): r.root for r in simhash.components(simhash.links(frame, distance)).collect()}
+    prints |= {centre[0] ^ (int(x) << 32) for x in rng.integers(0, 200, 150)}  # one half in common: a hot value
+    frame = spark.createDataFrame([(simhash.signed(p),) for p in prints], "fp long")
+    for distance, segments, most in ((0, 2, 64), (1, 2, 5), (2, 2, 64), (2, 2, 5), (2, 4, 64)):
+        found = simhash.cut(simhash.links(frame, distance, segments, most))
+        assert all(r.a < r.b and bin((r.a ^ r.b) % (1 << 64)).count("1") <= distance for r in found.collect())
+        roots = {r.node % (1 << 64): r.root for r in simhash.components(found).collect()}
         ids = sorted(prints)
         for i, a in enumerate(ids):
             for b in ids[:i]:
                 if bin(a ^ b).count("1") <= distance:
-                    assert roots.get(a, signed(a)) == roots.get(b, signed(b))
+                    assert roots.get(a, simhash.signed(a)) == roots.get(b, simhash.signed(b))
         if distance == 0:
             assert not roots
 
 
+def test_segment_tables_and_balls(spark):
+    """What the tables fetch is what differs in one bit of a segment at most; every pair two bits apart is fetched by one side."""
+    rng = np.random.default_rng(4)
+    prints = [int(x) for x in rng.integers(0, 1 << 63, 40)]
+    prints = list({x ^ (1 << int(a)) ^ (1 << int(b)) for x in prints for a, b in rng.integers(0, 64, (6, 2))})
+    frame = spark.createDataFrame([(simhash.signed(p),) for p in prints], "fp long")
+    half = lambda x, s: x >> 32 * s & 0xFFFFFFFF
+    index = {(r.segment, r.value, r.fp % (1 << 64)) for r in simhash.tables(frame, 2).collect()}
+    assert index == {(s, half(p, s), p) for p in prints for s in (0, 1)}
+    fetched = simhash.probes(frame, 2, 1).alias("p").join(simhash.tables(frame, 2).withColumnRenamed("fp", "met").alias("t"), ["segment", "value"]).where("fp <> met").collect()
+    got = {frozenset((r.fp % (1 << 64), r.met % (1 << 64))) for r in fetched}
+    assert got == {frozenset((x, y)) for i, x in enumerate(prints) for y in prints[:i] if min(bin(half(x, s) ^ half(y, s)).count("1") for s in (0, 1)) <= 1}
+
+
 def test_components_of_a_long_chain(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(200)] + [(500, 501)], "a long, b long")
     got = {r.node: r.root for r in simhash.components(edges).collect()}
@@ -92,7 +108,7 @@ def test_components_of_a_long_chain(spark):
 
 
 def test_keep_one_keeps_one_of_each_class(spark):
-    docs = cases.docs(spark)
+    docs = cases.docs(spark).withColumns({c: F.lit(c) for c in ("__key", "key", "row", "id", "fp")})
     kept = simhash.keep_one(docs)
     assert kept.columns == docs.columns
     classes = {r.component_id for r in simhash.near_duplicates(docs).collect()}
@@ -308,61 +324,73 @@ def test_automata_find_a_credential_without_its_keyword(spark):
     assert got[999].n_format == 1 and got[999].spans.startswith("format:10:") and got[998].n_format == 0
 
 
+VOCABULARY = "piece_bpe_32k.model"
+
+
 def brute_lattice(pieces, logp, word):
-    table = dict(zip(pieces[:-1], np.exp(logp), strict=False))
+    """log10 of the sum over all segmentations, by a recursion of exact sums over a plain table of pieces."""
+    table = dict(zip(pieces, np.exp(logp), strict=True))
     text = b" " + word
     alpha = [1.0] + [0.0] * len(text)
     for j in range(1, len(text) + 1):
-        alpha[j] = sum(alpha[i] * table[text[i:j]] for i in range(j) if text[i:j] in table)
+        alpha[j] = sum(alpha[i] * table[text[i:j]] for i in range(max(0, j - 60), j) if text[i:j] in table)
     return log10(alpha[-1])
 
 
 def test_lattice_sums_all_segmentations():
-    pieces, logp = lattice_lm.read_vocabulary(queries.tokenizer_file("piece_bpe_32k.model"))
+    pieces, scores = lattice_lm.read_vocabulary(queries.tokenizer_file(VOCABULARY))
+    logp = lattice_lm.weights(scores, (0.8, 1.2))
+    assert np.exp(logp).sum(axis=1) == pytest.approx([1.0, 1.0])
     model = lattice_lm.Pieces(pieces, logp)
     words = [b"thntblere", b"a", "éçmente".encode(), b"the", "漢字".encode(), b"x" * 25]
-    got = lattice_lm.word_log10(model, words)[:, 0]
-    assert got == pytest.approx([brute_lattice(pieces, logp, w) for w in words], rel=1e-9)
+    got = lattice_lm.word_log10(model, words)
+    for k in (0, 1):
+        assert got[:, k] == pytest.approx([brute_lattice(pieces, logp[k], w) for w in words], rel=1e-9)
     long = b"thingble" * 700
     assert lattice_lm.long_word(model, long, block=64) == pytest.approx(float(model.forward(np.frombuffer(b" " + long, np.uint8)[None, :])[-1][0]), rel=1e-9)
 
 
-def test_expected_counts_raise_the_likelihood():
-    pieces, logp = lattice_lm.read_vocabulary(queries.tokenizer_file("piece_bpe_32k.model"))
-    words, n = [b"thntblere", b"oningti", b"erheth", b"ouinle"], np.array([3.0, 2.0, 5.0, 1.0])
-    last = -np.inf
-    for _ in range(4):
-        model = lattice_lm.Pieces(pieces, logp)
-        now = float(lattice_lm.word_log10(model, words)[:, 0] @ n)
-        assert now > last
-        last = now
-        counts = sum(model.expected(rows, n[own]) for own, rows in lattice_lm.by_length(words)) + 1e-9
-        logp = np.log(counts / counts.sum())
+def test_vocabulary_scores_keep_their_order():
+    import sentencepiece
+
+    model = sentencepiece.SentencePieceProcessor(model_file=queries.tokenizer_file(VOCABULARY))
+    pieces, scores = lattice_lm.read_vocabulary(queries.tokenizer_file(VOCABULARY))
+    place = {p: i for i, p in enumerate(pieces)}
+    own = [place[model.id_to_piece(i).replace("▁", " ").encode()] for i in (400, 2000, 9000, 30000)]
+    assert (np.diff(scores[own]) < 0).all() and (np.diff(lattice_lm.weights(scores)[2][own]) < 0).all()
 
 
 def test_lattice_scores_match_brute_force(spark):
     held = lambda d: zlib.crc32(("" if d is None else str(d)).encode()) % 10 == 0
-    scores = []
-    for frame, texts in ((cases.docs(spark), [r[:2] for r in cases.rows()]), (spark.read.parquet(f"{SF}/documents.parquet"), all_docs(spark))):
+    pieces, own_scores = lattice_lm.read_vocabulary(queries.tokenizer_file(VOCABULARY))
+    rows = {e: w for e, w in zip(lattice_lm.EXPONENTS, lattice_lm.weights(own_scores), strict=True)}
+    for frame, texts in ((cases.docs(spark), [r[:2] for r in cases.rows() if len(r[1] or "") < 1500]), (spark.read.parquet(f"{SF}/documents.parquet").where("length(text) < 1200").limit(25), None)):
+        if texts is None:
+            frame = spark.createDataFrame(frame.collect(), frame.schema)
+            texts = [(r.doc_id, r.text) for r in frame.collect()]
+        else:
+            frame = frame.where("text is null or length(text) < 1500")
+        counts = Counter()
+        for d, t in texts:
+            if not held(d):
+                counts.update([*WORD.findall(lower(t)), None])
+        n, v = sum(counts.values()), len(counts)
+        different = {w for _, t in texts for w in WORD.findall(lower(t))}
+        tables = {e: {w: brute_lattice(pieces, logp, w.encode()) for w in different} for e, logp in rows.items()}
+        best = max(rows, key=lambda e: sum(c * tables[e][w] for w, c in counts.items() if w))
+        ends, m = (counts[None] + 0.5) / (n + 1), max(v - 1, 1)
+        token = {w: x + log10(1 - ends) for w, x in tables[best].items()} | {None: log10(ends)}
         for most in (300_000, 20):  # all words broadcast, and nearly all joined
-            got = lattice_lm.score(frame, queries.tokenizer_file("piece_bpe_32k.model"), most_words=most).collect()
-            counts = Counter()
-            for d, t in texts:
-                if not held(d):
-                    counts.update([*WORD.findall(lower(t)), None])
-            n, v = sum(counts.values()), len(counts)
+            got = lattice_lm.score(frame, queries.tokenizer_file(VOCABULARY), most_words=most).collect()
             want = defaultdict(list)
             for d, t in texts:
                 tokens = [*WORD.findall(lower(t)), None]
-                want[d].append((held(d), len(tokens), sum(counts[w] > 0 for w in tokens), n, sum(log10((counts[w] + 0.1) / (n + 0.1 * (v + 1))) for w in tokens)))
-            assert len(got) == len(texts)
+                want[d].append((held(d), len(tokens), sum(counts[w] > 0 for w in tokens), n, sum(log10((counts[w] + 0.1) / (n + 0.1 * (v + 1))) for w in tokens), sum(token[w] for w in tokens), sum(log10((counts[w] + m * 10 ** token[w]) / (n + m)) for w in tokens)))
+            assert len(got) == len(texts) and {r.exponent for r in got} == {best}
             for r in got:
-                row = next(x for x in want[r.doc_id] if x[:4] == (r.held_out, r.n_tokens, r.n_known, r.train_tokens) and r.base_score == pytest.approx(x[4], rel=1e-9))
+                row = next(x for x in want[r.doc_id] if x[:4] == (r.held_out, r.n_tokens, r.n_known, r.train_tokens) and (r.base_score, r.score, r.word_score) == pytest.approx(x[4:], rel=1e-9))
                 want[r.doc_id].remove(row)
-                assert r.score < 0 and np.isfinite(r.score)
-            scores.append(sorted(r.score for r in got))
-        assert scores[-1] == pytest.approx(scores[-2], rel=1e-9)
-    assert lattice_lm.score(cases.empty(spark), queries.tokenizer_file("piece_bpe_32k.model")).count() == 0
+    assert lattice_lm.score(cases.empty(spark), queries.tokenizer_file(VOCABULARY)).count() == 0
 
 
 def test_quality_scores_hold_out_accuracy(spark):
