@@ -520,6 +520,55 @@ def test_template_lines_are_no_slots_without_an_article(spark):
     assert got == {i: f"Only w{i} here" for i in range(6)}
 
 
+def test_equivalence_classes_match_brute_force(spark):
+    rows = spark.read.parquet(f"{SF}/pages.parquet").limit(24).collect()
+    extra = ["<html><body><div class=a><p>x</p></div><div class=b>y{0}</div></body></html>".format(i) for i in range(4)]
+    pages = [("h1" if i < 14 else "h2", i, r.html) for i, r in enumerate(rows)] + [("h3", 100 + i, x) for i, x in enumerate(extra)]
+    frame = spark.createDataFrame(pages, "host string, key long, html string")
+    hosts = frame.groupBy("host").agg(F.count("*").alias("of_host"))
+    got = {(r.host, r.token) for r in html_extract.valid_classes(html_extract.occurrences(frame), hosts).collect()}
+    want = set()
+    for host in ("h1", "h2", "h3"):
+        vectors, places, own = defaultdict(Counter), defaultdict(dict), [p for p in pages if p[0] == host]
+        for _, key, html in own:
+            for place, token in enumerate(html_extract.parse(html)):
+                if token.kind < 2 or token.kind == 2 and not token.value.isspace():
+                    vectors[html_extract.number(token)][key] += 1
+                    places[html_extract.number(token)].setdefault(key, place)
+        mean = {t: sum(x.values()) / len(x) for t, x in places.items()}
+        classes = defaultdict(list)
+        for t, v in vectors.items():
+            if len(v) >= 3 and len(v) >= 0.3 * len(own):
+                classes[frozenset(v.items())].append(t)
+        large = {v: ts for v, ts in classes.items() if len(ts) >= 3}
+        for v, ts in large.items():
+            low, high = min(mean[t] for t in ts), max(mean[t] for t in ts)
+            crossed = sum(n for _, n in v) == len(v) and any(len(us) > len(ts) and any(low < mean[u] < high for u in us) for w, us in large.items() if w != v)
+            want |= set() if crossed else {(host, t) for t in ts}
+    assert got == want and len(want) > 40
+
+
+def test_template_decides_where_names_say_nothing(spark):
+    """The given pages with every telling name replaced: the host's template finds the text; without it the page is kept whole."""
+    import html
+
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    plain, texts = pages, {}
+    for name, other in (("nav", "k1"), ("footer", "k2"), ("article", "k3")):
+        plain = plain.withColumn("html", F.regexp_replace(F.regexp_replace("html", f"<{name}>", f'<div class="{other}">'), f"</{name}>", "</div>"))
+    plain = plain.withColumn("html", F.regexp_replace("html", 'class="ad"', 'class="k4"'))
+    for r in pages.collect():
+        body = re.search(r"(?s)<article>(.*?)(</article>|$)", r.html)[1]
+        texts[r.page_id] = " ".join(html.unescape(re.sub(r"<[^>]*>?", "", re.sub(r"<br>|</?p>|</?h1>", "\n", body))).split())
+    words = lambda x: Counter(x.split())
+    for frame in (pages, plain):
+        got = {r.page_id: r.text for r in html_extract.extract(frame).collect()}
+        met = sum(sum((words(got[i]) & words(t)).values()) for i, t in texts.items())
+        assert met >= 0.999 * sum(len(t.split()) for t in texts.values()) and met >= 0.999 * sum(len(t.split()) for t in got.values())
+    without = {r.page_id: r.text for r in html_extract.extract(plain, least_size=10**9).collect()}
+    assert sum(without[i] != texts[i] for i in texts) >= 0.99 * len(texts)
+
+
 def test_pipeline_against_its_operators(spark):
     import corpus_pipeline
 
