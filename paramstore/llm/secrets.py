@@ -3,14 +3,17 @@
 Base. Three kinds of spans, leftmost and non-overlapping within a kind: `assign` (a keyword, an assignment sign and a value of 12
 characters or more), `access` (an access-key prefix, 18 or more in all), `hex` (16 or more). They stay in every result.
 
-Grammar inference. The values that the base patterns label are credentials; other long runs of the same characters are ordinary.
-Each kind, and the ordinary ones, give a frequency prefix tree over character classes; states are merged, red and blue, where the
+Grammar inference. The values that the base patterns label are credentials; other long runs of the same characters are ordinary, but for those with a part
+that looks like a credential without a label: more likely under a kind's automaton than under that of all others, and as likely, by
+the character, as all but the least twentieth of the kind's labelled values. Each kind, and the ordinary ones, give a frequency prefix tree over character classes; states are merged, red and blue, where the
 Hoeffding bound finds their symbol and end frequencies, and those of their followers, compatible. The result is a probabilistic
-automaton. Every candidate of a text, a maximal run of 16 or more token characters, is scored by its log likelihood under each
-kind's automaton against the ordinary one; a candidate of a log ratio of `threshold` or more that no base span meets is a further span, of
-kind `format`.
+automaton. Every candidate of a text is scored by its log likelihood under each kind's automaton against the ordinary one. Candidates
+are the maximal runs of 16 or more token characters and, within them, the runs between the characters that join fields (`JOINS`), so
+that a credential in an address or after an equals sign is scored by itself. A candidate of a log ratio of `threshold` or more is a
+further span, of kind `format`, unless it lies within a base span; of candidates within each other the one of the larger ratio is taken.
 
-The training set is a documented bounded sample (`most_docs` documents by the hash of their id, `most_examples` values a kind); the
+The training set is a documented bounded sample: of all documents' values, for each kind the `most_examples` of the smallest hashes, those
+above `longest` characters left out. Each task keeps that many, so a kind is learnt from as many values at any size of the corpus. The
 scan covers every text whole. Nulls: a null text is empty. Rows are kept one for one. Without labelled values there is no automaton
 and only base spans come. Empty tables give empty results.
 """
@@ -20,14 +23,18 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from bisect import bisect_left
 from collections import defaultdict
+from heapq import nsmallest
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh64_intdigest
 
-from paramstore.llm.common import concat_texts, per_batch, raw_texts, texts_of
+from paramstore.llm.common import concat_texts, cut, per_batch, raw_texts, texts_of
 
 #: The base patterns.
 ASSIGN = re.compile(rb"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE)
@@ -41,6 +48,11 @@ HEX[list(b"0123456789abcdef")] = True
 TOKEN = np.zeros(256, bool)
 TOKEN[list(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_.=-")] = True
 
+#: Characters that join fields, between which a credential may stand.
+JOINS = b"=/.+"
+FIELD = TOKEN.copy()
+FIELD[list(JOINS)] = False
+
 #: Character classes: digits, a-f, g-z, A-Z, and each further token character for itself; and each class's size.
 CLASS = bytes(0 if 0x30 <= c <= 0x39 else 1 if 0x61 <= c <= 0x66 else 2 if 0x67 <= c <= 0x7A else 3 if 0x41 <= c <= 0x5A else 4 + b"+/_.=-".index(c) if c in b"+/_.=-" else 10 for c in range(256))
 CLASS_SIZE = (10, 6, 20, 26, 1, 1, 1, 1, 1, 1, 188)
@@ -62,7 +74,8 @@ def base_spans(raws: list[bytes], with_candidates: bool = True) -> tuple[list[li
     if not raws:
         return found, candidates
     data, starts, _ = concat_texts(raws, b"\n")
-    for mask, kind in ((HEX, "hex"), (TOKEN, "")):
+    seen: set[tuple[int, int, int]] = set()
+    for mask, kind in ((HEX, "hex"), (TOKEN, ""), (FIELD, "")):
         if not kind and not with_candidates:
             continue
         a, b = runs(mask[data], 16)
@@ -71,7 +84,8 @@ def base_spans(raws: list[bytes], with_candidates: bool = True) -> tuple[list[li
         for i, s, e in zip(owner.tolist(), (a - base).tolist(), (b - base).tolist(), strict=True):
             if kind:
                 found[i].append((kind, s, e))
-            else:
+            elif (i, s, e) not in seen:
+                seen.add((i, s, e))
                 candidates[i].append((s, e))
     for i, raw in enumerate(raws):
         low = raw.lower()
@@ -87,6 +101,18 @@ def value_span(raw: bytes, kind: str, start: int, end: int) -> tuple[int, int]:
     return ASSIGN.match(raw, start, end).span(2) if kind == "assign" else (start, end)
 
 
+class Reach:
+    """Of sorted spans, the farthest end among those that start before a place."""
+
+    def __init__(self, spans: list[tuple[int, int]]):
+        spans = sorted(spans)
+        self.starts, self.ends = [a for a, _ in spans], list(accumulate((b for _, b in spans), max))
+
+    def before(self, place: int) -> int:
+        at = bisect_left(self.starts, place)
+        return self.ends[at - 1] if at else -1
+
+
 class Automaton:
     """A deterministic probabilistic automaton over character classes, merged from a frequency prefix tree."""
 
@@ -177,31 +203,48 @@ class Automaton:
         return out + step[state][END]
 
 
-def infer(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most_docs: int = 20_000, most_examples: int = 1_000) -> dict[str, Automaton]:
-    """Automata by kind, '' for ordinary runs, from a bounded sample of the documents."""
-    source = texts_of(docs, id_col, text_col)
-    total = max(source.count(), 1)
-    sample = source.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * min(1.0, most_docs / total)))
-
-    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        raws = raw_texts(batch.column(1))
-        found, candidates = base_spans(raws)
-        out = set()
-        for raw, spans, runs_ in zip(raws, found, candidates, strict=True):
-            values = [(k, *value_span(raw, k, a, b)) for k, a, b in spans]
-            out |= {(k, raw[a:b]) for k, a, b in values}
-            out |= {("", raw[a:b]) for a, b in runs_ if not any(a < e and s < b for _, s, e in values)}
-        rows = [(k, v) for k, v in out if len(v) <= 200]
-        return pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.string()), pa.array([v.decode() for _, v in rows], pa.string())], ["kind", "value"])
-
-    values = sample.mapInArrow(per_batch(kernel), "kind string, value string").distinct().withColumn("h", F.xxhash64("value"))
+def smallest(values: set[tuple[str, bytes]], most: int) -> list[tuple[str, bytes, int]]:
+    """For each kind the most values of the smallest hashes."""
     by = defaultdict(list)
-    from pyspark.sql import Window as W
-
-    ranked = values.withColumn("n", F.row_number().over(W.partitionBy("kind").orderBy("h", "value"))).where(F.col("n") <= most_examples)
-    for r in ranked.select("kind", "value", "h").collect():
-        by[r.kind].append((r.h, r.value.encode()))
-    return {kind: Automaton([v for _, v in sorted(own)]) for kind, own in by.items()}
+    for kind, value in values:
+        by[kind].append((xxh64_intdigest(value) >> 1, value))
+    return [(kind, value, h) for kind, own in by.items() for h, value in nsmallest(most, own)]
+
+
+def infer(docs: DataFrame, text_col: str = "text", most_examples: int = 1_000, longest: int = 200) -> dict[str, Automaton]:
+    """Automata by kind, '' for ordinary runs, from at most most_examples values a kind of all documents."""
+
+    def run(batches):
+        held: set[tuple[str, bytes]] = set()
+        for batch in batches:
+            raws = raw_texts(batch.column(0))
+            found, candidates = base_spans(raws)
+            for raw, spans, runs_ in zip(raws, found, candidates, strict=True):
+                values = [(k, *value_span(raw, k, a, b)) for k, a, b in spans]
+                held |= {(k, raw[a:b]) for k, a, b in values if b - a <= longest}
+                reach = Reach([(a, b) for _, a, b in values])
+                held |= {("", raw[a:b]) for a, b in runs_ if b - a <= longest and reach.before(b) <= a}
+            if len(held) > 16 * most_examples:
+                held = {(k, v) for k, v, _ in smallest(held, most_examples)}
+        if held:
+            rows = smallest(held, most_examples)
+            yield pa.RecordBatch.from_arrays([pa.array([k for k, *_ in rows], pa.string()), pa.array([v.decode() for _, v, _ in rows], pa.string()), pa.array([h for *_, h in rows], pa.int64())], ["kind", "value", "h"])
+
+    values = cut(docs.select(F.col(text_col).alias("text")).mapInArrow(run, "kind string, value string, h long").distinct())
+    taken = {kind: [r.value.encode() for r in values.where(F.col("kind") == kind).orderBy("h", "value").limit(most_examples).collect()] for kind in ("", *KINDS[:3])}
+    return automata_of(taken)
+
+
+def automata_of(taken: dict[str, list[bytes]]) -> dict[str, Automaton]:
+    """Automata of labelled values by kind, and of the unlabelled ones ('') without those that look like a credential."""
+    out = {kind: Automaton(own) for kind, own in taken.items() if kind and own}
+    likely = {kind: float(np.quantile([x.log_likelihood(v) / len(v) for v in taken[kind]], 0.05)) for kind, x in out.items()}
+    plain = taken.get("", [])
+    if plain and out:
+        every = Automaton(plain)
+        alike = lambda v: any((y := x.log_likelihood(v)) > every.log_likelihood(v) and y >= likely[kind] * len(v) for kind, x in out.items())
+        plain = [v for v in plain if not any(alike(x) for x in {v, *re.split(b"[" + re.escape(JOINS) + b"]", v)} if len(x) >= LEAST["format"])]
+    return out | ({"": Automaton(plain)} if plain else {})
 
 
 def points(raw: bytes, offsets: list[int]) -> dict[int, int]:
@@ -221,7 +264,7 @@ def joined(spans: list[tuple[str, int, int]]) -> str:
 
 def scan(docs: DataFrame, automata: dict[str, Automaton] | None = None, threshold: float = 12.0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, n_format, base_sha256, spans, scores (log ratios of the format spans) of every row."""
-    automata = infer(docs, id_col, text_col) if automata is None else automata
+    automata = infer(docs, text_col) if automata is None else automata
     source = texts_of(docs, id_col, text_col)
     kinds = {k: a for k, a in automata.items() if k}
     held = docs.sparkSession.sparkContext.broadcast((kinds, automata.get("")))
@@ -233,13 +276,18 @@ def scan(docs: DataFrame, automata: dict[str, Automaton] | None = None, threshol
         own, ordinary = held.value
         counts, digest, spans_out, scores_out = [], [], [], []
         for raw, spans, runs_ in zip(raws, found, candidates, strict=True):
-            scores, more = [], []
+            scored, reach = [], Reach([(a, b) for _, a, b in spans])
             for a, b in runs_ if own and ordinary else ():
                 text = raw[a:b]
                 ratio = max(x.log_likelihood(text) for x in own.values()) - ordinary.log_likelihood(text)
-                if ratio >= threshold and not any(a < e and s < b for _, s, e in spans):
-                    more.append(("format", a, b))
-                    scores.append(ratio)
+                if ratio >= threshold and reach.before(a + 1) < b:
+                    scored.append((ratio, a, b))
+            taken: list[tuple[int, int, float]] = []
+            for ratio, a, b in sorted(scored, key=lambda x: (-x[0], x[1], x[2])):
+                at_ = bisect_left(taken, (a, b, ratio))
+                if (at_ == 0 or taken[at_ - 1][1] <= a) and (at_ == len(taken) or b <= taken[at_][0]):
+                    taken.insert(at_, (a, b, ratio))
+            more, scores = [("format", a, b) for a, b, _ in taken], [x for *_, x in taken]
             at = points(raw, [x for _, a, b in [*spans, *more] for x in (a, b)]) if spans or more else {}
             base, extra = [(k, at[a], at[b]) for k, a, b in spans], [(k, at[a], at[b]) for k, a, b in more]
             counts.append([sum(k == name for k, *_ in base) for name in KINDS[:3]] + [len(extra)])
