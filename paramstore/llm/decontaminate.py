@@ -5,7 +5,8 @@ item; an item with fewer words is one window of its own length. A training word
 
 Workers hold the benchmark's words, the windows' 64-bit hashes in a sorted array and the windows themselves, by which each hash hit
 is verified word by word. The broadcast is bounded: the benchmark's words are counted first, and one above `most_words` is dealt with
-in blocks of items, each block a broadcast of its own and a scan of its own.
+in blocks of items, one after the other: a block is read, broadcast, met with a scan of its own whose hits are written, and dropped
+before the next, so neither the driver nor a worker ever holds two. A document's hits of several blocks are joined in the end.
 
 Nulls: a null text has no words, in either table. Items without words never occur; equal items each count. Rows of docs are kept one
 for one. Empty tables give empty results or uncontaminated rows.
@@ -15,13 +16,15 @@ from __future__ import annotations
 
 import hashlib
 from collections import defaultdict
+from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from paramstore.llm.common import Held, per_batch, raw_texts, texts_of
+from paramstore.llm.common import KEY, Held, cut, per_batch, raw_texts, row_key
 
 #: One byte each: A-Z to lower case, other ASCII that is no letter or digit to a blank.
 FOLD = bytes(c + 32 if 0x41 <= c <= 0x5A else c if c >= 0x80 or 0x30 <= c <= 0x39 or 0x61 <= c <= 0x7A else 0x20 for c in range(256))
@@ -84,86 +87,126 @@ class Windows:
         return hit, items
 
 
-def item_blocks(bench: DataFrame, id_col: str, text_col: str, most_words: int) -> list[list[tuple[str, bytes]]]:
-    """The items in blocks of at most most_words words (one item alone may have more), read block by block."""
+def item_blocks(bench: DataFrame, id_col: str, text_col: str, most_words: int) -> Iterator[list[tuple[str, bytes]]]:
+    """The items in blocks of about most_words words (one item alone may have more), each read when it is asked for."""
     sized = bench.select(F.col(id_col).cast("string").alias("item"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     total = sized.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0] // 2 + 1
-    n, out = -(-total // most_words), []
+    n = -(-total // most_words)
     for block in range(n):
         part = sized if n == 1 else sized.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == block)
-        out.append([(r.item or "", r.text.encode()) for r in part.toLocalIterator()])
-    return out
+        yield [(r.item or "", r.text.encode()) for r in part.toLocalIterator()]
 
 
 def _windows(payload):
     return Windows(*payload)
 
 
-def blocks_of(spark, bench: DataFrame, id_col: str, text_col: str, most_words: int, window: int) -> list:
-    """The broadcasts, one for each block of items."""
-    return [spark.sparkContext.broadcast(Held(_windows, (b, window))) for b in item_blocks(bench, id_col, text_col, most_words)]
-
-
 def _spans(hit: np.ndarray) -> list[tuple[int, int]]:
     edges = np.flatnonzero(np.diff(np.concatenate(([0], hit.view(np.int8), [0]))))
     return list(zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True))
 
 
-def scan(docs: DataFrame, bench: DataFrame, window: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", most_words: int = 20_000_000) -> DataFrame:
-    """Per row of docs: doc_id, n_words, n_hit, n_items, items (ids as text, sorted), items_sha256, spans (word ranges, end exclusive)."""
-    spark = docs.sparkSession
-    source = texts_of(docs, id_col, text_col)
-    held = blocks_of(spark, bench, item_col, item_text_col, most_words, window)
+SPANS = "array<struct<start:long,end:long>>"
+SPANS_ARROW = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
+
+
+def hits(source: DataFrame, held, every: bool = True) -> DataFrame:
+    """doc_id, key, n_words, items, spans of the rows of source (doc_id, key, text) by one broadcast of windows; every: those without a hit too."""
     kind = source.schema["doc_id"].dataType.simpleString()
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        n_words, n_hit, items, spans = [], [], [], []
-        hits: list[np.ndarray | None] = [None] * batch.num_rows
-        met: list[set[str]] = [set() for _ in range(batch.num_rows)]
-        texts = [words_of(x) for x in raw_texts(batch.column(1))]
-        for one in held:
-            windows = one.value.get()
-            for i, words in enumerate(texts):
-                hit, found = windows.scan(words)
-                if found:
-                    hits[i] = hit if hits[i] is None else hits[i] | hit
-                    met[i] |= found
-        for words, hit, found in zip(texts, hits, met, strict=True):
+        windows, n_words, items, spans = held.value.get(), [], [], []
+        for words in map(words_of, raw_texts(batch.column(2))):
+            hit, found = windows.scan(words)
             n_words.append(len(words))
-            n_hit.append(0 if hit is None else int(hit.sum()))
             items.append(sorted(found))
             spans.append([] if hit is None else [{"start": a, "end": b} for a, b in _spans(hit)])
-        digest = [hashlib.sha256(",".join(x).encode()).hexdigest() for x in items]
-        shape = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([len(x) for x in items], pa.int64()), pa.array(items, pa.list_(pa.string())), pa.array(digest), pa.array(spans, shape)], ["doc_id", "n_words", "n_hit", "n_items", "items", "items_sha256", "spans"])
+        out = pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n_words, pa.int64()), pa.array(items, pa.list_(pa.string())), pa.array(spans, SPANS_ARROW)], ["doc_id", "key", "n_words", "items", "spans"])
+        return out if every else out.filter(pa.array([bool(x) for x in items]))
+
+    return source.mapInArrow(per_batch(kernel), f"doc_id {kind}, key {KEY}, n_words long, items array<string>, spans {SPANS}")
+
+
+def merged(spans):
+    """Overlapping and touching ranges as one, in order; spans: a column of SPANS."""
+    def one(done, x):
+        last = F.element_at(done, -1)
+        joins = (F.size(done) > 0) & (F.try_element_at(done, F.lit(-1))["end"] >= x["start"])
+        longer = F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(last["start"].alias("start"), F.greatest(last["end"], x["end"]).alias("end"))))
+        return F.when(joins, longer).otherwise(F.concat(done, F.array(x)))
 
-    return source.mapInArrow(per_batch(kernel), f"doc_id {kind}, n_words long, n_hit long, n_items long, items array<string>, items_sha256 string, spans array<struct<start:long,end:long>>")
+    return F.aggregate(F.array_sort(spans), F.array().cast(SPANS), one)
+
+
+def found_in(docs: DataFrame, bench: DataFrame, window: int, id_col: str, text_col: str, item_col: str, item_text_col: str, most_words: int) -> DataFrame:
+    """doc_id, key, n_words, items, spans of every row of docs."""
+    spark = docs.sparkSession
+    source = docs.select(F.col(id_col).alias("doc_id"), row_key(text_col).alias("key"), F.col(text_col).alias("text"))  # equal texts have equal hits
+    blocks = item_blocks(bench, item_col, item_text_col, most_words)
+    first, second = next(blocks), next(blocks, None)
+    if second is None:
+        return hits(source, spark.sparkContext.broadcast(Held(_windows, (first, window))))
+    parts = None
+    for block in chain((first, second), blocks):
+        first = second = None
+        held = spark.sparkContext.broadcast(Held(_windows, (block, window)))
+        part = cut(hits(source, held, every=False).select("key", "items", "spans").distinct())
+        held.destroy()
+        parts = part if parts is None else parts.union(part)
+    of_row = parts.groupBy("key").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), merged(F.flatten(F.collect_list("spans"))).alias("spans"))
+    counted = hits(source, spark.sparkContext.broadcast(Held(_windows, ([], window)))).select("doc_id", "key", "n_words")
+    return counted.join(of_row, "key", "left").select("doc_id", "key", "n_words", F.coalesce("items", F.array().cast("array<string>")).alias("items"), F.coalesce("spans", F.array().cast(SPANS)).alias("spans"))
+
+
+def scan(docs: DataFrame, bench: DataFrame, window: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", most_words: int = 20_000_000) -> DataFrame:
+    """Per row of docs: doc_id, n_words, n_hit, n_items, items (ids as text, sorted), items_sha256, spans (word ranges, end exclusive)."""
+    found = found_in(docs, bench, window, id_col, text_col, item_col, item_text_col, most_words)
+    n_hit = F.aggregate("spans", F.lit(0).cast("long"), lambda n, x: n + x["end"] - x["start"])
+    return found.select("doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), "items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "spans")
 
 
 def remove(docs: DataFrame, bench: DataFrame, mode: str = "documents", window: int = 10, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", most_words: int = 20_000_000) -> DataFrame:
     """docs, all columns, without the contaminated rows (mode 'documents') or with the hit words blanked out of the texts ('spans')."""
     if mode not in ("documents", "spans"):
         raise ValueError(mode)
-    names = docs.columns
+    names, kind = docs.columns, docs.schema
     at = names.index(text_col)
-    held = blocks_of(docs.sparkSession, bench, item_col, item_text_col, most_words, window)
-
-    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        raws = raw_texts(batch.column(at))
-        hits: list[np.ndarray | None] = [None] * len(raws)
-        texts = [words_of(x) for x in raws]
-        for one in held:
-            windows = one.value.get()
-            for i, words in enumerate(texts):
-                hit, found = windows.scan(words)
-                if found:
-                    hits[i] = hit if hits[i] is None else hits[i] | hit
-        if mode == "documents":
-            return batch.filter(pa.array([h is None for h in hits]))
-        out = [None if batch.column(at)[i].as_py() is None else (raws[i] if h is None else cut_words(raws[i], h)).decode() for i, h in enumerate(hits)]
-        return batch.set_column(at, batch.schema.field(at), pa.array(out, pa.string()).cast(batch.schema.field(at).type))
-
-    return docs.mapInArrow(per_batch(kernel), docs.schema)
+    blocks = item_blocks(bench, item_col, item_text_col, most_words)
+    first, second = next(blocks), next(blocks, None)
+    if second is None:
+        held = docs.sparkSession.sparkContext.broadcast(Held(_windows, (first, window)))
+
+        def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+            windows, raws = held.value.get(), raw_texts(batch.column(at))
+            found = [windows.scan(words_of(x))[0] for x in raws]
+            if mode == "documents":
+                return batch.filter(pa.array([h is None for h in found]))
+            return with_texts(batch, at, [raw if h is None else cut_words(raw, h) for raw, h in zip(raws, found, strict=True)])
+
+        return docs.mapInArrow(per_batch(kernel), kind)
+    found = cut(found_in(docs, bench, window, text_col, text_col, item_col, item_text_col, most_words).where(F.size("items") > 0).select("key", "spans").dropDuplicates(["key"]))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), row_key(text_col).alias("key"))
+    if mode == "documents":
+        return rows.join(found, "key", "left_anti").select("row.*")
+
+    def blank(batch: pa.RecordBatch) -> pa.RecordBatch:
+        raws, spans = raw_texts(batch.column(at)), batch.column(batch.num_columns - 1).to_pylist()
+        out = []
+        for raw, own in zip(raws, spans, strict=True):
+            hit = np.zeros(own[-1]["end"] if own else 0, bool)
+            for x in own or ():
+                hit[x["start"] : x["end"]] = True
+            out.append(cut_words(raw, hit))
+        return with_texts(batch.select(list(range(batch.num_columns - 1))), at, out)
+
+    return rows.join(found, "key", "left").select("row.*", F.col("spans").alias("spans of hits")).mapInArrow(per_batch(blank), kind)
+
+
+def with_texts(batch: pa.RecordBatch, at: int, raws: list[bytes]) -> pa.RecordBatch:
+    """batch with other texts in column at; nulls stay."""
+    old, field = batch.column(at), batch.schema.field(at)
+    texts = [None if gone else raw.decode() for raw, gone in zip(raws, old.is_null().to_pylist(), strict=True)]
+    return batch.set_column(at, field, pa.array(texts, pa.string()).cast(field.type))
 
 
 def cut_words(raw: bytes, hit: np.ndarray) -> bytes:
