@@ -2,10 +2,13 @@
 
 A classifier learnt from the labelled table (multinomial naive Bayes over hashed different words, every labelled row, a bounded table of
 `buckets` words by domains) gives each document a posterior over domains, its log odds tempered by the root of its number of words.
-The rates are, of all rates r >= least under which each domain's expected token total sum(r * tokens * posterior) is the wanted one,
-those nearest to a common level (squares weighted by tokens). They are level + a dot product of the posterior with one multiplier a
-domain, cut at least, so only the multipliers are sought: by Newton steps on the dual, each one aggregate of a few numbers a domain,
-until every total is within the tolerance. What cannot be reached is reported as a warning with the totals there are.
+The rates solve a least-squares problem: of all rates r >= least under which each domain's expected token total
+sum(r * tokens * posterior) is the wanted one, those nearest to a common level (squares weighted by tokens; where no rates reach the
+totals, the totals' relative errors are least squares). They are found by projected gradients: a step adds to every rate its posterior
+times the totals' residuals, scaled by the inverse of the rates' second derivatives so that few steps suffice, and projects it on
+r >= least. All steps of a row add up to one multiplier a domain, so a step is one aggregate of a few numbers a domain and no row holds
+state between steps. They end when every total is within the tolerance. What cannot be reached is reported as a warning with the
+totals there are.
 
 A rate becomes a number of copies: its whole part, and one more with the probability of its fraction, drawn by a hash of the row.
 Nulls: a null text has no words, no tokens and the prior as its posterior. A null label leaves a row out of the training. Without
@@ -76,42 +79,12 @@ def posteriors(featured: DataFrame, names: list[str], priors: list[float], table
     return scored.withColumn("powers", powers).withColumn("p", F.transform("powers", lambda x: x / total)).drop("hashed", "odds", "scale", "logits", "powers")
 
 
-def rate_of(gradients: list[list[float]], level: float, pull: float, step: float, least: float = 0.0):
-    """A document's rate after the rounds whose domain gradients are given."""
-    rounds = F.from_json(F.lit(json.dumps(gradients)), "array<array<double>>")
-
-    def one(rate, g):
-        slope = F.aggregate(F.zip_with(F.col("p"), g, lambda p, x: p * x), F.lit(0.0), lambda a, x: a + x)
-        return F.greatest(F.lit(float(least)), rate - step * (slope + pull * (rate - level)))
-
-    return F.aggregate(rounds, F.lit(float(level)), one)
-
-
-def fit(member: DataFrame, target: list[float], level: float = 1.0, pull: float = 1e-3, rounds: int = 40, tolerance: float = 1e-3, least: float = 0.0) -> tuple[object, list[float]]:
-    """The rate as a column over member (tokens, p), and the expected domain totals it gives; target: the wanted totals.
-
-    First-order steps that end after the given rounds, near the totals or not; mix() takes solve(), which goes on to the tolerance.
-    """
-    scale = [max(t, 1.0) for t in target]
-    natural = member.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0] or 1
-    step = 1.0 / (max(natural / (len(scale) * s) for s in scale) / 2 + 1.0 + pull)
-    gradients: list[list[float]] = []
-    for _ in range(rounds):
-        rate = rate_of(gradients, level, pull, step, least) if gradients else F.lit(float(level))
-        got = member.select((rate * F.col("tokens")).alias("w"), "p").agg(*[F.coalesce(F.sum(F.col("w") * F.get("p", F.lit(k))), F.lit(0.0)).alias(f"d{k}") for k in range(len(target))]).first()
-        off = [(float(got[k]) - target[k]) / scale[k] for k in range(len(target))]
-        if max(map(abs, off)) < tolerance:
-            break
-        gradients.append(off)
-    return (rate_of(gradients, level, pull, step, least) if gradients else F.lit(float(level))), [float(x) for x in got]
-
-
 class Unreached(UserWarning):
     """Domain totals that no rates reach, or that were not reached in the rounds."""
 
 
-def dual_rate(multipliers: list[float], level: float, least: float):
-    """The rate of a row with the posterior p under one multiplier a domain, before and after it is cut at least."""
+def projected_rate(multipliers: list[float], level: float, least: float):
+    """The rate of a row with the posterior p under one multiplier a domain, before and after its projection on least and above."""
     free = F.lit(float(level))
     for k, x in enumerate(multipliers):
         free = free + F.lit(float(x)) * F.get("p", F.lit(k))
@@ -129,8 +102,8 @@ def solve(member: DataFrame, target: list[float], level: float = 1.0, least: flo
     pairs = [(k, m) for k in range(n) for m in range(k, n)]
 
     def measure(multipliers: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
-        """The dual's value, the totals, and the totals' derivatives by the multipliers."""
-        free, rate = dual_rate(multipliers.tolist(), level, least)
+        """The objective's value, the totals, and the totals' derivatives by the multipliers."""
+        free, rate = projected_rate(multipliers.tolist(), level, least)
         at = [F.get("p", F.lit(k)) for k in range(n)]
         moving = F.when(F.col("free") > least, F.col("tokens")).otherwise(0)
         sums = [*[F.col("rate") * F.col("tokens") * p for p in at], *[moving * at[k] * at[m] for k, m in pairs], F.col("tokens") * (F.col("rate") * F.col("free") - (F.pow(F.col("rate"), 2) + level**2) / 2)]
@@ -154,7 +127,7 @@ def solve(member: DataFrame, target: list[float], level: float = 1.0, least: flo
                 break
             share /= 2
         now, (value, got, slopes) = now + share * step, tried
-    return dual_rate(now.tolist(), level, least)[1], got.tolist(), bool((np.abs(got - want) <= tolerance * scale).all())
+    return projected_rate(now.tolist(), level, least)[1], got.tolist(), bool((np.abs(got - want) <= tolerance * scale).all())
 
 
 class Plan(NamedTuple):
@@ -208,7 +181,7 @@ def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], b
     reaches the targets by repeating documents alone, for which the budget must be large enough.
     """
     found = plan(docs, labels, domain, weights, budget, least, id_col, text_col, label_id, buckets)
-    draw = F.pmod(F.xxhash64(F.col("key"), F.lit("mix")), F.lit(1 << 32)) / float(1 << 32)
+    draw = F.pmod(F.xxhash64("key.a", "key.b", F.lit("mix")), F.lit(1 << 32)) / float(1 << 32)
     best = F.array_position("p", F.array_max("p")).cast("int")
     named = F.get(F.array(*[F.lit(d) for d in found.names]), best - 1)
     return found.member.select("doc_id", "key", "tokens", named.alias("domain"), F.array_max("p").alias("posterior"), "rate", (F.floor("rate") + (draw < F.col("rate") - F.floor("rate")).cast("long")).alias("copies"))
@@ -216,7 +189,8 @@ def mix(docs: DataFrame, labels: DataFrame, domain, weights: dict[str, float], b
 
 def apply_copies(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs, all columns, each row as often as mixed says."""
-    times = mixed.select(F.col("key").alias("__key"), "copies").where("copies <> 1").dropDuplicates(["__key"])
-    rows = docs.withColumn("__key", row_key(id_col, text_col)).join(times, "__key", "left")
+    times = mixed.select("doc_id", "key", "copies").where("copies <> 1").dropDuplicates(["doc_id", "key"])
+    held = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(id_col).alias("id"), row_key(id_col, text_col).alias("of"))
+    rows = held.join(times, held.id.eqNullSafe(times.doc_id) & (held.of == times.key), "left")
     n = F.coalesce("copies", F.lit(1)).cast("int")
-    return rows.where(n > 0).withColumn("__copy", F.explode(F.sequence(F.lit(1), n))).drop("__key", "copies", "__copy")
+    return rows.where(n > 0).select("row", F.explode(F.sequence(F.lit(1), n))).select("row.*")
