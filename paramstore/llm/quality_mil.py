@@ -5,8 +5,8 @@ neighbouring character classes and a few shares, through a learnt layer; gated a
 document; the weighted mean of the passages' encodings is the document's, and a logistic layer scores it. Only document labels are
 known; encoder, attention and output are fitted together.
 
-Training takes a bounded sample of the labelled rows (`most_docs`, by the hash of the id) outside the held-out fold; labels, language,
-source and id are no inputs. Every text is scored whole. Nulls: a null text is empty, one empty passage; a null label trains
+Training takes a bounded sample of the labelled rows (`most_docs`, by the hash of the id, and of those so many that their texts have
+`most_passages` passages in all) outside the held-out fold; labels, language, source and id are no inputs. Every text is scored whole. Nulls: a null text is empty, one empty passage; a null label trains
 nothing; a null id counts as held out. Without labelled rows the score is 0.5. Rows are kept one for one; empty tables give empty results.
 """
 
@@ -38,15 +38,37 @@ EXTRA = 6
 FEATURES = KINDS * KINDS + EXTRA
 
 
+#: Bytes that are taken apart at once, and how far back a feature looks.
+PART, BACK = 1 << 22, 12
+
+
 def passages(raws: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Feature rows of all passages, and the number of passages of each text."""
-    lengths = np.fromiter(map(len, raws), np.int64, len(raws))
+    """Feature rows of all passages, and the number of passages of each text; texts longer than PART are taken apart in parts."""
+    n = np.array([max(1, -(-len(x) // PASSAGE)) for x in raws], np.int64)
+    rows, held, size = [], [], 0
+    for raw in raws:
+        if held and size + len(raw) > PART:
+            rows.append(_features(held))
+            held, size = [], 0
+        if len(raw) > PART:
+            rows += [_features([raw[max(0, at - BACK) : at + PART]], min(at, BACK), len(raw)) for at in range(0, len(raw), PART)]
+        else:
+            held.append(raw)
+            size += len(raw)
+    if held:
+        rows.append(_features(held))
+    return (np.concatenate(rows) if rows else np.zeros((0, FEATURES), np.float32)), n
+
+
+def _features(raws: list[bytes], before: int = 0, whole: int | None = None) -> np.ndarray:
+    """Feature rows of the passages of raws; the first bytes of a part (so many, one text) only stand before its first passage."""
+    lengths = np.fromiter(map(len, raws), np.int64, len(raws)) - before
     n = np.maximum(1, -(-lengths // PASSAGE))
     data = np.frombuffer(b"".join(raws), np.uint8)
     first = np.concatenate(([0], np.cumsum(n)[:-1]))
     starts = np.concatenate(([0], np.cumsum(lengths)[:-1]))
     total = int(n.sum())
-    place = np.arange(len(data)) - np.repeat(starts, lengths)
+    place = np.arange(len(data) - before) - np.repeat(starts, lengths)
     owner = np.repeat(first, lengths) + place // PASSAGE
     kind = CLASS[data].astype(np.int64)
     pair = np.empty_like(kind)
@@ -54,23 +76,27 @@ def passages(raws: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         pair[1:] = kind[:-1] * KINDS + kind[1:]
         pair[0] = kind[0]
         pair[starts[lengths > 0]] = kind[starts[lengths > 0]] + KINDS  # a text starts after a line end
-    counts = np.bincount(owner * (KINDS * KINDS) + pair, minlength=total * KINDS * KINDS).reshape(total, KINDS * KINDS).astype(np.float32)
+    counts = np.bincount(owner * (KINDS * KINDS) + pair[before:], minlength=total * KINDS * KINDS).reshape(total, KINDS * KINDS).astype(np.float32)
     size = np.maximum(counts.sum(axis=1), 1.0)
     out = np.empty((total, FEATURES), np.float32)
     share = counts / size[:, None]
     np.sqrt(share, out=out[:, : KINDS * KINDS])
     # repetition: equal byte triples at distances that a repeated word, line or list makes
+    since = np.repeat(starts, lengths)
     for k, lag in enumerate((3, 5, 9)):
         same = np.zeros(len(data), bool)
         if len(data) > lag + 3:
             eq = data[lag:] == data[:-lag]
             same[lag + 2 :] = eq[2:] & eq[1:-1] & eq[:-2]
+        same = same[before:]
+        if not before:
+            same &= np.arange(len(data)) - since >= lag + 2  # within the text
         out[:, KINDS * KINDS + k] = np.bincount(owner[same], minlength=total) / size
     entropy = -(share * np.log(np.maximum(share, 1e-9))).sum(axis=1)
     out[:, -3] = entropy / 4
     out[:, -2] = (counts > 0).sum(axis=1) / 64
-    out[:, -1] = np.repeat(np.log1p(lengths) / 10, n)
-    return out, n
+    out[:, -1] = np.repeat(np.log1p(lengths if whole is None else np.array([whole])) / 10, n)
+    return out
 
 
 class AttentionModel:
@@ -121,12 +147,21 @@ class AttentionModel:
         return self.forward(*passages(raws))[5].astype(np.float64)
 
 
-def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col: str = "doc_id", text_col: str = "text", folds: int = 5, most_docs: int = 3_000, **options) -> AttentionModel | None:
+def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", id_col: str = "doc_id", text_col: str = "text", folds: int = 5, most_docs: int = 3_000, most_passages: int = 150_000, **options) -> AttentionModel | None:
     """The model from at most about most_docs labelled rows whose crc32(id) % folds is not 0; None if there are none."""
     marked = labels.select(F.col(id_col).alias("doc_id"), F.col(label_col).alias("label")).where(F.col("label").isNotNull() & (bucket(F.col("doc_id"), folds) != 0))
     share = min(1.0, most_docs / max(marked.count(), 1))
     chosen = marked.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int((1 << 30) * share))
-    rows = texts_of(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id").select("text", "label", "doc_id")  # most_docs rows
+    rows = texts_of(docs, id_col, text_col).join(F.broadcast(chosen), "doc_id").select("text", "label", "doc_id")  # most_docs ids
+    size = F.floor(F.coalesce(F.octet_length("text"), F.lit(0)) / PASSAGE) + 1
+    sizes = rows.groupBy("doc_id").agg(F.sum(size).alias("size"), F.xxhash64(F.col("doc_id"), F.lit("order")).alias("h")).collect()
+    left, fit_ids = most_passages, []
+    for r in sorted(sizes, key=lambda r: (r.h, str(r.doc_id))):
+        if r.size <= left:
+            left -= r.size
+            fit_ids.append(r.doc_id)
+    if len(fit_ids) < len(sizes):
+        rows = rows.where(F.col("doc_id").isin(fit_ids))
 
     def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
         x, n = passages(raw_texts(batch.column(0)))

@@ -141,15 +141,66 @@ def test_quality_rules_base_and_verdict(spark):
     assert quality_rules.keep(cases.docs(spark)).columns == cases.docs(spark).columns
 
 
-def test_kneser_ney_is_a_distribution(spark):
-    text = (cases.PROSE * 3).encode()
+class BruteKneserNey:
+    """Modified Kneser-Ney over byte trigrams from plain counters."""
+
+    def __init__(self, text):
+        padded = b"\n\n" + text
+        self.three = Counter(padded[i : i + 3] for i in range(len(text)))
+        self.two = Counter(x[1:] for x in self.three)
+        self.one = Counter(x[1:] for x in self.two)
+
+    @staticmethod
+    def discount(counts):
+        n = [sum(c == k for c in counts.values()) for k in range(5)]
+        if not n[1] or not n[2]:
+            return [0, 0.5, 0.75, 0.9]
+        y = n[1] / (n[1] + 2 * n[2])
+        d = [1 - 2 * y * n[2] / n[1], 2 - 3 * y * n[3] / n[2], 3 - 4 * y * n[4] / n[3] if n[3] else 1.0]
+        return [0, *(min(max(x, 0.05), k - 0.05) for k, x in enumerate(d, 1))]
+
+    def p(self, gram):
+        if not gram:
+            return 1 / 256
+        counts = (self.one, self.two, self.three)[len(gram) - 1]
+        d = self.discount(counts)
+        same = {x: c for x, c in counts.items() if x[:-1] == gram[:-1]}
+        if not same:
+            return self.p(gram[1:])
+        left = sum(d[min(c, 3)] for c in same.values())
+        c = counts[gram]
+        return (c - d[min(c, 3)] + left * self.p(gram[1:])) / sum(same.values())
+
+
+def test_kneser_ney_matches_brute_force(spark):
+    text = (cases.PROSE * 2 + "Sphinx of black quartz, judge my vow; pack my box with five dozen jugs. 0123 aab aac").encode()
+    model = quality_rules.train(spark.createDataFrame([(text.decode(), "en")], "text string, lang string"))["en"]
+    brute = BruteKneserNey(text)
     codes, starts, lengths = quality_rules.trigrams([text])
-    uniques, counts = np.unique(codes[starts[0] :], return_counts=True)
-    model = quality_rules.KneserNey(uniques, counts)
-    for context in (int(uniques[0]) >> 8, int(uniques[5]) >> 8, 0x0101):
+    grams = [*{bytes([c >> 16, c >> 8 & 255, c & 255]) for c in codes[starts[0] :].tolist()}, b"zzz", b"the", b"quQ", b"\x01\x02\x03", b"ab\xff"]
+    got = model.logp(np.array([int.from_bytes(g, "big") for g in grams]))
+    assert np.exp(got) == pytest.approx([brute.p(g) for g in grams], rel=1e-4)
+    for context in (int(codes[5]) >> 8, int(codes[40]) >> 8, 0x0101):
         assert np.exp(model.logp((context << 8) | np.arange(256))).sum() == pytest.approx(1.0, abs=1e-5)
-    direct = -model.logp(codes[starts[0] :]).mean()
-    assert quality_rules.surprise({"en": model}, ["en"], [text])[0] == pytest.approx(direct, rel=1e-5)
+    want = -sum(np.log(brute.p((b"\n\n" + text)[i : i + 3])) for i in range(len(text))) / len(text)
+    assert quality_rules.surprise({"en": model}, ["en"], [text])[0] == pytest.approx(want, rel=1e-4)
+
+
+def test_quotations_and_further_languages(spark):
+    rng = np.random.default_rng(9)
+    def words(a, n=3000):
+        return " ".join("".join(rng.choice(list(a), 5)) for _ in range(n))
+    rows = [("a", words("abcd")), ("b", words("wxyz")), ("c", words("efgh", 20)), ("c", None)]
+    docs = spark.createDataFrame([(i, t, x) for i, (x, t) in enumerate((x * 2, t) for x, t in rows)], "doc_id long, text string, lang string")
+    models = quality_rules.train(docs)
+    assert set(models) == {"aa", "bb", "cc"}
+    mixed = (words("abcd", 300) + " " + words("wxyz", 300)).encode()
+    with_both, alone = quality_rules.surprise(models, ["aa"], [mixed])[0], quality_rules.surprise({"aa": models["aa"]}, ["aa"], [mixed])[0]
+    assert with_both < 0.6 * alone
+    few = quality_rules.train(docs, most_entries=1)
+    assert set(few) <= {"aa", "bb", "und"} and "und" in few
+    found = quality_rules.scores(docs, few).collect()
+    assert len(found) == 4 and all((r.surprise is None) == (r.n_words == 0) for r in found)
 
 
 def test_surprise_rejects_noise_and_keeps_prose(spark):
@@ -194,6 +245,12 @@ def test_decontamination_matches_brute_force(spark):
     for most in (20_000_000, 40):  # one block, and several
         found = decontaminate.scan(cases.docs(spark), bench, most_words=most).collect()
         assert Counter((r.doc_id, r.n_words, r.n_hit, r.n_items, r.items_sha256) for r in found) == Counter((r[0], *brute_windows(r[1], own)) for r in cases.rows())
+        for r in found:
+            assert r.n_hit == sum(x.end - x.start for x in r.spans) and all(a.end < b.start for a, b in zip(r.spans, r.spans[1:], strict=False))
+    whole, parts = (sorted(map(str, decontaminate.remove(cases.docs(spark), bench, mode=mode, most_words=m).collect())) for mode, m in (("spans", 10**9), ("spans", 40)))
+    assert whole == parts
+    whole, parts = (sorted(map(str, decontaminate.remove(cases.docs(spark), bench, most_words=m).collect())) for m in (10**9, 40))
+    assert whole == parts
     assert decontaminate.scan(cases.empty(spark), bench).count() == 0
     assert decontaminate.scan(cases.docs(spark), bench.limit(0)).where("n_hit > 0").count() == 0
     left = decontaminate.remove(cases.docs(spark), bench)
@@ -203,17 +260,18 @@ def test_decontamination_matches_brute_force(spark):
 
 
 def brute_licenses(text, templates):
-    """Containment of each template's five-word shingles in any run of twice as many words."""
+    """Templates with 0.8 of their different shingles in some window: n the power of two that holds the template's words, windows of 2n words at multiples of n."""
     split = lambda x: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(x))
     words, out = split(text), set()
     for name, body in templates.items():
         own = split(body)
         size = min(5, len(own))
         shingles = {tuple(own[i : i + size]) for i in range(len(own) - size + 1)} if own else set()
-        span = len(own) + len(own) // 10
-        places = [i for i in range(len(words) - size + 1) if size and tuple(words[i : i + size]) in shingles]
-        for p in places:
-            if len({tuple(words[i : i + size]) for i in places if p <= i < p + span}) >= 0.8 * len(shingles):
+        n = 1 << (len(own) - 1).bit_length()
+        starts = range(0, max(1, len(words)), n) if len(shingles) > 2 else range(len(words))
+        for w in starts:
+            part = words[w : w + 2 * n] if len(shingles) > 2 else words[w : w + len(own)]
+            if len({tuple(part[i : i + size]) for i in range(len(part) - size + 1)} & shingles) >= 0.8 * len(shingles):
                 out.add(name)
     return sorted(out)
 
@@ -315,13 +373,49 @@ def test_secrets_match_brute_force(spark):
     assert secrets.scan(cases.empty(spark)).count() == 0
 
 
-def test_automata_find_a_credential_without_its_keyword(spark):
-    rng = np.random.default_rng(5)
+def credentials(n=150, seed=5):
+    rng = np.random.default_rng(seed)
     code = lambda: "ghk_" + "".join(rng.choice(list("ABCDEFGHJKMNPQRSTUVWXYZ23456789"), 24))
     words = ["understandingly", "international-law", "www.example.com/index", "counterrevolutionary", "2024-01-02/report", "a.long.dotted.name.here"]
-    rows = [(i, f"some text token = \"{code()}\" and {words[i % 6]} {words[(i + 1) % 6]}") for i in range(150)] + [(999, f"left here {code()} alone"), (998, "incomprehensibilities misunderstandings again")]
+    return code, [(i, f"some text token = \"{code()}\" and {words[i % 6]} {words[(i + 1) % 6]}") for i in range(n)]
+
+
+def test_automata_find_credentials_without_keywords(spark):
+    code, rows = credentials()
+    alone, inside = [f"left here {code()} alone" for _ in range(40)], [f"see https://host.example.org/in/depth?x={code()}&y=2 or a={code()}/more/path" for _ in range(40)]
+    plain = ["incomprehensibilities misunderstandings again", "https://www.example.com/a/long/path/of/plain/words.html", "a.long.dotted.name.here=counterrevolutionary"] * 10
+    rows += [(1000 + i, t) for i, t in enumerate(alone + inside + plain)]
     got = {r.doc_id: r for r in secrets.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert got[999].n_format == 1 and got[999].spans.startswith("format:10:") and got[998].n_format == 0
+    for i, t in enumerate(alone + inside):
+        want = [f"format:{m.start()}:{m.end()}" for m in re.finditer(r"ghk_[A-Z0-9]+", t)]
+        assert got[1000 + i].spans.split(",") == want
+    assert not any(got[1080 + i].n_format for i in range(len(plain)))
+
+
+def test_automaton_likelihood_by_hand():
+    """Two states: letters of one class to stay, an end; the smoothed step probabilities give the likelihood."""
+    automaton = secrets.Automaton([b"A" * n for n in (5, 6, 7, 8) for _ in range(50)])
+    assert len(automaton.states) >= 1
+    text, state, want = b"AAAA1A", 0, 0.0
+    for c in text:
+        symbol = 3 if 65 <= c <= 90 else 0
+        want += automaton.step[state][symbol]
+        state = automaton.to[state][symbol]
+    assert automaton.log_likelihood(text) == pytest.approx(want + automaton.step[state][secrets.END])
+    for step in automaton.step:  # over all bytes and the end a distribution
+        assert sum(np.exp(x) * n for x, n in zip(step, [*secrets.CLASS_SIZE, 1], strict=True)) == pytest.approx(1.0)
+    tree = secrets.Automaton([b"ab1", b"ab1", b"ab2"] * 40, alpha=0.05)
+    counts = 120 + 0.5 * (secrets.END + 1)
+    assert tree.step[0][1] == pytest.approx(np.log((120 + 0.5) / counts / 6), abs=0.5)
+
+
+def test_sample_of_values_is_the_smallest_hashes(spark):
+    code, rows = credentials(400, 6)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    values = sorted({re.search(r'"(.*)"', t)[1].encode() for _, t in rows}, key=lambda v: xxhash.xxh64_intdigest(v) >> 1)
+    few = secrets.infer(docs.repartition(7), most_examples=50)
+    want = secrets.Automaton(values[:50])
+    assert few["assign"].step == want.step and few["assign"].to == want.to
 
 
 VOCABULARY = "piece_bpe_32k.model"
@@ -411,35 +505,109 @@ def test_attention_gradients():
     x, n, y = rng.standard_normal((9, quality_mil.FEATURES)).astype(np.float32), np.array([2, 3, 4]), np.array([0.0, 1.0, 1.0], np.float32)
     model = quality_mil.AttentionModel(4, 3)
     loss = lambda: -np.mean(np.log(np.where(y > 0, model.forward(x, n)[5], 1 - model.forward(x, n)[5])))
-    before = loss()
+    model.p = {k: v.astype(np.float64) for k, v in model.p.items()}
+    before = {k: v.copy() for k, v in model.p.items()}
+    moved = quality_mil.AttentionModel(4, 3)
+    moved.p = {k: v.copy() for k, v in before.items()}
+    moved.fit(x, n, y, rounds=1, rate=1e-3, decay=0.0)  # the first step goes against the sign of the gradient
+    model.mean, model.spread = moved.mean, moved.spread
+    checked = 0
+    for k, v in model.p.items():
+        for at in list(np.ndindex(v.shape))[:: max(1, v.size // 12)]:
+            v[at] += 1e-4
+            up = loss()
+            v[at] -= 2e-4
+            slope = (up - loss()) / 2e-4
+            v[at] += 1e-4
+            if abs(slope) > 1e-4:
+                assert np.sign(moved.p[k][at] - before[k][at]) == -np.sign(slope)
+                checked += 1
+    assert checked > 20
+    start = loss()
     model.fit(x, n, y, rounds=60)
-    assert loss() < 0.2 * before
+    assert loss() < 0.2 * start
     w = model.forward(x, n)[3]
     assert np.add.reduceat(w, [0, 2, 5]) == pytest.approx(np.ones(3), rel=1e-5)
 
 
-def brute_rates(tokens, p, target, level, pull, rounds, tolerance):
+def test_scores_match_brute_force(monkeypatch):
+    """Every passage encoded and weighed one by one; texts above PART in parts as if they were taken whole."""
+    rng = np.random.default_rng(1)
+    model = quality_mil.AttentionModel(5, 4)
+    model.mean, model.spread = rng.random(quality_mil.FEATURES).astype(np.float32) / 9, rng.random(quality_mil.FEATURES).astype(np.float32) + 0.5
+    texts = [cases.PROSE.encode() * 40, b"", b"short", "é. ñ! ".encode() * 700, b"ab\nab\nab\n" * 300]
+    got = model.score(texts)
+    for text, y in zip(texts, got, strict=True):
+        x, n = quality_mil.passages([text])
+        assert len(x) == n[0] == max(1, -(-len(text) // 512))
+        kind = [int(quality_mil.CLASS[c]) for c in text]
+        pairs = Counter((i // 512, (kind[i - 1] if i else 1) * 16 + kind[i]) for i in range(len(text)))
+        for (row, pair), c in pairs.items():
+            assert x[row, pair] == pytest.approx((c / min(512, len(text) - 512 * row)) ** 0.5, rel=1e-5)
+        z, weights, p = np.zeros(5), [], model.p
+        rows = [np.tanh(((r - model.mean) / model.spread) @ p["w"] + p["b"]) for r in x]
+        for h in rows:
+            weights.append(np.exp((np.tanh(h @ p["v"]) / (1 + np.exp(-(h @ p["u"])))) @ p["a"]))
+        z = sum(w * h for w, h in zip(weights, rows, strict=True)) / sum(weights)
+        assert y == pytest.approx(1 / (1 + np.exp(-(z @ p["c"] + p["d"][0]))), rel=1e-4)
+    monkeypatch.setattr(quality_mil, "PART", 2048)
+    assert model.score(texts) == pytest.approx(got, rel=1e-6)
+
+
+def brute_rates(tokens, p, target, level, least, pull):
+    """Plain projected gradients on squared relative errors of the totals, and a pull to the level, until nothing moves."""
     scale = np.maximum(target, 1.0)
-    step = 1.0 / (max(tokens.sum() / (len(scale) * scale)) / 2 + 1.0 + pull)
-    r = np.full(len(tokens), level)
-    for _ in range(rounds):
-        off = ((r * tokens) @ p - target) / scale
-        if np.abs(off).max() < tolerance:
+    r = np.full(len(tokens), float(level))
+    a = (p * tokens[:, None]) / np.sqrt(scale)
+    weight = pull * tokens
+    step = 1.0 / (np.linalg.norm(a, 2) ** 2 + weight.max())
+    for _ in range(400_000):
+        new = np.maximum(least, r - step * (a @ (a.T @ r - target / np.sqrt(scale)) + weight * (r - level)))
+        if np.abs(new - r).max() < 1e-12:
             break
-        r = np.maximum(0.0, r - step * (p @ off + pull * (r - level)))
+        r = new
     return r
 
 
-def test_mixing_rates(spark):
+def test_mixing_rates_are_those_of_projected_gradients(spark):
     rng = np.random.default_rng(2)
-    p = rng.dirichlet([0.4, 0.4, 0.4], 300)
-    tokens = rng.integers(0, 500, 300)
+    p = rng.dirichlet([0.4, 0.4, 0.4], 60)
+    tokens = rng.integers(1, 50, 60)
     target = tokens.sum() * np.array([0.6, 0.3, 0.1])
     frame = spark.createDataFrame([(i, int(t), [float(x) for x in row]) for i, (t, row) in enumerate(zip(tokens, p, strict=True))], "i long, tokens long, p array<double>")
-    rate, got = mixing.fit(frame, target.tolist(), rounds=200)
-    rates = np.array([r.r for r in frame.select("i", rate.alias("r")).orderBy("i").collect()])
-    assert rates == pytest.approx(brute_rates(tokens, p, target, 1.0, 1e-3, 200, 1e-3), rel=1e-6, abs=1e-9)
-    assert (rates >= 0).all() and (rates * tokens) @ p == pytest.approx(target, rel=2e-2)
+    for least in (0.0, 0.7):
+        rate, got, reached = mixing.solve(frame, target.tolist(), least=least, tolerance=1e-9, pull=1e-2)
+        rates = np.array([r.r for r in frame.select("i", rate.alias("r")).orderBy("i").collect()])
+        assert rates == pytest.approx(brute_rates(tokens, p, target, 1.0, least, 1e-2), abs=1e-3)
+        assert (rates >= least).all() and got == pytest.approx((rates * tokens) @ p)
+
+
+def test_posteriors_match_brute_force(spark):
+    rows = [(1, "red red blue", "a"), (2, "blue green", "b"), (3, "green\tgreen tea", "b"), (4, "Red wine", "a"), (5, "blue wine", None), (6, None, None)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, name string")
+    featured = mixing.features(docs)
+    names, priors, table = mixing.learn(featured, labels, F.col("name"))
+    got = {r.doc_id: r for r in mixing.posteriors(featured, names, priors, table).collect()}
+    bucket = lambda w: xxhash.xxh64_intdigest(w.encode(), seed=42)
+    signed = lambda h: (h - (1 << 64) if h >> 63 else h) % 4096
+    sets = {i: {signed(bucket(w)) for w in lower(t).split()} for i, t, _ in rows}
+    counts = {d: Counter(b for i, _, x in rows if x == d for b in sets[i]) for d in ("a", "b")}
+    for i, t, _ in rows:
+        logs = [sum(np.log((counts[d][b] + 1) / (sum(counts[d].values()) + 4096)) - sum(np.log((counts[e][b] + 1) / (sum(counts[e].values()) + 4096)) for e in "ab") / 2 for b in sets[i]) / max(len(sets[i]), 1) ** 0.5 + np.log(0.5) for d in "ab"]
+        want = np.exp(logs) / np.exp(logs).sum()
+        assert got[i].p == pytest.approx(want, abs=1e-4) and got[i].tokens == len((t or "").split())
+
+
+def test_copies_keep_rows_and_columns(spark):
+    docs = cases.docs(spark).withColumns({c: F.lit(c) for c in ("copies", "__key", "__copy", "id", "of", "row")})
+    mixed = mixing.mix(docs, spark.createDataFrame([(5, "a"), (9, "b")], "doc_id long, name string"), F.col("name"), {"a": 0.9}, budget=3.0)
+    out = mixing.apply_copies(docs, mixed)
+    assert out.columns == docs.columns and out.first()["copies"] == "copies"
+    times = {(r.doc_id, str(r.key)): r.copies for r in mixed.collect()}
+    rows = Counter((r[0], r[1]) for r in cases.rows())
+    got = Counter((r.doc_id, r.text) for r in out.collect())
+    assert sum(got.values()) == sum(r.copies for r in mixed.collect()) and set(got) <= set(rows) and len(times) <= len(rows)
 
 
 def expected_totals(found):
