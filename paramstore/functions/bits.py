@@ -15,6 +15,13 @@ CODE_BITS = {"float16": 11, "float32": 24, "float64": 53}
 BOUND = {"float16": 2.0**-11, "float32": 2.0**-24, "float64": 2.0**-53}
 VIEW = {"float16": (np.float16, np.int16), "float32": (np.float32, np.int32), "float64": (np.float64, np.int64)}
 
+#: The whole numbers in which a dtype's values are stored, floats as their patterns.
+STORED = {k: v[1] for k, v in VIEW.items()} | {"uint8": np.uint8, "int32": np.int32, "int64": np.int64}
+
+
+def is_float(dtype: Column) -> Column:
+    return dtype.isin(*VIEW)
+
 
 def bits_of(values: np.ndarray, dtype: str) -> np.ndarray:
     """Patterns as signed integers; float16 as 0..65535."""

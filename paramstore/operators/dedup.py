@@ -5,7 +5,6 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 
@@ -103,5 +102,9 @@ def compare(layers: DataFrame) -> DataFrame:
 
 
 def canonical(units: DataFrame, order: list[str]) -> DataFrame:
-    """units with copy (1: the stored one) in the given order; only keys and prints are sorted, payloads stay where they are."""
-    return units.withColumn("copy", F.row_number().over(W.partitionBy("fp").orderBy(*order)).cast("long"))
+    """units with copy: 1 for the one of a print that is first in the given order (it is stored), 2 for its copies.
+
+    A print's first unit is an aggregate, joined back, so that a print of very many copies is no task's.
+    """
+    first = units.groupBy("fp").agg(F.min(F.struct(*order)).alias("first"))
+    return units.join(first, "fp").withColumn("copy", F.when(F.struct(*order) == F.col("first"), 1).otherwise(2).cast("long")).drop("first")

@@ -73,30 +73,48 @@ def encode(bits: np.ndarray, dtype: str) -> bytes:
     return head + np.packbits(stream).tobytes() + bits[~repeat].astype(VIEW[dtype][1]).tobytes()
 
 
+def token_starts(stream: np.ndarray, n: int) -> np.ndarray:
+    """Where the n tokens of a stream of bits start: every place says how far a token from there would reach, and steps are doubled."""
+    size = len(stream)
+    padded = np.concatenate([stream, np.zeros(LENGTH_BITS + 1, np.uint8)])
+    length = np.zeros(size, np.int64)
+    for k in range(LENGTH_BITS):
+        length = length << 1 | padded[k + 1 : k + 1 + size]
+    step = np.append(np.minimum(np.arange(size) + np.where(stream > 0, 1 + LENGTH_BITS + length, 1), size), size)
+    out = np.zeros(1, np.int64)
+    while len(out) < n:
+        out = np.concatenate([out, step[out]])
+        step = step[step]
+    return out[:n]
+
+
 def decode(data: bytes, dtype: str) -> np.ndarray:
     """The segment's bits; pointers are followed by doubling."""
     n, size = np.frombuffer(data[:16], "<i8").tolist()
     packed = (size + 7) // 8
     stream = np.unpackbits(np.frombuffer(data[16 : 16 + packed], np.uint8))[:size]
     values = np.frombuffer(data[16 + packed :], VIEW[dtype][1]).astype(np.int64)
-    parent, at, flags = np.arange(n), 0, stream.tolist()
-    fresh = []
-    for i in range(n):
-        if flags[at]:
-            length = int("".join(map(str, flags[at + 1 : at + 6])), 2)
-            parent[i] = i - int("".join(map(str, flags[at + 6 : at + 6 + length])), 2)
-            at += 6 + length
-        else:
-            fresh.append(i)
-            at += 1
+    if not n:
+        return values
+    start = token_starts(stream, n)
+    repeat = stream[start] > 0
+    at = start[repeat]
+    length = np.zeros(len(at), np.int64)
+    for k in range(LENGTH_BITS):
+        length = length << 1 | stream[at + 1 + k]
+    back = np.zeros(len(at), np.int64)
+    for k in range(int(length.max(initial=0))):
+        own = length > k
+        back[own] = back[own] << 1 | stream[at[own] + 1 + LENGTH_BITS + k]
+    parent = np.arange(n)
+    parent[repeat] -= back
     while True:
         up = parent[parent]
         if (up == parent).all():
             break
         parent = up
-    slot = np.zeros(n, np.int64)
-    slot[fresh] = np.arange(len(fresh))
-    out = values[slot[parent]] if n else values
+    slot = np.cumsum(~repeat) - 1
+    out = values[slot[parent]]
     return out & 0xFFFF if dtype == "float16" else out
 
 

@@ -33,8 +33,8 @@ def sampled_bytes(layers: DataFrame, stride: int = STRIDE, unit: int | None = No
     rows = layers.where(F.length("payload") > 0)
     if unit:
         rows = rows.withColumn("unit_no", F.explode(F.sequence(F.lit(0), ((F.length("payload") - 1) / unit).cast("int")))).withColumn("payload", F.substring(F.col("payload"), F.col("unit_no") * unit + 1, F.lit(unit)))
-    digits = F.hex("payload")
-    taken = F.concat_ws("", F.transform(F.sequence(F.lit(0), ((F.length("payload") - 1) / stride).cast("int")), lambda i: F.substring(digits, i * (2 * stride) + 1, F.lit(2))))
+    one = lambda i: F.hex(F.substring(F.col("payload"), i * stride + 1, F.lit(1)))  # noqa: E731  bytes are found by place, characters are not
+    taken = F.concat_ws("", F.transform(F.sequence(F.lit(0), ((F.length("payload") - 1) / stride).cast("int")), one))
     return rows.withColumns({"fp": F.sha2(taken, 256), "len": F.length("payload").cast("long"), "exact": F.sha2("payload", 256)}).drop("payload")
 
 

@@ -1,11 +1,15 @@
-"""The hybrid store: layer deduplication, the better of distance encoding and unit packing for each model, then a general compressor.
+"""The hybrid store: layer deduplication, the better of distance encoding and unit packing for each float model, then a general compressor.
 
-Sizes come first: both arms are sized by aggregates and only the winner is encoded, so what would be discarded is never made. Payloads
-are never shuffled for deduplication, only prints are.
+Layers of whole numbers and bytes go from deduplication straight to the compressor. Sizes come before encoding: both arms are sized by
+aggregates and only the winner is encoded. Prints are shuffled for deduplication, payloads never are, and a print's first layer is an
+aggregate that is joined back, so that a print of very many copies is no task's. Blocks of `zoo.BLOCK` values decode alone; what decides
+an arm for the store are the sizes that blocks have.
 """
 
 from __future__ import annotations
 
+import json
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -13,19 +17,33 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from paramstore.functions.bits import VIEW, width_of
+from paramstore.functions.bits import BOUND, STORED, VIEW, is_float, width_of
 from paramstore.operators import distance, similarity, unitpack
-from paramstore.sources.zoo import to_blocks
+from paramstore.sources.zoo import BLOCK, to_blocks
 
 REF_BITS = 256
 
 
-def stage_dedup(params: DataFrame) -> DataFrame:
-    """(model_id, layer_id, layer_seq, dtype, n, fp, copy, canonical): the first layer of a print by (model_id, layer_seq) is stored."""
+def prints_of(params: DataFrame) -> DataFrame:
+    """(model_id, layer_id, layer_seq, dtype, n, fp) of every layer."""
     prints = similarity.sampled(params, stride=1).select("layer_id", "n", "fp")
-    layers = params.select("model_id", "layer_id", "layer_seq", "dtype").where("layer_pos = 0").join(prints, "layer_id")
-    same = W.partitionBy("fp", "dtype").orderBy("model_id", "layer_seq")
-    return layers.withColumns({"copy": F.row_number().over(same).cast("long"), "canonical": F.first("layer_id").over(same)})
+    return params.select("model_id", "layer_id", "layer_seq", "dtype").where("layer_pos = 0").join(prints, "layer_id")
+
+
+def stage_dedup(params: DataFrame, known: DataFrame | None = None) -> DataFrame:
+    """(model_id, layer_id, layer_seq, dtype, n, fp, copy, canonical): the first layer of a print by (model_id, layer_seq) is stored (copy 1).
+
+    known: (fp, dtype, canonical) of a store that there is; layers of its prints refer to what it holds.
+    """
+    layers = prints_of(params)
+    first = layers.groupBy("fp", "dtype").agg(F.min(F.struct("model_id", "layer_seq", "layer_id")).alias("first"))
+    owner = F.col("first.layer_id")
+    if known is not None:
+        held = known.groupBy("fp", "dtype").agg(F.min("canonical").alias("held"))
+        first = first.join(held, ["fp", "dtype"], "left")
+        owner = F.coalesce("held", owner)
+    named = layers.join(first.withColumn("canonical", owner).drop("first", "held"), ["fp", "dtype"])
+    return named.withColumn("copy", F.when(F.col("layer_id") == F.col("canonical"), 1).otherwise(2).cast("long"))
 
 
 def dedup_sizes(layers: DataFrame) -> DataFrame:
@@ -35,26 +53,32 @@ def dedup_sizes(layers: DataFrame) -> DataFrame:
 
 
 def route(params: DataFrame, layers: DataFrame) -> DataFrame:
-    """The stored float parameters, flattened anew by model and dtype: offsets are a window over layer rows."""
+    """The stored parameters, flattened anew by model and dtype: offsets are a window over layer rows."""
     of = W.partitionBy("model_id", "dtype").orderBy("layer_seq").rowsBetween(W.unboundedPreceding, -1)
     stored = layers.where("copy = 1").withColumn("offset", F.coalesce(F.sum("n").over(of), F.lit(0))).select("layer_id", "offset")
     return params.join(stored, "layer_id").withColumn("pos", F.col("offset") + F.col("layer_pos")).drop("offset")
 
 
-def choose(params: DataFrame, allow_raw: bool = False) -> DataFrame:
-    """Per model: original bits, both arms' bits, the better one and its name."""
-    de = distance.sizes(params).select("model_id", "dtype", "original", F.col("compressed").alias("de"))
-    unit = unitpack.sizes(params).select("model_id", "dtype", F.col("compressed").alias("unit"))
-    both = de.join(unit, ["model_id", "dtype"])
+def choose(params: DataFrame, allow_raw: bool = False, segment: int | None = None) -> DataFrame:
+    """Per model and dtype: original bits, both arms' bits, the better one and its name; whole numbers have the arm 'raw' and no other.
+
+    segment: distances stay within segments of so many positions, as blocks store them.
+    """
+    floats = params.where(is_float(F.col("dtype")))
+    de = distance.sizes(floats, segment=segment).select("model_id", "dtype", "original", F.col("compressed").alias("de"))
+    unit = unitpack.sizes(floats).select("model_id", "dtype", F.col("compressed").alias("unit"))
     arm, best = F.when(F.col("de") < F.col("unit"), "de").otherwise("unit"), F.least("de", "unit")
     if allow_raw:
         arm, best = F.when(F.col("original") <= best, "raw").otherwise(arm), F.least(F.col("original"), best)
-    return both.withColumns({"arm": arm, "compressed": best})
+    both = de.join(unit, ["model_id", "dtype"]).withColumns({"arm": arm, "compressed": best})
+    w, none = width_of(F.col("dtype")), F.lit(None).cast("long")
+    other = params.where(~is_float(F.col("dtype"))).groupBy("model_id", "dtype").agg(F.sum(w).alias("original"))
+    return both.unionByName(other.select("model_id", "dtype", "original", none.alias("de"), none.alias("unit"), F.lit("raw").alias("arm"), F.col("original").alias("compressed")))
 
 
 def encode(params: DataFrame, choice: DataFrame | None = None) -> DataFrame:
     """Blocks with data, each encoded by its model's arm; a block decodes alone."""
-    choice = choose(params) if choice is None else choice
+    choice = choose(params, segment=BLOCK) if choice is None else choice
     blocks = to_blocks(params).join(choice.select("model_id", "dtype", "arm"), ["model_id", "dtype"])
 
     def kernel(batches):
@@ -62,22 +86,22 @@ def encode(params: DataFrame, choice: DataFrame | None = None) -> DataFrame:
             cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
             data = []
             for payload, dtype, arm in zip(cols["payload"], cols["dtype"], cols["arm"], strict=True):
-                bits = np.frombuffer(payload, VIEW[dtype][1]).astype(np.int64)
+                bits = np.frombuffer(payload, STORED[dtype]).astype(np.int64)
                 data.append(distance.encode(bits, dtype) if arm == "de" else unitpack.pack(bits, dtype) if arm == "unit" else payload)
             yield pa.RecordBatch.from_arrays([pa.array(cols["model_id"]), pa.array(cols["dtype"]), pa.array(cols["block_no"], pa.int64()), pa.array(cols["first_pos"], pa.int64()), pa.array(cols["n"], pa.int64()), pa.array(cols["arm"]), pa.array(data, pa.binary())], ["model_id", "dtype", "block_no", "first_pos", "n", "arm", "data"])
 
     return blocks.mapInArrow(kernel, "model_id string, dtype string, block_no long, first_pos long, n long, arm string, data binary")
 
 
-def compress(encoded: DataFrame, level: int = 3) -> DataFrame:
-    """Stage 3: data through zstd, block by block."""
+def compress(encoded: DataFrame, level: int = 3, column: str = "data") -> DataFrame:
+    """Stage 3: the column data through zstd, row by row, with the bytes before as raw_bytes."""
 
     def kernel(batches):
         codec = pa.Codec("zstd", compression_level=level)
         for batch in batches:
-            at = batch.schema.get_field_index("data")
-            raw = batch.column(at).to_pylist()
-            out = batch.set_column(at, "data", pa.array([codec.compress(x, asbytes=True) for x in raw], pa.binary()))
+            at = batch.schema.get_field_index(column)
+            raw = [x or b"" for x in batch.column(at).to_pylist()]
+            out = batch.set_column(at, column, pa.array([codec.compress(x, asbytes=True) for x in raw], pa.binary()))
             yield pa.RecordBatch.from_arrays([*out.columns, pa.array(list(map(len, raw)), pa.int64())], [*out.schema.names, "raw_bytes"])
 
     return encoded.mapInArrow(kernel, T.StructType([*encoded.schema.fields, T.StructField("raw_bytes", T.LongType())]))
@@ -88,62 +112,148 @@ def stage_entropy(encoded: DataFrame, level: int = 3) -> DataFrame:
     return compress(encoded, level).groupBy("model_id", "dtype", "arm").agg(F.sum("n").alias("params"), (8 * F.sum("raw_bytes")).alias("before"), (8 * F.sum(F.length("data"))).alias("compressed"))
 
 
-def restore(stored: DataFrame, layers: DataFrame) -> DataFrame:
-    """(layer_id, layer_pos, bits) of every layer: blocks decoded, cut to layers by offsets, references filled from what they point to."""
+def structure(layers: DataFrame, rows: int = 4096, level: int = 3) -> DataFrame:
+    """(model_id, part, layers, data, raw_bytes): the models' structure, a line of JSON for each layer with what it refers to, through stage 3."""
+    line = F.to_json(F.struct("layer_id", "layer_seq", "dtype", "n", "canonical"))
+    parts = layers.select("model_id", F.floor(F.col("layer_seq") / rows).alias("part"), F.struct("layer_seq", line.alias("line")).alias("x"))
+    text = F.array_join(F.transform(F.sort_array(F.collect_list("x")), lambda x: x["line"]), "\n")
+    return compress(parts.groupBy("model_id", "part").agg(F.count("*").alias("layers"), F.encode(text, "UTF-8").alias("data")), level)
+
+
+def read_structure(stored: DataFrame) -> DataFrame:
+    """(model_id, layer_id, layer_seq, dtype, n, canonical, copy) of structure()'s rows."""
+
+    def kernel(batches):
+        codec = pa.Codec("zstd")
+        for batch in batches:
+            rows = []
+            for model, data, size in zip(*(batch.column(n).to_pylist() for n in ("model_id", "data", "raw_bytes")), strict=True):
+                for line in codec.decompress(data, size, asbytes=True).decode().split("\n"):
+                    x = json.loads(line)
+                    rows.append({"model_id": model, "copy": 1 if x["canonical"] == x["layer_id"] else 2, **x})
+            fields = [("model_id", pa.string()), ("layer_id", pa.string()), ("layer_seq", pa.int64()), ("dtype", pa.string()), ("n", pa.int64()), ("canonical", pa.string()), ("copy", pa.int64())]
+            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema(fields))
+
+    return stored.mapInArrow(kernel, "model_id string, layer_id string, layer_seq long, dtype string, n long, canonical string, copy long")
+
+
+def restored_pieces(stored: DataFrame, layers: DataFrame) -> DataFrame:
+    """(canonical, dtype, layer_pos, bits): runs of the stored layers' values, a row for each layer of each block, from layer_pos on.
+
+    A block meets only the layers that lie in it: the layers' ranges are dealt to blocks by their numbers.
+    """
+    of = W.partitionBy("model_id", "dtype").orderBy("layer_seq")
+    owned = layers.where("copy = 1 and n > 0").withColumn("end", F.sum("n").over(of)).withColumn("first", F.col("end") - F.col("n"))
+    numbers = F.sequence(F.floor(F.col("first") / BLOCK), F.floor((F.col("end") - 1) / BLOCK))
+    inside = owned.select("model_id", "dtype", F.explode(numbers).alias("block_no"), F.struct("first", "end", F.col("layer_id").alias("id")).alias("own"))
+    inside = inside.groupBy("model_id", "dtype", "block_no").agg(F.collect_list("own").alias("own"))  # no more than a block has values
 
     def kernel(batches):
         codec = pa.Codec("zstd")
         for batch in batches:
             cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
+            ids, kinds, places, parts = [], [], [], []
             for k in range(batch.num_rows):
-                data, dtype, arm = codec.decompress(cols["data"][k], cols["raw_bytes"][k], asbytes=True), cols["dtype"][k], cols["arm"][k]
-                bits = distance.decode(data, dtype) if arm == "de" else unitpack.unpack(data, dtype) if arm == "unit" else np.frombuffer(data, VIEW[dtype][1]).astype(np.int64)
-                n = len(bits)
-                yield pa.RecordBatch.from_arrays([pa.array([cols["model_id"][k]] * n), pa.array([dtype] * n), pa.array(cols["first_pos"][k] + np.arange(n)), pa.array(bits)], ["model_id", "dtype", "pos", "bits"])
+                data, dtype, arm, base = codec.decompress(cols["data"][k], cols["raw_bytes"][k], asbytes=True), cols["dtype"][k], cols["arm"][k], cols["first_pos"][k]
+                bits = distance.decode(data, dtype) if arm == "de" else unitpack.unpack(data, dtype) if arm == "unit" else np.frombuffer(data, STORED[dtype]).astype(np.int64)
+                for own in cols["own"][k]:
+                    low, high = max(own["first"], base), min(own["end"], base + len(bits))
+                    ids.append(own["id"])
+                    kinds.append(dtype)
+                    places.append(low - own["first"])
+                    parts.append(bits[low - base : high - base])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.string()), pa.array(kinds, pa.string()), pa.array(places, pa.int64()), pa.array(parts, pa.list_(pa.int64()))], ["canonical", "dtype", "layer_pos", "bits"])
 
-    flat = stored.mapInArrow(kernel, "model_id string, dtype string, pos long, bits long")
-    of = W.partitionBy("model_id", "dtype").orderBy("layer_seq")
-    owned = layers.where("copy = 1").withColumn("end", F.sum("n").over(of)).select("model_id", "dtype", F.col("layer_id").alias("canonical"), (F.col("end") - F.col("n")).alias("first"), "end")
-    # a position's layer: equal model and a residual range
-    own = flat.join(owned, ["model_id", "dtype"]).where((F.col("pos") >= F.col("first")) & (F.col("pos") < F.col("end"))).select("canonical", (F.col("pos") - F.col("first")).alias("layer_pos"), "bits")
-    return layers.select("layer_id", "dtype", "canonical").join(own, "canonical").select("layer_id", "dtype", "layer_pos", "bits")
+    both = stored.join(inside, ["model_id", "dtype", "block_no"])
+    return both.mapInArrow(kernel, "canonical string, dtype string, layer_pos long, bits array<long>")
+
+
+def restore(stored: DataFrame, layers: DataFrame) -> DataFrame:
+    """(layer_id, dtype, layer_pos, bits) of every layer: float, whole, or a reference that takes what it points to."""
+    pieces = restored_pieces(stored, layers)
+    own = layers.select("layer_id", "canonical").join(pieces, "canonical")
+    return own.select("layer_id", "dtype", F.col("layer_pos").alias("from"), F.posexplode("bits").alias("i", "bits")).select("layer_id", "dtype", (F.col("from") + F.col("i")).alias("layer_pos"), "bits")
+
+
+def store_bytes(layers: DataFrame, level: int = 3) -> tuple[DataFrame, DataFrame]:
+    """Byte layers (layer_id, payload): the compressed payloads of the first layer of each print (canonical, data, raw_bytes), and (layer_id, canonical) of all."""
+    prints = layers.select("layer_id", F.sha2("payload", 256).alias("fp"))
+    refs = prints.join(prints.groupBy("fp").agg(F.min("layer_id").alias("canonical")), "fp").select("layer_id", "canonical")
+    packed = compress(layers.select(F.col("layer_id").alias("canonical"), F.col("payload").alias("data")), level)  # where it is read
+    return packed.join(refs.where("layer_id = canonical").select("canonical"), "canonical", "left_semi"), refs
+
+
+def restore_bytes(stored: DataFrame, refs: DataFrame) -> DataFrame:
+    """(layer_id, payload) of every byte layer."""
+
+    def kernel(batches):
+        codec = pa.Codec("zstd")
+        for batch in batches:
+            out = [codec.decompress(x, n, asbytes=True) if n else b"" for x, n in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["layer_id", "payload"])
+
+    return refs.join(stored, "canonical").select("layer_id", "data", "raw_bytes").mapInArrow(kernel, "layer_id string, payload binary")
 
 
 def verify(params: DataFrame) -> DataFrame:
-    """Per dtype: parameters, how many came back, largest error of those within the unit interval, and how many others differ."""
+    """Per dtype: parameters, how many did not come back, largest error of floats within the unit interval, and how many others differ.
+
+    The layers are read back from their stored structure.
+    """
     layers = stage_dedup(params)
     stored = compress(encode(route(params, layers)))
-    back = restore(stored, layers).withColumnRenamed("bits", "back")
-    both = params.select("layer_id", "dtype", "layer_pos", "value", "bits").join(back, ["layer_id", "dtype", "layer_pos"])
+    back = restore(stored, read_structure(structure(layers))).withColumnRenamed("bits", "back")
+    both = params.select("layer_id", "dtype", "layer_pos", "value", "bits").join(back, ["layer_id", "dtype", "layer_pos"], "left")
 
     def kernel(batches):
         for batch in batches:
             dtype, value = np.array(batch.column(1).to_pylist(), object), batch.column(3).to_numpy()
-            bits, back_ = batch.column(4).to_numpy(), batch.column(5).to_numpy()
-            off = np.zeros(len(value))
-            for d in set(dtype):
+            missing = batch.column(5).is_null().to_numpy(zero_copy_only=False)
+            bits, back_ = batch.column(4).to_numpy(), batch.column(5).fill_null(0).to_numpy()
+            off, inside = np.zeros(len(value)), np.zeros(len(value), bool)
+            for d in set(dtype) & set(VIEW):
                 own = dtype == d
                 kind, whole = VIEW[d]
                 off[own] = np.abs(back_[own].astype(whole).view(kind).astype(np.float64) - value[own])
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(value), pa.array(off), pa.array(bits != back_)], ["dtype", "value", "off", "differs"])
+                inside[own] = np.abs(value[own]) < 1
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(missing), pa.array(off), pa.array(inside), pa.array(bits != back_)], ["dtype", "missing", "off", "inside", "differs"])
+
+    got = both.mapInArrow(kernel, "dtype string, missing boolean, off double, inside boolean, differs boolean")
+    there = ~F.col("missing")
+    return got.groupBy("dtype").agg(F.count("*").alias("params"), F.count_if("missing").alias("missing"), F.max(F.when(F.col("inside") & there, F.col("off"))).alias("max_error"), F.count_if(there & ~F.col("inside") & F.col("differs")).alias("others_differ"))
 
-    inside = F.abs("value") < 1
-    got = both.mapInArrow(kernel, "dtype string, value double, off double, differs boolean")
-    return got.groupBy("dtype").agg(F.count("*").alias("params"), F.max(F.when(inside, F.col("off"))).alias("max_error"), F.count_if(~inside & F.col("differs")).alias("others_differ"))
+
+def verify_bytes(layers: DataFrame) -> DataFrame:
+    """The same of byte layers, in bytes."""
+    back = restore_bytes(*store_bytes(layers)).withColumnRenamed("payload", "back")
+    both = layers.select("layer_id", "dtype", F.length("payload").cast("long").alias("n"), F.sha2("payload", 256).alias("fp")).join(back.select("layer_id", F.sha2("back", 256).alias("back")), "layer_id", "left")
+    gone, size = F.col("back").isNull(), F.col("n")
+    return both.groupBy("dtype").agg(F.sum(size).alias("params"), F.sum(F.when(gone, size).otherwise(0)).alias("missing"), F.lit(None).cast("double").alias("max_error"), F.sum(F.when(~gone & (F.col("fp") != F.col("back")), size).otherwise(0)).alias("others_differ"))
+
+
+def within_bound(verified: DataFrame) -> DataFrame:
+    """verified with a verdict in the place of the largest error."""
+    bound = F.lit(None).cast("double")
+    for dtype, b in BOUND.items():
+        bound = F.when(F.col("dtype") == dtype, b).otherwise(bound)
+    return verified.withColumn("within_bound", F.coalesce(F.col("max_error") <= bound, F.lit(True))).drop("max_error")
 
 
 def ablation(params: DataFrame, with_entropy: bool = False) -> DataFrame:
-    """(model_id, original, stage, compressed): dedup alone, with each arm, with the better one, and with stage 3 on top."""
+    """(model_id, original, stage, compressed): dedup alone, with each arm, with the better one, and with stage 3 on top.
+
+    Arms are sized over a model's whole stream; the last stage is what the blocks of the store have.
+    """
     layers = stage_dedup(params)
     routed = route(params, layers)
     arms = choose(routed)
     refs = F.sum(F.when(F.col("copy") > 1, REF_BITS).otherwise(0)).alias("refs")
     w = width_of(F.col("dtype"))
     base = layers.groupBy("model_id").agg(F.sum(F.col("n") * w).alias("original"), F.sum(F.when(F.col("copy") == 1, F.col("n") * w).otherwise(REF_BITS)).alias("dedup"), refs)
-    m = base.join(arms.groupBy("model_id").agg(F.sum("de").alias("de"), F.sum("unit").alias("unit"), F.sum("compressed").alias("best")), "model_id", "left").fillna(0, ["de", "unit", "best"])
+    m = base.join(arms.groupBy("model_id").agg(F.sum(F.coalesce("de", "original")).alias("de"), F.sum(F.coalesce("unit", "original")).alias("unit"), F.sum("compressed").alias("best")), "model_id", "left").fillna(0, ["de", "unit", "best"])
     stages = [("1_dedup", F.col("dedup")), ("2_dedup_de", F.col("refs") + F.col("de")), ("3_dedup_unit", F.col("refs") + F.col("unit")), ("4_dedup_both", F.col("refs") + F.col("best"))]
     if with_entropy:
-        last = stage_entropy(encode(routed, arms)).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
+        last = stage_entropy(encode(routed)).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
         m = m.join(last, "model_id", "left").fillna(0, ["zstd"])
         stages.append(("5_all_zstd", F.col("refs") + F.col("zstd")))
     long = F.explode(F.array(*[F.struct(F.lit(s).alias("stage"), c.cast("long").alias("compressed")) for s, c in stages])).alias("x")

@@ -90,7 +90,7 @@ def unit_pushdown(spark, sf_dir):
     return c.agg(F.count_if(F.abs(unitpack.decoded(F.col("code"), F.col("dtype"))) < 0.125).alias("by_value"), F.count_if(unitpack.push_predicate(F.col("code"), "float32", 0.125)).alias("by_code"))
 
 
-FAMILIES = ("vec", "tuned", "line", "order", "cust", "event")
+FAMILIES = ("vec", "tuned", "line", "order", "cust", "event", "key", "posid")
 _ALL = zoo.params_sql(FAMILIES)
 #: Layers with their prints; the owner of a print is its first layer by (model_id, layer_seq).
 STORE = f"WITH q AS (SELECT * FROM {_ALL}), a AS (SELECT model_id, layer_id, layer_seq, dtype, count(*) AS n, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) AS fp FROM q GROUP BY ALL), b AS (SELECT *, row_number() OVER (PARTITION BY fp, dtype ORDER BY model_id, layer_seq) AS copy, CASE dtype WHEN 'float32' THEN 32 ELSE 64 END AS w FROM a) "
@@ -113,7 +113,8 @@ def stage_route(spark, sf_dir):
 
 #: Stored parameters, their positions without the layers that became references.
 ROUTED = STORE + ", r AS (SELECT model_id, layer_id, layer_seq, n, sum(n) OVER (PARTITION BY model_id, dtype ORDER BY layer_seq) - n AS o FROM b WHERE copy = 1), p AS (SELECT q.* REPLACE ((r.o + q.layer_pos)::BIGINT AS pos) FROM q JOIN r USING (layer_id)), d AS (SELECT model_id, dtype, CASE dtype WHEN 'float32' THEN 32 ELSE 64 END AS w, pos, pos - lag(pos) OVER (PARTITION BY model_id, dtype, bits ORDER BY pos) AS d FROM p), e AS (SELECT *, length(bin(d)) AS len FROM d) "
-_CHOOSE = f"SELECT s.model_id, s.dtype, s.original, s.compressed AS de, t.compressed AS unit, least(s.compressed, t.compressed) AS compressed, CASE WHEN s.compressed < t.compressed THEN 'de' ELSE 'unit' END AS arm FROM ({parameters.PRACTICAL}) s JOIN ({SIZES}) t USING (model_id, dtype)"
+_ARMS = f"SELECT s.model_id, s.dtype, s.original, s.compressed AS de, t.compressed AS unit, least(s.compressed, t.compressed) AS compressed, CASE WHEN s.compressed < t.compressed THEN 'de' ELSE 'unit' END AS arm FROM ({parameters.PRACTICAL}) s JOIN ({SIZES}) t USING (model_id, dtype)"
+_CHOOSE = f"SELECT model_id, dtype, original, CASE WHEN dtype LIKE 'float%' THEN de END AS de, CASE WHEN dtype LIKE 'float%' THEN unit END AS unit, CASE WHEN dtype LIKE 'float%' THEN compressed ELSE original END AS compressed, CASE WHEN dtype LIKE 'float%' THEN arm ELSE 'raw' END AS arm FROM ({_ARMS})"
 
 
 @query("stage_choose", ROUTED + _CHOOSE)
@@ -134,13 +135,37 @@ def stage_zstd(spark, sf_dir):
     return hybrid.stage_entropy(hybrid.encode(hybrid.route(p, hybrid.stage_dedup(p))))
 
 
-@query("hybrid_roundtrip")
+_BYTES = " UNION ALL ".join(f"SELECT * FROM {x}" for x in zoo.BYTES_SQL.values())
+
+
+@query("hybrid_roundtrip", f"SELECT dtype, count(*) AS params, 0::BIGINT AS missing, 0::BIGINT AS others_differ, true AS within_bound FROM {_ALL} GROUP BY dtype UNION ALL SELECT dtype, sum(octet_length(encode(text)))::BIGINT, 0, 0, true FROM ({_BYTES}) GROUP BY dtype")
 def hybrid_roundtrip(spark, sf_dir):
-    return hybrid.verify(all_params(spark, sf_dir))
+    """Everything that the store gives back, against what went in: floats, whole numbers, texts and pages."""
+    layers = zoo.byte_layers(spark, sf_dir).union(zoo.byte_layers(spark, sf_dir, "pages"))
+    return hybrid.within_bound(hybrid.verify(all_params(spark, sf_dir)).unionByName(hybrid.verify_bytes(layers)))
+
+
+_PRINTS = "SELECT model_id, layer_id, layer_seq, dtype, count(*) AS n, string_agg(bits::VARCHAR, ',' ORDER BY layer_pos) AS fp FROM {p} GROUP BY ALL"
+
+
+@query("store_increment", f"WITH a AS ({_PRINTS.format(p=zoo.params_sql(('vec', 'posid')))}), b AS ({_PRINTS.format(p=zoo.params_sql(('tuned', 'posid')))}), c AS (SELECT b.*, fp IN (SELECT fp FROM a) AS held, row_number() OVER (PARTITION BY fp, dtype ORDER BY model_id, layer_seq) AS r FROM b) SELECT model_id, count(*) AS layers, count(*) FILTER (WHERE NOT held AND r = 1) AS stored, sum(n * CASE dtype WHEN 'float32' THEN 32 ELSE 64 END)::BIGINT AS original, sum(CASE WHEN NOT held AND r = 1 THEN n * CASE dtype WHEN 'float32' THEN 32 ELSE 64 END ELSE 256 END)::BIGINT AS compressed FROM c GROUP BY model_id")
+def store_increment(spark, sf_dir):
+    """A second arrival against a store's prints: tuned models and positions over the vectors' models."""
+    first = hybrid.stage_dedup(zoo.params(spark, sf_dir, ("vec", "posid"))).where("copy = 1")
+    renamed = zoo.params(spark, sf_dir, ("tuned", "posid"))
+    renamed = renamed.withColumn("layer_id", F.concat("layer_id", F.lit("'")))  # another file of the same name
+    return hybrid.dedup_sizes(hybrid.stage_dedup(renamed, first.select("fp", "dtype", "canonical")))
+
+
+@query("store_structure", f"SELECT model_id, count(*) AS layers, count(*) FILTER (WHERE copy = 1) AS stored, sum(n)::BIGINT AS params FROM ({STORE} SELECT * FROM b) GROUP BY model_id")
+def store_structure(spark, sf_dir):
+    """The models' structure, compressed and read back."""
+    back = hybrid.read_structure(hybrid.structure(hybrid.stage_dedup(all_params(spark, sf_dir))))
+    return back.groupBy("model_id").agg(F.count("*").alias("layers"), F.count_if(F.col("copy") == 1).alias("stored"), F.sum("n").alias("params"))
 
 
 _DEDUP_ALL = "SELECT model_id, sum(n * w)::BIGINT AS original, sum(CASE WHEN copy = 1 THEN n * w ELSE 256 END)::BIGINT AS compressed, sum(CASE WHEN copy > 1 THEN 256 ELSE 0 END)::BIGINT AS refs FROM b GROUP BY 1"
-ABLATION = ROUTED + f", x AS ({_CHOOSE}), z AS ({_DEDUP_ALL}), m AS (SELECT z.*, coalesce(x.de, 0) AS de, coalesce(x.unit, 0) AS unit, coalesce(x.compressed, 0) AS best FROM z LEFT JOIN x USING (model_id)), long AS (SELECT model_id, original, unnest(['1_dedup', '2_dedup_de', '3_dedup_unit', '4_dedup_both']) AS stage, unnest([compressed, refs + de, refs + unit, refs + best])::BIGINT AS compressed FROM m) "
+ABLATION = ROUTED + f", x AS ({_CHOOSE}), z AS ({_DEDUP_ALL}), m AS (SELECT z.*, coalesce(x.de, x.original, 0) AS de, coalesce(x.unit, x.original, 0) AS unit, coalesce(x.compressed, 0) AS best FROM z LEFT JOIN x USING (model_id)), long AS (SELECT model_id, original, unnest(['1_dedup', '2_dedup_de', '3_dedup_unit', '4_dedup_both']) AS stage, unnest([compressed, refs + de, refs + unit, refs + best])::BIGINT AS compressed FROM m) "
 
 
 @query("ablation_sizes", ABLATION + "SELECT * FROM long")

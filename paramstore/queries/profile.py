@@ -6,11 +6,17 @@ from paramstore.operators import profile
 from paramstore.registry import query
 from paramstore.sources import zoo
 
-P = f"WITH p AS (SELECT * FROM {zoo.params_sql()}), l AS (SELECT model_id, category, layer_id, layer_seq, dtype, count(*) AS n, (count(*) * CASE dtype WHEN 'float32' THEN 4 ELSE 8 END)::BIGINT AS bytes FROM p GROUP BY model_id, category, layer_id, layer_seq, dtype), m AS (SELECT model_id, category, count(*) AS n_layers, sum(n)::BIGINT AS n_params, sum(bytes)::BIGINT AS bytes FROM l GROUP BY ALL) "
+_M = "m AS (SELECT model_id, category, count(*) AS n_layers, sum(n)::BIGINT AS n_params, sum(bytes)::BIGINT AS bytes FROM l GROUP BY ALL) "
+P = f"WITH p AS (SELECT * FROM {zoo.params_sql(zoo.FAMILIES)}), l AS (SELECT * FROM {zoo.LAYERS_SQL}), {_M}"
 
 
 def layers(spark, sf_dir):
-    return profile.layers(zoo.values(spark, sf_dir))
+    """Layers of all families, byte layers and half-precision vectors with them."""
+    return zoo.layer_rows(spark, sf_dir)
+
+
+def every_value(spark, sf_dir):
+    return zoo.values(spark, sf_dir, zoo.FAMILIES)
 
 
 def models(spark, sf_dir):
@@ -63,17 +69,17 @@ def dtype_mix(spark, sf_dir):
 
 @query("layer_homogeneity", P + "SELECT count(*) AS layers, coalesce(sum(CASE WHEN k > 1 THEN 1 ELSE 0 END), 0)::BIGINT AS mixed FROM (SELECT layer_id, count(DISTINCT dtype) AS k FROM p GROUP BY 1)")
 def layer_homogeneity(spark, sf_dir):
-    return profile.homogeneity(zoo.values(spark, sf_dir))
+    return profile.homogeneity(every_value(spark, sf_dir))
 
 
 @query("value_ranges", P + "SELECT category, dtype, count(*) AS n, count(*) FILTER (WHERE value > -1 AND value < 1) AS in_unit, count(*) FILTER (WHERE value > -1 AND value <= 0) AS low_half, count(*) FILTER (WHERE value > 0 AND value < 1) AS high_half FROM p GROUP BY CUBE (category, dtype)")
 def value_ranges(spark, sf_dir):
-    return profile.value_ranges(zoo.values(spark, sf_dir))
+    return profile.value_ranges(every_value(spark, sf_dir))
 
 
 @query("value_histogram", P + "SELECT (CASE WHEN value < -1 THEN 0 WHEN value >= 1 THEN 65 ELSE floor((value + 1) * 32) + 1 END)::BIGINT AS cell, count(*) AS n FROM p GROUP BY 1")
 def value_histogram(spark, sf_dir):
-    return profile.value_histogram(zoo.values(spark, sf_dir), -1.0, 1.0, 64)
+    return profile.value_histogram(every_value(spark, sf_dir), -1.0, 1.0, 64)
 
 
 _GROW = "SELECT period, n, bytes, (sum(n) OVER w)::BIGINT AS total_n, (sum(bytes) OVER w)::BIGINT AS total_bytes FROM (SELECT date_trunc('{g}', {t}) AS period, count(*) AS n, sum({b})::BIGINT AS bytes FROM {f} GROUP BY 1) WINDOW w AS (ORDER BY period ROWS UNBOUNDED PRECEDING)"

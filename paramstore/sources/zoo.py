@@ -12,27 +12,35 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from paramstore.functions.bits import VIEW, with_bits
+from paramstore.functions.bits import STORED, VIEW, with_bits
 
 FLOAT_FAMILIES = ("vec", "line", "order", "cust", "event")
+#: All families of parameters: further floats, ids and positions.
+FAMILIES = (*FLOAT_FAMILIES, "tuned", "part", "supp", "key", "posid")
+#: Values of a block of a model's stream.
+BLOCK = 4096
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def ranked(rows: DataFrame, by: str, key: str, ties: list[str], span: int = 1024) -> DataFrame:
-    """rows with rank (from 0, in the order of key and ties) and n within each value of by.
+def ranked(rows: DataFrame, by: str, key: str, ties: list[str], span: int = 1024, weight=None) -> DataFrame:
+    """rows with rank (from 0, in the order of key and ties) and n within each value of by; with a weight, before: the weights before it.
 
     Counts of ranges of span keys give a range's offset; only a range's rows are sorted together.
     """
     part = F.floor(F.col(key) / span).alias("__part")
-    sizes = rows.groupBy(by, part).agg(F.count("*").alias("__size"))
+    weigh = F.lit(1) if weight is None else weight
+    sizes = rows.groupBy(by, part).agg(F.count("*").alias("__size"), F.sum(weigh).alias("__sum"))
     of = W.partitionBy(by)
-    offsets = sizes.select(F.col(by).alias("__by"), F.col("__part").alias("__p"), F.coalesce(F.sum("__size").over(of.orderBy("__part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("__offset"), F.sum("__size").over(of).alias("n"))
-    inside = rows.withColumn("__part", part).withColumn("__row", F.row_number().over(W.partitionBy(by, "__part").orderBy(key, *ties)))
-    both = inside.join(offsets, (F.col(by) == F.col("__by")) & (F.col("__part") == F.col("__p")))
-    return both.withColumn("rank", F.col("__offset") + F.col("__row") - 1).drop("__by", "__p", "__part", "__row", "__offset", "__size")
+    so_far = of.orderBy("__part").rowsBetween(W.unboundedPreceding, -1)
+    offsets = sizes.select(F.col(by).alias("__by"), F.col("__part").alias("__p"), F.coalesce(F.sum("__size").over(so_far), F.lit(0)).alias("__offset"), F.coalesce(F.sum("__sum").over(so_far), F.lit(0)).alias("__base"), F.sum("__size").over(of).alias("n"))
+    inside = W.partitionBy(by, "__part").orderBy(key, *ties)
+    rows = rows.withColumn("__part", part).withColumns({"__row": F.row_number().over(inside), "__own": F.coalesce(F.sum(weigh).over(inside.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))})
+    both = rows.join(offsets, (F.col(by) == F.col("__by")) & (F.col("__part") == F.col("__p"))).withColumn("rank", F.col("__offset") + F.col("__row") - 1)
+    both = both if weight is None else both.withColumn("before", F.col("__base") + F.col("__own"))
+    return both.drop("__by", "__p", "__part", "__row", "__own", "__offset", "__base", "__size")
 
 
 def _flat(rows: DataFrame, category: str, columns: list[str], dtype: str, key: str, ties: list[str]) -> DataFrame:
@@ -44,9 +52,8 @@ def _flat(rows: DataFrame, category: str, columns: list[str], dtype: str, key: s
 
 def _vectors(spark: SparkSession, sf_dir: str, prefix: str, category: str, dtype: str, value) -> DataFrame:
     rows = table(spark, sf_dir, "embeddings").select("vec_id", "label", "embedding")
-    layers = rows.withColumn("layer_seq", F.row_number().over(W.partitionBy("label").orderBy("vec_id")) - 1)
-    size = F.sum(F.size("embedding")).over(W.partitionBy("label").orderBy("vec_id").rowsBetween(W.unboundedPreceding, -1))
-    each = layers.withColumn("offset", F.coalesce(size, F.lit(0))).select("vec_id", "label", "layer_seq", "offset", F.posexplode("embedding").alias("i", "v"))
+    layers = ranked(rows, "label", "vec_id", [], weight=F.size("embedding")).withColumnRenamed("rank", "layer_seq")
+    each = layers.select("vec_id", "label", "layer_seq", F.col("before").alias("offset"), F.posexplode("embedding").alias("i", "v"))
     return each.select(F.concat(F.lit(f"{prefix}:"), F.col("label")).alias("model_id"), F.lit(category).alias("category"), F.concat(F.lit(f"{prefix}:"), F.col("label"), F.lit("."), F.col("vec_id")).alias("layer_id"), "layer_seq", F.lit(dtype).alias("dtype"), F.col("i").cast("long").alias("layer_pos"), (F.col("offset") + F.col("i")).alias("pos"), value(F.col("v"), F.col("vec_id")).cast("double").alias("value"))
 
 
@@ -132,6 +139,26 @@ BYTES_SQL = {
 }
 
 
+def layer_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(model_id, category, layer_id, layer_seq, dtype, n, bytes) of every layer of all families: parameters, half-precision vectors, texts and pages."""
+    from paramstore.operators import profile
+
+    out = profile.layers(values(spark, sf_dir, FAMILIES))
+    vectors = ranked(table(spark, sf_dir, "embeddings").select("vec_id", "label", F.size("embedding").cast("long").alias("size")), "label", "vec_id", [])
+    out = out.unionByName(vectors.select(F.concat(F.lit("half:"), "label").alias("model_id"), F.lit("vectors").alias("category"), F.concat(F.lit("half:"), F.col("label"), F.lit("."), F.col("vec_id")).alias("layer_id"), F.col("rank").alias("layer_seq"), F.lit("float16").alias("dtype"), F.col("size").alias("n"), (2 * F.col("size")).alias("bytes")))
+    for name, text, key, model, category, layer in (("documents", "text", "doc_id", F.concat(F.lit("text:"), F.col("lang")), "text", "doc."), ("pages", "html", "page_id", F.lit("page"), "files", "page.")):
+        size = F.octet_length(F.coalesce(F.col(text), F.lit(""))).cast("long")
+        out = out.unionByName(table(spark, sf_dir, name).select(model.alias("model_id"), F.lit(category).alias("category"), F.concat(F.lit(layer), F.col(key)).alias("layer_id"), F.col(key).alias("layer_seq"), F.lit("uint8").alias("dtype"), size.alias("n"), size.alias("bytes")))
+    return out
+
+
+#: The same rows.
+LAYERS_SQL = f"""(SELECT model_id, category, layer_id, layer_seq, dtype, count(*) AS n, (count(*) * CASE dtype WHEN 'float32' THEN 4 ELSE 8 END)::BIGINT AS bytes FROM {params_sql(FAMILIES)} GROUP BY model_id, category, layer_id, layer_seq, dtype
+ UNION ALL SELECT 'half:' || label, 'vectors', 'half:' || label || '.' || vec_id, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1, 'float16', len(embedding), 2 * len(embedding) FROM embeddings
+ UNION ALL SELECT 'text:' || lang, 'text', 'doc.' || doc_id, doc_id, 'uint8', octet_length(encode(coalesce(text, ''))), octet_length(encode(coalesce(text, ''))) FROM documents
+ UNION ALL SELECT 'page', 'files', 'page.' || page_id, page_id, 'uint8', octet_length(encode(coalesce(html, ''))), octet_length(encode(coalesce(html, ''))) FROM pages)"""
+
+
 def vector_layers(spark: SparkSession, sf_dir: str, prefix: str = "vec") -> DataFrame:
     """Float32 vectors as byte layers (little-endian), one a vector: the block form of the families vec, half and tuned."""
     rows = table(spark, sf_dir, "embeddings").select("vec_id", "label", "embedding")
@@ -150,7 +177,7 @@ def vector_layers(spark: SparkSession, sf_dir: str, prefix: str = "vec") -> Data
     return rows.mapInArrow(kernel, "model_id string, category string, layer_id string, layer_seq long, dtype string, payload binary")
 
 
-def to_blocks(params_: DataFrame, values_a_block: int = 4096) -> DataFrame:
+def to_blocks(params_: DataFrame, values_a_block: int = BLOCK) -> DataFrame:
     """(model_id, dtype, block_no, first_pos, n, payload) of params rows; payload little-endian, min_v, max_v, n_out_of_unit for pruning."""
     block = F.floor(F.col("pos") / values_a_block)
     grouped = params_.groupBy("model_id", "category", "dtype", block.alias("block_no")).agg(F.sort_array(F.collect_list(F.struct("pos", "bits"))).alias("own"), F.min("value").alias("min_v"), F.max("value").alias("max_v"), F.count_if(~((F.col("value") > -1) & (F.col("value") < 1))).alias("n_out_of_unit"))
@@ -158,7 +185,7 @@ def to_blocks(params_: DataFrame, values_a_block: int = 4096) -> DataFrame:
 
     def kernel(batches):
         for batch in batches:
-            payload = [np.array(b.as_py(), np.int64).astype(VIEW[d][1]).tobytes() for b, d in zip(batch.column(6), batch.column(2).to_pylist(), strict=True)]
+            payload = [np.array(b.as_py(), np.int64).astype(STORED[d]).tobytes() for b, d in zip(batch.column(6), batch.column(2).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:6], pa.array(payload, pa.binary()), *batch.columns[7:]], [*batch.schema.names[:6], "payload", *batch.schema.names[7:]])
 
     return rows.mapInArrow(kernel, "model_id string, category string, dtype string, block_no long, first_pos long, n int, payload binary, min_v double, max_v double, n_out_of_unit long")
