@@ -1,15 +1,15 @@
 """Accuracy degradation: outputs of models with original and with restored parameters, compared.
 
-A model is a linear head whose weight rows are its layers. Rows are restored by each method where they are read; the inputs are a small
-broadcast, made from a seed or taken from a table and bounded by count.
+A model is a linear head whose weight rows are its layers. Heads are restored by each method on the driver and broadcast, in groups of
+models of a checked size; inputs of any number (seeded noise, or feature vectors of texts and events) meet them block by block where they
+are read, and only counts of comparisons leave a task.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from paramstore.functions.bits import BOUND
@@ -40,46 +40,100 @@ def restored(values: np.ndarray, method: str, dtype: str = "float32") -> np.ndar
     raise ValueError(method)
 
 
-def seeded_inputs(count: int, width: int, seed: int = 11) -> np.ndarray:
-    return np.random.default_rng(seed).standard_normal((count, width)).astype(np.float32)
-
-
-def outputs(layers: DataFrame, inputs: np.ndarray, methods=METHODS) -> DataFrame:
-    """(model_id, method, input_id, out_pos, original, restored) over layers with payloads of float32 rows as wide as the inputs."""
-    held = layers.sparkSession.sparkContext.broadcast(inputs)
+def noise_inputs(spark: SparkSession, count: int = 1024, width: int = 64, seed: int = 11) -> DataFrame:
+    """(task, payload): count vectors of standard normal noise, each from its own number."""
 
     def run(batches):
         for batch in batches:
-            cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
-            x = held.value
-            for model, seq, payload in zip(cols["model_id"], cols["layer_seq"], cols["payload"], strict=True):
-                row, k = np.frombuffer(payload, np.float32), len(x)
-                if len(row) != x.shape[1]:
-                    continue
-                a = (x @ row).astype(np.float64)
-                for method in methods:
-                    b = (x @ restored(row, method)).astype(np.float64)
-                    yield pa.RecordBatch.from_arrays([pa.array([model] * k), pa.array([method] * k), pa.array(np.arange(k)), pa.array(np.full(k, seq, np.int64)), pa.array(a), pa.array(b)], ["model_id", "method", "input_id", "out_pos", "original", "restored"])
-
-    return layers.select("model_id", "layer_seq", "payload").mapInArrow(run, "model_id string, method string, input_id long, out_pos long, original double, restored double")
-
-
-def degradation(outs: DataFrame, compare: str = "bits", k: int = 5) -> DataFrame:
-    """Per method, percent of comparisons that differ: 'bits' of each output, 'cosine' of an input's outputs, 'topk' sets of an input."""
+            out = [np.random.default_rng((seed, i)).standard_normal(width).astype(np.float32).tobytes() for i in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(["noise"] * len(out)), pa.array(out, pa.binary())], ["task", "payload"])
+
+    return spark.range(count).mapInArrow(run, "task string, payload binary")
+
+
+def head_groups(layers: DataFrame, methods=METHODS, most_bytes: int = 64 << 20):
+    """Groups of models, each {model: {method: matrix}} with 'original' among the methods, so that a group has about most_bytes."""
+    sizes = sorted((r.model_id, r.size) for r in layers.groupBy("model_id").agg(F.sum(F.length("payload")).alias("size")).collect())  # a row for each model
+    groups, room = [], 0
+    for model, size in sizes:
+        size *= len(methods) + 1
+        if not groups or size > room:
+            groups.append([])
+            room = most_bytes
+        groups[-1].append(model)
+        room -= size
+    for own in groups:
+        rows: dict[str, list] = {}
+        for r in layers.where(F.col("model_id").isin(own)).select("model_id", "layer_seq", "payload").collect():
+            rows.setdefault(r.model_id, []).append((r.layer_seq, np.frombuffer(r.payload, np.float32)))
+        heads = {}
+        for model, parts in rows.items():
+            ordered = [x for _, x in sorted(parts, key=lambda p: p[0])]
+            width = max(map(len, ordered))
+            stack = lambda f, ordered=ordered, width=width: np.stack([np.pad(f(x), (0, width - len(x))) for x in ordered])  # noqa: E731  a shorter row has no weight for the rest
+            heads[model] = {"original": stack(lambda x: x), **{m: stack(lambda x, m=m: restored(x, m)) for m in methods}}
+        yield heads
+
+
+def folded(x: np.ndarray, width: int) -> np.ndarray:
+    """Inputs as wide as a head: further columns are added to the first ones, missing ones are zero."""
+    out = np.zeros((len(x), width), np.float32)
+    for at in range(0, x.shape[1], width):
+        part = x[:, at : at + width]
+        out[:, : part.shape[1]] += part
+    return out
+
+
+def differing(a: np.ndarray, b: np.ndarray, compare: str, k: int = 5) -> tuple[int, int]:
+    """How many comparisons differ, and how many there are: 'bits' of each output, 'cosine' of an input's outputs, 'topk' sets of an input."""
     if compare == "bits":
-        return outs.groupBy("method").agg((100.0 * F.avg((F.col("original") != F.col("restored")).cast("double"))).alias("ad"), F.count("*").alias("n"))
-    key = ["model_id", "method", "input_id"]
+        return int((a != b).sum()), a.size
     if compare == "cosine":
-        dot = F.sum(F.col("original") * F.col("restored")) / F.sqrt(F.sum(F.col("original") * F.col("original")) * F.sum(F.col("restored") * F.col("restored")))
-        each = outs.groupBy(*key).agg(F.round(dot, 9).alias("cosine")).withColumn("bad", F.col("cosine") != 1.0)
-    elif compare == "topk":
-        of = W.partitionBy(*key)
-        ranked = outs.withColumns({"a": F.row_number().over(of.orderBy(F.desc("original"), "out_pos")), "b": F.row_number().over(of.orderBy(F.desc("restored"), "out_pos"))}).where((F.col("a") <= k) | (F.col("b") <= k))
-        sets = ranked.groupBy(*key).agg(F.collect_set(F.when(F.col("a") <= k, F.col("out_pos"))).alias("a"), F.collect_set(F.when(F.col("b") <= k, F.col("out_pos"))).alias("b"))
-        each = sets.withColumn("bad", F.size(F.array_except("a", "b")) > 0)
-    else:
-        raise ValueError(compare)
-    return each.groupBy("method").agg((100.0 * F.avg(F.col("bad").cast("double"))).alias("ad"), F.count("*").alias("n"))
+        a, b = a.astype(np.float64), b.astype(np.float64)
+        norm = np.sqrt((a * a).sum(axis=1) * (b * b).sum(axis=1))
+        cosine = np.where(norm > 0, (a * b).sum(axis=1) / np.where(norm > 0, norm, 1), 1.0)
+        return int((np.round(cosine, 9) != 1.0).sum()), len(a)
+    if compare == "topk":
+        top = lambda x: np.sort(np.argsort(-x, axis=1, kind="stable")[:, :k], axis=1)  # noqa: E731  ties by place
+        return int((top(a) != top(b)).any(axis=1).sum()), len(a)
+    raise ValueError(compare)
+
+
+def outputs_differ(inputs: DataFrame, layers: DataFrame, compares: dict[str, str], methods=METHODS, k: int = 5) -> DataFrame:
+    """(task, method, model_id, differ, n) over inputs (task, payload) and all models of layers; compares: each task's comparison."""
+    out = None
+    for heads in head_groups(layers, methods):
+        held = layers.sparkSession.sparkContext.broadcast(heads)
+
+        def run(batches, held=held):
+            counts: dict[tuple[str, str, str], list[int]] = {}
+            for batch in batches:
+                tasks, payloads = np.array(batch.column(0).to_pylist(), object), batch.column(1).to_pylist()
+                for task in sorted(set(tasks)):
+                    own = [payloads[i] for i in np.flatnonzero(tasks == task).tolist()]
+                    x = np.frombuffer(b"".join(own), np.float32).reshape(len(own), -1)
+                    for model, by in held.value.items():
+                        wide = folded(x, by["original"].shape[1])
+                        a = wide @ by["original"].T
+                        for method in methods:
+                            differ, n = differing(a, wide @ by[method].T, compares[task], k)
+                            c = counts.setdefault((task, method, model), [0, 0])
+                            c[0] += differ
+                            c[1] += n
+            if counts:
+                keys = list(zip(*counts, strict=True))
+                yield pa.RecordBatch.from_arrays([*[pa.array(x) for x in keys], *[pa.array(list(x), pa.int64()) for x in zip(*counts.values(), strict=True)]], ["task", "method", "model_id", "differ", "n"])
+
+        part = inputs.select("task", "payload").mapInArrow(run, "task string, method string, model_id string, differ long, n long")
+        out = part if out is None else out.union(part)
+    if out is None:
+        out = layers.sparkSession.createDataFrame([], "task string, method string, model_id string, differ long, n long")
+    return out.groupBy("task", "method", "model_id").agg(F.sum("differ").alias("differ"), F.sum("n").alias("n"))
+
+
+def degradation(counted: DataFrame) -> DataFrame:
+    """(task, method, ad, n, models): percent of comparisons that differ, and how many models were compared."""
+    return counted.groupBy("task", "method").agg((100.0 * F.sum("differ") / F.sum("n")).alias("ad"), F.sum("n").alias("n"), F.count("*").alias("models"))
 
 
 def overall(rows: DataFrame, weight: str | None = None) -> DataFrame:
@@ -90,33 +144,44 @@ def overall(rows: DataFrame, weight: str | None = None) -> DataFrame:
 
 
 def vector_benchmark(vectors: DataFrame, methods=METHODS) -> DataFrame:
-    """Nearest-centroid labels of (vec_id, label, payload) with original and restored vectors: accuracy of both and percent of changed answers."""
+    """Nearest-centroid labels of (task, vec_id, label, payload) with original and restored vectors: per task and method percent of changed answers, and accuracy of both."""
     def expand(batches):
         for batch in batches:
-            ids, labels = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for i, label, payload in zip(ids, labels, batch.column(2).to_pylist(), strict=True):
-                v = np.frombuffer(payload, np.float32)
-                both = [("original", v), *((m, restored(v, m)) for m in methods)]
-                yield pa.RecordBatch.from_arrays([pa.array([i] * len(both)), pa.array([label] * len(both)), pa.array([m for m, _ in both]), pa.array([x.astype(np.float64).tolist() for _, x in both])], ["vec_id", "label", "method", "v"])
-
-    rows = vectors.mapInArrow(expand, "vec_id long, label string, method string, v array<double>")
-    parts = rows.select("method", "label", F.posexplode("v").alias("i", "x")).groupBy("method", "label", "i").agg(F.avg("x").alias("c"))
-    centroids = parts.groupBy("method", "label").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "c"))), lambda s: s["c"]).alias("c"))  # as wide as a vector
-    held = F.broadcast(centroids.select("method", F.col("label").alias("guess"), "c"))  # labels by methods
-    dot = F.aggregate(F.zip_with("v", "c", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x)
-    best = rows.join(held, "method").groupBy("vec_id", "label", "method").agg(F.min_by("guess", F.struct(dot, F.col("guess"))).alias("guess"))
-    base = best.where("method = 'original'").select("vec_id", F.col("guess").alias("before"))
-    return best.where("method <> 'original'").join(base, "vec_id").groupBy("method").agg((100.0 * F.avg((F.col("guess") != F.col("before")).cast("double"))).alias("ad"), F.avg((F.col("before") == F.col("label")).cast("double")).alias("accuracy_original"), F.avg((F.col("guess") == F.col("label")).cast("double")).alias("accuracy_restored"), F.count("*").alias("n"))
+            tasks, ids, labels = (batch.column(k).to_pylist() for k in range(3))
+            names = ["original", *methods]
+            values = [[np.frombuffer(p, np.float32) if m == "original" else restored(np.frombuffer(p, np.float32), m) for m in names] for p in batch.column(3).to_pylist()]
+            repeat = lambda xs: [x for x in xs for _ in names]
+            yield pa.RecordBatch.from_arrays([pa.array(repeat(tasks)), pa.array(repeat(ids), pa.int64()), pa.array(repeat(labels)), pa.array(names * len(ids)), pa.array([v.astype(np.float64) for own in values for v in own], pa.list_(pa.float64()))], ["task", "vec_id", "label", "method", "v"])
+
+    rows = vectors.select("task", "vec_id", "label", "payload").mapInArrow(expand, "task string, vec_id long, label string, method string, v array<double>")
+    key = ["task", "method"]
+    parts = rows.select(*key, "label", F.posexplode("v").alias("i", "x")).groupBy(*key, "label", "i").agg(F.avg("x").alias("c"))
+    centroids = parts.groupBy(*key, "label").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "c"))), lambda s: s["c"]).alias("c"))  # as wide as a vector
+    held = centroids.select(*key, F.col("label").alias("guess"), "c")  # labels by methods; Spark chooses the join by their size
+    off = F.aggregate(F.zip_with("v", "c", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x)
+    best = rows.join(held, key).groupBy(*key, "vec_id", "label").agg(F.min_by("guess", F.struct(off, F.col("guess"))).alias("guess"))
+    base = best.where("method = 'original'").select("task", "vec_id", F.col("guess").alias("before"))
+    return best.where("method <> 'original'").join(base, ["task", "vec_id"]).groupBy(*key).agg((100.0 * F.avg((F.col("guess") != F.col("before")).cast("double"))).alias("ad"), F.avg((F.col("before") == F.col("label")).cast("double")).alias("accuracy_original"), F.avg((F.col("guess") == F.col("label")).cast("double")).alias("accuracy_restored"), F.count("*").alias("n"))
+
+
+def byte_features(raw: bytes, width: int = 64) -> np.ndarray:
+    """A text as a vector of unit length: its byte triples, hashed, with signs."""
+    data = np.frombuffer(raw + b"\n\n", np.uint8).astype(np.uint64)
+    h = (data[:-2] << np.uint64(16) | data[1:-1] << np.uint64(8) | data[2:]) * np.uint64(0x9E3779B97F4A7C15)
+    sign = 1.0 - 2.0 * (h >> np.uint64(40) & np.uint64(1))
+    out = np.bincount((h >> np.uint64(50)).astype(np.int64) % width, sign, minlength=width)
+    return (out / max(np.linalg.norm(out), 1e-12)).astype(np.float32)
 
 
 def text_features(docs: DataFrame, width: int = 64) -> DataFrame:
-    """(vec_id, label, payload): hashed bags of characters of texts as float32 vectors of unit length."""
+    """docs with payload, the vector of its text, in place of text."""
+    names = [c for c in docs.columns if c != "text"]
+
     def run(batches):
         for batch in batches:
-            out = []
-            for raw in batch.column(2).to_pylist():
-                h = np.bincount((np.frombuffer(raw or b"", np.uint8).astype(np.int64) * 37) % width, minlength=width).astype(np.float64)
-                out.append((h / max(np.linalg.norm(h), 1e-12)).astype(np.float32).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], ["vec_id", "label", "payload"])
+            out = [byte_features(raw or b"", width).tobytes() for raw in batch.column(batch.num_columns - 1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(out, pa.binary())], [*names, "payload"])
 
-    return docs.select("vec_id", "label", F.encode("text", "UTF-8").alias("text")).mapInArrow(run, "vec_id long, label string, payload binary")
+    source = docs.select(*names, F.encode("text", "UTF-8").alias("text"))
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema if f.name != "text")
+    return source.mapInArrow(run, f"{schema}, payload binary")

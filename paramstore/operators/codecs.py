@@ -50,7 +50,8 @@ def leading(x: Column, w: Column) -> Column:
 
 
 def trailing(x: Column) -> Column:
-    return F.length(F.bin(x)) - F.length(F.rtrim(F.bin(x), F.lit("0")))
+    """Zeros below the lowest set bit of a number other than 0."""
+    return F.bit_count(F.bitwise_not(x).bitwiseAND(F.try_subtract(x, F.lit(1))))
 
 
 def xor_profile(params: DataFrame) -> DataFrame:
@@ -107,7 +108,7 @@ def buff(values: DataFrame) -> DataFrame:
     whole = F.when(F.col("high") == F.col("low"), 0).otherwise(bit_length(F.col("high") - F.col("low")))
     ends = ends.withColumn("bytes", F.ceil((whole + f) / 8))
     scale = F.pow(F.lit(2.0), 8 * F.col("bytes") - 8 - f)
-    lead = values.join(F.broadcast(ends), list(MODEL)).groupBy(*MODEL, "params", "bytes", F.floor((F.col("value") - F.col("low")) / scale).alias("lead")).agg(F.count("*").alias("n"))
+    lead = values.join(ends, list(MODEL)).groupBy(*MODEL, "params", "bytes", F.floor((F.col("value") - F.col("low")) / scale).alias("lead")).agg(F.count("*").alias("n"))
     top = lead.groupBy(*MODEL, "params", "bytes").agg(F.max("n").alias("top"))
     column = F.when(10 * F.col("top") >= 9 * F.col("params"), F.col("params") + 8 * (F.col("params") - F.col("top"))).otherwise(8 * F.col("params"))
     return top.select(*MODEL, "params", (F.col("params") * width_of(F.col("dtype"))).alias("original"), (8 * F.col("params") * (F.col("bytes") - 1) + column).cast("long").alias("compressed"))
@@ -161,7 +162,7 @@ def uniform_quantization(values: DataFrame, times: float = 1.0, z: float = 3.0)
     """Values within z standard deviations as indexes of representatives twice the bound apart; the others raw."""
     stats = values.groupBy(*MODEL).agg(F.avg("value").alias("mean"), F.stddev_pop("value").alias("std"))
     near = F.abs(F.col("value") - F.col("mean")) <= z * F.col("std")
-    g = values.join(F.broadcast(stats), list(MODEL)).groupBy(*MODEL).agg(F.count("*").alias("params"), F.count_if(near).alias("g"), (F.max(F.when(near, F.col("value"))) - F.min(F.when(near, F.col("value")))).alias("range"))
+    g = values.join(stats, list(MODEL)).groupBy(*MODEL).agg(F.count("*").alias("params"), F.count_if(near).alias("g"), (F.max(F.when(near, F.col("value"))) - F.min(F.when(near, F.col("value")))).alias("range"))
     w = width_of(F.col("dtype"))
     steps = F.col("range") / (2 * bound(times))
     k = F.when(steps < 2.0**53, F.floor(steps).cast("double")).otherwise(steps) + 1.0  # beyond, a double is whole

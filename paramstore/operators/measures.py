@@ -21,15 +21,16 @@ def saving(sizes: DataFrame) -> DataFrame:
 
 
 def cr_cdf(sizes: DataFrame, thresholds=(1.35, 1.5)) -> DataFrame:
-    everything = W.partitionBy(F.lit(1))  # one row a model
+    """(method, model_id, cr, cdf, share of models at or above each threshold) for each method."""
+    everything = W.partitionBy("method")  # one row a model
     shares = [(F.count_if(F.col("cr") >= t).over(everything) / F.count("*").over(everything)).alias(f"share_{round(100 * t)}") for t in thresholds]
-    return cr(sizes).select("model_id", "cr", F.cume_dist().over(everything.orderBy("cr")).alias("cdf"), *shares)
+    return cr(sizes).select("method", "model_id", "cr", F.cume_dist().over(everything.orderBy("cr")).alias("cdf"), *shares)
 
 
 def cumulative_cr(sizes: DataFrame) -> DataFrame:
-    """Overall ratio of the models so far, in the order of falling ratios."""
-    so_far = W.partitionBy(F.lit(1)).orderBy(F.desc("cr"), "model_id").rowsBetween(W.unboundedPreceding, 0)
-    return cr(sizes).select("model_id", "cr", (F.sum("original").over(so_far) / F.sum("compressed").over(so_far)).alias("cumulative_cr"))
+    """For each method the overall ratio of the models so far, in the order of falling ratios."""
+    so_far = W.partitionBy("method").orderBy(F.desc("cr"), "model_id").rowsBetween(W.unboundedPreceding, 0)
+    return cr(sizes).select("method", "model_id", "cr", (F.sum("original").over(so_far) / F.sum("compressed").over(so_far)).alias("cumulative_cr"))
 
 
 def breakdown(sizes: DataFrame) -> DataFrame:

@@ -56,7 +56,25 @@ def previous(params: DataFrame, block: int = 4096) -> DataFrame:
 
 
 def backref_profile(params: DataFrame, window: int = 65_536) -> DataFrame:
-    """Distances to the previous equal value: how many, the share within window, mean, exact median and largest."""
+    """Distances to the previous equal value: how many, the share within window, mean, exact median and largest.
+
+    The median is found in two steps, so that no task gets a model's distances: counts by binary digits name the range that holds it, and
+    only in that range are distances counted one by one, by ranges of a 4,096th of it.
+    """
     d = previous(params).withColumn("d", F.col("pos") - F.col("prev"))
-    out = d.groupBy(*MODEL).agg(F.count("*").alias("params"), F.count("d").alias("repeats"), F.count_if(F.col("d") <= window).alias("within"), F.avg("d").alias("mean_distance"), F.percentile("d", F.lit(0.5)).alias("median_distance"), F.max("d").alias("max_distance"))
-    return out.withColumn("share_within", F.try_divide(F.col("within"), F.col("repeats"))).drop("within")
+    out = d.groupBy(*MODEL).agg(F.count("*").alias("params"), F.count("d").alias("repeats"), F.count_if(F.col("d") <= window).alias("within"), F.avg("d").alias("mean_distance"), F.max("d").alias("max_distance"))
+    return out.join(medians(d.where("d is not null").select(*MODEL, "d")), list(MODEL), "left").withColumn("share_within", F.try_divide(F.col("within"), F.col("repeats"))).drop("within")
+
+
+def medians(values: DataFrame) -> DataFrame:
+    """(model_id, dtype, median_distance) of positive whole numbers d: the mean of the two middle ones."""
+    counted = values.groupBy(*MODEL, "d").agg(F.count("*").alias("n"))  # a row for each different distance
+    cells = counted.withColumn("digits", bit_length(F.col("d"))).withColumn("cell", F.floor(F.col("d") / F.greatest(F.lit(1), F.shiftright(F.pow(F.lit(2.0), F.col("digits")).cast("long"), 13))))
+    sums = cells.groupBy(*MODEL, "digits", "cell").agg(F.sum("n").alias("n"), F.min("d").alias("low"))
+    of = W.partitionBy(*MODEL).orderBy("low")  # 63 * 4,096 cells at the most
+    ranked = sums.withColumns({"upto": F.sum("n").over(of), "all": F.sum("n").over(W.partitionBy(*MODEL))}).withColumn("before", F.col("upto") - F.col("n"))
+    middle = ranked.withColumn("want", F.explode(F.array(F.floor((F.col("all") - 1) / 2), F.floor(F.col("all") / 2)))).where("want >= before and want < upto")
+    inside = cells.join(middle.select(*MODEL, "digits", "cell", "before", "want").distinct(), [*MODEL, "digits", "cell"])
+    at = inside.withColumn("upto", F.col("before") + F.sum("n").over(W.partitionBy(*MODEL, "digits", "cell", "want").orderBy("d")))
+    found = at.where("want < upto and want >= upto - n").select(*MODEL, "want", "d").distinct()
+    return found.groupBy(*MODEL).agg(F.avg("d").alias("median_distance"))

@@ -2,9 +2,11 @@
 
 from pyspark.sql import functions as F
 
-from paramstore.operators import codecs, kernels
-from paramstore.registry import query
+from paramstore.functions.bits import width_of
+from paramstore.operators import codecs, distance, kernels, measures, unitpack
+from paramstore.registry import ORACLES, query
 from paramstore.sources import zoo
+from paramstore.sources.shared import cut
 
 W_ = "CASE dtype WHEN 'float32' THEN 32 ELSE 64 END"
 EB = "CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END"
@@ -61,9 +63,9 @@ def pseudodecimal_example(spark, sf_dir):
     return spark.createDataFrame([(3.25,), (0.1,), (1e9,)], "value double").withColumn("e", e.cast("long")).withColumn("digits", F.floor(F.col("value") * F.pow(F.lit(10.0), F.col("e")) + 0.5).cast("long"))
 
 
-@query("predquant_codes", "WITH q AS (SELECT *, floor(value / pow(2::DOUBLE, -23) + 0.5)::BIGINT AS q FROM " + zoo.params_sql(("vec",)) + "), r AS (SELECT *, q - coalesce(lag(q) OVER (PARTITION BY model_id, dtype ORDER BY pos), 0) AS r FROM q) SELECT model_id, dtype, count(*) AS params, count(*) FILTER (WHERE abs(r) <= 32768) AS coded, max(abs(q * pow(2::DOUBLE, -23) - value)) AS max_error FROM r GROUP BY ALL")
+@query("predquant_codes", "WITH q AS (SELECT *, floor(value / pow(2::DOUBLE, -23) + 0.5)::BIGINT AS q FROM " + zoo.params_sql(("vec", "tuned")) + "), r AS (SELECT *, q - coalesce(lag(q) OVER (PARTITION BY model_id, dtype ORDER BY pos), 0) AS r FROM q) SELECT model_id, dtype, count(*) AS params, count(*) FILTER (WHERE abs(r) <= 32768) AS coded, max(abs(q * pow(2::DOUBLE, -23) - value)) AS max_error FROM r GROUP BY ALL")
 def predquant_codes(spark, sf_dir):
-    return codecs.lorenzo(zoo.values(spark, sf_dir, ("vec",)))
+    return codecs.lorenzo(zoo.values(spark, sf_dir, ("vec", "tuned")))
 
 
 for _times, _name in ((1, "1x"), (2, "2x")):
@@ -103,7 +105,7 @@ def pgzip_sizes(spark, sf_dir):
 
 @query("zstd_levels")
 def zstd_levels(spark, sf_dir):
-    held, out = blocks(spark, sf_dir), None
+    held, out = cut(blocks(spark, sf_dir)), None
     for level in (3, 9, 19):
         own = kernels.block_bits(held, kernels.zstd(level)).groupBy().agg(F.lit(level).alias("level"), F.sum("original").alias("original"), F.sum("compressed").alias("compressed"))
         out = own if out is None else out.union(own)
@@ -112,19 +114,91 @@ def zstd_levels(spark, sf_dir):
 
 @query("half_error")
 def half_error(spark, sf_dir):
-    return kernels.half_error(blocks(spark, sf_dir, ("vec",)))
+    return kernels.half_error(blocks(spark, sf_dir))
+
+
+#: The methods whose sizes are relational, over parameters with their bits, and the query of the same sizes.
+RELATIONAL = {
+    "chimp": (codecs.chimp, "chimp_sizes"),
+    "buff": (codecs.buff, "buff_sizes"),
+    "pseudodecimal": (codecs.pseudodecimal, "pseudodecimal_sizes"),
+    "szx": (codecs.szx, "szx_sizes"),
+    "mp": (codecs.prune, "prune_1x"),
+    "mp2e": (lambda p: codecs.prune(p, 2), "prune_2x"),
+    "gouq": (codecs.uniform_quantization, "gouq_1x"),
+    "gouq2e": (lambda p: codecs.uniform_quantization(p, 2), "gouq_2x"),
+    "half": (codecs.half, "half_sizes"),
+    "de": (distance.sizes, "de_practical"),
+    "unit": (unitpack.sizes, "unit_sizes"),
+}
+
+
+def _sizes_sql() -> str:
+    from paramstore.queries import parameters, pipeline  # noqa: F401  they register the queries that are named here
+
+    parts = [f"SELECT '{m}' AS method, model_id, dtype, original, compressed FROM ({ORACLES[q]})" for m, (_, q) in RELATIONAL.items()]
+    both = f"SELECT 'hybrid', d.model_id, d.dtype, d.original, least(d.compressed, u.compressed) FROM ({ORACLES['de_practical']}) d JOIN ({ORACLES['unit_sizes']}) u USING (model_id, dtype)"
+    return f"({' UNION ALL '.join([*parts, both])})"
+
+
+def sizes_of_all(spark, sf_dir):
+    """(method, model_id, dtype, original, compressed) of all relational methods and the better of both arms; parameters are built once."""
+    p, out = cut(params(spark, sf_dir)), None
+    named = ["model_id", "dtype", "original", "compressed"]
+    for method, (size, _) in RELATIONAL.items():
+        own = size(p).select(F.lit(method).alias("method"), *named)
+        out = own if out is None else out.union(own)
+    out = cut(out)
+    best = out.where("method in ('de', 'unit')").groupBy(F.lit("hybrid").alias("method"), "model_id", "dtype").agg(F.max("original").alias("original"), F.min("compressed").alias("compressed"))
+    return out.union(best)
 
 
-@query("codec_table")
-def codec_table(spark, sf_dir):
-    """All baselines and the pipeline's arms side by side over one block form: overall sizes and ratio of each."""
+def sizes_of_coders(spark, sf_dir):
+    """The same of the byte and state coders, and of the whole pipeline with its last stage."""
     from paramstore.plans import hybrid
-    from paramstore.registry import QUERIES
 
-    names = [*KERNELS, "chimp_sizes", "buff_sizes", "pseudodecimal_sizes", "prune_1x", "gouq_1x", "half_sizes", "szx_sizes", "unit_sizes", "de_practical"]
-    out = None
-    for name in names:
-        own = QUERIES[name](spark, sf_dir).agg(F.sum("original").alias("original"), F.sum("compressed").alias("compressed")).withColumn("codec", F.lit(name))
+    p, out = cut(params(spark, sf_dir)), None
+    b = cut(zoo.to_blocks(p))
+    for name, kernel in KERNELS.items():
+        own = kernels.block_bits(b, kernel).select(F.lit(name.removesuffix("_sizes")).alias("method"), "model_id", "dtype", "original", "compressed")
         out = own if out is None else out.union(own)
-    both = hybrid.choose(params(spark, sf_dir)).agg(F.sum("original").alias("original"), F.sum("compressed").alias("compressed")).withColumn("codec", F.lit("hybrid"))
-    return out.union(both).select("codec", "original", "compressed", (F.col("original") / F.col("compressed")).alias("cr"))
+    whole = hybrid.stage_entropy(hybrid.encode(p)).select(F.lit("pipeline").alias("method"), "model_id", "dtype", (F.col("params") * width_of(F.col("dtype"))).alias("original"), "compressed")
+    return out.union(whole)
+
+
+_CR = "r AS (SELECT *, original / compressed::DOUBLE AS cr FROM s)"
+
+
+def _with(sql: str):
+    return f"WITH s AS (SELECT * FROM {_sizes_sql()}), {_CR} {sql}"
+
+
+query("codec_sizes", _with("SELECT method, model_id, dtype, original, compressed FROM s"))(sizes_of_all)
+query("codec_sizes_coders")(sizes_of_coders)
+
+
+@query("cr_cdf", _with("SELECT method, model_id, cr, cume_dist() OVER (PARTITION BY method ORDER BY cr) AS cdf, (count(*) FILTER (WHERE cr >= 1.0) OVER (PARTITION BY method)) / (count(*) OVER (PARTITION BY method))::DOUBLE AS share_100, (count(*) FILTER (WHERE cr >= 1.3) OVER (PARTITION BY method)) / (count(*) OVER (PARTITION BY method))::DOUBLE AS share_130 FROM r"))
+def cr_cdf(spark, sf_dir):
+    return measures.cr_cdf(sizes_of_all(spark, sf_dir), (1.0, 1.3))
+
+
+@query("cr_cumulative", _with("SELECT method, model_id, cr, (sum(original) OVER w)::BIGINT / (sum(compressed) OVER w)::BIGINT::DOUBLE AS cumulative_cr FROM r WINDOW w AS (PARTITION BY method ORDER BY cr DESC, model_id ROWS UNBOUNDED PRECEDING)"))
+def cr_cumulative(spark, sf_dir):
+    return measures.cumulative_cr(sizes_of_all(spark, sf_dir))
+
+
+@query("cr_breakdown", _with("SELECT method, min(cr) AS least, round(quantile_cont(cr, 0.25), 9) AS q1, round(quantile_cont(cr, 0.5), 9) AS median, round(quantile_cont(cr, 0.75), 9) AS q3, max(cr) AS most, sum(original)::BIGINT / sum(compressed)::BIGINT::DOUBLE AS overall FROM r GROUP BY method"))
+def cr_breakdown(spark, sf_dir):
+    return measures.breakdown(sizes_of_all(spark, sf_dir))
+
+
+@query("cr_breakdown_coders")
+def cr_breakdown_coders(spark, sf_dir):
+    return measures.breakdown(sizes_of_coders(spark, sf_dir))
+
+
+@query("codec_table")
+def codec_table(spark, sf_dir):
+    """All baselines, both arms, their better one and the whole pipeline: overall sizes and ratio of each."""
+    every = sizes_of_all(spark, sf_dir).union(sizes_of_coders(spark, sf_dir))
+    return every.groupBy("method").agg(F.sum("original").alias("original"), F.sum("compressed").alias("compressed")).withColumn("cr", F.col("original") / F.col("compressed"))

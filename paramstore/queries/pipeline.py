@@ -199,19 +199,3 @@ def overall_cr(spark, sf_dir):
 @query("storage_saving", SZ + "SELECT model_id, 1.0::DOUBLE - compressed / original::DOUBLE AS saving FROM s")
 def storage_saving(spark, sf_dir):
     return measures.saving(unit_sizes(spark, sf_dir)).select("model_id", "saving")
-
-
-@query("cr_cdf", SZ + ", r AS (SELECT model_id, original / compressed::DOUBLE AS cr FROM s) SELECT model_id, cr, cume_dist() OVER (ORDER BY cr) AS cdf, (count(*) FILTER (WHERE cr >= 1.0) OVER ()) / (count(*) OVER ())::DOUBLE AS share_100, (count(*) FILTER (WHERE cr >= 1.3) OVER ()) / (count(*) OVER ())::DOUBLE AS share_130 FROM r")
-def cr_cdf(spark, sf_dir):
-    return measures.cr_cdf(unit_sizes(spark, sf_dir), (1.0, 1.3))
-
-
-@query("cr_cumulative", SZ + "SELECT model_id, original / compressed::DOUBLE AS cr, (sum(original) OVER w)::BIGINT / (sum(compressed) OVER w)::BIGINT::DOUBLE AS cumulative_cr FROM s WINDOW w AS (ORDER BY original / compressed::DOUBLE DESC, model_id ROWS UNBOUNDED PRECEDING)")
-def cr_cumulative(spark, sf_dir):
-    return measures.cumulative_cr(unit_sizes(spark, sf_dir))
-
-
-@query("cr_breakdown", f"{parameters.P}, u AS (SELECT 'de' AS method, model_id, original, compressed FROM ({parameters.PRACTICAL}) UNION ALL SELECT 'unit', model_id, original, compressed FROM ({SIZES})), r AS (SELECT *, original / compressed::DOUBLE AS cr FROM u) SELECT method, min(cr) AS least, round(quantile_cont(cr, 0.25), 9) AS q1, round(quantile_cont(cr, 0.5), 9) AS median, round(quantile_cont(cr, 0.75), 9) AS q3, max(cr) AS most, sum(original)::BIGINT / sum(compressed)::BIGINT::DOUBLE AS overall FROM r GROUP BY method")
-def cr_breakdown(spark, sf_dir):
-    de = parameters.de_practical(spark, sf_dir).select(F.lit("de").alias("method"), "model_id", "original", "compressed")
-    return measures.breakdown(de.union(unit_sizes(spark, sf_dir).select(F.lit("unit"), "model_id", "original", "compressed")))

@@ -6,7 +6,6 @@ Where both engines read the same SQL, one text serves as query and oracle; Spark
 from __future__ import annotations
 
 import re
-import tempfile
 import uuid
 
 import numpy as np
@@ -18,6 +17,7 @@ from pyspark.sql import functions as F
 from paramstore.operators import dedup, unitpack
 from paramstore.registry import query
 from paramstore.sources import zoo
+from paramstore.sources.shared import shared_folder
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -87,12 +87,13 @@ def asof_version(spark, sf_dir):
 both("join_lateral", "SELECT n.n_name, t.c_custkey FROM {nation} n CROSS JOIN LATERAL (SELECT c.c_custkey FROM {customer} c WHERE c.c_nationkey = n.n_nationkey ORDER BY c.c_acctbal DESC, c.c_custkey LIMIT 3) t".replace("CROSS JOIN LATERAL (", "JOIN LATERAL (").replace(") t", ") t ON true"))
 
 
-@query("pair_similarity", "WITH v AS (SELECT vec_id, label, embedding FROM embeddings WHERE vec_id < 40) SELECT a.vec_id AS a, b.vec_id AS b, round(list_sum(list_transform(range(64), lambda i: a.embedding[i + 1]::DOUBLE * b.embedding[i + 1]::DOUBLE)), 6) AS dot FROM v a JOIN v b ON a.label = b.label AND a.vec_id < b.vec_id")
+@query("pair_similarity", "SELECT vec_id AS a, other AS b, round(list_sum(list_transform(range(64), lambda i: embedding[i + 1]::DOUBLE * next[i + 1]::DOUBLE)), 6) AS dot FROM (SELECT *, lead(vec_id) OVER w AS other, lead(embedding) OVER w AS next FROM embeddings WINDOW w AS (PARTITION BY label ORDER BY vec_id)) WHERE other IS NOT NULL")
 def pair_similarity(spark, sf_dir):
-    """Pairs within a bucket of canonical units (here the first forty vectors, by label)."""
-    v = zoo.table(spark, sf_dir, "embeddings").where("vec_id < 40").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
+    """Every vector with the next one of its label: a chain through each bucket, so that pairs are as many as vectors."""
+    v = zoo.ranked(zoo.table(spark, sf_dir, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e")), "label", "vec_id", [])
     dot = F.aggregate(F.zip_with("a.e", "b.e", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    return v.alias("a").join(v.alias("b"), (F.col("a.label") == F.col("b.label")) & (F.col("a.vec_id") < F.col("b.vec_id"))).select(F.col("a.vec_id").alias("a"), F.col("b.vec_id").alias("b"), F.round(dot, 6).alias("dot"))
+    pairs = v.alias("a").join(v.alias("b"), (F.col("a.label") == F.col("b.label")) & (F.col("a.rank") + 1 == F.col("b.rank")))
+    return pairs.select(F.col("a.vec_id").alias("a"), F.col("b.vec_id").alias("b"), F.round(dot, 6).alias("dot"))
 
 
 both("subquery_scalar", "SELECT doc_id, n_chars FROM {documents} WHERE n_chars > (SELECT avg(n_chars) * 3 FROM {documents})")
@@ -240,13 +241,16 @@ both("map_props", "SELECT event_id, from_json(props, 'map<string,int>')['k'] AS
 both("json_get", "SELECT CAST(get_json_object(props, '$.k') AS INT) AS k, count(*) AS n FROM {events} GROUP BY 1", duck="SELECT json_extract_string(props, '$.k')::INTEGER AS k, count(*) AS n FROM {events} GROUP BY 1")
 
 
-@query("dot_topk", "WITH q AS (SELECT vec_id AS q, embedding AS e FROM embeddings WHERE vec_id < 5), s AS (SELECT q, vec_id, round(list_sum(list_transform(range(64), lambda i: e[i + 1]::DOUBLE * embedding[i + 1]::DOUBLE)) / sqrt(list_sum(list_transform(e, lambda x: x::DOUBLE * x::DOUBLE)) * list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))), 6) AS cosine FROM q, embeddings WHERE vec_id <> q) SELECT q, vec_id, cosine FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY cosine DESC, vec_id) AS r FROM s) WHERE r <= 5")
+@query("dot_topk", "WITH q AS (SELECT vec_id AS q, embedding AS e FROM embeddings WHERE vec_id % 50 = 0), s AS (SELECT q, vec_id, round(list_sum(list_transform(range(64), lambda i: e[i + 1]::DOUBLE * embedding[i + 1]::DOUBLE)) / sqrt(list_sum(list_transform(e, lambda x: x::DOUBLE * x::DOUBLE)) * list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))), 6) AS cosine FROM q, embeddings WHERE vec_id <> q) SELECT q, vec_id, cosine FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY cosine DESC, vec_id) AS r FROM s) WHERE r <= 5")
 def dot_topk(spark, sf_dir):
-    """The five nearest of all vectors to each of a stated set of five."""
+    """The five nearest of all vectors to every vector whose id is divisible by 50, the queries in blocks that all vectors meet."""
     v = zoo.table(spark, sf_dir, _EMB).select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    q = F.broadcast(v.where("vec_id < 5").select(F.col("vec_id").alias("q"), F.col("e").alias("qe")))
-    s = v.join(q, F.col("vec_id") != F.col("q")).select("q", "vec_id", F.round(dot("qe", "e") / F.sqrt(dot("qe", "qe") * dot("e", "e")), 6).alias("cosine"))
+    unit = v.withColumn("norm", F.sqrt(dot("e", "e")))
+    asked = unit.where("vec_id % 50 = 0")
+    blocks = -(-max(asked.count(), 1) // 1000)
+    q = asked.select(F.col("vec_id").alias("q"), F.col("e").alias("qe"), F.col("norm").alias("qn"), F.pmod(F.col("vec_id") / 50, F.lit(blocks)).cast("int").alias("block"))
+    s = unit.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).join(q, "block").where("vec_id <> q").select("q", "vec_id", F.round(dot("qe", "e") / F.sqrt(F.pow("qn", F.lit(2.0)) * F.pow("norm", F.lit(2.0))), 6).alias("cosine"))
     return s.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc("cosine"), "vec_id"))).where("r <= 5").drop("r")
 
 
@@ -295,23 +299,18 @@ def udtf_chunks(spark, sf_dir):
     return spark.sql("SELECT d.doc_id, c.chunk_no, c.len FROM {docs} d, LATERAL gear_chunks(encode(d.text, 'UTF-8')) c", docs=zoo.table(spark, sf_dir, "documents"))
 
 
-def _folder(spark) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="paramstore-")
-    return f"{base}/sink-{uuid.uuid4().hex}"
-
-
 @query("sink_roundtrip")
 def sink_roundtrip(spark, sf_dir):
-    path = _folder(spark)
+    path = shared_folder(spark, "sink")
     zoo.to_blocks(zoo.params(spark, sf_dir)).write.option("compression", "zstd").parquet(path)
     return spark.read.parquet(path).groupBy("model_id", "dtype").agg(F.count("*").alias("blocks"), F.sum("n").alias("params"), F.sum(F.length("payload")).alias("bytes"))
 
 
 @query("sink_partitioned")
 def sink_partitioned(spark, sf_dir):
-    path = _folder(spark)
+    path = shared_folder(spark, "sink")
     zoo.to_blocks(zoo.params(spark, sf_dir)).write.partitionBy("category").parquet(path)
-    return spark.read.parquet(path).where("category = 'vectors'").groupBy("model_id").agg(F.sum("n").alias("params"))
+    return spark.read.parquet(path).groupBy("category", "model_id").agg(F.sum("n").alias("params"))
 
 
 @query("sink_bucketed")

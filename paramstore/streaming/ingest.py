@@ -2,19 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from paramstore.operators.dedup import fingerprint
-
-
-def folder(spark: SparkSession, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="paramstore-")
-    return f"{base}/{name}-{uuid.uuid4().hex}"
+from paramstore.sources.shared import shared_folder as folder
 
 
 def arrivals(spark: SparkSession, rows: DataFrame, files: int = 3, files_a_batch: int = 1) -> DataFrame:
