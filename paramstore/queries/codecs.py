@@ -2,11 +2,11 @@
 
 from pyspark.sql import functions as F
 
-from paramstore.functions.bits import width_of
-from paramstore.operators import codecs, distance, kernels, measures, unitpack
+from paramstore.functions.bits import BOUND, width_of
+from paramstore.operators import coders, codecs, distance, kernels, measures, throughput, unitpack
 from paramstore.registry import ORACLES, query
 from paramstore.sources import zoo
-from paramstore.sources.shared import cut
+from paramstore.sources.shared import cut, shared_folder
 
 W_ = "CASE dtype WHEN 'float32' THEN 32 ELSE 64 END"
 EB = "CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END"
@@ -202,3 +202,23 @@ def codec_table(spark, sf_dir):
     """All baselines, both arms, their better one and the whole pipeline: overall sizes and ratio of each."""
     every = sizes_of_all(spark, sf_dir).union(sizes_of_coders(spark, sf_dir))
     return every.groupBy("method").agg(F.sum("original").alias("original"), F.sum("compressed").alias("compressed")).withColumn("cr", F.col("original") / F.col("compressed"))
+
+
+_CODERS = ", ".join(f"('{c}')" for c in coders.CODERS)
+
+
+@query("coder_round_trips", f"SELECT coder, dtype, true AS kept FROM (SELECT DISTINCT dtype FROM {zoo.params_sql()}), (VALUES {_CODERS}) t(coder)")
+def coder_round_trips(spark, sf_dir):
+    """Every coder over all blocks: all bits back for lossless ones, else within the bound (half: its own) inside the unit interval."""
+    tried = coders.round_trips(blocks(spark, sf_dir))
+    bound = F.lit(0.0)
+    for dtype, b in BOUND.items():
+        bound = F.when(F.col("dtype") == dtype, b).otherwise(bound)
+    near = F.col("max_error") <= F.when(F.col("coder") == "half", BOUND["float16"]).otherwise(2 * bound)
+    return tried.select("coder", "dtype", F.when(F.col("coder").isin(*coders.LOSSLESS), F.col("exact")).otherwise(near).alias("kept"))
+
+
+@query("codec_throughput")
+def codec_throughput(spark, sf_dir):
+    """MB/s of all coders, reading and writing included, over the vectors so often again with perturbed values."""
+    return throughput.table(spark, zoo.vector_layers(spark, sf_dir), shared_folder(spark, "speed"))

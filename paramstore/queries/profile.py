@@ -102,9 +102,21 @@ def growth_trend_orders(spark, sf_dir):
     return profile.growth(rows, "month", "o_orderdate").withColumn("period", F.col("period").cast("timestamp_ntz"))
 
 
-@query("growth_projection", f"SELECT period::TIMESTAMP AS period, n, bytes, total_n, total_bytes, total_bytes / 1.52::DOUBLE AS bytes_hybrid, total_bytes / 1.36::DOUBLE AS bytes_packing FROM ({_DAYS})")
+def _projection_sql() -> str:
+    from paramstore.queries import codecs
+
+    ratio = "(SELECT sum(original)::BIGINT / sum(compressed)::BIGINT::DOUBLE FROM s WHERE method = '{}')"
+    return f"WITH s AS (SELECT * FROM {codecs._sizes_sql()}) SELECT period::TIMESTAMP AS period, n, bytes, total_n, total_bytes, total_bytes / {ratio.format('hybrid')} AS bytes_hybrid, total_bytes / {ratio.format('unit')} AS bytes_packing FROM ({_DAYS})"
+
+
+@query("growth_projection", _projection_sql())
 def growth_projection(spark, sf_dir):
-    return profile.growth_projection(event_growth(spark, sf_dir), {"hybrid": 1.52, "packing": 1.36})
+    """What the arrivals would take at the overall ratios that are measured on these tables."""
+    from paramstore.queries import codecs
+
+    rows = codecs.sizes_of_all(spark, sf_dir).where("method in ('hybrid', 'unit')").groupBy("method").agg((F.sum("original") / F.sum("compressed")).alias("cr")).collect()
+    cr = {r.method: r.cr for r in rows}
+    return profile.growth_projection(event_growth(spark, sf_dir), {"hybrid": cr["hybrid"], "packing": cr["unit"]})
 
 
 @query("sample_zoo", P + "SELECT category, model_id, bytes FROM (SELECT *, row_number() OVER (PARTITION BY category ORDER BY sha256(model_id), model_id) AS k FROM m) WHERE k <= CASE category WHEN 'vectors' THEN 6 ELSE 3 END")

@@ -299,6 +299,72 @@ def udtf_chunks(spark, sf_dir):
     return spark.sql("SELECT d.doc_id, c.chunk_no, c.len FROM {docs} d, LATERAL gear_chunks(encode(d.text, 'UTF-8')) c", docs=zoo.table(spark, sf_dir, "documents"))
 
 
+@query("udf_from_bits", "SELECT event_id, value AS back, value::BIT::BIGINT AS bits FROM events")
+def udf_from_bits(spark, sf_dir):
+    """The inverse of udf_bits."""
+    @F.pandas_udf("long")
+    def fp_bits(v: pd.Series) -> pd.Series:
+        return pd.Series(v.to_numpy("float64").view("int64"))
+
+    @F.pandas_udf("double")
+    def fp_from_bits(b: pd.Series) -> pd.Series:
+        return pd.Series(b.to_numpy("int64").view("float64"))
+
+    return zoo.table(spark, sf_dir, "events").select("event_id", fp_bits("value").alias("bits")).withColumn("back", fp_from_bits("bits"))
+
+
+@query("udf_half_bits")
+def udf_half_bits(spark, sf_dir):
+    """Patterns of values cast to 16 bits."""
+    @F.pandas_udf("int")
+    def half_bits(v: pd.Series) -> pd.Series:
+        with np.errstate(over="ignore"):
+            return pd.Series(v.to_numpy("float64").astype(np.float16).view(np.uint16).astype(np.int32))
+
+    return zoo.table(spark, sf_dir, "events").select("event_id", "value", half_bits("value").alias("half"))
+
+
+@query("udtf_unpack", "SELECT vec_id, i, (((1::FLOAT + abs(x)) - 1::FLOAT)::DOUBLE * CASE WHEN signbit(x) THEN -1 ELSE 1 END) AS value FROM (SELECT vec_id, unnest(range(64)) AS i, unnest(embedding) AS x FROM embeddings)")
+def udtf_unpack(spark, sf_dir):
+    """Packed vectors as rows of their values."""
+    from paramstore.functions.bits import values_of
+
+    @F.udtf(returnType="i: bigint, value: double")
+    class Unpack:
+        def eval(self, data: bytes):
+            yield from enumerate(values_of(unitpack.unpack(data, "float32"), "float32").astype(float).tolist())
+
+    @F.pandas_udf("binary")
+    def packed(v: pd.Series) -> pd.Series:
+        return v.map(lambda x: unitpack.pack(np.asarray(x, np.float32).view(np.int32), "float32"))
+
+    spark.udtf.register("unpack_unit", Unpack)
+    vectors = zoo.table(spark, sf_dir, _EMB).select("vec_id", packed("embedding").alias("data"))
+    return spark.sql("SELECT v.vec_id, u.i, u.value FROM {v} v, LATERAL unpack_unit(v.data) u", v=vectors)
+
+
+@query("scan_flat_arrays", "SELECT label, count(*) AS layers, sum(len(embedding))::BIGINT AS params, round(sum(list_sum(list_transform(embedding, lambda x: x::DOUBLE))), 6) AS total FROM embeddings GROUP BY label")
+def scan_flat_arrays(spark, sf_dir):
+    """Flat files of numbers, as weights are kept: written a file for some vectors, read back as binary files with the shape in the name."""
+    from paramstore.sources import flat
+
+    path = shared_folder(spark, "flat")
+    flat.write(zoo.vector_layers(spark, sf_dir).select("layer_id", "dtype", "payload"), path)
+    layers = flat.read(spark, path).withColumn("label", F.regexp_extract("layer_id", "vec:([0-9-]+)[.]", 1).cast("int"))
+    each = layers.select("label", "layer_id", F.posexplode("values").alias("i", "x"))
+    return each.groupBy("label").agg(F.count_distinct("layer_id").alias("layers"), F.count("*").alias("params"), F.round(F.sum("x"), 6).alias("total"))
+
+
+@query("scan_configs", "SELECT event_type, count(*) AS n, count(json_extract_string(props, '$.k')) AS with_k, max(json_extract_string(props, '$.k')::INTEGER) AS most_k FROM events GROUP BY event_type")
+def scan_configs(spark, sf_dir):
+    """Model configurations as JSON lines with a stated schema: what does not parse is null, not an error."""
+    path = shared_folder(spark, "configs")
+    zoo.table(spark, sf_dir, "events").select(F.to_json(F.struct("event_type", F.col("props").alias("config"))).alias("value")).write.text(path)
+    rows = spark.read.schema("event_type string, config string").option("mode", "PERMISSIVE").json(path)
+    k = F.from_json("config", "k int")["k"]
+    return rows.groupBy("event_type").agg(F.count("*").alias("n"), F.count(k).alias("with_k"), F.max(k).alias("most_k"))
+
+
 @query("sink_roundtrip")
 def sink_roundtrip(spark, sf_dir):
     path = shared_folder(spark, "sink")

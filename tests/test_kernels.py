@@ -3,8 +3,11 @@
 import numpy as np
 import pytest
 
-from paramstore.functions.bits import BOUND, VIEW, bits_of, values_of
-from paramstore.operators import accuracy, dedup, distance, kernels, redundancy, similarity, unitpack
+from pyspark.sql import functions as F
+
+from paramstore.functions.bits import BOUND, VIEW, WIDTH, bits_of, values_of, with_bits
+from paramstore.operators import accuracy, coders, dedup, distance, kernels, redundancy, similarity, unitpack
+from paramstore.plans import hybrid
 
 RNG = np.random.default_rng(4)
 ODD = [0.0, -0.0, 1.0, -1.0, 1.5, np.inf, -np.inf, np.nan, 5e-324, 1e-45, 1 - 2.0**-24, 1 - 2.0**-53, 1 - 2.0**-11, -0.25, 0.75]
@@ -112,8 +115,184 @@ def test_two_phase_previous_equals_a_loop(spark):
         last[b] = i
 
 
-def test_degradation_of_one_in_a_thousand(spark):
-    rows = [("m", "x", 0, i, float(i), float(i) + (i == 7)) for i in range(1000)]
-    outs = spark.createDataFrame(rows, "model_id string, method string, input_id long, out_pos long, original double, restored double")
-    assert accuracy.degradation(outs).first().ad == pytest.approx(0.1)
-    assert accuracy.degradation(outs, "topk").first().ad == 0
+def test_degradation_of_one_in_a_thousand():
+    a = np.arange(1000, dtype=np.float32)[None, :]
+    b = a.copy()
+    b[0, 7] += 1
+    assert accuracy.differing(a, b, "bits") == (1, 1000)
+    assert accuracy.differing(a, b, "topk") == (0, 1)
+    assert accuracy.differing(a, b, "cosine") == (1, 1) and accuracy.differing(a, a * 2, "cosine") == (0, 1)
+    assert accuracy.differing(a, -a, "topk") == (1, 1)
+
+
+def test_outputs_differ_against_numpy(spark):
+    rng = np.random.default_rng(2)
+    rows = [(f"m{k % 2}", k // 2, rng.normal(0, 0.2, 16 - 5 * (k == 7)).astype(np.float32)) for k in range(10)]
+    layers = spark.createDataFrame([(m, s, x.tobytes()) for m, s, x in rows], "model_id string, layer_seq long, payload binary")
+    inputs = rng.standard_normal((40, 24)).astype(np.float32)
+    frame = spark.createDataFrame([(("a", "b")[i % 2], x.tobytes()) for i, x in enumerate(inputs)], "task string, payload binary").repartition(3)
+    wide = inputs[:, :16].copy()
+    wide[:, :8] += inputs[:, 16:]
+    for most in (64 << 20, 1):  # all heads in one broadcast, and one for each model
+        groups = list(accuracy.head_groups(layers, ("half", "mp"), most))
+        assert len(groups) == (1 if most > 1 else 2)
+    got = {(r.task, r.method, r.model_id): (r.differ, r.n) for r in accuracy.outputs_differ(frame, layers, {"a": "bits", "b": "topk"}, ("half", "mp"), k=2).collect()}
+    for model in ("m0", "m1"):
+        own = [np.pad(x, (0, 16 - len(x))) for m, _, x in sorted(rows, key=lambda r: r[1]) if m == model]
+        for task, part in (("a", wide[::2]), ("b", wide[1::2])):
+            before, after = part @ np.stack(own).T, part @ np.stack([x.astype(np.float16).astype(np.float32) for x in own]).T
+            if task == "a":
+                assert got[task, "half", model] == ((before != after).sum(), before.size)
+            else:
+                sets = [set(np.argsort(-x, kind="stable")[:2]) for x in before], [set(np.argsort(-x, kind="stable")[:2]) for x in after]
+                assert got[task, "half", model] == (sum(x != y for x, y in zip(*sets, strict=True)), len(part))
+            assert got[task, "mp", model][0] == 0
+
+
+def coder_samples(dtype):
+    with np.errstate(all="ignore"):
+        kinds = [np.array(ODD), RNG.normal(0, 0.3, 1000), RNG.choice([0.1, 0.2, 0.3, 1234.56], 1000), np.zeros(0), np.zeros(300), np.ones(1), RNG.normal(0, 1e4, 700), np.concatenate((ODD, RNG.normal(0, 0.3, 300)))]
+        return [x.astype(VIEW[dtype][0]) for x in kinds]
+
+
+@pytest.mark.parametrize("dtype", ["float16", "float32", "float64"])
+@pytest.mark.parametrize("name", list(coders.CODERS))
+def test_coders_round_trip(name, dtype):
+    encode, decode = coders.CODERS[name]
+    for v in coder_samples(dtype):
+        back = decode(encode(v.tobytes(), dtype), dtype)
+        assert len(back) == v.nbytes
+        if name in coders.LOSSLESS:
+            assert back == v.tobytes()
+        elif name != "half":
+            x, y = v.astype(np.float64), np.frombuffer(back, VIEW[dtype][0]).astype(np.float64)
+            inside = np.abs(x) < 1
+            assert np.abs(x[inside] - y[inside]).max(initial=0.0) <= BOUND[dtype] * (2 if dtype == "float64" else 1)
+
+
+def test_bit_fields():
+    widths = RNG.integers(0, 65, 300)
+    values = np.array([int(RNG.integers(0, 1 << 62)) % (1 << int(w)) for w in widths], np.uint64)
+    data = coders.put(values, widths)
+    text = "".join(format(int(v), "b").zfill(int(w)) if w else "" for v, w in zip(values, widths, strict=True))
+    assert "".join(format(b, "08b") for b in data)[: len(text)] == text
+    assert (coders.take(data, widths) == values).all()
+
+
+def slow_gorilla(bits, w):
+    """Bits of the XOR coder, one value after the other."""
+    total, lead, size = w if len(bits) else 0, None, None
+    for a, b in zip(bits, bits[1:], strict=False):
+        x = a ^ b
+        if not x:
+            total += 1
+            continue
+        leading, trailing = min(w - x.bit_length(), 31), (x & -x).bit_length() - 1
+        if lead is not None and leading >= lead and trailing >= w - lead - size:
+            total += 2 + size
+        else:
+            lead, size = leading, w - leading - trailing
+            total += 13 + size
+    return total
+
+
+@pytest.mark.parametrize("dtype", ["float32", "float64"])
+def test_gorilla_against_a_loop(dtype):
+    for v in coder_samples(dtype):
+        bits = v.view(coders.UNSIGNED[dtype]).tolist()
+        want = slow_gorilla(bits, WIDTH[dtype])
+        assert kernels.gorilla(v.tobytes(), dtype) == want
+        if len(v):
+            head, first, body = coders.split(coders.gorilla_encode(v.tobytes(), dtype))
+            assert 0 <= 8 * len(body) - (want - WIDTH[dtype]) < 8
+
+
+@pytest.mark.parametrize("dtype", ["float32", "float64"])
+def test_predquant_against_a_loop(dtype):
+    """Residuals, one part and one value after the other; the Huffman code by its textbook definition."""
+    v = np.concatenate((RNG.normal(0, 1e-3, 700), [np.inf, 0.0])).astype(VIEW[dtype][0])
+    step, w, q, raw = 2 * BOUND[dtype], WIDTH[dtype], [], 0
+    for x in v.astype(float):
+        fine = np.isfinite(x) and abs(x / step) < 2.0**52
+        raw += not fine
+        q.append(int(np.floor(x / step + 0.5)) if fine else 0)
+    bits = lambda r: sum(abs(x).bit_length() + 1 for x in r)
+    total, codes = raw * w, []
+    for at in range(0, len(q), 256):
+        own = q[at : at + 256]
+        last = [b - a for a, b in zip([q[at - 1] if at else 0, *own], own, strict=False)]
+        x = [i - (len(own) - 1) / 2 for i in range(len(own))]
+        slope = sum(a * b for a, b in zip(x, own, strict=True)) / max(sum(a * a for a in x), 1.0)
+        mean = float(np.mean(own))
+        line = [b - int(np.floor(mean + slope * a + 0.5)) for a, b in zip(x, own, strict=True)]
+        use = bits(line) + 2 * w < bits(last)
+        total += 1 + 2 * w * use
+        codes += line if use else last
+    far = sum(abs(r) > 1 << 15 for r in codes)
+    symbols = [r if abs(r) <= 1 << 15 else (1 << 15) + 1 for r in codes]
+    assert kernels.predquant(v.tobytes(), dtype) == pytest.approx(total + kernels.huffman_bits(np.array(symbols)) + far * w, rel=2e-3)
+
+
+def test_super_features_find_a_changed_layer():
+    data = RNG.integers(0, 256, 4000, dtype=np.uint8)
+    near = data.copy()
+    near[100] ^= 1
+    a, b, c = (similarity.super_features_of(x.tobytes()) for x in (data, near, RNG.integers(0, 256, 4000, dtype=np.uint8)))
+    assert a == similarity.super_features_of(data.tobytes()) and set(a) & set(b) and not set(a) & set(c)
+    tops = [sorted({int(x) for x in similarity.rolling(part)}, reverse=True)[:3] for part in np.array_split(data, 4)]
+    import hashlib
+
+    assert a == [hashlib.sha256(",".join(str(t[k]) for t in tops).encode()).hexdigest() for k in range(3)]
+
+
+def test_sampled_bytes_are_linear_and_exact(spark):
+    import hashlib
+    import time
+
+    payloads = [RNG.integers(0, 256, 200_000, dtype=np.uint8).tobytes() for _ in range(4)]
+    layers = spark.createDataFrame([(str(i), "uint8", p) for i, p in enumerate(payloads)], "layer_id string, dtype string, payload binary")
+    began = time.time()
+    got = {r.layer_id: r.fp for r in similarity.sampled_bytes(layers).collect()}
+    assert time.time() - began < 15
+    assert got == {str(i): hashlib.sha256(p[::32].hex().upper().encode()).hexdigest() for i, p in enumerate(payloads)}
+
+
+def test_median_distances(spark):
+    rows = [("m", "float64", int(x)) for x in RNG.integers(1, 1 << 20, 501)] + [("n", "float64", d) for d in (1, 1, 3, 900)]
+    got = {r.model_id: r.median_distance for r in redundancy.medians(spark.createDataFrame(rows, "model_id string, dtype string, d long")).collect()}
+    assert got == {m: float(np.median([d for k, _, d in rows if k == m])) for m in "mn"}
+
+
+def test_store_with_hot_prints_and_one_label(spark):
+    """Half of all layers are one layer, ids and floats mixed, empty blocks between; everything comes back, and only prints decide."""
+    rows, rng = [], np.random.default_rng(6)
+    for k in range(60):
+        size = (1, 3, 5000, 64)[k % 4]
+        values = np.arange(size, dtype=float) if k % 2 else rng.choice([0.25, -0.5, 7.5, 0.1], size)
+        rows += [(f"m{k % 3}", "c", f"l{k}", k, "int64" if k % 2 else "float64", i, i, float(v)) for i, v in enumerate(values)]
+    frame = with_bits(spark.createDataFrame(rows, "model_id string, category string, layer_id string, layer_seq long, dtype string, layer_pos long, pos long, value double"))
+    layers = hybrid.stage_dedup(frame).collect()
+    groups = {}
+    for r in sorted(layers, key=lambda r: (r.model_id, r.layer_seq)):
+        assert r.canonical == groups.setdefault((r.fp, r.dtype), r.layer_id) and r.copy == (1 if r.canonical == r.layer_id else 2)
+    found = {r.dtype: r for r in hybrid.verify(frame).collect()}
+    assert all(not r.missing and not r.others_differ for r in found.values())
+    assert found["float64"].max_error <= BOUND["float64"] and found["int64"].max_error is None
+    assert sum(r.params for r in found.values()) == len(rows)
+    again = hybrid.stage_dedup(frame.withColumn("layer_id", F.concat("layer_id", F.lit("x"))), hybrid.stage_dedup(frame).where("copy = 1").select("fp", "dtype", "canonical"))
+    assert again.where("copy = 1").count() == 0 and {r.canonical for r in again.collect()} == {r.canonical for r in layers}
+
+
+def test_byte_store_gives_everything_back(spark):
+    payloads = [b"", b"", b"abc" * 1000, b"abc" * 1000, bytes(range(256)), b"x"]
+    layers = spark.createDataFrame([(f"l{i}", "uint8", p) for i, p in enumerate(payloads)], "layer_id string, dtype string, payload binary")
+    stored, refs = hybrid.store_bytes(layers)
+    assert stored.count() == 4 and {r.layer_id: bytes(r.payload) for r in hybrid.restore_bytes(stored, refs).collect()} == {f"l{i}": p for i, p in enumerate(payloads)}
+
+
+def test_choice_by_blocks_is_what_blocks_have(spark):
+    bits = [int(x) for x in RNG.integers(0, 40, 9000)]
+    frame = spark.createDataFrame([("m", "c", "l", 0, "float64", i, i, 0.0, b) for i, b in enumerate(bits)], "model_id string, category string, layer_id string, layer_seq long, dtype string, layer_pos long, pos long, value double, bits long")
+    sized = distance.sizes(frame, segment=4096).first().compressed
+    stream = sum(int(np.frombuffer(distance.encode(np.array(bits[a : a + 4096]), "float64")[8:16], "<i8")[0]) + 64 * len(set(bits[a : a + 4096])) for a in range(0, 9000, 4096))
+    assert sized == stream
