@@ -5,10 +5,11 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from paramstore.functions.bits import VIEW, bit_length, width_of
-from paramstore.operators.redundancy import MODEL, previous
+from paramstore.operators.redundancy import BLOCK, MODEL, before_blocks
 
 LENGTH_BITS, LONGEST = 5, 31
 
@@ -17,26 +18,35 @@ def sizes(params: DataFrame, overhead: bool = True, segment: int | None = None,
     """Per model: params, encoded repeats, original and compressed bits.
 
     overhead False: the bound without flags and lengths. segment: distances stay within segments of so many positions. gain_gate: a
-    repeat is only encoded where that is shorter than the value. Repeats farther than 31 bits can say stay values.
+    repeat is only encoded where that is shorter than the value. Repeats farther than 31 bits can say stay values. Places are dealt out by
+    value and block once; what goes on from there is a row for each different value of a block.
     """
-    rows = previous(params)
-    d = F.col("pos") - F.col("prev")
-    if segment:
-        d = F.when(F.floor(F.col("pos") / segment) == F.floor(F.col("prev") / segment), d)
-    w = width_of(F.col("dtype"))
-    rows = rows.select(*MODEL, w.alias("w"), F.when(d.isNotNull(), bit_length(d)).alias("len"))
-    used = F.col("len").isNotNull() & (F.col("len") <= LONGEST)
-    if gain_gate:
-        used = used & (F.col("len") + LENGTH_BITS < F.col("w"))
-    used = F.coalesce(used, F.lit(False))
+    w, at = width_of(F.col("dtype")), F.floor(F.col("pos") / BLOCK)
     extra = (1, LENGTH_BITS + 1) if overhead else (0, 0)
-    bits = F.when(used, F.col("len") + extra[1]).otherwise(F.col("w") + extra[0])
-    return rows.groupBy(*MODEL).agg(F.count("*").alias("params"), F.count_if(used).alias("repeats"), F.sum("w").alias("original"), F.sum(bits).alias("compressed"))
 
+    def sized(rows: DataFrame, back: str) -> DataFrame:
+        """Repeats and bits of rows whose nearest earlier position is the column back (null: a value)."""
+        d = F.col("pos") - F.col(back)
+        if segment:
+            d = F.when(F.floor(F.col("pos") / segment) == F.floor(F.col(back) / segment), d)
+        rows = rows.withColumn("len", F.when(d.isNotNull(), bit_length(d)))
+        used = F.col("len").isNotNull() & (F.col("len") <= LONGEST)
+        if gain_gate:
+            used = used & (F.col("len") + LENGTH_BITS < w)
+        used = F.coalesce(used, F.lit(False))
+        mine = F.when(used, F.col("len") + extra[1]).otherwise(w + extra[0])
+        return rows.withColumns({"used": used, "mine": mine})
+
+    key = [*MODEL, "bits"]
+    inside = params.select(*key, "pos", at.alias("block")).withColumn("prev", F.lag("pos").over(W.partitionBy(*key, "block").orderBy("pos")))
+    later = F.col("prev").isNotNull()  # a value's first place in a block waits for the blocks before
+    blocks = sized(inside, "prev").groupBy(*key, "block").agg(F.count("*").alias("n"), F.count_if(later & F.col("used")).alias("repeats"), F.coalesce(F.sum(F.when(later, F.col("mine"))), F.lit(0)).alias("bits_in"), F.min("pos").alias("pos"), F.max("pos").alias("last"))
+    firsts = sized(before_blocks(blocks), "link")
+    whole = firsts.groupBy(*MODEL).agg(F.sum("n").alias("params"), (F.sum("repeats") + F.count_if("used")).alias("repeats"), (F.sum("bits_in") + F.sum("mine")).alias("compressed"))
+    return whole.select(*MODEL, "params", "repeats", (F.col("params") * w).alias("original"), "compressed")
 
-def savings_cdf(sizes_: DataFrame, least: float = 0.1) -> DataFrame:
-    from pyspark.sql import Window as W
 
+def savings_cdf(sizes_: DataFrame, least: float = 0.1) -> DataFrame:
     everything = W.partitionBy(F.lit(1))  # one row a model
     saving = 1.0 - F.col("compressed") / F.col("original")
     s = sizes_.withColumn("saving", saving)

@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 from paramstore.functions.bits import bit_length, width_of
 
 MODEL = ("model_id", "dtype")
+#: Positions of a block, and blocks of a super-block.
+BLOCK = 4096
 
 
 def value_counts(params: DataFrame) -> DataFrame:
@@ -36,22 +38,30 @@ def dictionary_whatif(params: DataFrame) -> DataFrame:
     return sized.withColumn("bits", F.col("entries") * w + F.col("repeated") * F.col("code_bits") + (F.col("params") - F.col("repeated")) * w + F.col("params"))
 
 
-def previous(params: DataFrame, block: int = 4096) -> DataFrame:
+def before_blocks(ends: DataFrame) -> DataFrame:
+    """ends (a row for each value and block: model_id, dtype, bits, block, pos, last, and more) with link: the value's last place before the block.
+
+    A value's blocks are sorted in super-blocks of BLOCK blocks, and those by one row each, so that no value's group is large.
+    """
+    key = [*MODEL, "bits"]
+    wide = ends.withColumn("super", F.floor(F.col("block") / BLOCK))
+    near = wide.withColumn("before", F.lag("last").over(W.partitionBy(*key, "super").orderBy("block")))
+    far = wide.groupBy(*key, "super").agg(F.min("pos").alias("pos"), F.max("last").alias("last"))
+    far = far.withColumn("far", F.lag("last").over(W.partitionBy(*key).orderBy("super"))).where("far is not null").select(*key, "pos", "far")
+    return near.join(far, [*key, "pos"], "left").withColumn("link", F.coalesce("before", "far")).drop("before", "far", "super")
+
+
+def previous(params: DataFrame, block: int | None = None) -> DataFrame:
     """params with prev, the nearest earlier position of the same bits in the model; in two phases, so that no value's group is large.
 
     Within blocks of positions the previous one is a window over (model, bits, block). Between blocks only one row a block and value is
     sorted: its first and last position; the last of the block before gives the first one of the block its pointer.
     """
-    at = params.withColumn("block", F.floor(F.col("pos") / block))
+    at = params.withColumn("block", F.floor(F.col("pos") / (block or BLOCK)))
     key = [*MODEL, "bits"]
     inside = at.withColumn("prev", F.lag("pos").over(W.partitionBy(*key, "block").orderBy("pos")))
     ends = at.groupBy(*key, "block").agg(F.min("pos").alias("pos"), F.max("pos").alias("last"))
-    # a value's blocks, in super-blocks of as many blocks again
-    wide = ends.withColumn("super", F.floor(F.col("block") / block))
-    near = wide.withColumn("before", F.lag("last").over(W.partitionBy(*key, "super").orderBy("block")))
-    far = wide.groupBy(*key, "super").agg(F.min("pos").alias("pos"), F.max("last").alias("last"))
-    far = far.withColumn("far", F.lag("last").over(W.partitionBy(*key).orderBy("super"))).select(*key, "pos", "far")
-    links = near.join(far, [*key, "pos"], "left").select(*key, "pos", F.coalesce("before", "far").alias("link")).where("link is not null")
+    links = before_blocks(ends).where("link is not null").select(*key, "pos", "link")
     return inside.join(links, [*key, "pos"], "left").withColumn("prev", F.coalesce("prev", "link")).drop("link", "block")
 
 
