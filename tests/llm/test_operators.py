@@ -212,6 +212,23 @@ def test_surprise_rejects_noise_and_keeps_prose(spark):
     assert all(got[i] for i in range(80)) and not got[1000] and not got[1001]
 
 
+def test_bands_match_brute_force(spark):
+    rng = np.random.default_rng(8)
+    rows = [(lang, int(2**size), float(rng.normal(2, 0.1 if size < 9 else 0.03))) for lang, n in (("en", 400), ("fr", 30)) for size in rng.uniform(6, 12, n)] + [("en", 5, None)]
+    got = quality_rules.bands(spark.createDataFrame(rows, "lang string, n_bytes long, surprise double"), 5.0, 2.0)
+    def of(values):
+        middle = np.sort(values)[max(int(np.ceil(0.5 * len(values))) - 1, 0)]
+        off = np.sort(np.abs(np.array(values) - middle))
+        return middle, 1.4826 * off[max(int(np.ceil(0.5 * len(off))) - 1, 0)]
+    for (lang, octave), band in got.items():
+        own = [round(s, 3) for x, n, s in rows if x == lang and s is not None and n.bit_length() == octave]
+        every = [round(s, 3) for x, n, s in rows if x == lang and s is not None]
+        share = len(own) / (len(own) + quality_rules.PRIOR)
+        middle, spread = (share * a + (1 - share) * b for a, b in zip(of(own), of(every), strict=True))
+        assert band == pytest.approx((middle - 5 * max(spread, 0.02), middle + 2 * max(spread, 0.02)), abs=1e-9)
+    assert {k for k, _ in got} == {"en", "fr"}
+
+
 def test_band_by_both_error_rates(spark):
     sf = "/root/testdata/sf0.01"
     labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
