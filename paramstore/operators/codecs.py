@@ -6,6 +6,8 @@ of the block before, so that no window holds a model.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -158,10 +160,16 @@ def prune(values: DataFrame, times: float = 1.0) -> DataFrame:
     return out.select(*MODEL, "params", (F.col("params") * w).alias("original"), (F.col("params") + F.col("kept") * w).alias("compressed"))
 
 
-def uniform_quantization(values: DataFrame, times: float = 1.0, z: float = 3.0) -> DataFrame:
-    """Values within z standard deviations as indexes of representatives twice the bound apart; the others raw."""
+def uniform_quantization(values: DataFrame, times: float = 1.0, z: float = 3.0, log_density: float | None = None) -> DataFrame:
+    """Values within z standard deviations as indexes of representatives twice the bound apart; the others raw.
+
+    log_density: the cut is where the normal density of the model's mean and spread has this logarithm, instead of at z.
+    """
     stats = values.groupBy(*MODEL).agg(F.avg("value").alias("mean"), F.stddev_pop("value").alias("std"))
-    near = F.abs(F.col("value") - F.col("mean")) <= z * F.col("std")
+    cut = F.lit(z)
+    if log_density is not None:
+        cut = F.sqrt(F.greatest(F.lit(0.0), -2.0 * (F.lit(log_density) + F.ln(F.col("std") * math.sqrt(2 * math.pi)))))
+    near = F.abs(F.col("value") - F.col("mean")) <= cut * F.col("std")
     g = values.join(stats, list(MODEL)).groupBy(*MODEL).agg(F.count("*").alias("params"), F.count_if(near).alias("g"), (F.max(F.when(near, F.col("value"))) - F.min(F.when(near, F.col("value")))).alias("range"))
     w = width_of(F.col("dtype"))
     steps = F.col("range") / (2 * bound(times))

@@ -79,6 +79,12 @@ for _times, _name in ((1, "1x"), (2, "2x")):
         return codecs.uniform_quantization(values(spark, sf_dir), times)
 
 
+@query("gouq_density", P + f", s AS (SELECT model_id, dtype, avg(value) AS mean, stddev_pop(value) AS std, sqrt(greatest(0.0::DOUBLE, -2.0::DOUBLE * (-4.0::DOUBLE + ln(stddev_pop(value) * sqrt(2 * pi()))))) AS z FROM p GROUP BY ALL), g AS (SELECT model_id, dtype, any_value(w) AS w, count(*) AS n, count(*) FILTER (WHERE abs(value - mean) <= z * std) AS g, max(value) FILTER (WHERE abs(value - mean) <= z * std) - min(value) FILTER (WHERE abs(value - mean) <= z * std) AS range FROM p JOIN s USING (model_id, dtype) GROUP BY model_id, dtype) SELECT model_id, dtype, n AS params, n * w AS original, (n + coalesce(least(w, ceil(log2(floor(range / (2 * {EB})) + 1.0))::BIGINT), 0) * g + w * (n - g) + 3 * w)::BIGINT AS compressed FROM g")
+def gouq_density(spark, sf_dir):
+    """Outliers told by the logarithm of their density, below -4."""
+    return codecs.uniform_quantization(values(spark, sf_dir), log_density=-4.0)
+
+
 @query("half_sizes", P + "SELECT model_id, dtype, count(*) AS params, sum(w)::BIGINT AS original, 16 * count(*) AS compressed FROM p GROUP BY ALL")
 def half_sizes(spark, sf_dir):
     return codecs.half(values(spark, sf_dir))
@@ -89,7 +95,7 @@ def szx_sizes(spark, sf_dir):
     return codecs.szx(values(spark, sf_dir))
 
 
-KERNELS = {"gzip_sizes": kernels.gzip(), "zstd_sizes": kernels.zstd(), "gorilla_sizes": kernels.gorilla, "sprintz_adaptive": kernels.sprintz_adaptive, "predquant_sizes": kernels.predquant, "zfp_sizes": kernels.zfp_bits}
+KERNELS = {"gzip_sizes": kernels.gzip(), "zstd_sizes": kernels.zstd(), "gorilla_sizes": kernels.gorilla, "sprintz_adaptive": kernels.sprintz_adaptive, "sprintz_lookup": kernels.sprintz_lookup, "predquant_sizes": kernels.predquant, "zfp_sizes": kernels.zfp_bits}
 for _name, _kernel in KERNELS.items():
 
     @query(_name)

@@ -233,6 +233,24 @@ def test_predquant_against_a_loop(dtype):
     assert kernels.predquant(v.tobytes(), dtype) == pytest.approx(total + kernels.huffman_bits(np.array(symbols)) + far * w, rel=2e-3)
 
 
+@pytest.mark.parametrize("dtype", ["float32", "float64"])
+def test_sprintz_lookup_against_a_loop(dtype):
+    w, half = WIDTH[dtype], 1 << WIDTH[dtype] - 1
+    wrap = lambda x: (x + half) % (2 * half) - half
+    for v in coder_samples(dtype):
+        bits, table, last, z = [wrap(x) for x in v.view(coders.UNSIGNED[dtype]).tolist()], {}, 0, []
+        for a, b in zip(bits, bits[1:], strict=False):
+            slot = ((last % (2 * half)) * 0x9E3779B97F4A7C15 % (1 << 64)) >> 56
+            d = wrap(b - a)
+            r = wrap(d - table.get(slot, 0))
+            table[slot] = last = d
+            z.append(2 * r if r >= 0 else -2 * r - 1)
+        widths = [max(x.bit_length() for x in z[i : i + 8]) for i in range(0, len(z), 8)]
+        header = w.bit_length()
+        want = sum(header + 8 * x for x in widths if x) + sum((header + 16) for i, x in enumerate(widths) if not x and (not i or widths[i - 1]))
+        assert kernels.sprintz_lookup(v.tobytes(), dtype) == (w + want if len(v) else 0)
+
+
 def test_super_features_find_a_changed_layer():
     data = RNG.integers(0, 256, 4000, dtype=np.uint8)
     near = data.copy()
