@@ -61,6 +61,14 @@ def late_audit(spark, sf_dir):
     return kept.agg(F.count("*").alias("windows"), F.sum("n").alias("kept")).join(e.agg(F.count("*").alias("arrived"))).withColumn("late", F.col("arrived") - F.col("kept"))
 
 
+@query("late_observed", "SELECT count(*) AS arrived, max(ts) AS latest, true AS some_late FROM events")
+def late_observed(spark, sf_dir):
+    """Observed counts of the same stream: what arrived in all, the latest time, and whether the state dropped late rows."""
+    hourly = lambda rows: rows.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour").alias("w")).count()
+    seen = ingest.audited(spark, events(spark, sf_dir), hourly)
+    return _ntz(seen.agg(F.sum("arrived").alias("arrived"), F.max("latest").alias("latest"), (F.sum("dropped") > 0).alias("some_late")), "latest")
+
+
 @query("stream_enrich", "SELECT l.quality, count(*) AS n FROM documents d JOIN labels l ON d.doc_id = l.doc_id GROUP BY 1")
 def stream_enrich(spark, sf_dir):
     labels = zoo.table(spark, sf_dir, "labels")

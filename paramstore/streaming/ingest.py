@@ -30,6 +30,18 @@ def replay(spark: SparkSession, rows: DataFrame, transform: Callable[[DataFrame]
     return spark.read.schema(stream.schema).parquet(out)
 
 
+def audited(spark: SparkSession, rows: DataFrame, transform: Callable[[DataFrame], DataFrame], time: str = "ts") -> DataFrame:
+    """(batch, arrived, latest, dropped) of every micro-batch of transform over the stream of rows: what observe() saw arrive, and what came too late for the state."""
+    seen = arrivals(spark, rows).observe("seen", F.count("*").alias("arrived"), F.unix_micros(F.max(time)).alias("latest"))
+    query = transform(seen).writeStream.outputMode("update").foreachBatch(lambda batch, _: batch.write.format("noop").mode("overwrite").save()).option("checkpointLocation", folder(spark, "state")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    out = []
+    for p in query.recentProgress:
+        got = p.observedMetrics.get("seen")
+        out.append((p.batchId, got.arrived if got else 0, got.latest if got else None, sum(x.numRowsDroppedByWatermark for x in p.stateOperators)))
+    return spark.createDataFrame(out, "batch long, arrived long, latest long, dropped long").withColumn("latest", F.timestamp_micros("latest"))
+
+
 def dedup_stream(spark: SparkSession, layers: DataFrame) -> DataFrame:
     """(layer_id, fp, len, stored) of all arrivals: stored is true for the first of each print, over all micro-batches.
 
