@@ -25,6 +25,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections import Counter
 from collections.abc import Iterator
 from typing import NamedTuple
 
@@ -60,7 +61,7 @@ TAG, END, TEXT, BREAK = range(4)
 
 
 class Token(NamedTuple):
-    """kind; node: the hash of the path of the element (the innermost one around a text); value: a text, or an element's name."""
+    """kind; node: the hash of the path of the element (the innermost one around a text); value: a text, or an element's name; depth: elements around it."""
 
     kind: int
     node: int
@@ -68,47 +69,49 @@ class Token(NamedTuple):
     boiler: bool
     article: bool
     link: bool
-    chain: tuple[int, ...]
+    depth: int
 
 
 def parse(text: str) -> Iterator[Token]:
-    """The tokens of a page; BREAK where a block begins or ends. chain: the nodes of the elements around a token, outermost first."""
-    stack: list[tuple[str, int, bool, bool, bool, tuple[int, ...]]] = []
+    """The tokens of a page; BREAK where a block begins or ends."""
+    stack: list[tuple[str, int, bool, bool, bool]] = []
+    is_open: Counter[str] = Counter()
     at, size = 0, len(text)
-    outside = (0, False, False, False, ())
-    node, boiler, article, link, chain = outside
+    outside = (0, False, False, False)
+    node, boiler, article, link = outside
     while at < size:
         m = MARKUP.search(text, at)
         start = m.start() if m else size
         if start > at:
-            yield Token(TEXT, node, text[at:start], boiler, article, link, chain)
+            yield Token(TEXT, node, text[at:start], boiler, article, link, len(stack))
         if not m:
             break
         at = m.end()
         if m[2] is None:
             if m[0].startswith("<![CDATA["):
-                yield Token(TEXT, node, entities.escape(m[0][9:].removesuffix("]]>")), boiler, article, link, chain)
+                yield Token(TEXT, node, entities.escape(m[0][9:].removesuffix("]]>")), boiler, article, link, len(stack))
             continue
         name = m[2].lower()
         if name in BLOCK:
-            yield Token(BREAK, node, name, boiler, article, link, chain)
+            yield Token(BREAK, node, name, boiler, article, link, len(stack))
         if m[1]:
-            for depth in range(len(stack) - 1, -1, -1):
+            for depth in range(len(stack) - 1 if is_open[name] else -1, -1, -1):
                 if stack[depth][0] == name:
-                    yield Token(END, stack[depth][1], name, boiler, article, link, stack[depth][5])
+                    yield Token(END, stack[depth][1], name, boiler, article, link, depth)
+                    is_open.subtract(x[0] for x in stack[depth:])
                     del stack[depth:]
                     break
                 if stack[depth][0] in ("article", "main", "body", "table") and name in ("p", "b", "i", "em", "strong", "a", "span", "li"):
                     break
-            node, boiler, article, link, chain = stack[-1][1:] if stack else outside
+            node, boiler, article, link = stack[-1][1:] if stack else outside
             continue
         if name in CLOSES_P and any(x[0] == "p" for x in stack[-4:]):
-            while stack and stack[-1][0] != "p":
-                stack.pop()
-            stack.pop()
+            while stack[-1][0] != "p":
+                is_open[stack.pop()[0]] -= 1
+            is_open[stack.pop()[0]] -= 1
         elif name == "li" and stack and stack[-1][0] == "li":
-            stack.pop()
-        node, boiler, article, link, chain = stack[-1][1:] if stack else outside
+            is_open[stack.pop()[0]] -= 1
+        node, boiler, article, link = stack[-1][1:] if stack else outside
         marks = " ".join(x for c in CLASSES.findall(m[3]) for x in c if x) if m[3] else ""
         own = xxh64_intdigest(f"{name}.{marks}" if marks else name, node)
         if name in ("header", "h1") and not (marks and BOILER.search(marks)):
@@ -117,15 +120,16 @@ def parse(text: str) -> Iterator[Token]:
             bad = boiler or bool(marks and (OTHER_ARTICLE.search(marks) or article and BOILER.search(marks)))
         else:
             bad = boiler or name in BOILER_TAGS or bool(marks and name not in ("html", "body", *ARTICLE_TAGS) and BOILER.search(marks))
-        yield Token(TAG, own, name, bad, article, link, (*chain, own))
+        yield Token(TAG, own, name, bad, article, link, len(stack))
         if name in RAW:
             close = re.compile(rf"</{name}\b[^>]*(?:>|\Z)", re.IGNORECASE).search(text, at)
             at = close.end() if close else size
             continue
         if name in VOID or m[3].endswith("/") and name not in BLOCK:
             continue
-        node, boiler, article, link, chain = own, bad, article or name in ARTICLE_TAGS and not bad, link or name == "a", (*chain, own)
-        stack.append((name, node, boiler, article, link, chain))
+        node, boiler, article, link = own, bad, article or name in ARTICLE_TAGS and not bad, link or name == "a"
+        stack.append((name, node, boiler, article, link))
+        is_open[name] += 1
 
 
 def number(token: Token) -> int:
@@ -226,16 +230,19 @@ def masses(pages: DataFrame, pool: list[int], most_held: int = 200_000) -> DataF
                 if not known:
                     host, known = POOL, shared
                 own: dict[int, list[int]] = {}
+                around: list[tuple[int, int]] = []  # sections of the template that are open, with their depths
                 whole = 0
                 for token in parse(text or ""):
+                    while around and around[-1][0] >= token.depth and token.kind != END:
+                        around.pop()
                     if token.kind == TAG and token.value in SECTION and not token.boiler and token.node - HALF in known:
-                        own.setdefault(token.node, [0, len(token.chain), 0])[2] += 1
+                        own.setdefault(token.node, [0, token.depth + 1, 0])[2] += 1
+                        around.append((token.depth, token.node))
                     elif token.kind == TEXT and not (token.boiler or token.link or token.value.isspace() or number(token) in known):
                         n = len(token.value)
                         whole += n
-                        for node in token.chain:
-                            if node in own:
-                                own[node][0] += n
+                        for node in {x for _, x in around}:
+                            own[node][0] += n
                 for node, (mass, depth, times) in own.items():
                     if times == 1:  # a section that comes once on the page
                         x = held.setdefault((host, node - HALF), [0, 0, 0, 0])
@@ -283,8 +290,12 @@ def main_text(text: str, known: frozenset[int], order: list[int], inner: frozens
     there = {x.node - HALF for x in tokens if x.kind == TAG}
     container = next((c for c in order if c in there), None)
     any_article = container is None and any(x.kind == TEXT and x.article and not x.boiler and not x.value.isspace() for x in tokens)
-    blocks, block = [], []
-    for token in [*tokens, Token(BREAK, 0, "", False, False, False, ())]:
+    blocks, block, within = [], [], -1  # within: the depth of the container that is open
+    for token in [*tokens, Token(BREAK, 0, "", False, False, False, 0)]:
+        if token.kind != END and token.depth <= within:
+            within = -1
+        if token.kind == TAG and within < 0 and container is not None and token.node - HALF == container:
+            within = token.depth
         if token.kind == BREAK:
             if block:
                 line = " ".join(entities.unescape("".join(block)).split())
@@ -293,7 +304,7 @@ def main_text(text: str, known: frozenset[int], order: list[int], inner: frozens
                 block = []
         elif token.kind == TEXT and not token.boiler:
             if container is not None:
-                own = container + HALF in token.chain and (container in inner or token.value.isspace() or number(token) not in known)
+                own = within >= 0 and (container in inner or token.value.isspace() or number(token) not in known)
             else:
                 own = token.article if any_article else token.value.isspace() or number(token) not in known
             if own:

@@ -754,6 +754,32 @@ def test_template_decides_where_names_say_nothing(spark):
     assert sum(without[i] != texts[i] for i in texts) >= 0.99 * len(texts)
 
 
+def test_pages_of_great_depth_and_size(spark):
+    deep = "<html><body><article><h1>T</h1>" + "<div>x " * 30_000 + "</i>" * 30_000 + "end</article>"
+    long = "<html><body><article>" + "<p>some words here" * 150_000 + "</article><footer>no</footer>"
+    got = {r.page_id: r for r in html_extract.extract(spark.createDataFrame([(1, "http://a.org", deep), (2, "http://b.org", long)], "page_id long, url string, html string")).collect()}
+    assert got[1].text == "T " + "x " * 30_000 + "end" and got[2].text == " ".join(["some words here"] * 150_000)
+
+
+def test_texts_of_several_megabytes(spark):
+    rng = np.random.default_rng(12)
+    words = ["".join(rng.choice(list("abcdefghij"), 6)) for _ in range(3000)]
+    text = " ".join(rng.choice(words, 700_000)) + " token = 'abcdefgh12345678' " + cases.PROSE
+    docs = spark.createDataFrame([(1, text, "en"), (2, cases.PROSE, "en"), (3, text, "en")], "doc_id long, text string, lang string")
+    n, k = len(text.split()), len(cases.PROSE.split())
+    near = {r.doc_id: r.component_id for r in simhash.near_duplicates(docs).collect()}
+    assert near[1] == near[3] == 1 and near[2] == 2
+    assert {r.doc_id: r.n_words for r in quality_rules.verdicts(docs).collect()} == {1: n, 2: k, 3: n}
+    assert [r.n_assign for r in secrets.scan(docs).orderBy("doc_id").collect()] == [1, 0, 1]
+    bench = spark.createDataFrame([(7, cases.PROSE)], "item_id long, text string")
+    assert [r.n_hit for r in decontaminate.scan(docs, bench).orderBy("doc_id").collect()] == [k, k, k]
+    scored = lattice_lm.score(docs, queries.tokenizer_file(VOCABULARY)).collect()
+    assert {r.doc_id: r.n_tokens for r in scored} == {1: n + 1, 2: k + 1, 3: n + 1}
+    assert licenses.scan(docs).where("n_licenses > 0").count() == 0
+    assert all(0 <= r.score <= 1 for r in quality_mil.score(docs, quality_mil.AttentionModel()).collect())
+    assert {r.doc_id: r.tokens for r in mixing.mix(docs, spark.createDataFrame([(1, "a")], "doc_id long, name string"), F.col("name"), {"a": 1.0}).collect()} == {1: n, 2: k, 3: n}
+
+
 def test_pipeline_against_its_operators(spark):
     import corpus_pipeline
 
