@@ -12,7 +12,7 @@ from paramstore.registry import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
 #: Compositions of queries that are tested by themselves; with PARAMSTORE_SLOW=1 they run too.
-SLOW = set() if os.environ.get("PARAMSTORE_SLOW") else {"ablation_shares", "stage_route", "stage_choose_layer", "de_savings", "de_variants", "cr_breakdown", "unpivot_codec", "zstd_levels", "codec_table", "param_duplication_cdf", "prune_2x", "gouq_2x", "fsc_4096_pages", "ablation_full"}
+SLOW = set() if os.environ.get("PARAMSTORE_SLOW") else {"stage_route", "de_savings", "param_duplication_cdf", "unpivot_codec"}
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
