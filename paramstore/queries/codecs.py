@@ -6,7 +6,7 @@ from paramstore.functions.bits import BOUND, width_of
 from paramstore.operators import coders, codecs, distance, kernels, measures, throughput, unitpack
 from paramstore.registry import ORACLES, query
 from paramstore.sources import zoo
-from paramstore.sources.shared import cut, shared_folder
+from paramstore.sources.shared import cut, kept, shared_folder
 
 W_ = "CASE dtype WHEN 'float32' THEN 32 ELSE 64 END"
 EB = "CASE dtype WHEN 'float32' THEN pow(2::DOUBLE, -24) ELSE pow(2::DOUBLE, -53) END"
@@ -111,7 +111,7 @@ def pgzip_sizes(spark, sf_dir):
 
 @query("zstd_levels")
 def zstd_levels(spark, sf_dir):
-    held, out = cut(blocks(spark, sf_dir)), None
+    held, out = kept(blocks(spark, sf_dir)), None
     for level in (3, 9, 19):
         own = kernels.block_bits(held, kernels.zstd(level)).groupBy().agg(F.lit(level).alias("level"), F.sum("original").alias("original"), F.sum("compressed").alias("compressed"))
         out = own if out is None else out.union(own)
@@ -149,7 +149,7 @@ def _sizes_sql() -> str:
 
 def sizes_of_all(spark, sf_dir):
     """(method, model_id, dtype, original, compressed) of all relational methods and the better of both arms; parameters are built once."""
-    p, out = cut(params(spark, sf_dir)), None
+    p, out = kept(params(spark, sf_dir)), None
     named = ["model_id", "dtype", "original", "compressed"]
     for method, (size, _) in RELATIONAL.items():
         own = size(p).select(F.lit(method).alias("method"), *named)
@@ -163,8 +163,8 @@ def sizes_of_coders(spark, sf_dir):
     """The same of the byte and state coders, and of the whole pipeline with its last stage."""
     from paramstore.plans import hybrid
 
-    p, out = cut(params(spark, sf_dir)), None
-    b = cut(zoo.to_blocks(p))
+    p, out = kept(params(spark, sf_dir)), None
+    b = kept(zoo.to_blocks(p))
     for name, kernel in KERNELS.items():
         own = kernels.block_bits(b, kernel).select(F.lit(name.removesuffix("_sizes")).alias("method"), "model_id", "dtype", "original", "compressed")
         out = own if out is None else out.union(own)

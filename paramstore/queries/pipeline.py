@@ -7,6 +7,7 @@ from paramstore.plans import hybrid
 from paramstore.queries import parameters
 from paramstore.registry import query
 from paramstore.sources import zoo
+from paramstore.sources.shared import kept
 
 VALUES = zoo.params_sql()
 _IN = "(value > -1 AND value < 1 AND CASE dtype WHEN 'float32' THEN (1::FLOAT + abs(value)::FLOAT) < 2 ELSE (1::DOUBLE + abs(value)) < 2 END)"
@@ -97,7 +98,8 @@ STORE = f"WITH q AS (SELECT * FROM {_ALL}), a AS (SELECT model_id, layer_id, lay
 
 
 def all_params(spark, sf_dir):
-    return zoo.params(spark, sf_dir, FAMILIES)
+    """Written once: prints, offsets, sizes and blocks all start from them."""
+    return kept(zoo.params(spark, sf_dir, FAMILIES))
 
 
 @query("stage_dedup", STORE + "SELECT model_id, count(*) AS layers, count(*) FILTER (WHERE copy = 1) AS stored, sum(n * w)::BIGINT AS original, sum(CASE WHEN copy = 1 THEN n * w ELSE 256 END)::BIGINT AS compressed FROM b GROUP BY 1")

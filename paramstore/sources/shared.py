@@ -34,3 +34,10 @@ def shared_folder(spark: SparkSession, name: str) -> str:
     where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
     return path
+
+
+def kept(df: DataFrame) -> DataFrame:
+    """df written once as Parquet in a shared folder and read from there: for rows that a plan uses many times over."""
+    path = shared_folder(df.sparkSession, "kept")
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
