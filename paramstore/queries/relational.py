@@ -265,6 +265,18 @@ def sql_surface(spark, sf_dir):
     return spark.sql("SELECT count(*) AS n, sum(unit_mantissa(x)) AS codes FROM (SELECT explode(embedding) AS x FROM {e})", e=zoo.table(spark, sf_dir, _EMB))
 
 
+@query("sql_functions", "SELECT event_id, code, (code & 4503599627370495) / 4503599627370496::DOUBLE * CASE WHEN code & 4503599627370496 <> 0 THEN -1 ELSE 1 END AS back, (6 + length(bin(event_id + 1)))::BIGINT AS bits FROM (SELECT event_id, (((1::DOUBLE + abs(value)) - 1::DOUBLE) * 4503599627370496)::BIGINT + CASE WHEN value < 0 THEN 4503599627370496 ELSE 0 END AS code FROM events WHERE value > -1 AND value < 1)")
+def sql_functions(spark, sf_dir):
+    """Packing, unpacking and the size of a distance as SQL functions of one session, expanded to plain expressions."""
+    for body in (
+        "unit_code(x DOUBLE) RETURNS BIGINT RETURN CAST(((1D + abs(x)) - 1D) * 4503599627370496D AS BIGINT) + CASE WHEN x < 0 THEN 4503599627370496 ELSE 0 END",
+        "unit_value(c BIGINT) RETURNS DOUBLE RETURN (c & 4503599627370495) / 4503599627370496D * CASE WHEN (c & 4503599627370496) <> 0 THEN -1 ELSE 1 END",
+        "distance_bits(d BIGINT) RETURNS BIGINT RETURN CAST(6 + length(bin(d)) AS BIGINT)",
+    ):
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {body}")
+    return spark.sql("SELECT event_id, unit_code(value) AS code, unit_value(unit_code(value)) AS back, distance_bits(event_id + 1) AS bits FROM {e} WHERE value > -1 AND value < 1", e=zoo.table(spark, sf_dir, "events"))
+
+
 @query("udf_bits", "SELECT event_id, value::BIT::BIGINT AS bits FROM events")
 def udf_bits(spark, sf_dir):
     @F.pandas_udf("long")

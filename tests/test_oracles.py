@@ -1,7 +1,6 @@
 """Every query with SQL against DuckDB on the smallest tables: columns, rows and values."""
 
 import math
-import os
 
 import duckdb
 import numpy as np
@@ -11,8 +10,6 @@ import paramstore.queries  # noqa: F401
 from paramstore.registry import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
-#: Compositions of queries that are tested by themselves; with PARAMSTORE_SLOW=1 they run too.
-SLOW = set() if os.environ.get("PARAMSTORE_SLOW") else {"stage_route", "de_savings", "param_duplication_cdf", "unpivot_codec"}
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
@@ -35,7 +32,7 @@ def plain(v):
     return v.isoformat() if hasattr(v, "isoformat") else str(v)
 
 
-@pytest.mark.parametrize("name", sorted(set(ORACLES) - SLOW))
+@pytest.mark.parametrize("name", sorted(ORACLES))
 def test_query_equals_its_oracle(spark, duck, name):
     frame = QUERIES[name](spark, SF)
     columns = sorted(frame.columns)
@@ -72,7 +69,7 @@ HOLDS = {
 }
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - SLOW))
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
 def test_other_queries_hold(spark, name):
     rows = QUERIES[name](spark, SF).collect()
     assert rows and all(map(HOLDS.get(name, lambda r: True), rows))
