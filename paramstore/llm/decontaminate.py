@@ -14,7 +14,6 @@ for one. Empty tables give empty results or uncontaminated rows.
 
 from __future__ import annotations
 
-import hashlib
 from collections import defaultdict
 from collections.abc import Iterator
 from itertools import chain
@@ -35,6 +34,16 @@ def words_of(raw: bytes) -> list[bytes]:
     return raw.translate(FOLD).split()
 
 
+def window_hashes(ids: np.ndarray, size: int, starts: np.ndarray | None = None) -> np.ndarray:
+    """64-bit hashes of the windows of size word numbers that begin at starts (at every place)."""
+    starts = np.arange(max(len(ids) - size + 1, 0)) if starts is None else starts
+    h = np.zeros(len(starts), np.uint64)
+    with np.errstate(over="ignore"):
+        for k in range(size if len(starts) else 0):
+            h = (h ^ (h >> np.uint64(29))) * FACTOR + ids[starts + k]
+    return h
+
+
 class Windows:
     """The test windows, ready to be found in lists of words."""
 
@@ -47,15 +56,7 @@ class Windows:
             for at in range(len(words) - size + 1 if words else 0):
                 found[size][tuple(words[at : at + size])].add(item)
         self.exact = {size: dict(x) for size, x in found.items()}
-        self.sorted = {size: np.unique(np.concatenate([self.hashes(np.array(w, np.uint64), size) for w in x])) for size, x in self.exact.items()}
-
-    @staticmethod
-    def hashes(ids: np.ndarray, size: int) -> np.ndarray:
-        n, out = len(ids) - size + 1, np.zeros(max(len(ids) - size + 1, 0), np.uint64)
-        with np.errstate(over="ignore"):
-            for k in range(size if n > 0 else 0):
-                out = (out ^ (out >> np.uint64(29))) * FACTOR + ids[k : k + n]
-        return out
+        self.sorted = {size: np.unique(np.concatenate([window_hashes(np.array(w, np.uint64), size) for w in x])) for size, x in self.exact.items()}
 
     def scan(self, words: list[bytes]) -> tuple[np.ndarray | None, set[str]]:
         """Which words are hit (None: none) and the items that occur."""
@@ -72,10 +73,7 @@ class Windows:
             starts = np.flatnonzero(run[size:] - run[:-size] == size)
             if not len(starts):
                 continue
-            h = np.zeros(len(starts), np.uint64)
-            with np.errstate(over="ignore"):
-                for k in range(size):
-                    h = (h ^ (h >> np.uint64(29))) * FACTOR + ids[starts + k]
+            h = window_hashes(ids, size, starts)
             at = np.searchsorted(table, h)
             at[at == len(table)] = 0
             for i in starts[table[at] == h].tolist():

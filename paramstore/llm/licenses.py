@@ -24,10 +24,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from paramstore.llm.common import Held, per_batch, raw_texts, texts_of
-from paramstore.llm.decontaminate import words_of
+from paramstore.llm.decontaminate import FACTOR, window_hashes, words_of
 
 SHINGLE = 5
-FACTOR = np.uint64(0x9E3779B97F4A7C15)
 
 #: Public license texts and notices, as they stand in files.
 TEMPLATES = {
@@ -88,16 +87,9 @@ class Templates:
                 by_length[1 << (len(words) - 1).bit_length()].append(k)
         self.short = dict(short)
         self.classes = {n: (own, self._table(own)) for n, own in by_length.items()}
-        long = [self.hashes(np.array(x, np.uint64), shingle) for own, _ in self.classes.values() for k in own for x in self.shingles[k]]
+        long = [window_hashes(np.array(x, np.uint64), shingle) for own, _ in self.classes.values() for k in own for x in self.shingles[k]]
         self.all = np.unique(np.concatenate(long)) if long else np.zeros(0, np.uint64)
 
-    def hashes(self, ids: np.ndarray, size: int) -> np.ndarray:
-        n, out = len(ids) - size + 1, np.zeros(max(len(ids) - size + 1, 0), np.uint64)
-        with np.errstate(over="ignore"):
-            for k in range(size if n > 0 else 0):
-                out = (out ^ (out >> np.uint64(29))) * FACTOR + ids[k : k + n]
-        return out
-
     def bands_of(self, h: np.ndarray) -> list[int]:
         """Keys of the bands of a set of shingle hashes."""
         low = mixed(h[:, None], self.seeds[None, :]).min(axis=0).reshape(self.bands, self.rows).tolist()
@@ -106,7 +98,7 @@ class Templates:
     def _table(self, own: list[int]) -> dict[int, list[int]]:
         table: dict[int, list[int]] = defaultdict(list)
         for k in own:
-            h = np.unique(np.concatenate([self.hashes(np.array(s, np.uint64), self.shingle) for s in self.shingles[k]]))
+            h = np.unique(np.concatenate([window_hashes(np.array(s, np.uint64), self.shingle) for s in self.shingles[k]]))
             for key in self.bands_of(h):
                 table[key].append(k)
         return dict(table)
@@ -133,10 +125,7 @@ class Templates:
                         keep(k, len(near & self.shingles[k]) / len(self.shingles[k]), a, b)
         size = self.shingle
         whole = np.flatnonzero(known[size:] - known[:-size] == size) if len(ids) >= size else np.zeros(0, np.int64)
-        h = np.zeros(len(whole), np.uint64)
-        with np.errstate(over="ignore"):
-            for k in range(size):
-                h = (h ^ (h >> np.uint64(29))) * FACTOR + ids[whole + k]
+        h = window_hashes(ids, size, whole)
         at = np.minimum(np.searchsorted(self.all, h), max(len(self.all) - 1, 0))
         own_ = self.all[at] == h if len(self.all) else np.zeros(len(h), bool)
         places, h = whole[own_], h[own_]  # the text's shingles that some template has

@@ -17,7 +17,6 @@ come. An empty table gives a folder without rows.
 from __future__ import annotations
 
 import json
-import re
 import zlib
 from pathlib import Path
 
