@@ -13,6 +13,11 @@ exponent (a rank r, as vocabularies of merges have it, scores -log(r + 10)), nor
 word_score is the same text under the words that were counted: (c + M * lattice) / (N + M), c the word's count in N training tokens and
 the lattice the base measure of a Dirichlet prior of strength M, the number of different training words.
 
+fitted_score has two things more that are learnt. The pieces' probabilities are fitted to the training words, each different word once,
+by `FITS` rounds of expectation-maximisation over the same lattices, from the chosen exponent on (a word that a text brings new is like
+the words that were new once). And a word's lattice has one arc more, the whole word as it was counted: the arc and the paths of pieces
+weigh as in word_score.
+
 Corpus counts. Spark counts every word of every text; nothing is pruned. The most frequent words, `most_words` at the most, go to the
 workers as one broadcast; occurrences of all other words are joined to the counted words by a shuffle, so scores are exact at any
 size of the corpus. The lattice of a word is summed once, where it has been counted.
@@ -37,6 +42,8 @@ MARK = 0x20  # stands for the word mark: words hold no blanks
 FACTOR = np.uint64(0x9E3779B97F4A7C15)
 #: The exponents that training texts choose from.
 EXPONENTS = (0.5, 0.7, 0.9, 1.1, 1.3)
+#: Rounds of expectation-maximisation, and what each piece counts besides what is expected of it.
+FITS, LEAST = 2, 0.1
 
 
 class Pieces:
@@ -183,6 +190,46 @@ def long_word(model: Pieces, word: bytes, row: int = 0, block: int = 1024) -> fl
     return float(alpha[len(text)])
 
 
+def expected(model: Pieces, words: list[bytes], longest: int = 1024) -> np.ndarray:
+    """How often each piece stands in the segmentations of words, each weighed by its probability; of longer words block by block."""
+    out = np.zeros(model.logp.shape[1])
+    texts = [bytes([MARK]) + w for w in words]
+    blocks = [t[at : at + longest] for t in texts for at in range(0, len(t), longest)]
+    marked = [b[1:] for b in blocks if b[0] == MARK]  # words hold no marks
+    rest = [(None, np.frombuffer(b, np.uint8)[None, :]) for b in blocks if b[0] != MARK]
+    for _, rows in [*by_length(marked), *rest]:
+        arcs, size = model.arcs(rows), rows.shape[1]
+        before, logp = model.forward(rows, 0, arcs), model.logp[0]
+        after = np.full((size + 1, len(rows)), -np.inf)
+        after[size] = 0.0
+        for i, j, own, numbers in reversed(arcs):
+            on = after[j, own] + logp[numbers]
+            after[i, own] = np.logaddexp(after[i, own], on)
+            out += np.bincount(numbers, np.exp(before[i, own] + on - before[size, own]), minlength=len(out))
+    return out
+
+
+def fitted(words: DataFrame, pieces: list[bytes], logp: np.ndarray, rounds: int = FITS) -> np.ndarray:
+    """The pieces' log probabilities after rounds over the training words of words (word, c)."""
+    source = words.where("c > 0").select("word")
+    for _ in range(rounds):
+        held = words.sparkSession.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
+
+        def run(batches, held=held):
+            out = np.zeros(len(pieces))
+            for batch in gathered(batches, 50_000):
+                out += expected(held.value.get(), raw_texts(batch.column(0)))
+            seen = np.flatnonzero(out)
+            yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(out[seen])], ["piece", "times"])
+
+        times = np.full(len(pieces), LEAST)
+        got = source.mapInArrow(run, "piece long, times double").groupBy("piece").agg(F.sum("times").alias("times")).toArrow()  # a row for each piece
+        times[got.column(0).to_numpy()] += got.column(1).to_numpy()
+        logp = np.log(times / times.sum())
+        held.destroy()
+    return logp
+
+
 def count_words(docs: DataFrame, id_col: str, text_col: str, folds: int, most_held: int = 300_000) -> DataFrame:
     """(word, n, c): occurrences in all texts, and in the training texts, of every different word."""
     source = docs.select(F.col(text_col).alias("text"), (bucket(F.col(id_col), folds) != 0).alias("train"))
@@ -219,39 +266,41 @@ def frequent(words: DataFrame, most_words: int) -> int:
     return least
 
 
-def lattices(counted: DataFrame, pieces: list[bytes], logp: np.ndarray) -> DataFrame:
-    """counted with l0, l1, ...: log10 of each word's lattice under each row of logp."""
+def lattices(counted: DataFrame, pieces: list[bytes], logp: np.ndarray, name: str = "l") -> DataFrame:
+    """counted (word first) with l0, l1, ...: log10 of each word's lattice under each row of logp."""
     held = counted.sparkSession.sparkContext.broadcast(Held(_pieces, (pieces, logp)))
-    names = [*counted.columns, *[f"l{i}" for i in range(len(logp))]]
+    names = [*counted.columns, *[f"{name}{i}" for i in range(len(logp))]]
 
     def run(batches):
         for batch in gathered(batches, 50_000):
             sums = word_log10(held.value.get(), raw_texts(batch.column(0)))
             yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(np.ascontiguousarray(sums[:, i])) for i in range(sums.shape[1])]], names)
 
-    return counted.mapInArrow(run, ", ".join(f"{c} {'binary' if c == 'word' else 'double' if c[0] == 'l' else 'long'}" for c in names))
+    return counted.mapInArrow(run, ", ".join(f"{c} {'binary' if c == 'word' else 'long' if c in ('n', 'c') else 'double'}" for c in names))
 
 
 def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_col: str = "text", folds: int = 10, k: float = 0.1, most_words: int = 300_000, exponents=EXPONENTS) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, word_score, exponent of every row; rows with crc32(id) % folds = 0 are held out."""
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, word_score, fitted_score, exponent of every row; rows with crc32(id) % folds = 0 are held out."""
     spark = docs.sparkSession
     texts = docs.where(bucket(F.col(id_col), folds) != 0).count()
     pieces, scores = read_vocabulary(vocabulary_file)
-    every = cut(lattices(count_words(docs, id_col, text_col, folds), pieces, weights(scores, exponents)))
+    rows_of = weights(scores, exponents)
+    every = cut(lattices(count_words(docs, id_col, text_col, folds), pieces, rows_of))
     sums = every.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count_if(F.col("c") > 0).alias("v"), *[F.coalesce(F.sum(F.col("c") * F.col(f"l{i}")), F.lit(0.0)).alias(f"l{i}") for i in range(len(exponents))]).first()
     best = max(range(len(exponents)), key=lambda i: (sums[f"l{i}"], -i))
     n, v, m = sums.n + texts, sums.v + (texts > 0), max(sums.v, 1)
     ends = (texts + 0.5) / (n + 1.0)
     goes_on = math.log10(1.0 - ends)
-    words = every.select("word", "n", "c", (F.col(f"l{best}") + goes_on).alias("lattice"))
+    own = every.select("word", "n", "c", (F.col(f"l{best}") + goes_on).alias("lattice"))
+    words = cut(lattices(own, pieces, fitted(every, pieces, rows_of[best])[None, :], "fit").withColumn("fit", F.col("fit0") + goes_on).drop("fit0"))
     least = frequent(words, most_words)
-    head = words.where(F.col("n") >= least).select("word", "c", "lattice").toArrow()  # most_words rows at most
-    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), head.column(1).to_numpy(), head.column(2).to_numpy(), k, n, v, m)))
+    head = words.where(F.col("n") >= least).select("word", "c", "lattice", "fit").toArrow()  # most_words rows at most
+    known = spark.sparkContext.broadcast(Held(_dictionary, (b"\n".join(head.column(0).to_pylist()), *[head.column(i).to_numpy() for i in (1, 2, 3)], k, n, v, m)))
     floor = n + k * (v + 1)
-    end = np.array([float(texts > 0), math.log10((texts + k) / floor), math.log10(ends), math.log10((texts + m * ends) / (n + m))])
+    end = np.array([float(texts > 0), math.log10((texts + k) / floor), math.log10(ends), *[math.log10((texts + m * ends) / (n + m))] * 2])
     source = docs.select(F.col(id_col).alias("doc_id"), row_key(id_col, text_col).alias("key"), (bucket(F.col(id_col), folds) == 0).alias("held_out"), F.col(text_col).alias("text"))
     kind = source.schema["doc_id"].dataType.simpleString()
-    values = ["known", "base", "lattice", "counted"]  # of a token; for a text their sums
+    values = ["known", "base", "lattice", "counted", "fitted"]  # of a token; for a text their sums
 
     def one_pass(batch: pa.RecordBatch) -> pa.RecordBatch:
         place, table = known.value.get()
@@ -270,12 +319,13 @@ def score(docs: DataFrame, vocabulary_file: str, id_col: str = "doc_id", text_co
     rows = cut(source.mapInArrow(per_batch(one_pass), f"doc_id {kind}, key {KEY}, held_out boolean, n_tokens long, {', '.join(f'{c} double' for c in values)}, rest array<binary>, times array<long>"))
     rare = rows.where(F.size("rest") > 0).select("key", F.posexplode(F.arrays_zip("rest", "times")).alias("i", "x")).select("key", "i", F.col("x.rest").alias("word"), F.col("x.times").alias("t"))
     c, lattice = F.col("c"), F.col("lattice")
-    each = [F.when(c > 0, 1.0).otherwise(0.0), F.log10((c + k) / floor), lattice, F.when(c > 0, F.log10(c + m * F.pow(F.lit(10.0), lattice))).otherwise(math.log10(m) + lattice) - math.log10(n + m)]
+    with_word = lambda paths: F.when(c > 0, F.log10(c + m * F.pow(F.lit(10.0), paths))).otherwise(math.log10(m) + paths) - math.log10(n + m)
+    each = [F.when(c > 0, 1.0).otherwise(0.0), F.log10((c + k) / floor), lattice, with_word(lattice), with_word(F.col("fit"))]
     weighed = rare.join(words, "word").select("key", "i", *[(F.col("t") * e).alias(f"x_{name}") for name, e in zip(values, each, strict=True)])
     of_row = weighed.groupBy("key").agg(F.count_if(F.col("i") == 0).alias("copies"), *[F.sum(f"x_{name}").alias(f"x_{name}") for name in values])
     full = rows.drop("rest", "times").join(of_row, "key", "left")
     total = {name: F.col(name) + F.coalesce(F.col(f"x_{name}") / F.col("copies"), F.lit(0.0)) for name in values}  # the same row twice was summed twice
-    return full.select("doc_id", "held_out", "n_tokens", F.round(total["known"]).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total["base"].alias("base_score"), total["lattice"].alias("score"), total["counted"].alias("word_score"), F.lit(float(exponents[best])).alias("exponent"))
+    return full.select("doc_id", "held_out", "n_tokens", F.round(total["known"]).cast("long").alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), total["base"].alias("base_score"), total["lattice"].alias("score"), total["counted"].alias("word_score"), total["fitted"].alias("fitted_score"), F.lit(float(exponents[best])).alias("exponent"))
 
 
 def _pieces(payload):
@@ -283,9 +333,9 @@ def _pieces(payload):
 
 
 def _dictionary(payload):
-    """Places of the words, and what a token of each adds: known, base, the lattice's and the counted log10 probability."""
-    blob, c, lattice, k, n, v, m = payload
+    """Places of the words, and what a token of each adds: known, base, the lattice's, the counted and the fitted log10 probability."""
+    blob, c, lattice, fit, k, n, v, m = payload
     c = c.astype(np.float64)
-    counted = np.where(c > 0, np.log10(np.maximum(c + m * 10.0**lattice, 1e-300)), math.log10(m) + lattice) - math.log10(n + m)
+    counted, fits = (np.where(c > 0, np.log10(np.maximum(c + m * 10.0**x, 1e-300)), math.log10(m) + x) - math.log10(n + m) for x in (lattice, fit))
     words = blob.split(b"\n") if len(c) else []
-    return {w: i for i, w in enumerate(words)}, np.column_stack([c > 0, np.log10((c + k) / (n + k * (v + 1))), lattice, counted])
+    return {w: i for i, w in enumerate(words)}, np.column_stack([c > 0, np.log10((c + k) / (n + k * (v + 1))), lattice, counted, fits])
