@@ -314,3 +314,39 @@ def test_choice_by_blocks_is_what_blocks_have(spark):
     sized = distance.sizes(frame, segment=4096).first().compressed
     stream = sum(int(np.frombuffer(distance.encode(np.array(bits[a : a + 4096]), "float64")[8:16], "<i8")[0]) + 64 * len(set(bits[a : a + 4096])) for a in range(0, 9000, 4096))
     assert sized == stream
+
+
+def test_best_sets_are_compared_as_if_sorted():
+    """Ties by place, infinite and missing outputs, fewer outputs than k."""
+    rng = np.random.default_rng(8)
+    top = lambda x, k: np.sort(np.argsort(-x, axis=1, kind="stable")[:, :k], axis=1)
+    for width, k in ((3, 5), (5, 5), (40, 5), (200, 1)):
+        a = rng.integers(0, 6, (500, width)).astype(np.float32)
+        b = a + (rng.random(a.shape) < 0.02)
+        a[::50, 0], b[::40, 1], a[::70, 2] = np.nan, -np.inf, np.inf
+        assert accuracy.differing(a, b, "topk", k) == (int((top(a, k) != top(b, k)).any(axis=1).sum()), 500)
+
+
+def test_restored_rows_equal_single_vectors():
+    rng = np.random.default_rng(9)
+    for width in (1, 6, 64):
+        rows = (rng.standard_normal((50, width)) * rng.choice([1e-9, 0.1, 3.0], (50, 1))).astype(np.float32)
+        rows[3], rows[4, 0] = 0, 1.0
+        for method in accuracy.METHODS:
+            assert (accuracy.restored_rows(rows, method) == np.array([accuracy.restored(r, method) for r in rows])).all(), (width, method)
+
+
+def test_nearest_centroids_by_any_groups_of_labels(spark, monkeypatch):
+    rng = np.random.default_rng(10)
+    rows = [("t" + str(i % 2), i, "abcde"[i % 5], rng.standard_normal(8).astype(np.float32).tobytes()) for i in range(300)] + [("t0", 0, "a", np.ones(6, np.float32).tobytes())] * 2
+    frame = spark.createDataFrame(rows, "task string, vec_id long, label string, payload binary").repartition(3)
+    methods = ("half", "mp")
+    got = sorted(map(tuple, accuracy.vector_benchmark(frame, methods).collect()))
+    whole = accuracy.label_groups
+    monkeypatch.setattr(accuracy, "label_groups", lambda means, m: whole(means, m, 100))  # a label a group
+    assert sorted(map(tuple, accuracy.vector_benchmark(frame, methods).collect())) == got
+    for task, method, _, before, after, n in got:
+        own = [(x, np.pad(np.frombuffer(p, np.float32), (0, 8 - len(p) // 4))) for t, _, x, p in rows if t == task]
+        for share, values in ((before, [(x, v) for x, v in own]), (after, [(x, accuracy.restored(v, method)) for x, v in own])):
+            means = {c: np.mean([v.astype(float) for x, v in values if x == c], axis=0) for c in "abcde"}
+            assert n == len(own) and share == pytest.approx(np.mean([min(means, key=lambda c: ((v - means[c]) ** 2).sum()) == x for x, v in values]))
