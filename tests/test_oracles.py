@@ -79,3 +79,25 @@ def test_better_arm_and_pipeline_win(spark):
     """The better of both arms is no worse than either, and the whole pipeline beats the general compressor alone."""
     cr = {r.method: r.cr for r in QUERIES["codec_table"](spark, SF).collect()}
     assert cr["hybrid"] >= max(cr["de"], cr["unit"]) and cr["pipeline"] > cr["zstd"]
+
+
+@pytest.mark.parametrize("name", ["de_example", "pseudodecimal_example", "pushdown_probe", "unit_edge", "unit_example"])
+def test_examples_read_a_given_table(spark, name):
+    frame = QUERIES[name](spark, SF)
+    assert frame.inputFiles() and frame.count()
+
+
+def test_worked_examples(spark):
+    """The published cases: a repeat 1,000,000 positions back, 3.25, 0.1415926069021225, and the largest floats below 1."""
+    from pyspark.sql import functions as F
+
+    from paramstore.functions.bits import bit_length
+    from paramstore.operators import codecs, unitpack
+
+    x = F.lit(0.1415926069021225)
+    c = unitpack.code(x, F.lit("float32"))
+    r = spark.range(1).select(bit_length(F.lit(1_000_000)).alias("len"), codecs.decimal_exponent(F.lit(3.25)).alias("e"), (c / 2.0**23).alias("back"), unitpack.decoded(c, F.lit("float32")).alias("decoded")).first()
+    assert r.len == 20 and r.e == 2 and r.back == r.decoded and abs(r.decoded - 0.1415926069021225) <= 2.0**-24
+    for dtype, last in (("float32", 24), ("float64", 53)):
+        got = spark.range(1).select(*[unitpack.packable(F.lit(1 - 2.0**-k), F.lit(dtype)) for k in (last, last - 1)]).first()
+        assert tuple(got) == (False, True)
