@@ -17,7 +17,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from paramstore.functions.bits import BOUND, STORED, VIEW, is_float, width_of
+from paramstore.functions.bits import BOUND, CODE_BITS, STORED, VIEW, WIDTH, is_float, width_of
 from paramstore.operators import distance, similarity, unitpack
 from paramstore.sources.zoo import BLOCK, to_blocks
 
@@ -112,6 +112,42 @@ def stage_entropy(encoded: DataFrame, level: int = 3) -> DataFrame:
     return compress(encoded, level).groupBy("model_id", "dtype", "arm").agg(F.sum("n").alias("params"), (8 * F.sum("raw_bytes")).alias("before"), (8 * F.sum(F.length("data"))).alias("compressed"))
 
 
+def entropy_sizes(params: DataFrame, level: int = 3) -> DataFrame:
+    """stage_entropy(encode(params)) from one pass over the blocks: distances of the store stay within a block, so a block has all that both arms' sizes need.
+
+    Each block is encoded by both arms where it is, only sums leave it, and a model's totals choose the arm whose sums count.
+    """
+    names = ["de", "unit", *[f"{arm}_{what}" for arm in ("de", "unit", "raw") for what in ("before", "after")]]
+
+    def kernel(batches):
+        codec = pa.Codec("zstd", compression_level=level)
+        for batch in batches:
+            cols, out = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}, []
+            for payload, dtype in zip(cols["payload"], cols["dtype"], strict=True):
+                width, row = WIDTH[dtype], dict.fromkeys(names)
+                if dtype in VIEW:
+                    bits = np.frombuffer(payload, STORED[dtype]).astype(np.int64)
+                    back = np.arange(len(bits)) - distance.previous_positions(bits)
+                    length = np.frexp(back[back <= np.arange(len(bits))].astype(np.float64))[1]
+                    packed = unitpack.pack(bits, dtype)
+                    out_of = int(np.frombuffer(packed[4:8], "<u4")[0])
+                    row["de"] = int(length.sum()) + (distance.LENGTH_BITS + 1) * len(length) + (width + 1) * (len(bits) - len(length))
+                    row["unit"] = CODE_BITS[dtype] * (len(bits) - out_of) + (width + 32) * out_of
+                    data = {"de": distance.encode(bits, dtype), "unit": packed}
+                else:
+                    data = {"raw": payload}
+                for arm, x in data.items():
+                    row[f"{arm}_before"], row[f"{arm}_after"] = len(x), len(codec.compress(x, asbytes=True))
+                out.append(row)
+            yield pa.RecordBatch.from_arrays([pa.array(cols["model_id"]), pa.array(cols["dtype"]), pa.array(cols["n"], pa.int64()), *[pa.array([r[n] for r in out], pa.int64()) for n in names]], ["model_id", "dtype", "n", *names])
+
+    blocks = to_blocks(params).select("model_id", "dtype", "n", "payload")
+    sums = blocks.mapInArrow(kernel, "model_id string, dtype string, n long, " + ", ".join(f"{n} long" for n in names)).groupBy("model_id", "dtype").agg(*[F.sum(n).alias(n) for n in ("n", *names)])
+    arm = F.when(F.col("de").isNull(), "raw").when(F.col("de") < F.col("unit"), "de").otherwise("unit")
+    chosen = lambda what: 8 * F.when(arm == "de", F.col(f"de_{what}")).when(arm == "unit", F.col(f"unit_{what}")).otherwise(F.col(f"raw_{what}"))
+    return sums.select("model_id", "dtype", arm.alias("arm"), F.col("n").alias("params"), chosen("before").alias("before"), chosen("after").alias("compressed"))
+
+
 def structure(layers: DataFrame, rows: int = 4096, level: int = 3) -> DataFrame:
     """(model_id, part, layers, data, raw_bytes): the models' structure, a line of JSON for each layer with what it refers to, through stage 3."""
     line = F.to_json(F.struct("layer_id", "layer_seq", "dtype", "n", "canonical"))
@@ -253,7 +289,7 @@ def ablation(params: DataFrame, with_entropy: bool = False) -> DataFrame:
     m = base.join(arms.groupBy("model_id").agg(F.sum(F.coalesce("de", "original")).alias("de"), F.sum(F.coalesce("unit", "original")).alias("unit"), F.sum("compressed").alias("best")), "model_id", "left").fillna(0, ["de", "unit", "best"])
     stages = [("1_dedup", F.col("dedup")), ("2_dedup_de", F.col("refs") + F.col("de")), ("3_dedup_unit", F.col("refs") + F.col("unit")), ("4_dedup_both", F.col("refs") + F.col("best"))]
     if with_entropy:
-        last = stage_entropy(encode(routed)).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
+        last = entropy_sizes(routed).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
         m = m.join(last, "model_id", "left").fillna(0, ["zstd"])
         stages.append(("5_all_zstd", F.col("refs") + F.col("zstd")))
     long = F.explode(F.array(*[F.struct(F.lit(s).alias("stage"), c.cast("long").alias("compressed")) for s, c in stages])).alias("x")

@@ -350,3 +350,13 @@ def test_nearest_centroids_by_any_groups_of_labels(spark, monkeypatch):
         for share, values in ((before, [(x, v) for x, v in own]), (after, [(x, accuracy.restored(v, method)) for x, v in own])):
             means = {c: np.mean([v.astype(float) for x, v in values if x == c], axis=0) for c in "abcde"}
             assert n == len(own) and share == pytest.approx(np.mean([min(means, key=lambda c: ((v - means[c]) ** 2).sum()) == x for x, v in values]))
+
+
+def test_entropy_sizes_equal_the_encoded_store(spark):
+    from paramstore.sources import zoo
+
+    params = zoo.params(spark, "/root/testdata/sf0.001", ("vec", "line", "cust", "key", "posid"))
+    want = hybrid.stage_entropy(hybrid.encode(params))
+    rows = lambda f: sorted(tuple(r[c] for c in want.columns) for r in f.collect())
+    got = rows(hybrid.entropy_sizes(params))
+    assert got == rows(want) and {r[2] for r in got} == {"de", "unit", "raw"}
