@@ -63,6 +63,11 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return source.mapInArrow(per_batch(kernel), f"doc_id {kind}, key {KEY}, fp long")
 
 
+def sorted_(side: DataFrame) -> DataFrame:
+    """A side of a join that grows with the corpus: Spark's estimates of what kernels and exploded arrays give are far too small, and it must not be sent to the driver to be broadcast."""
+    return side.hint("merge")
+
+
 def signed(x: int) -> int:
     return x - (1 << BITS) if x >> (BITS - 1) else x
 
@@ -96,7 +101,7 @@ def whole_key_links(fps: DataFrame, distance: int) -> DataFrame:
     masks = F.array(*[F.lit(signed(m)).cast("long") for m in ball(BITS, 1)])
     keys = fps.select("fp", F.explode(F.transform(masks, lambda m: F.col("fp").bitwiseXOR(m))).alias("key"))
     if distance == 1:  # a key half-way joins fingerprints two bits apart; only a fingerprint itself may be a key
-        met = keys.alias("p").join(fps.alias("t"), F.col("p.key") == F.col("t.fp")).where("p.fp < t.fp")
+        met = keys.alias("p").join(sorted_(fps.alias("t")), F.col("p.key") == F.col("t.fp")).where("p.fp < t.fp")
         return met.select(F.col("p.fp").alias("a"), F.col("t.fp").alias("b"))
     stars = keys.groupBy("key").agg(F.collect_list("fp").alias("met")).where(F.size("met") > 1)  # 65 at most
     return stars.select(F.array_min("met").alias("a"), F.explode("met").alias("b")).where("a < b")
@@ -116,7 +121,7 @@ def links(fps: DataFrame, distance: int = 2, segments: int = 2, most: int = 64)
     sizes = index.groupBy("segment", "value").agg(F.count("*").alias("held"))
     fetch = probes(fps, segments, distance // segments)
     at = ["segment", "value"]
-    cold = fetch.join(index.withColumnRenamed("fp", "met").join(sizes.where(F.col("held") <= most), at), at)
+    cold = fetch.join(sorted_(index.withColumnRenamed("fp", "met").join(sorted_(sizes.where(F.col("held") <= most)), at)), at)
     near = cold.where("fp <> met").where(F.bit_count(F.col("fp").bitwiseXOR(F.col("met"))) <= distance)
     pairs = near.select(F.least("fp", "met").alias("a"), F.greatest("fp", "met").alias("b"))
     hot = cut(sizes.where(F.col("held") > most).select(*at))
@@ -137,9 +142,9 @@ def components(edges: DataFrame) -> DataFrame:
     while True:  # a round halves the longest chain at least
         both = edges.union(edges.select("b", "a"))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("m"))
-        large = edges.join(least, edges.a == least.node).select(F.col("b").alias("x"), F.col("m").alias("y")).where("x <> y").distinct()
+        large = edges.join(sorted_(least), edges.a == least.node).select(F.col("b").alias("x"), F.col("m").alias("y")).where("x <> y").distinct()
         low = large.groupBy("x").agg(F.min("y").alias("m")).select(F.col("x").alias("node"), "m")
-        small = large.join(low, large.x == low.node).select(F.explode(F.array(F.struct(F.col("m").alias("a"), F.col("y").alias("b")), F.struct(F.col("m").alias("a"), F.col("x").alias("b")))).alias("e"))
+        small = large.join(sorted_(low), large.x == low.node).select(F.explode(F.array(F.struct(F.col("m").alias("a"), F.col("y").alias("b")), F.struct(F.col("m").alias("a"), F.col("x").alias("b")))).alias("e"))
         edges = cut(small.select("e.a", "e.b").where("a < b").distinct())
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == before:
@@ -152,10 +157,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     prints = cut(fingerprints(docs, id_col, text_col, shingle, seed))
     first = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
     roots = components(links(first.select("fp"), distance, segments))
-    classes = first.join(roots, first.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
+    classes = first.join(sorted_(roots), first.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     least = classes.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    named = cut(classes.join(least, "root").select("fp", "component_id"))
-    return prints.join(named, "fp").select("doc_id", "key", "fp", "component_id")
+    named = cut(classes.join(sorted_(least), "root").select("fp", "component_id"))
+    return prints.join(sorted_(named), "fp").select("doc_id", "key", "fp", "component_id")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
@@ -164,8 +169,8 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **
     chosen = cut(classes.groupBy("component_id").agg(F.min(F.struct("doc_id", "key")).alias("one")).select("one.doc_id", "one.key"))
     held = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(id_col).alias("id"), row_key(id_col, text_col).alias("key"))
     same = held.id.eqNullSafe(chosen.doc_id) & (held.key == chosen.key)
-    kept = held.join(chosen, same, "left_semi")
-    repeated = classes.join(chosen.withColumnRenamed("key", "of"), classes.key == F.col("of"), "left_semi").groupBy("key").count().where("count > 1")
+    kept = held.join(sorted_(chosen), same, "left_semi")
+    repeated = classes.join(sorted_(chosen.withColumnRenamed("key", "of")), classes.key == F.col("of"), "left_semi").groupBy("key").count().where("count > 1")
     if not repeated.isEmpty():  # the same row more than once: then one of them
         kept = kept.dropDuplicates(["id", "key"])
     return kept.select("row.*")
