@@ -19,9 +19,15 @@ from pyspark.sql import types as T
 
 from paramstore.functions.bits import BOUND, CODE_BITS, STORED, VIEW, WIDTH, is_float, width_of
 from paramstore.operators import distance, similarity, unitpack
+from paramstore.sources import runs as packed
+from paramstore.sources.shared import kept
 from paramstore.sources.zoo import BLOCK, to_blocks
 
 REF_BITS = 256
+#: Rows of a counted table (of layers or of layers in blocks) that is still broadcast; a larger one is joined by shuffling.
+FEW = 1 << 17
+#: Values of a model's stream for each bucket of different values; places of a layer that are compared together.
+BUCKET, WIDE = 1 << 19, 1 << 16
 
 
 def prints_of(params: DataFrame) -> DataFrame:
@@ -35,7 +41,11 @@ def stage_dedup(params: DataFrame, known: DataFrame | None = None) -> DataFrame:
 
     known: (fp, dtype, canonical) of a store that there is; layers of its prints refer to what it holds.
     """
-    layers = prints_of(params)
+    return first_copies(prints_of(params), known)
+
+
+def first_copies(layers: DataFrame, known: DataFrame | None = None) -> DataFrame:
+    """stage_dedup of layers with prints."""
     first = layers.groupBy("fp", "dtype").agg(F.min(F.struct("model_id", "layer_seq", "layer_id")).alias("first"))
     owner = F.col("first.layer_id")
     if known is not None:
@@ -59,6 +69,137 @@ def route(params: DataFrame, layers: DataFrame) -> DataFrame:
     return params.join(stored, "layer_id").withColumn("pos", F.col("offset") + F.col("layer_pos")).drop("offset")
 
 
+def prints_of_runs(runs: DataFrame) -> DataFrame:
+    """prints_of() from runs: 128 bits of sums over a layer's values by place, the same however it is cut into runs."""
+    total = lambda h: F.pmod(F.sum(F.col(h).cast("decimal(20,0)")), F.lit(str(1 << 64)).cast("decimal(20,0)")).cast("string")
+    return runs.groupBy("model_id", "layer_id", "layer_seq", "dtype").agg(F.sum("n").alias("n"), F.concat_ws(":", total("h1"), total("h2")).alias("fp"))
+
+
+def routes(layers: DataFrame) -> DataFrame:
+    """(layer_id, offset) of stored layers: where they begin in the stream of their model and dtype."""
+    of = W.partitionBy("model_id", "dtype").orderBy("layer_seq").rowsBetween(W.unboundedPreceding, -1)
+    return layers.where("copy = 1").select("layer_id", "model_id", "dtype", F.coalesce(F.sum("n").over(of), F.lit(0)).alias("offset"))
+
+
+def few(table: DataFrame, rows: int) -> DataFrame:
+    """table, to be broadcast if its counted rows are few."""
+    return F.broadcast(table) if rows <= FEW else table
+
+
+def route_runs(runs: DataFrame, layers: DataFrame, extra: DataFrame | None = None, count: int | None = None) -> DataFrame:
+    """The stored runs with pos, their first place in the stream, and the columns that extra has for each model and dtype."""
+    to = routes(layers)
+    to = to if extra is None else to.join(extra, ["model_id", "dtype"])
+    return runs.join(few(to.drop("model_id", "dtype"), layers.count() if count is None else count), "layer_id").withColumn("pos", F.col("offset") + F.col("layer_pos"))
+
+
+def over_blocks(routed: DataFrame, of_block, schema: str, extra: tuple = ()) -> DataFrame:
+    """of_block(row, block_no, first_pos, bits) -> values of schema, for every block of routed runs; row has model_id, dtype and extra.
+
+    A block that lies within one run is worked on where the run is. Only the pieces at the ends of runs are shuffled.
+    """
+    keys = ["model_id", "dtype", *extra]
+    names = [f.split()[0] for f in schema.split(", ")]
+    types = [pa.type_for_alias({"string": "string", "long": "int64", "binary": "binary"}[f.split()[1]]) for f in schema.split(", ")]
+    out = lambda rows: pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], names)
+
+    def cut(batch, whole: bool):
+        """(row, block_no, first_pos, bits) of the whole blocks within runs, or of the pieces at their ends."""
+        rows = batch.to_pylist()
+        for row in rows:
+            low, high = row["pos"], row["pos"] + row["n"]
+            edges = sorted({low, *range(-(-low // BLOCK) * BLOCK, high, BLOCK), high})
+            mine = [(a, b) for a, b in zip(edges, edges[1:]) if (b - a == BLOCK) == whole]
+            if mine:
+                bits = packed.expand(row["data"], row["n"], row["dtype"])
+                for a, b in mine:
+                    yield row, a // BLOCK, a, bits[a - low : b - low]
+
+    def inside(batches):
+        for batch in batches:
+            rows = [of_block(*x) for x in cut(batch, True)]
+            if rows:
+                yield out(rows)
+
+    def ends(batches):
+        for batch in batches:
+            rows = [(*(row[k] for k in keys), no, first, len(bits), packed.squeeze(bits, row["dtype"])) for row, no, first, bits in cut(batch, False)]
+            yield pa.RecordBatch.from_arrays([*[pa.array([r[i] for r in rows], pa.string()) for i in range(len(keys))], *[pa.array([r[len(keys) + i] for r in rows], pa.int64()) for i in range(3)], pa.array([r[-1] for r in rows], pa.binary())], [*keys, "block_no", "first_pos", "n", "data"])
+
+    def joined(batches):
+        for batch in batches:
+            rows = []
+            for row in batch.to_pylist():
+                own = sorted(row["own"], key=lambda x: x["first_pos"])
+                rows.append(of_block(row, row["block_no"], own[0]["first_pos"], np.concatenate([packed.expand(x["data"], x["n"], row["dtype"]) for x in own])))
+            yield out(rows)
+
+    routed = routed.select(*keys, "pos", "n", "data")
+    pieces = routed.mapInArrow(ends, ", ".join(f"{k} string" for k in keys) + ", block_no long, first_pos long, n long, data binary")
+    grouped = pieces.groupBy(*keys, "block_no").agg(F.collect_list(F.struct("first_pos", "n", "data")).alias("own"))
+    return routed.mapInArrow(inside, schema).unionByName(grouped.mapInArrow(joined, schema))
+
+
+def stream_distances(routed: DataFrame) -> DataFrame:
+    """(model_id, dtype, de): bits of float models by distances over their whole streams, as distance.sizes has them, from routed runs with buckets.
+
+    Repeats within a run are counted where it is. What goes on from there is each different value of a run with its first and last place,
+    packed by buckets of values; a bucket joins a value's runs.
+    """
+    long = lambda d, w: np.where((k := np.frexp(d.astype(np.float64))[1]) <= distance.LONGEST, k + distance.LENGTH_BITS + 1, w + 1).sum()
+
+    def of_runs(batches):
+        for batch in batches:
+            rows = []
+            for row in batch.to_pylist():
+                dtype, n = row["dtype"], row["n"]
+                bits = packed.expand(row["data"], n, dtype)
+                order = np.argsort(bits, kind="stable")
+                new = np.flatnonzero(np.concatenate(([True], bits[order][1:] != bits[order][:-1])))
+                last = order[np.append(new[1:], n) - 1]
+                first, values = order[new], bits[order[new]]
+                steps = np.delete(np.diff(order, prepend=0), new)
+                own = int(long(steps, WIDTH[dtype]))
+                number = (packed.mixed(values.view(np.uint64)) >> np.uint64(1)).astype(np.int64) % row["buckets"]
+                by = np.argsort(number, kind="stable")
+                for part in np.split(by, np.flatnonzero(np.diff(number[by])) + 1):
+                    data = [packed.squeeze(values[part], dtype, rising=True), packed.squeeze(first[part]), packed.squeeze(last[part] - first[part])]
+                    rows.append((row["model_id"], dtype, int(number[part[0]]), row["pos"], len(part), data, own))
+                    own = 0
+            kinds = [pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.binary()), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)], ["model_id", "dtype", "bucket", "pos", "n", "data", "de"])
+
+    def of_buckets(batches):
+        for batch in batches:
+            de = []
+            for row in batch.to_pylist():
+                own, dtype = row["own"], row["dtype"]
+                values = np.concatenate([packed.expand(x["data"][0], x["n"], dtype, rising=True) for x in own])
+                inside = np.concatenate([packed.expand(x["data"][1], x["n"]) for x in own])
+                first = inside + np.repeat([x["pos"] for x in own], [x["n"] for x in own])
+                last = first + np.concatenate([packed.expand(x["data"][2], x["n"]) for x in own])
+                order = np.lexsort((first, values))
+                same = values[order][1:] == values[order][:-1]
+                back = (first[order][1:] - last[order][:-1])[same]
+                de.append(row["de"] + int(long(back, WIDTH[dtype])) + (WIDTH[dtype] + 1) * (len(values) - len(back)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(de, pa.int64())], ["model_id", "dtype", "de"])
+
+    floats = routed.where(is_float(F.col("dtype"))).select("model_id", "dtype", "pos", "n", "data", "buckets")
+    chunks = floats.mapInArrow(of_runs, "model_id string, dtype string, bucket long, pos long, n long, data array<binary>, de long")
+    grouped = chunks.groupBy("model_id", "dtype", "bucket").agg(F.sum("de").alias("de"), F.collect_list(F.struct("pos", "n", "data")).alias("own"))
+    sums = grouped.select("model_id", "dtype", "de", "own").mapInArrow(of_buckets, "model_id string, dtype string, de long")
+    return sums.groupBy("model_id", "dtype").agg(F.sum("de").alias("de"))
+
+
+def unit_bits(runs: DataFrame) -> DataFrame:
+    """(model_id, dtype, original, unit): bits by packing, of runs."""
+    w, code = width_of(F.col("dtype")), F.lit(None).cast("long")
+    for dtype, c in CODE_BITS.items():
+        code = F.when(F.col("dtype") == dtype, F.lit(c).cast("long")).otherwise(code)
+    sums = runs.groupBy("model_id", "dtype").agg(F.sum("n").alias("n"), F.sum("out_of_unit").alias("out"))
+    return sums.select("model_id", "dtype", (F.col("n") * w).alias("original"), ((F.col("n") - F.col("out")) * code + F.col("out") * (w + 32)).alias("unit"))
+
+
 def choose(params: DataFrame, allow_raw: bool = False, segment: int | None = None) -> DataFrame:
     """Per model and dtype: original bits, both arms' bits, the better one and its name; whole numbers have the arm 'raw' and no other.
 
@@ -76,6 +217,10 @@ def choose(params: DataFrame, allow_raw: bool = False, segment: int | None = Non
     return both.unionByName(other.select("model_id", "dtype", "original", none.alias("de"), none.alias("unit"), F.lit("raw").alias("arm"), F.col("original").alias("compressed")))
 
 
+def encoded_block(bits: np.ndarray, dtype: str, arm: str) -> bytes:
+    return distance.encode(bits, dtype) if arm == "de" else unitpack.pack(bits, dtype) if arm == "unit" else bits.astype(STORED[dtype]).tobytes()
+
+
 def encode(params: DataFrame, choice: DataFrame | None = None) -> DataFrame:
     """Blocks with data, each encoded by its model's arm; a block decodes alone."""
     choice = choose(params, segment=BLOCK) if choice is None else choice
@@ -86,8 +231,7 @@ def encode(params: DataFrame, choice: DataFrame | None = None) -> DataFrame:
             cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
             data = []
             for payload, dtype, arm in zip(cols["payload"], cols["dtype"], cols["arm"], strict=True):
-                bits = np.frombuffer(payload, STORED[dtype]).astype(np.int64)
-                data.append(distance.encode(bits, dtype) if arm == "de" else unitpack.pack(bits, dtype) if arm == "unit" else payload)
+                data.append(encoded_block(np.frombuffer(payload, STORED[dtype]).astype(np.int64), dtype, arm))
             yield pa.RecordBatch.from_arrays([pa.array(cols["model_id"]), pa.array(cols["dtype"]), pa.array(cols["block_no"], pa.int64()), pa.array(cols["first_pos"], pa.int64()), pa.array(cols["n"], pa.int64()), pa.array(cols["arm"]), pa.array(data, pa.binary())], ["model_id", "dtype", "block_no", "first_pos", "n", "arm", "data"])
 
     return blocks.mapInArrow(kernel, "model_id string, dtype string, block_no long, first_pos long, n long, arm string, data binary")
@@ -112,42 +256,64 @@ def stage_entropy(encoded: DataFrame, level: int = 3) -> DataFrame:
     return compress(encoded, level).groupBy("model_id", "dtype", "arm").agg(F.sum("n").alias("params"), (8 * F.sum("raw_bytes")).alias("before"), (8 * F.sum(F.length("data"))).alias("compressed"))
 
 
+ARM_SUMS = ["de", "unit", *[f"{arm}_{what}" for arm in ("de", "unit", "raw") for what in ("before", "after")]]
+
+
+def block_de_bits(bits: np.ndarray, dtype: str) -> int:
+    """Bits of a block by distances within it."""
+    back = np.arange(len(bits)) - distance.previous_positions(bits)
+    length = np.frexp(back[back <= np.arange(len(bits))].astype(np.float64))[1]
+    return int(length.sum()) + (distance.LENGTH_BITS + 1) * len(length) + (WIDTH[dtype] + 1) * (len(bits) - len(length))
+
+
+def block_sums(bits: np.ndarray, dtype: str, level: int) -> list:
+    """ARM_SUMS of a block: both arms' sizes, and bytes of each encoding before and after zstd."""
+    row, codec = dict.fromkeys(ARM_SUMS), pa.Codec("zstd", compression_level=level)
+    if dtype in VIEW:
+        arms = ("de", "unit")
+        row["de"] = block_de_bits(bits, dtype)
+        out = int(packed.out_of_unit(bits, dtype).sum())
+        row["unit"] = CODE_BITS[dtype] * (len(bits) - out) + (WIDTH[dtype] + 32) * out
+    else:
+        arms = ("raw",)
+    for arm in arms:
+        x = encoded_block(bits, dtype, arm)
+        row[f"{arm}_before"], row[f"{arm}_after"] = len(x), len(codec.compress(x, asbytes=True))
+    return [row[n] for n in ARM_SUMS]
+
+
 def entropy_sizes(params: DataFrame, level: int = 3) -> DataFrame:
     """stage_entropy(encode(params)) from one pass over the blocks: distances of the store stay within a block, so a block has all that both arms' sizes need.
 
     Each block is encoded by both arms where it is, only sums leave it, and a model's totals choose the arm whose sums count.
     """
-    names = ["de", "unit", *[f"{arm}_{what}" for arm in ("de", "unit", "raw") for what in ("before", "after")]]
 
     def kernel(batches):
-        codec = pa.Codec("zstd", compression_level=level)
         for batch in batches:
-            cols, out = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}, []
-            for payload, dtype in zip(cols["payload"], cols["dtype"], strict=True):
-                width, row = WIDTH[dtype], dict.fromkeys(names)
-                if dtype in VIEW:
-                    bits = np.frombuffer(payload, STORED[dtype]).astype(np.int64)
-                    back = np.arange(len(bits)) - distance.previous_positions(bits)
-                    length = np.frexp(back[back <= np.arange(len(bits))].astype(np.float64))[1]
-                    packed = unitpack.pack(bits, dtype)
-                    out_of = int(np.frombuffer(packed[4:8], "<u4")[0])
-                    row["de"] = int(length.sum()) + (distance.LENGTH_BITS + 1) * len(length) + (width + 1) * (len(bits) - len(length))
-                    row["unit"] = CODE_BITS[dtype] * (len(bits) - out_of) + (width + 32) * out_of
-                    data = {"de": distance.encode(bits, dtype), "unit": packed}
-                else:
-                    data = {"raw": payload}
-                for arm, x in data.items():
-                    row[f"{arm}_before"], row[f"{arm}_after"] = len(x), len(codec.compress(x, asbytes=True))
-                out.append(row)
-            yield pa.RecordBatch.from_arrays([pa.array(cols["model_id"]), pa.array(cols["dtype"]), pa.array(cols["n"], pa.int64()), *[pa.array([r[n] for r in out], pa.int64()) for n in names]], ["model_id", "dtype", "n", *names])
+            cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
+            out = [block_sums(np.frombuffer(payload, STORED[dtype]).astype(np.int64), dtype, level) for payload, dtype in zip(cols["payload"], cols["dtype"], strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(cols["model_id"]), pa.array(cols["dtype"]), pa.array(cols["n"], pa.int64()), *[pa.array([r[i] for r in out], pa.int64()) for i in range(len(ARM_SUMS))]], ["model_id", "dtype", "n", *ARM_SUMS])
 
     blocks = to_blocks(params).select("model_id", "dtype", "n", "payload")
-    sums = blocks.mapInArrow(kernel, "model_id string, dtype string, n long, " + ", ".join(f"{n} long" for n in names)).groupBy("model_id", "dtype").agg(*[F.sum(n).alias(n) for n in ("n", *names)])
+    return chosen_sums(blocks.mapInArrow(kernel, SUMS_SCHEMA))
+
+
+SUMS_SCHEMA = "model_id string, dtype string, n long, " + ", ".join(f"{n} long" for n in ARM_SUMS)
+
+
+def chosen_sums(sums: DataFrame) -> DataFrame:
+    """Per model what its chosen arm has, of blocks' sums."""
+    sums = sums.groupBy("model_id", "dtype").agg(*[F.sum(n).alias(n) for n in ("n", *ARM_SUMS)])
     arm = F.when(F.col("de").isNull(), "raw").when(F.col("de") < F.col("unit"), "de").otherwise("unit")
     chosen = lambda what: 8 * F.when(arm == "de", F.col(f"de_{what}")).when(arm == "unit", F.col(f"unit_{what}")).otherwise(F.col(f"raw_{what}"))
     return sums.select("model_id", "dtype", arm.alias("arm"), F.col("n").alias("params"), chosen("before").alias("before"), chosen("after").alias("compressed"))
 
 
+def entropy_sizes_of_runs(routed: DataFrame, level: int = 3) -> DataFrame:
+    """entropy_sizes() from routed runs."""
+    return chosen_sums(over_blocks(routed, lambda row, no, first, bits: (row["model_id"], row["dtype"], len(bits), *block_sums(bits, row["dtype"], level)), SUMS_SCHEMA))
+
+
 def structure(layers: DataFrame, rows: int = 4096, level: int = 3) -> DataFrame:
     """(model_id, part, layers, data, raw_bytes): the models' structure, a line of JSON for each layer with what it refers to, through stage 3."""
     line = F.to_json(F.struct("layer_id", "layer_seq", "dtype", "n", "canonical"))
@@ -275,21 +441,23 @@ def within_bound(verified: DataFrame) -> DataFrame:
     return verified.withColumn("within_bound", F.coalesce(F.col("max_error") <= bound, F.lit(True))).drop("max_error")
 
 
-def ablation(params: DataFrame, with_entropy: bool = False) -> DataFrame:
-    """(model_id, original, stage, compressed): dedup alone, with each arm, with the better one, and with stage 3 on top.
+def ablation(runs: DataFrame, with_entropy: bool = False) -> DataFrame:
+    """(model_id, original, stage, compressed) of runs: dedup alone, with each arm, with the better one, and with stage 3 on top.
 
     Arms are sized over a model's whole stream; the last stage is what the blocks of the store have.
     """
-    layers = stage_dedup(params)
-    routed = route(params, layers)
-    arms = choose(routed)
+    layers = kept(first_copies(prints_of_runs(runs)))
+    buckets = layers.groupBy("model_id", "dtype").agg(F.ceil(F.sum("n") / BUCKET).alias("buckets"))
+    routed = route_runs(runs, layers, buckets)
+    arms = unit_bits(routed).join(stream_distances(routed), ["model_id", "dtype"], "left")
+    arms = arms.withColumn("best", F.when(is_float(F.col("dtype")), F.least("de", "unit")).otherwise(F.col("original")))
     refs = F.sum(F.when(F.col("copy") > 1, REF_BITS).otherwise(0)).alias("refs")
     w = width_of(F.col("dtype"))
     base = layers.groupBy("model_id").agg(F.sum(F.col("n") * w).alias("original"), F.sum(F.when(F.col("copy") == 1, F.col("n") * w).otherwise(REF_BITS)).alias("dedup"), refs)
-    m = base.join(arms.groupBy("model_id").agg(F.sum(F.coalesce("de", "original")).alias("de"), F.sum(F.coalesce("unit", "original")).alias("unit"), F.sum("compressed").alias("best")), "model_id", "left").fillna(0, ["de", "unit", "best"])
+    m = base.join(arms.groupBy("model_id").agg(F.sum(F.coalesce("de", "original")).alias("de"), F.sum(F.coalesce("unit", "original")).alias("unit"), F.sum("best").alias("best")), "model_id", "left").fillna(0, ["de", "unit", "best"])
     stages = [("1_dedup", F.col("dedup")), ("2_dedup_de", F.col("refs") + F.col("de")), ("3_dedup_unit", F.col("refs") + F.col("unit")), ("4_dedup_both", F.col("refs") + F.col("best"))]
     if with_entropy:
-        last = entropy_sizes(routed).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
+        last = entropy_sizes_of_runs(routed).groupBy("model_id").agg(F.sum("compressed").alias("zstd"))
         m = m.join(last, "model_id", "left").fillna(0, ["zstd"])
         stages.append(("5_all_zstd", F.col("refs") + F.col("zstd")))
     long = F.explode(F.array(*[F.struct(F.lit(s).alias("stage"), c.cast("long").alias("compressed")) for s, c in stages])).alias("x")
