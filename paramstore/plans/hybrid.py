@@ -340,7 +340,7 @@ def read_structure(stored: DataFrame) -> DataFrame:
 
 
 def restored_pieces(stored: DataFrame, layers: DataFrame) -> DataFrame:
-    """(canonical, dtype, layer_pos, bits): runs of the stored layers' values, a row for each layer of each block, from layer_pos on.
+    """(canonical, dtype, layer_pos, n, data): packed runs of the stored layers' values, a row for each layer of each block, from layer_pos on.
 
     A block meets only the layers that lie in it: the layers' ranges are dealt to blocks by their numbers.
     """
@@ -354,7 +354,7 @@ def restored_pieces(stored: DataFrame, layers: DataFrame) -> DataFrame:
         codec = pa.Codec("zstd")
         for batch in batches:
             cols = {n: batch.column(i).to_pylist() for i, n in enumerate(batch.schema.names)}
-            ids, kinds, places, parts = [], [], [], []
+            ids, kinds, places, sizes, parts = [], [], [], [], []
             for k in range(batch.num_rows):
                 data, dtype, arm, base = codec.decompress(cols["data"][k], cols["raw_bytes"][k], asbytes=True), cols["dtype"][k], cols["arm"][k], cols["first_pos"][k]
                 bits = distance.decode(data, dtype) if arm == "de" else unitpack.unpack(data, dtype) if arm == "unit" else np.frombuffer(data, STORED[dtype]).astype(np.int64)
@@ -363,18 +363,19 @@ def restored_pieces(stored: DataFrame, layers: DataFrame) -> DataFrame:
                     ids.append(own["id"])
                     kinds.append(dtype)
                     places.append(low - own["first"])
-                    parts.append(bits[low - base : high - base])
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.string()), pa.array(kinds, pa.string()), pa.array(places, pa.int64()), pa.array(parts, pa.list_(pa.int64()))], ["canonical", "dtype", "layer_pos", "bits"])
+                    sizes.append(high - low)
+                    parts.append(packed.squeeze(bits[low - base : high - base], dtype))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.string()), pa.array(kinds, pa.string()), pa.array(places, pa.int64()), pa.array(sizes, pa.int64()), pa.array(parts, pa.binary())], ["canonical", "dtype", "layer_pos", "n", "data"])
 
-    both = stored.join(inside, ["model_id", "dtype", "block_no"])
-    return both.mapInArrow(kernel, "canonical string, dtype string, layer_pos long, bits array<long>")
+    size = owned.agg(F.sum(F.floor(F.col("n") / BLOCK) + 2)).first()[0] or 0
+    both = stored.join(few(inside, size), ["model_id", "dtype", "block_no"])
+    return both.mapInArrow(kernel, "canonical string, dtype string, layer_pos long, n long, data binary")
 
 
 def restore(stored: DataFrame, layers: DataFrame) -> DataFrame:
-    """(layer_id, dtype, layer_pos, bits) of every layer: float, whole, or a reference that takes what it points to."""
-    pieces = restored_pieces(stored, layers)
-    own = layers.select("layer_id", "canonical").join(pieces, "canonical")
-    return own.select("layer_id", "dtype", F.col("layer_pos").alias("from"), F.posexplode("bits").alias("i", "bits")).select("layer_id", "dtype", (F.col("from") + F.col("i")).alias("layer_pos"), "bits")
+    """(layer_id, dtype, layer_pos, n, data): packed runs of every layer: float, whole, or a reference that takes what it points to."""
+    own = few(layers.select("layer_id", "canonical"), layers.count())
+    return restored_pieces(stored, layers).join(own, "canonical").select("layer_id", "dtype", "layer_pos", "n", "data")
 
 
 def store_bytes(layers: DataFrame, level: int = 3) -> tuple[DataFrame, DataFrame]:
@@ -397,32 +398,81 @@ def restore_bytes(stored: DataFrame, refs: DataFrame) -> DataFrame:
     return refs.join(stored, "canonical").select("layer_id", "data", "raw_bytes").mapInArrow(kernel, "layer_id string, payload binary")
 
 
+def store(runs: DataFrame, layers: DataFrame, level: int = 3) -> DataFrame:
+    """(model_id, dtype, block_no, first_pos, n, arm, data, raw_bytes): the stored layers' blocks by their models' arms, through stage 3."""
+    count = layers.count()
+    sized = lambda row, no, first, bits: (row["model_id"], row["dtype"], block_de_bits(bits, row["dtype"]) if row["dtype"] in VIEW else None)
+    de = over_blocks(route_runs(runs, layers, count=count), sized, "model_id string, dtype string, de long").groupBy("model_id", "dtype").agg(F.sum("de").alias("de"))
+    stored = runs.join(few(layers.where("copy = 1").select("layer_id"), count), "layer_id", "left_semi")
+    arm = F.when(~is_float(F.col("dtype")), "raw").when(F.col("de") < F.col("unit"), "de").otherwise("unit")
+    choice = kept(de.join(unit_bits(stored), ["model_id", "dtype"]).select("model_id", "dtype", arm.alias("arm")))
+
+    def encoded(row, no, first, bits):
+        data = encoded_block(bits, row["dtype"], row["arm"])
+        return row["model_id"], row["dtype"], no, first, len(bits), row["arm"], pa.Codec("zstd", compression_level=level).compress(data, asbytes=True), len(data)
+
+    return over_blocks(route_runs(runs, layers, choice, count), encoded, "model_id string, dtype string, block_no long, first_pos long, n long, arm string, data binary, raw_bytes long", ("arm",))
+
+
+def compared(values: DataFrame, back: DataFrame) -> DataFrame:
+    """Per dtype how packed runs of layers (layer_id, dtype, layer_pos, n, data) came back: see verify. Values are met by their places."""
+
+    def cut(batches):
+        """Runs cut at every WIDE places of a layer."""
+        for batch in batches:
+            rows = []
+            for row in batch.to_pylist():
+                low, high = row["layer_pos"], row["layer_pos"] + row["n"]
+                if low // WIDE == (high - 1) // WIDE:
+                    rows.append({**row, "part": low // WIDE})
+                    continue
+                bits = packed.expand(row["data"], row["n"], row["dtype"])
+                edges = [low, *range((low // WIDE + 1) * WIDE, high, WIDE), high]
+                rows += [{**row, "part": a // WIDE, "layer_pos": a, "n": b - a, "data": packed.squeeze(bits[a - low : b - low], row["dtype"])} for a, b in zip(edges, edges[1:])]
+            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("layer_id", pa.string()), ("dtype", pa.string()), ("part", pa.int64()), ("layer_pos", pa.int64()), ("n", pa.int64()), ("data", pa.binary()), ("back", pa.bool_())]))
+
+    def kernel(batches):
+        for batch in batches:
+            rows = []
+            for dtype, part, own in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                size = max(x["layer_pos"] + x["n"] for x in own) - part * WIDE
+                bits, times = np.zeros((2, size), np.int64), np.zeros((2, size), np.int64)
+                for x in own:
+                    at = slice(x["layer_pos"] - part * WIDE, x["layer_pos"] - part * WIDE + x["n"])
+                    bits[int(x["back"])][at] = packed.expand(x["data"], x["n"], dtype)
+                    times[int(x["back"])][at] += 1
+                there, stray = (times > 0).all(axis=0), times[1] > times[0]  # stray: given back twice, or never put in
+                off, inside = None, np.zeros(size, bool)
+                if dtype in VIEW:
+                    kind, whole = VIEW[dtype]
+                    was, now = (b.astype(whole).view(kind).astype(np.float64) for b in bits)
+                    inside = there & (np.abs(was) < 1)
+                    off = float(np.abs(now[inside] - was[inside]).max()) if inside.any() else None
+                rows.append((dtype, int(times[0].sum()), int((times[0] > times[1]).sum()), off, int((there & ~inside & (bits[0] != bits[1]) | stray).sum())))
+            kinds = [pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)], ["dtype", "params", "missing", "off", "differ"])
+
+    names = ["layer_id", "dtype", "layer_pos", "n", "data"]
+    both = values.select(*names, F.lit(False).alias("back")).unionByName(back.select(*names, F.lit(True).alias("back")))
+    parts = both.mapInArrow(cut, "layer_id string, dtype string, part long, layer_pos long, n long, data binary, back boolean")
+    grouped = parts.groupBy("layer_id", "dtype", "part").agg(F.collect_list(F.struct("layer_pos", "n", "data", "back")).alias("own"))
+    got = grouped.select("dtype", "part", "own").mapInArrow(kernel, "dtype string, params long, missing long, off double, differ long")
+    return got.groupBy("dtype").agg(F.sum("params").alias("params"), F.sum("missing").alias("missing"), F.max("off").alias("max_error"), F.sum("differ").alias("others_differ"))
+
+
+def verify_runs(runs: DataFrame) -> DataFrame:
+    """verify() of runs."""
+    layers = kept(first_copies(prints_of_runs(runs)))
+    back = restore(store(runs, layers), kept(read_structure(structure(layers))))
+    return compared(runs, back)
+
+
 def verify(params: DataFrame) -> DataFrame:
     """Per dtype: parameters, how many did not come back, largest error of floats within the unit interval, and how many others differ.
 
     The layers are read back from their stored structure.
     """
-    layers = stage_dedup(params)
-    stored = compress(encode(route(params, layers)))
-    back = restore(stored, read_structure(structure(layers))).withColumnRenamed("bits", "back")
-    both = params.select("layer_id", "dtype", "layer_pos", "value", "bits").join(back, ["layer_id", "dtype", "layer_pos"], "left")
-
-    def kernel(batches):
-        for batch in batches:
-            dtype, value = np.array(batch.column(1).to_pylist(), object), batch.column(3).to_numpy()
-            missing = batch.column(5).is_null().to_numpy(zero_copy_only=False)
-            bits, back_ = batch.column(4).to_numpy(), batch.column(5).fill_null(0).to_numpy()
-            off, inside = np.zeros(len(value)), np.zeros(len(value), bool)
-            for d in set(dtype) & set(VIEW):
-                own = dtype == d
-                kind, whole = VIEW[d]
-                off[own] = np.abs(back_[own].astype(whole).view(kind).astype(np.float64) - value[own])
-                inside[own] = np.abs(value[own]) < 1
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(missing), pa.array(off), pa.array(inside), pa.array(bits != back_)], ["dtype", "missing", "off", "inside", "differs"])
-
-    got = both.mapInArrow(kernel, "dtype string, missing boolean, off double, inside boolean, differs boolean")
-    there = ~F.col("missing")
-    return got.groupBy("dtype").agg(F.count("*").alias("params"), F.count_if("missing").alias("missing"), F.max(F.when(F.col("inside") & there, F.col("off"))).alias("max_error"), F.count_if(there & ~F.col("inside") & F.col("differs")).alias("others_differ"))
+    return verify_runs(kept(packed.of_params(params)))
 
 
 def verify_bytes(layers: DataFrame) -> DataFrame:
