@@ -1,6 +1,10 @@
 """Encoders, codecs and chunkers against slow references, and their bounds."""
 
+import tracemalloc
+from types import SimpleNamespace
+
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from pyspark.sql import functions as F
@@ -327,6 +331,80 @@ def test_best_sets_are_compared_as_if_sorted():
         assert accuracy.differing(a, b, "topk", k) == (int((top(a, k) != top(b, k)).any(axis=1).sum()), 500)
 
 
+def heads_of(rng, n=300, width=12):
+    own = (rng.standard_normal((n, width)) * 0.2).astype(np.float32)
+    own[7], own[9], own[11] = own[3], own[3], 0  # ties and a layer of zeros
+    return {m: own if m == "original" else accuracy.restored_rows(own, m) for m in ("original", *accuracy.METHODS)}
+
+
+@pytest.mark.parametrize("kind", ["plain", "ties", "missing", "infinite"])
+def test_heads_block_by_block_equal_all_outputs(monkeypatch, kind):
+    """Margins and forms give what all outputs give, whatever the blocks are."""
+    rng = np.random.default_rng(12)
+    by = heads_of(rng)
+    if kind == "ties":  # half of the layers are one layer, as restored too
+        by = {m: np.concatenate([w[:150], np.repeat(w[3:4], 150, axis=0)]) for m, w in by.items()}
+    elif kind != "plain":
+        by["original"] = by["original"].copy()
+        by["original"][5, 0] = np.nan if kind == "missing" else np.inf
+        by["mp"] = by["original"]
+    x = rng.standard_normal((700, 12)).astype(np.float32)
+    x[4] = 0
+    for sizes in ((512, 2048), (100, 64), (33, 5)):
+        monkeypatch.setattr(accuracy.Head, "ROWS", sizes[0])
+        monkeypatch.setattr(accuracy.Head, "LAYERS", sizes[1])
+        head = accuracy.Head(by, accuracy.METHODS)
+        for compare in ("topk", "cosine", "bits"):
+            got = head.differing(x, compare)
+            with np.errstate(invalid="ignore"):
+                for m in accuracy.METHODS:
+                    want = accuracy.differing(x @ by["original"].T, x @ by[m].T, compare)
+                    assert got[m][1] == want[1]
+                    assert abs(got[m][0] - want[0]) <= (0.002 * want[1] if compare == "bits" else 0), (m, compare, sizes)  # bits of sums depend on blocks
+
+
+def test_outputs_of_a_large_model_are_never_held_whole(monkeypatch):
+    """The kernel of outputs_differ over 4,096 inputs and 10,000 layers: all outputs of one matrix are 164 MB."""
+    rng, kernels_, peak = np.random.default_rng(13), [], []
+    own = (rng.standard_normal((10_000, 8)) * 0.2).astype(np.float32)
+    group = {"m": {"original": own, "half": own.astype(np.float16).astype(np.float32)}}
+
+    class Frame:
+        sparkSession = SimpleNamespace(sparkContext=SimpleNamespace(broadcast=lambda x: SimpleNamespace(value=x)))
+        select = groupBy = agg = lambda self, *x: self
+
+        def mapInArrow(self, run, schema):
+            kernels_.append(run)
+            return self
+
+    monkeypatch.setattr(accuracy, "head_groups", lambda layers, methods: [group])
+    monkeypatch.setattr(accuracy.F, "sum", lambda c: SimpleNamespace(alias=lambda n: None))
+    accuracy.outputs_differ(Frame(), Frame(), {"a": "topk", "b": "cosine"}, ("half",))
+    batch = pa.RecordBatch.from_arrays([pa.array(["a", "b"] * 2048), pa.array([x.tobytes() for x in rng.standard_normal((4096, 8)).astype(np.float32)], pa.binary())], ["task", "payload"])
+    tracemalloc.start()
+    try:
+        rows = [r for b in kernels_[0](iter([batch])) for r in b.to_pylist()]
+        peak.append(tracemalloc.get_traced_memory()[1])
+    finally:
+        tracemalloc.stop()
+    assert [(r["task"], r["n"]) for r in rows] == [("a", 2048), ("b", 2048)]
+    assert peak[0] < 60e6
+
+
+def test_text_vectors_equal_one_text_at_a_time():
+    rng = np.random.default_rng(14)
+    raws = [b"", b"a", b"ab", bytes(rng.integers(0, 256, 5000, np.uint8)), "ä€ text".encode()] * 3
+    want = []
+    for raw in raws:
+        v, data = np.zeros(64), raw + b"\n\n"
+        for i in range(len(raw)):
+            h = int.from_bytes(data[i : i + 3], "big") * 0x9E3779B97F4A7C15 % 2**64
+            v[(h >> 50) % 64] += 1 - 2 * (h >> 40 & 1)
+        want.append((v / max(np.linalg.norm(v), 1e-12)).astype(np.float32))
+    for rows, size in ((4096, 1 << 20), (2, 1 << 20), (3, 100)):
+        assert (accuracy.text_vectors(raws, 64, rows, size) == np.array(want)).all()
+
+
 def test_restored_rows_equal_single_vectors():
     rng = np.random.default_rng(9)
     for width in (1, 6, 64):
