@@ -391,6 +391,24 @@ def test_outputs_of_a_large_model_are_never_held_whole(monkeypatch):
     assert peak[0] < 60e6
 
 
+def test_inputs_of_several_groups_of_heads_are_made_once(spark, monkeypatch):
+    rng, made = np.random.default_rng(15), spark.sparkContext.accumulator(0)
+    layers = spark.createDataFrame([(f"m{k % 3}", k, rng.normal(0, 0.2, 8).astype(np.float32).tobytes()) for k in range(30)], "model_id string, layer_seq long, payload binary")
+    rows = [(("a", "b")[i % 2], rng.standard_normal(8).astype(np.float32).tobytes()) for i in range(60)]
+
+    def counted(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    frame = lambda: spark.createDataFrame(rows, "task string, payload binary").mapInArrow(counted, "task string, payload binary")
+    run = lambda: sorted(map(tuple, accuracy.outputs_differ(frame(), layers, {"a": "topk", "b": "cosine"}, ("half", "mp"), k=2).collect()))
+    want, whole = run(), accuracy.head_groups
+    assert made.value == 60
+    monkeypatch.setattr(accuracy, "head_groups", lambda layers, methods: whole(layers, methods, 1))  # a group for each model
+    assert run() == want and made.value == 120
+
+
 def test_text_vectors_equal_one_text_at_a_time():
     rng = np.random.default_rng(14)
     raws = [b"", b"a", b"ab", bytes(rng.integers(0, 256, 5000, np.uint8)), "ä€ text".encode()] * 3
